@@ -13,7 +13,13 @@ from pyspark.sql import types as T
 from .common import held, table
 
 #: Bounds of what is learned from: texts of each class for dictionaries, texts of each class for calibration, characters of a text that may be used at all.
-DICT_TEXTS, FIT_TEXTS, MAX_CHARS, DICT_BYTES = 800, 1500, 20_000, 112_640
+DICT_TEXTS, FIT_TEXTS, MAX_CHARS, DICT_BYTES = 1200, 1200, 20_000, 112_640
+#: Texts are compressed in pieces of so many bytes: in longer ones a text's own repetitions outweigh the dictionary.
+PIECE = 256
+
+
+def _pieces(data: bytes) -> list[bytes]:
+    return [data[i : i + PIECE] for i in range(0, len(data), PIECE)] or [b""]
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int) -> list:
@@ -37,9 +43,10 @@ class Model:
         import zstandard
 
         if self._z is None:
-            self._z = [zstandard.ZstdCompressor(level=self.level, dict_data=zstandard.ZstdCompressionDict(d, dict_type=zstandard.DICT_TYPE_RAWCONTENT), write_content_size=False) for d in (self.good, self.bad)]
+            self._z = [zstandard.ZstdCompressor(level=self.level, dict_data=zstandard.ZstdCompressionDict(d), write_content_size=False, write_dict_id=False) for d in (self.good, self.bad)]
         data = (text or "").encode("utf-8", "surrogatepass")
-        good, bad = (len(z.compress(data)) for z in self._z)
+        pieces = _pieces(data)
+        good, bad = (sum(len(z.compress(p)) for p in pieces) for z in self._z)
         return (bad - good) / max(good, bad)
 
     def score(self, text: str | None) -> float:
@@ -47,14 +54,14 @@ class Model:
 
 
 def _dictionary(texts: list[str], size: int) -> bytes:
-    """A trained dictionary's content where training is possible; else, for few texts, the texts themselves."""
+    """A trained dictionary, with its entropy tables, where training is possible; else, for few texts, the texts themselves."""
     import zstandard
 
-    data = [t.encode("utf-8", "surrogatepass") for t in texts]
+    data = [p for t in texts for p in _pieces(t.encode("utf-8", "surrogatepass"))]
     try:
-        return zstandard.train_dictionary(size, data).as_bytes() if len(data) >= 50 else b"\n".join(data)[-size:]
-    except zstandard.ZstdError:
-        return b"\n".join(data)[-size:]
+        return zstandard.train_dictionary(size, data).as_bytes()
+    except zstandard.ZstdError:  # too few pieces
+        return b"".join(data)[-size:]
 
 
 def train(docs: DataFrame, labels: DataFrame, dict_texts: int = DICT_TEXTS, fit_texts: int = FIT_TEXTS) -> Model:
@@ -91,12 +98,13 @@ def classify(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame
     """
     docs = docs.drop("score", "predicted")
     schema = T.StructType([*docs.schema.fields]).add("score", "double").add("predicted", "integer")
-    at = docs.columns.index("text")
+    names = docs.columns
+    at = names.index("text")
 
     def run(batches):
         for b in batches:
             s = [model.score(t.as_py()) for t in b.column(at)]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s, pa.float64()), pa.array([int(x >= threshold) for x in s], pa.int32())], names=[*docs.columns, "score", "predicted"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s, pa.float64()), pa.array([int(x >= threshold) for x in s], pa.int32())], names=[*names, "score", "predicted"])
 
     return docs.mapInArrow(run, schema)
 
