@@ -141,7 +141,7 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 10, shard_rows: int
                     out["score"] += d[best].tolist()
         return pa.table({"query_id": pa.array(out["query_id"], pa.int64()), "vec_id": pa.array(out["vec_id"], pa.int64()), "score": pa.array(out["score"], pa.float64())})
 
-    found = rows.groupBy("shard").cogroup(sent.drop("block").groupBy("shard")).applyInArrow(run, "query_id long, vec_id long, score double")
+    found = rows.repartition(shards, "shard").groupBy("shard").cogroup(sent.drop("block").repartition(shards, "shard").groupBy("shard")).applyInArrow(run, "query_id long, vec_id long, score double")
     best = W.partitionBy("query_id").orderBy("score", "vec_id")
     return found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
