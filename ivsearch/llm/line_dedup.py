@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import or_
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -73,6 +76,39 @@ def probe_keys(line: Column, k: int) -> Column:
     return F.array(*keys)
 
 
+#: Letters that are counted for a bound on the edit distance; replace() counts them many times faster than translate() counts classes.
+LETTERS = "eantiros"
+
+
+def letter_counts(line: Column) -> Column:
+    """Counts of eight letters, modulo 256, in one 64-bit number."""
+    n = F.octet_length(line)
+    return reduce(Column.bitwiseOR, (F.shiftleft((n - F.octet_length(F.replace(line, F.lit(c), F.lit("")))).cast("long") % 256, 8 * i) for i, c in enumerate(LETTERS)))
+
+
+def counts_fit(a: Column, b: Column, k: int) -> Column:
+    """True for all lines within k edits: each edit changes the counts by two at most in all."""
+    total = F.lit(0).cast("long")
+    for i in range(len(LETTERS)):
+        d = F.abs(F.shiftrightunsigned(a, 8 * i).bitwiseAND(F.lit(255).cast("long")) - F.shiftrightunsigned(b, 8 * i).bitwiseAND(F.lit(255).cast("long")))
+        total = total + F.least(d, 256 - d)
+    return total <= 2 * k
+
+
+def pieces_fit(a: Column, b: Column, k: int, pieces: int = 16) -> Column:
+    """True for all lines within k edits: of so many pieces of b, all but k stand in a at most k places away."""
+    n = F.length(b)
+    short, longer = F.floor(n / pieces).cast("int"), (n % pieces).cast("int")
+
+    def stands(i: Column) -> Column:
+        at, size = short * i + F.greatest(F.lit(0), i - pieces + longer) + 1, short + F.when(i - pieces + longer >= 0, 1).otherwise(0)
+        piece = F.substring(b, at, size)
+        near = [(at + o >= 1) & (F.substring(a, at + o, size) == piece) for o in sorted(range(-k, k + 1), key=abs)]
+        return reduce(or_, near)
+
+    return F.size(F.filter(F.sequence(F.lit(0), F.lit(pieces - 1)), stands)) >= pieces - k
+
+
 def owners(docs: DataFrame) -> DataFrame:
     """For each distinct line with a word, the place (d, p) of its first occurrence by id, then position. Lines are compared by two 64-bit hashes."""
     lines = docs.select(F.col("d"), F.posexplode(F.transform(F.split("t", "\n"), lambda x: F.when(F.length(F.trim(F.translate(x, BLANKS, ""))) > 0, F.struct(F.xxhash64(x).alias("a"), F.xxhash64(F.lit(7), x).alias("b"))))).alias("p", "h")).where("h is not null")
@@ -83,20 +119,21 @@ def near_copies(docs: DataFrame, first: DataFrame, k: int, min_chars: int) -> Da
     """Places (d, p) of those first lines that lie within k edits of another first line before them (by id, then position).
 
     Each line is probed against equally long or shorter ones only, which finds each pair once. Keys, not lines, are
-    shuffled; the texts of candidate lines alone are fetched, and pairs verified.
+    shuffled, with counts of letters that rule out most other pairs; the texts of candidate lines alone are fetched, and pairs verified.
     """
     def texts(places: DataFrame) -> DataFrame:
         at = places.groupBy("d").agg(F.collect_list("p").alias("ps"))  # at most the lines of one document
         split = docs.join(at.hint("shuffle_hash"), "d").select("d", "ps", F.split("t", "\n").alias("ls"))
         return split.select("d", F.explode(F.transform("ps", lambda p: F.struct(p.alias("p"), F.get("ls", p).alias("x")))).alias("l")).select("d", "l.*")
 
-    long = texts(first).where(F.length("x") >= min_chars)
-    index = long.select(F.explode(segment_keys(F.col("x"), k)).alias("key"), F.struct("d", "p").alias("b"))
-    probe = long.where(F.length("x") >= min_chars).select(F.explode(probe_keys(F.col("x"), k)).alias("key"), F.struct("d", "p").alias("a"))
-    pairs = stage(probe.join(index, "key").where(F.col("a") != F.col("b")).select("a", "b").distinct(), "pairs")
+    long = texts(first).where(F.length("x") >= min_chars).withColumn("h", letter_counts(F.col("x")))
+    index = long.withColumn("keys", segment_keys(F.col("x"), k)).select(F.explode("keys").alias("key"), F.struct("d", "p").alias("b"), F.col("h").alias("hb"))
+    probe = long.withColumn("keys", probe_keys(F.col("x"), k)).select(F.explode("keys").alias("key"), F.struct("d", "p").alias("a"), F.col("h").alias("ha"))
+    alike = (F.col("probe.key") == F.col("index.key")) & (F.col("a") != F.col("b")) & counts_fit(F.col("ha"), F.col("hb"), k)
+    pairs = stage(probe.alias("probe").join(index.alias("index"), alike).select("a", "b").distinct(), "pairs")
     found = stage(texts(pairs.select("a.*").union(pairs.select("b.*")).distinct()).select(F.struct("d", "p").alias("at"), "x"), "lines")
     both = pairs.join(found.select(F.col("at").alias("a"), F.col("x").alias("xa")), "a").repartition(width(docs.sparkSession), "b").join(found.select(F.col("at").alias("b"), F.col("x").alias("xb")), "b")
-    near = bounded_distance(both.where((F.length("xa") - F.length("xb")).between(0, k)), "xa", "xb", k).where(F.col("edits") <= k)
+    near = bounded_distance(both.where((F.length("xa") - F.length("xb")).between(0, k) & pieces_fit(F.col("xa"), F.col("xb"), k)), "xa", "xb", k).where(F.col("edits") <= k)
     return near.select(F.greatest("a", "b").alias("x")).select("x.*").distinct()
 
 
