@@ -53,7 +53,7 @@ def n_words(text: str | Column) -> Column:
 
 def small(df: DataFrame, rows: int = 20_000) -> DataFrame:
     """df marked for broadcast if it is found to have few rows; as it is, for a shuffled join, beyond that."""
-    return F.broadcast(df) if len(df.limit(rows + 1).select(F.lit(1)).take(rows + 1)) <= rows else df
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
 
 
 def held(doc_id: str | Column, mod: int) -> Column:

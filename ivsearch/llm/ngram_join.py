@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import stage, table, unstage
+from .common import small, stage, table, unstage
 
 SKETCH_BITS, BATCH = 18, 2_000_000
 _M = (1 << 64) - 1
@@ -145,7 +145,8 @@ def overlaps(docs: DataFrame, pairs: DataFrame, n: int = 3) -> DataFrame:
                 both.append(len(np.intersect1d(last[1], sets[i], assume_unique=True)))
             yield pa.RecordBatch.from_pydict({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "na": pa.array(na, pa.int32()), "nb": pa.array(map(len, sets), pa.int32()), "both": pa.array(both, pa.int32())})
 
-    text = docs.select(F.col("doc_id").cast("long").alias("i"), F.col("text").alias("t"))
+    ids = stage(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "ids")
+    text = docs.join(small(ids, 1_000_000), F.col("doc_id") == F.col("id"), "left_semi").select(F.col("doc_id").alias("i"), F.col("text").alias("t"))
     texts = pairs.join(text.withColumnsRenamed({"i": "b", "t": "tb"}), "b").join(text.withColumnsRenamed({"i": "a", "t": "ta"}), "a")
     return texts.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long, na int, nb int, both int")
 
@@ -166,8 +167,8 @@ def components(edges: DataFrame) -> DataFrame:
         least = two.groupBy(F.col("a").alias("u")).agg(F.least(F.col("a"), F.min("b")).alias("m"))
         large = two.join(least, F.col("a") == F.col("u")).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         low = large.groupBy(F.col("a").alias("u")).agg(F.min("b").alias("m"))
-        small = large.join(low, F.col("a") == F.col("u")).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").union(low).distinct()
-        then = stage(small.toDF("a", "b"), "edges")
+        hooked = large.join(low, F.col("a") == F.col("u")).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").union(low).distinct()
+        then = stage(hooked.toDF("a", "b"), "edges")
         new = state(then)
         unstage(now)
         now, seen, done = then, new, new == seen
@@ -191,10 +192,11 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
     docs = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     classes = frequency_classes(docs, n)
     sets = stage(set_prefixes(docs, classes, num, den, n), "sets")
-    reps = stage(sets.where("n > 0").groupBy("lo", "hi").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("prefix").alias("prefix")), "reps")
+    reps = stage(sets.where("n > 0").groupBy("lo", "hi").agg(F.min("doc_id").alias("rep")), "reps")
 
     # Lists with more than one set, once for both steps.
-    postings = reps.select("rep", "n", F.posexplode("prefix").alias("pos", "token"))
+    first = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "prefix")
+    postings = first.select("rep", "n", F.posexplode("prefix").alias("pos", "token"))
     by = W.partitionBy("token")
     listed = stage(postings.withColumn("of", F.count(F.lit(1)).over(by)).where("of > 1").select("token", "rep", "n", (F.col("n") - F.col("pos")).alias("left")), "lists")
     linked = lambda df: df.where(den * F.col("both") >= num * (F.col("na") + F.col("nb") - F.col("both")))
