@@ -26,11 +26,20 @@ def shared_dir(spark: SparkSession) -> str:
     return at
 
 
+#: Has Spark delete a query's shuffle files when the query ends, not when the driver collects garbage.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def stage(df: DataFrame, name: str = "t") -> DataFrame:
     """Writes df as a table in the shared folder and reads it back: lineage ends here, and lost executors cost no recomputation."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -59,3 +68,13 @@ def small(df: DataFrame, rows: int = 20_000) -> DataFrame:
 def held(doc_id: str | Column, mod: int) -> Column:
     """crc32 of the id's decimal text, modulo mod."""
     return F.crc32((F.col(doc_id) if isinstance(doc_id, str) else doc_id).cast("string").cast("binary")) % mod
+
+
+def lowest(rows: DataFrame, n: int) -> DataFrame:
+    """The n rows with the smallest h (a 64-bit hash), ties by the other columns. Only a slice of hashes that should hold a few times n is sorted, so what tasks send does not grow with the rows."""
+    total = rows.count()
+    share = (4 * n + 100) / max(total, 1)
+    if share < 1:
+        part = rows.where(F.col("h") < -(2**63) + int(share * 2**64))
+        rows = part if part.count() >= n else rows
+    return rows.orderBy("h", *[c for c in rows.columns if c != "h"]).limit(n)

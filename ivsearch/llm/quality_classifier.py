@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import held, table
+from .common import held, lowest, stage, table
 
 #: Bounds of what is learned from: texts of each class for dictionaries, texts of each class for calibration, characters of a text that may be used at all.
 DICT_TEXTS, FIT_TEXTS, MAX_CHARS, DICT_BYTES = 1200, 1200, 20_000, 112_640
@@ -23,11 +23,16 @@ def _pieces(data: bytes) -> list[bytes]:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int) -> list:
-    """At most per_class labelled texts of each quality, in the order of a hash of the id; texts over MAX_CHARS are passed over."""
+    """At most per_class labelled texts of each quality, in the order of a hash of the id; texts over MAX_CHARS are passed over.
+
+    Ids alone are joined with labels and chosen from; then the texts of the chosen, at most twice per_class ids, are read.
+    """
     known = labels.where("quality in (0, 1)").groupBy(F.col("doc_id").alias("_id")).agg(F.max("quality").alias("quality"))
-    both = docs.where(F.length("text").between(1, MAX_CHARS)).join(known, F.col("doc_id") == F.col("_id")).select("doc_id", "text", "quality")
-    order = [F.xxhash64(F.lit(11), "doc_id"), F.col("doc_id"), F.col("text")]
-    return [r for q in (0, 1) for r in both.where(F.col("quality") == q).orderBy(*order).limit(per_class).collect()]
+    usable = docs.where(F.length("text").between(1, MAX_CHARS))
+    ids = stage(usable.select("doc_id").distinct().join(known, F.col("doc_id") == F.col("_id")).select(F.xxhash64(F.lit(11), "doc_id").alias("h"), "doc_id", "quality"), "labelled")
+    chosen = stage(lowest(ids.where("quality = 0"), per_class).union(lowest(ids.where("quality = 1"), per_class)).withColumnRenamed("doc_id", "_id"), "chosen")
+    texts = stage(usable.join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).select("h", "doc_id", "text", "quality"), "labelledtexts")
+    return [r for q in (0, 1) for r in lowest(texts.where(F.col("quality") == q), per_class).collect()]
 
 
 class Model:
