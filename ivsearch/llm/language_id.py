@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import re
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -10,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import held, table
+from .common import held, lowest, stage, table
 
 #: Hash bits, n-gram lengths; bounds of the training sample: rows in all, characters of a text.
 BITS, GRAMS, MAX_ROWS, MAX_CHARS = 14, (1, 2, 3), 6000, 4000
@@ -59,8 +60,13 @@ def train(docs: DataFrame, rows: int = MAX_ROWS, alpha: float = 0.5, beta: float
     coordinate's own rate otherwise. A fifth of the rows is kept to set the temperature that gives the least log loss.
     """
     langs = sorted(r.lang for r in docs.where("lang is not null and text is not null").groupBy("lang").count().orderBy(F.col("count").desc(), "lang").limit(100).collect())
-    usable = docs.where(F.length("text").between(1, MAX_CHARS) & F.col("lang").isNotNull()).select("text", "lang", F.xxhash64(F.lit(13), "doc_id").alias("h"))
-    seen = [r for x in langs for r in usable.where(F.col("lang") == x).orderBy("h", "text").limit(rows // len(langs)).collect()]
+    usable = docs.where(F.length("text").between(1, MAX_CHARS) & F.col("lang").isNotNull())
+    ids = stage(usable.select(F.xxhash64(F.lit(13), "doc_id").alias("h"), "doc_id", "lang"), "langids")
+    each = rows // max(1, len(langs))
+    chosen = reduce(DataFrame.union, [lowest(ids.where(F.col("lang") == x), each) for x in langs]) if langs else ids
+    chosen = stage(chosen.select("h", F.col("doc_id").alias("_id")).distinct(), "langchosen")
+    texts = stage(usable.join(F.broadcast(chosen), F.col("doc_id").eqNullSafe(F.col("_id"))).select("h", "text", "lang"), "langtexts")
+    seen = [r for x in langs for r in lowest(texts.where(F.col("lang") == x), each).collect()]
     seen = sorted((r for r in seen if LETTER.search(r.text)), key=lambda r: (r.h, r.text))
     if not seen:
         return Model([], np.ones(1 << BITS), np.zeros((1 << BITS, 0)), np.zeros(0))
