@@ -10,48 +10,53 @@ import numpy as np
 class Encoder:
     """Ids of texts, as little-endian unsigned 32-bit integers, equal to those of Tokenizer.encode(add_special_tokens=False).
 
-    The byte-level pre-tokenizer never lets a token cross a single space between two characters that are not white space, so a
-    text is parted there and the parts, which recur, are kept in a cache. Texts with any other white space beside a space
-    are encoded as a whole. The cache holds at most max_parts parts of at most 64 characters and then starts anew.
+    The byte-level pre-tokenizer never lets a token cross a single space, or a single newline's front, between two characters
+    that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
+    are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
+    cache holds at most max_parts parts of at most 64 characters and then starts anew.
     """
 
-    def __init__(self, path: str, max_parts: int = 600_000):
+    def __init__(self, path: str, max_parts: int = 1_500_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.max_parts = max_parts
-        self.first: dict[str, bytes | None] = {}
-        self.later: dict[str, bytes | None] = {}
+        self.known: dict[str, bytes] = {}
 
-    def _plain(self, text: str) -> bytes:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+    def _encode(self, texts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def ids(self, text: str | None) -> bytes:
         if not text:
             return b""
-        head, *tail = text.split(" ")
-        if not head or head[-1:].isspace():
-            return self._plain(text)
-        later = self.later
+        head, *tail = text.replace("\n", " \n").split(" ")
         try:
-            got = b"".join(map(later.__getitem__, tail))
+            if head and not head[-1].isspace():
+                return b"".join(map(self.known.__getitem__, ["\n\n" + head, *tail]))
         except KeyError:
-            new = list({t for t in tail if t not in later})
-            if len(later) + len(new) > self.max_parts:
-                later.clear()
-                new = list(set(tail))
-            clean = [t for t in new if t and not t[0].isspace() and not t[-1].isspace()]
-            later.update(zip(clean, (np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast([" " + t for t in clean], add_special_tokens=False))))
-            if len(clean) < len(new):
-                return self._plain(text)
-            got = b"".join(map(later.__getitem__, tail))
-        if head not in self.first:
-            if len(self.first) > self.max_parts // 20:
-                self.first.clear()
-            self.first[head] = self._plain(head)
-        return self.first[head] + got
+            pass
+        chunks, closed = [head], head != "" and not head[-1].isspace()
+        for part in tail:
+            first = part[1:2] if part[:1] == "\n" else part[:1]
+            if closed and first and not first.isspace():
+                chunks.append(part)
+            else:
+                chunks[-1] += " " + part
+            closed = part != "" and not part[-1].isspace()
+        head, *tail = chunks
+        new = [t for t in set(tail) if t not in self.known]
+        if len(self.known) + len(new) > self.max_parts:
+            self.known.clear()
+            new = list(set(tail))
+        start, *codes = self._encode([head.replace(" \n", "\n"), *((" " + t).replace(" \n", "\n") for t in new)])
+        fresh = dict(zip(new, codes))
+        out = b"".join([start, *(fresh[t] if t in fresh else self.known[t] for t in tail)])
+        if len(head) <= 64 and " " not in head:
+            self.known["\n\n" + head] = start  # no part begins with two newlines
+        self.known.update((t, c) for t, c in fresh.items() if len(t) <= 64 and " " not in t and not t[-1].isspace())
+        return out
 
 
 _SHARED: dict[str, Encoder] = {}
