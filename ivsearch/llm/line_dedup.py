@@ -8,7 +8,7 @@ from operator import or_
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BLANKS, stage, table, width
+from .common import BLANKS, small, stage, table, width
 
 #: Within which a line and an earlier one count as near copies, and from which length on.
 EDITS, MIN_CHARS = 2, 32
@@ -43,37 +43,40 @@ def bounded_distance(df: DataFrame, a: str, b: str, k: int) -> DataFrame:
     return df.withColumn("_m", masks).withColumn("edits", F.aggregate("_m", start, step)["d"]).drop("_c", "_m")
 
 
-def _piece(n: Column | str, i: int, k: int) -> tuple[Column, Column]:
-    """First place (from 1) and length of segment i of k+1 of a string of n characters; the last ones are the longer ones."""
-    n = F.col(n) if isinstance(n, str) else n
-    short, longer = F.floor(n / (k + 1)).cast("int"), (n % (k + 1)).cast("int")
-    extra = F.greatest(F.lit(0), F.lit(i - k - 1) + longer)
-    return F.lit(1) + short * i + extra, short + F.when(F.lit(i + 1 - k - 1) + longer > 0, 1).otherwise(0)
+#: What a key row is: one of a line's own segments, a probe for lines of equal length, a probe for shorter ones.
+OWN, EQUAL, SHORTER = 0, 1, 2
 
 
-def _key(line: Column, at: Column, size: Column, n: Column, i: int) -> Column:
-    return F.xxhash64(F.substring(line, at, size), n, F.lit(i))
+def key_plan(k: int) -> list[tuple[int, int, int, int]]:
+    """(kind, g, i, o) of all keys of a line: a line shorter by g is cut in k+1 segments, and segment i of it is sought o places away from its own.
 
-
-def segment_keys(line: Column, k: int) -> Column:
-    """The k+1 index keys of a line: its length, the segment's number and the segment, hashed."""
-    n = F.length(line)
-    return F.array(*[_key(line, *_piece(n, i, k), n, i) for i in range(k + 1)])
+    Such a segment can only be found where i edits before it and k - i after it leave room: at most that far, seen from
+    either end. For equal lengths, lines' own segments serve as probes, too, and as each line probes the other, up to two edits need
+    no shift to the left: if only the middle segment fits there, of the other line's segments the middle one fits to the right or the last one in place.
+    """
+    plan = [(OWN, 0, i, 0) for i in range(k + 1)]
+    for g in range(k + 1):
+        for i in range(k + 1):
+            for o in range(max(-i, g - (k - i)), min(i, g + (k - i)) + 1):
+                if g or (o > 0 or (o < 0 and k > 2)):
+                    plan.append((SHORTER if g else EQUAL, g, i, o))
+    return plan
 
 
-def probe_keys(line: Column, k: int) -> Column:
-    """Keys of all indexed lines, as long or up to k shorter, that can lie within k edits.
+def line_keys(line: str, n: str, k: int) -> Column:
+    """Index and probe keys of a line of n characters, in the order of key_plan(): 48 bits of a hash of length, segment number and segment; the last segments are the longer ones.
 
-    Of a line shorter by g, segment i can only be found where i edits before it and k - i after it leave room: at most
-    that far, and seen from either end, from its own place.
+    A lambda over the plan keeps the generated code small enough to be compiled.
     """
-    n, keys = F.length(line), []
-    for g in range(k + 1):
-        for i in range(k + 1):
-            at, size = _piece(n - g, i, k)
-            low, high = max(-i, g - (k - i)), min(i, g + (k - i))
-            keys += [_key(line, at + o, size, n - g, i) for o in range(low, high + 1)]
-    return F.array(*keys)
+    x, size = F.col(line), F.col(n)
+
+    def key(s: Column) -> Column:
+        m, i = size - s["g"], s["i"]
+        short, longer = F.floor(m / (k + 1)).cast("int"), (m % (k + 1)).cast("int")
+        at = short * i + F.greatest(F.lit(0), i - (k + 1) + longer) + 1 + s["o"]
+        return F.shiftrightunsigned(F.xxhash64(F.substring(x, at, short + F.when(i - k + longer > 0, 1).otherwise(0)), m, i), 16)
+
+    return F.transform(F.array(*[F.struct(F.lit(g).alias("g"), F.lit(i).alias("i"), F.lit(o).alias("o")) for _, g, i, o in key_plan(k)]), key)
 
 
 #: Letters that are counted for a bound on the edit distance; replace() counts them many times faster than translate() counts classes.
@@ -81,17 +84,17 @@ LETTERS = "eantiros"
 
 
 def letter_counts(line: Column) -> Column:
-    """Counts of eight letters, modulo 256, in one 64-bit number."""
+    """Counts of eight letters, modulo 16, in one 32-bit number."""
     n = F.octet_length(line)
-    return reduce(Column.bitwiseOR, (F.shiftleft((n - F.octet_length(F.replace(line, F.lit(c), F.lit("")))).cast("long") % 256, 8 * i) for i, c in enumerate(LETTERS)))
+    return reduce(Column.bitwiseOR, (F.shiftleft((n - F.octet_length(F.replace(line, F.lit(c), F.lit("")))) % 16, 4 * i) for i, c in enumerate(LETTERS)))
 
 
 def counts_fit(a: Column, b: Column, k: int) -> Column:
     """True for all lines within k edits: each edit changes the counts by two at most in all."""
-    total = F.lit(0).cast("long")
+    total = F.lit(0)
     for i in range(len(LETTERS)):
-        d = F.abs(F.shiftrightunsigned(a, 8 * i).bitwiseAND(F.lit(255).cast("long")) - F.shiftrightunsigned(b, 8 * i).bitwiseAND(F.lit(255).cast("long")))
-        total = total + F.least(d, 256 - d)
+        d = F.abs(F.shiftrightunsigned(a, 4 * i).bitwiseAND(F.lit(15)) - F.shiftrightunsigned(b, 4 * i).bitwiseAND(F.lit(15)))
+        total = total + F.least(d, 16 - d)
     return total <= 2 * k
 
 
@@ -109,28 +112,34 @@ def pieces_fit(a: Column, b: Column, k: int, pieces: int = 16) -> Column:
     return F.size(F.filter(F.sequence(F.lit(0), F.lit(pieces - 1)), stands)) >= pieces - k
 
 
-def owners(docs: DataFrame) -> DataFrame:
-    """For each distinct line with a word, the place (d, p) of its first occurrence by id, then position. Lines are compared by two 64-bit hashes."""
-    lines = docs.select(F.col("d"), F.posexplode(F.transform(F.split("t", "\n"), lambda x: F.when(F.length(F.trim(F.translate(x, BLANKS, ""))) > 0, F.struct(F.xxhash64(x).alias("a"), F.xxhash64(F.lit(7), x).alias("b"))))).alias("p", "h")).where("h is not null")
-    return lines.groupBy("h.a", "h.b").agg(F.min(F.struct("d", "p")).alias("o")).select("o.d", "o.p")
+def owners(docs: DataFrame, k: int, min_chars: int) -> DataFrame:
+    """For each distinct line with a word, the place (d, p) of its first occurrence by id, then position, its keys and counts (null if short). Lines are compared by two 64-bit hashes."""
+    lines = docs.select("d", F.posexplode(F.transform(F.split("t", "\n"), lambda x: F.when(F.length(F.translate(x, BLANKS, "")) > 0, F.struct(x.alias("x"), F.length(x).alias("n"))))).alias("p", "l")).where("l is not null").select("d", "p", "l.*")
+    long = F.col("n") >= min_chars
+    keyed = lines.select("d", "p", F.xxhash64("x").alias("a"), F.xxhash64(F.lit(7), "x").alias("b"), F.when(long, line_keys("x", "n", k)).alias("keys"), F.when(long, letter_counts(F.col("x"))).alias("c"))
+    return keyed.groupBy("a", "b").agg(F.min(F.struct("d", "p", "keys", "c")).alias("o")).select("o.*")
 
 
-def near_copies(docs: DataFrame, first: DataFrame, k: int, min_chars: int) -> DataFrame:
+def near_copies(docs: DataFrame, first: DataFrame, k: int) -> DataFrame:
     """Places (d, p) of those first lines that lie within k edits of another first line before them (by id, then position).
 
-    Each line is probed against equally long or shorter ones only, which finds each pair once. Keys, not lines, are
-    shuffled, with counts of letters that rule out most other pairs; the texts of candidate lines alone are fetched, and pairs verified.
+    Each line is probed against equally long or shorter ones only. Keys, not lines, are shuffled, with counts of letters that rule out
+    most other pairs; both sides of the join read the same shuffle. The texts of candidate lines alone are fetched, and pairs verified.
     """
     def texts(places: DataFrame) -> DataFrame:
-        at = places.groupBy("d").agg(F.collect_list("p").alias("ps"))  # at most the lines of one document
-        split = docs.join(at.hint("shuffle_hash"), "d").select("d", "ps", F.split("t", "\n").alias("ls"))
-        return split.select("d", F.explode(F.transform("ps", lambda p: F.struct(p.alias("p"), F.get("ls", p).alias("x")))).alias("l")).select("d", "l.*")
-
-    long = texts(first).where(F.length("x") >= min_chars).withColumn("h", letter_counts(F.col("x")))
-    index = long.withColumn("keys", segment_keys(F.col("x"), k)).select(F.explode("keys").alias("key"), F.struct("d", "p").alias("b"), F.col("h").alias("hb"))
-    probe = long.withColumn("keys", probe_keys(F.col("x"), k)).select(F.explode("keys").alias("key"), F.struct("d", "p").alias("a"), F.col("h").alias("ha"))
-    alike = (F.col("probe.key") == F.col("index.key")) & (F.col("a") != F.col("b")) & counts_fit(F.col("ha"), F.col("hb"), k)
-    pairs = stage(probe.alias("probe").join(index.alias("index"), alike).select("a", "b").distinct(), "pairs")
+        at = stage(places.groupBy("d").agg(F.collect_list("p").alias("ps")), "places")  # at most the lines of one document
+        split = docs.join(small(at, 200_000), "d").select("d", "ps", F.split("t", "\n").alias("ls"))
+        return split.select("d", F.posexplode("ls").alias("p", "x"), "ps").where("array_contains(ps, p)").select("d", "p", "x")
+
+    kinds = F.array(*[F.lit(kind) for kind, *_ in key_plan(k)])
+    rows = first.where("keys is not null").select("d", "p", "c", F.explode(F.arrays_zip(F.col("keys").alias("key"), kinds.alias("kind"))).alias("k")).select("d", "p", "c", "k.key", "k.kind")
+    x, y = rows.alias("x"), rows.alias("y")
+    a, b = F.struct("x.d", "x.p"), F.struct("y.d", "y.p")
+    # That y is a line's own segment is said with both kinds: a filter on one side alone would be moved below the shuffle, which could not be shared then.
+    alike = (F.col("x.key") == F.col("y.key")) & (F.col("x.kind") - F.col("y.kind") >= F.col("x.kind")) & (a != b) & ((F.col("x.kind") != OWN) | (a > b)) & counts_fit(F.col("x.c"), F.col("y.c"), k)
+    longer = F.col("x.kind") == SHORTER
+    pairs = x.join(y, alike).select(F.when(longer, a).otherwise(F.greatest(a, b)).alias("a"), F.when(longer, b).otherwise(F.least(a, b)).alias("b"))
+    pairs = stage(pairs.distinct(), "pairs")
     found = stage(texts(pairs.select("a.*").union(pairs.select("b.*")).distinct()).select(F.struct("d", "p").alias("at"), "x"), "lines")
     both = pairs.join(found.select(F.col("at").alias("a"), F.col("x").alias("xa")), "a").repartition(width(docs.sparkSession), "b").join(found.select(F.col("at").alias("b"), F.col("x").alias("xb")), "b")
     near = bounded_distance(both.where((F.length("xa") - F.length("xb")).between(0, k) & pieces_fit(F.col("xa"), F.col("xb"), k)), "xa", "xb", k).where(F.col("edits") <= k)
@@ -151,9 +160,9 @@ def dedup_lines(docs: DataFrame, edits: int = EDITS, min_chars: int = MIN_CHARS)
     docs = docs.drop(*added)
     d = F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1))
     plain = docs.select(d.alias("d"), F.col("text").alias("t")).where(F.col("t").isNotNull())
-    first = stage(owners(plain), "first")
-    near = stage(near_copies(plain, first, edits, min_chars), "near")
-    mark = first.withColumn("n", F.lit(False)).join(near.withColumn("m", F.lit(True)), ["d", "p"], "left").groupBy("d").agg(F.sort_array(F.collect_list(F.when(F.col("m").isNull(), F.col("p")))).alias("_keep"), F.count("m").alias("_near"))
+    first = stage(owners(plain, edits, min_chars), "first")
+    near = stage(near_copies(plain, first, edits), "near")
+    mark = first.select("d", "p").withColumn("n", F.lit(False)).join(near.withColumn("m", F.lit(True)), ["d", "p"], "left").groupBy("d").agg(F.sort_array(F.collect_list(F.when(F.col("m").isNull(), F.col("p")))).alias("_keep"), F.count("m").alias("_near"))
     out = docs.withColumn("_d", d).join(mark.withColumnRenamed("d", "_d").hint("shuffle_hash"), "_d", "left")
     worded = lambda x: F.length(F.translate(x, BLANKS, "")) > 0
     out = out.withColumn("_l", F.split("text", "\n"))
