@@ -71,15 +71,18 @@ def train(docs: DataFrame, rows: int = MAX_ROWS, alpha: float = 0.5, beta: float
     if not seen:
         return Model([], np.ones(1 << BITS), np.zeros((1 << BITS, 0)), np.zeros(0))
     k, y = len(langs), [langs.index(r.lang) for r in seen]
-    raw = [counts(r.text) for r in seen]
-    df = sum((t > 0).astype(np.float64) for t in raw)
+    raw, df = [], np.zeros(1 << BITS)
+    for r in seen:
+        t = counts(r.text)
+        at = np.flatnonzero(t)
+        df[at] += 1
+        raw.append((at.astype(np.int32), t[at].astype(np.float32)))
     model = Model(langs, np.log((1 + len(raw)) / (1 + df)) + 1, np.zeros((1 << BITS, k)), np.zeros(k))
     fit = [i for i in range(len(seen)) if i % 5 or len(seen) < 5]
     feats = {}
-    for i, t in enumerate(raw):
-        at = np.flatnonzero(t)
-        v = (1 + np.log(t[at])) * model.idf[at]
-        feats[i] = (at, v / np.sqrt((v * v).sum()))
+    for i, (at, t) in enumerate(raw):
+        v = (1 + np.log(t)) * model.idf[at]
+        feats[i] = (at, (v / np.sqrt((v * v).sum())).astype(np.float32))
     z, n = np.zeros((1 << BITS, k)), np.zeros((1 << BITS, k))
     zb, nb = np.zeros(k), np.zeros(k)
     weight = lambda z, n: np.where(np.abs(z) <= l1, 0.0, -(z - np.sign(z) * l1) / ((beta + np.sqrt(n)) / alpha + l2))
