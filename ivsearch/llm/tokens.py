@@ -13,7 +13,8 @@ class Encoder:
     The byte-level pre-tokenizer never lets a token cross a single space, or a single newline's front, between two characters
     that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
     are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
-    cache holds at most max_parts parts of at most 64 characters and then starts anew.
+    cache holds at most max_parts parts of at most 64 characters and then starts anew. A text's new parts are encoded in one
+    call: a token that begins with a space or newline begins a part.
     """
 
     def __init__(self, path: str, max_parts: int = 1_500_000):
@@ -24,6 +25,9 @@ class Encoder:
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.max_parts = max_parts
         self.known: dict[str, bytes] = {}
+        words = self.tokenizer.get_vocab(with_added_tokens=True)
+        self.opens = np.zeros(max(words.values()) + 1, bool)
+        self.opens[[i for w, i in words.items() if w[:1] in ("\u0120", "\u010a")]] = True  # a space and a newline in the byte-level alphabet
 
     def _encode(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -32,11 +36,37 @@ class Encoder:
         if not text:
             return b""
         head, *tail = text.replace("\n", " \n").split(" ")
-        try:
-            if head and not head[-1].isspace():
-                return b"".join(map(self.known.__getitem__, ["\n\n" + head, *tail]))
-        except KeyError:
-            pass
+        if head and not head[-1].isspace():
+            parts = ["\n\n" + head, *tail]  # no part begins with two newlines
+            codes = list(map(self.known.get, parts))
+            if None not in codes:
+                return b"".join(codes)
+            new = dict.fromkeys(t for t, c in zip(tail, codes[1:]) if c is None)
+            fresh = self._together(head, list(new))
+            if fresh:
+                return b"".join([c or fresh[t] for t, c in zip(parts, codes)])
+        return self._apart(head, tail)
+
+    def _together(self, head: str, new: list[str]) -> dict[str, bytes] | None:
+        """Ids of the head of a text (under its name in the cache) and of parts; None if white space joins some."""
+        for t in new:
+            first = t[1:2] if t[:1] == "\n" else t[:1]
+            if not first or first.isspace() or t[-1].isspace():
+                return None
+        if head[0].isspace():
+            return None
+        (raw,) = self._encode([" ".join([head, *new]).replace(" \n", "\n")])
+        starts = 4 * np.flatnonzero(self.opens[np.frombuffer(raw, "<u4")])
+        if len(starts) != len(new):
+            return None
+        bounds = [0, *starts.tolist(), len(raw)]
+        fresh = {t: raw[a:b] for t, a, b in zip(["\n\n" + head, *new], bounds, bounds[1:])}
+        if len(self.known) + len(fresh) > self.max_parts:
+            self.known.clear()
+        self.known.update((t, c) for t, c in fresh.items() if len(t) <= 64)
+        return fresh
+
+    def _apart(self, head: str, tail: list[str]) -> bytes:
         chunks, closed = [head], head != "" and not head[-1].isspace()
         for part in tail:
             first = part[1:2] if part[:1] == "\n" else part[:1]
@@ -53,8 +83,6 @@ class Encoder:
         start, *codes = self._encode([head.replace(" \n", "\n"), *((" " + t).replace(" \n", "\n") for t in new)])
         fresh = dict(zip(new, codes))
         out = b"".join([start, *(fresh[t] if t in fresh else self.known[t] for t in tail)])
-        if len(head) <= 64 and " " not in head:
-            self.known["\n\n" + head] = start  # no part begins with two newlines
         self.known.update((t, c) for t, c in fresh.items() if len(t) <= 64 and " " not in t and not t[-1].isspace())
         return out
 
