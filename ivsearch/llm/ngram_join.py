@@ -7,13 +7,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import small, stage, table, unstage
 
-SKETCH_BITS, BATCH = 18, 2_000_000
+SKETCH_BITS, BATCH = 18, 1_000_000
 _M = (1 << 64) - 1
 _B = 0x9E3779B97F4A7C15 | 1
 _BLANK = np.zeros(256, bool)
@@ -70,16 +71,14 @@ def shingle_hashes(texts: list[str | None], n: int = 3) -> list[np.ndarray]:
 
 
 def _pieces(batches: Iterator[pa.RecordBatch], *columns: str) -> Iterator[list[list]]:
-    """Rows of the batches in pieces of about BATCH characters of the last column."""
+    """Rows of the batches in pieces of about BATCH bytes of the last column; only a piece at a time becomes Python objects."""
     for batch in batches:
-        cols, size, at = [batch.column(c).to_pylist() for c in columns], 0, 0
-        for i, t in enumerate(cols[-1]):
-            size += len(t or "")
-            if size >= BATCH:
-                yield [c[at : i + 1] for c in cols]
-                size, at = 0, i + 1
-        if at < len(cols[0]):
-            yield [c[at:] for c in cols]
+        cols = [batch.column(c) for c in columns]
+        part = np.cumsum(pc.fill_null(pc.binary_length(cols[-1]), 0).to_numpy(zero_copy_only=False)) // BATCH
+        cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(part)]
+        for i, j in zip(cuts, cuts[1:]):
+            if j > i:
+                yield [c.slice(i, j - i).to_pylist() for c in cols]
 
 
 def frequency_classes(docs: DataFrame, n: int = 3) -> bytes:
