@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 
 from .common import small, stage, table, unstage
 
-SKETCH_BITS, BATCH = 18, 1_000_000
+#: Bits of the frequency sketch, bytes handled at a time, buckets in which a set counts its shingles.
+SKETCH_BITS, BATCH, BUCKETS = 18, 1_000_000, 64
 _M = (1 << 64) - 1
 _B = 0x9E3779B97F4A7C15 | 1
 _BLANK = np.zeros(256, bool)
@@ -109,21 +110,34 @@ def frequency_classes(docs: DataFrame, n: int = 3) -> bytes:
 
 
 def set_prefixes(docs: DataFrame, classes: bytes, num: int, den: int, n: int = 3) -> DataFrame:
-    """doc_id, n (set size), lo, hi (digest of the set), prefix: its first shingles, one of which any set of similarity num/den or more shares."""
+    """doc_id, n (set size), lo, hi (digest of the set), prefix: its first shingles, one of which any set of similarity num/den or more shares, hist: how many of the set fall in each bucket."""
     def run(batches):
         rank = np.frombuffer(classes, np.uint8)
         for ids, texts in _pieces(batches, "doc_id", "text"):
-            size, digest, prefix = [], [], []
+            size, digest, prefix, hist = [], [], [], []
             for s in shingle_hashes(texts, n):
                 k = rank[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
                 ordered = s[np.argsort(k, kind="stable")] if k.any() else s
                 size.append(len(s))
+                hist.append(np.bincount((s & np.uint64(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS).astype("<u4").tobytes())
                 digest.append(np.frombuffer(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), np.int64))
                 prefix.append(ordered[: len(s) - -(-num * len(s) // den) + 1].astype(np.int64) if len(s) else s.astype(np.int64))
             d = np.array(digest).reshape(-1, 2)
-            yield pa.RecordBatch.from_pydict({"doc_id": pa.array(ids, pa.int64()), "n": pa.array(size, pa.int32()), "lo": pa.array(d[:, 0]), "hi": pa.array(d[:, 1]), "prefix": pa.array(prefix, pa.list_(pa.int64()))})
+            yield pa.RecordBatch.from_pydict({"doc_id": pa.array(ids, pa.int64()), "n": pa.array(size, pa.int32()), "lo": pa.array(d[:, 0]), "hi": pa.array(d[:, 1]), "prefix": pa.array(prefix, pa.list_(pa.int64())), "hist": pa.array(hist, pa.binary())})
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n int, lo long, hi long, prefix array<long>")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n int, lo long, hi long, prefix array<long>, hist binary")
+
+
+def at_most(pairs: DataFrame, hists: DataFrame) -> DataFrame:
+    """pairs (a, b) with na, nb and most, which the intersection cannot exceed: in each bucket the sets share at most the smaller count."""
+    def run(batches):
+        for t in batches:
+            x, y = (np.frombuffer(b"".join(t.column(c).to_pylist()), "<u4").reshape(-1, BUCKETS) for c in ("ha", "hb"))
+            most = pa.array(np.minimum(x, y).sum(1).astype(np.int64))
+            yield pa.RecordBatch.from_arrays([*(t.column(c) for c in ("a", "b", "na", "nb")), most], names=["a", "b", "na", "nb", "most"])
+
+    own = lambda c: hists.select(F.col("rep").alias(c), F.col("n").alias("n" + c), F.col("hist").alias("h" + c))
+    return pairs.select("a", "b").join(own("a"), "a").join(own("b"), "b").select("a", "b", "na", "nb", "ha", "hb").mapInArrow(run, "a long, b long, na int, nb int, most long")
 
 
 def overlaps(docs: DataFrame, pairs: DataFrame, n: int = 3) -> DataFrame:
@@ -181,7 +195,7 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
     Equal sets are one set. What remains is an exact prefix join in two steps. First, neighbours in the size order of each
     index list, and each list's first, are verified, and the links joined into components; so a group of n near copies costs
     about n pairs, not n * n. Then lists are read block by block of sizes and positions, skipping blocks that the bounds exclude and
-    sets of one component, which gives pairs of components that may still touch. The overlap of their two pivots is computed; what a member
+    sets of one component, which gives pairs of components that may still touch. The overlap of their two pivots is computed where counts by bucket allow a link; what a member
     can have in common with a set exceeds what its pivot has by at most the shingles it has beyond the pivot; only member pairs
     which that bound allows are verified. No link between different texts is lost.
 
@@ -195,6 +209,7 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
 
     # Lists with more than one set, once for both steps.
     first = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "prefix")
+    hists = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "hist")
     postings = first.select("rep", "n", F.posexplode("prefix").alias("pos", "token"))
     by = W.partitionBy("token")
     listed = stage(postings.withColumn("of", F.count(F.lit(1)).over(by)).where("of > 1").select("token", "rep", "n", (F.col("n") - F.col("pos")).alias("left")), "lists")
@@ -204,7 +219,8 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
     entry = F.struct("rep", "n", "left")
     chain = listed.select(entry.alias("x"), F.lag(entry).over(order).alias("y"), F.first(entry).over(order).alias("z"))
     chain = chain.select("x", F.explode(F.array("y", "z")).alias("y")).where(F.col("y.rep") != F.col("x.rep")).where(fits("x", "y"))
-    pairs = stage(chain.select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")).distinct(), "pairs")
+    chain = chain.select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")).distinct()
+    pairs = stage(at_most(chain, hists).where((num + den) * F.col("most") >= num * (F.col("na") + F.col("nb"))).select("a", "b"), "pairs")
     links = stage(linked(overlaps(docs, pairs, n)), "links")
     comp = stage(components(links.select("a", "b")), "comp")
 
@@ -221,12 +237,13 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
     inside = pivots.select("a").union(pivots.select("b")).distinct()
     members = comp.join(inside, F.col("component") == F.col("a"), "left_semi").where("node <> component").select(F.col("component").alias("a"), F.col("node").alias("b"))
     beyond = stage(overlaps(docs, members, n).select(F.col("b").alias("rep"), F.col("a").alias("pivot"), F.col("nb").alias("n"), (F.col("nb") - F.col("both")).alias("extra")), "beyond")
-    met = stage(overlaps(docs, pivots, n), "met")
-    alone = met.select(F.col("a").alias("rep"), F.col("na").alias("n")).union(met.select("b", "nb")).distinct().select("rep", F.col("rep").alias("pivot"), "n", F.lit(0).alias("extra"))
-    sides = beyond.union(alone.select(*beyond.columns))
-    most = sides.groupBy("pivot").agg(F.max("extra").alias("extra"), F.min("n").alias("n"))
+    alone = hists.join(inside, F.col("rep") == F.col("a"), "left_semi").select("rep", F.col("rep").alias("pivot"), "n", F.lit(0).alias("extra"))
+    sides = beyond.union(alone)
+    most = stage(sides.groupBy("pivot").agg(F.max("extra").alias("extra"), F.min("n").alias("n")), "most")
     p, q = most.alias("p"), most.alias("q")
-    near = met.join(p, F.col("a") == F.col("p.pivot")).join(q, F.col("b") == F.col("q.pivot")).where(F.col("both") + F.col("p.extra") + F.col("q.extra") >= F.ceil(num * (F.col("p.n") + F.col("q.n")) / (num + den))).select("a", "b", "both")
+    close = lambda df, shared: df.join(p, F.col("a") == F.col("p.pivot")).join(q, F.col("b") == F.col("q.pivot")).where(F.col(shared) + F.col("p.extra") + F.col("q.extra") >= F.ceil(num * (F.col("p.n") + F.col("q.n")) / (num + den)))
+    met = stage(overlaps(docs, stage(close(at_most(pivots, hists), "most").select("a", "b"), "close"), n), "met")
+    near = close(met, "both").select("a", "b", "both")
     s, t = sides.alias("s"), sides.alias("t")
     open_ = near.join(s, F.col("a") == F.col("s.pivot")).join(t, F.col("b") == F.col("t.pivot")).where((F.col("s.n") * den >= F.col("t.n") * num) & (F.col("t.n") * den >= F.col("s.n") * num) & (F.col("both") + F.col("s.extra") + F.col("t.extra") >= F.ceil(num * (F.col("s.n") + F.col("t.n")) / (num + den))))
     more = stage(linked(overlaps(docs, stage(open_.select(F.col("s.rep").alias("a"), F.col("t.rep").alias("b")).distinct(), "open"), n)).select("a", "b"), "more")
