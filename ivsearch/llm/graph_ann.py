@@ -102,10 +102,10 @@ def build(v: np.ndarray, degree: int, width: int, alpha: float, batch: int = 256
 def search(vectors: DataFrame, queries: DataFrame, k: int = 10, shard_rows: int = 4000, degree: int = 32, width: int = 64, alpha: float = 1.2, beam_width: int = 160, block: int = 1024) -> DataFrame:
     """query_id, rank (from 1), vec_id, score (Euclidean distance in double precision): k nearest other rows found for each query.
 
-    Rows of vectors (id, v) are dealt by a hash to shards of about shard_rows; each shard is one task, which builds its graph and answers
-    the queries (id, v) in blocks by beam search. A shard's best k of each query are merged; distances are computed anew on the original vectors,
+    Rows of vectors (id, v) are dealt by a hash to shards of about shard_rows; each shard is one task, which builds a graph of its distinct vectors and answers
+    the queries (id, v) in blocks by beam search. A vector found stands for all its ids, of which the k + 1 smallest can matter. A shard's best k of each query are merged; distances are computed anew on the original vectors,
     ties go to smaller ids. Null vectors, zero vectors, vectors of another length than most of the first and those with null or
-    non-finite components take no part. Equal vectors under different ids all count; rows of one id count once. Shards of k rows or fewer are scanned.
+    non-finite components take no part. Equal vectors under different ids all count; rows of one id count once. Shards of max(4 k, 64) distinct vectors or fewer are scanned.
     Queries are a stated set and are sent to every shard, which reads them block by block.
     """
     spark = vectors.sparkSession
@@ -123,21 +123,26 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 10, shard_rows: int
         ids = ids[order]
         out: dict[str, list] = {"query_id": [], "vec_id": [], "score": []}
         if len(ids):
-            v = np.array(left.column("v").to_pylist(), np.float64)[order]
+            v, of = np.unique(np.array(left.column("v").to_pylist(), np.float64)[order] + 0.0, axis=0, return_inverse=True)  # + 0.0: no negative zeros
+            by = np.argsort(of.ravel(), kind="stable")
+            first = np.searchsorted(of.ravel()[by], np.arange(len(v) + 1))
+            owners = [ids[by[a : min(b, a + k + 1)]] for a, b in zip(first[:-1], first[1:])]  # one of them may be the query's own
             sq = (v * v).sum(1)
-            small = len(ids) <= max(4 * k, 64)
+            small = len(v) <= max(4 * k, 64)
             graph, start = (None, 0) if small else build(v, degree, width, alpha)
             qid, q = right.column("id").to_numpy(), right.column("v").to_pylist()
             for at in range(0, len(qid), block):
                 part = np.array(q[at : at + block], np.float64).reshape(-1, v.shape[1])
-                found = np.tile(np.arange(len(ids)), (len(part), 1)) if small else beam(v, sq, graph, part, start, beam_width)[0]
+                found = np.tile(np.arange(len(v)), (len(part), 1)) if small else beam(v, sq, graph, part, start, beam_width)[0]
                 for i, (one, c) in enumerate(zip(part, found)):
                     c = c[c >= 0]
-                    c = c[ids[c] != qid[at + i]]
                     d = np.sqrt(((v[c] - one) ** 2).sum(1))
-                    best = np.lexsort((ids[c], d))[:k]
+                    own = np.concatenate([owners[x] for x in c])
+                    d = np.repeat(d, [len(owners[x]) for x in c])[own != qid[at + i]]
+                    own = own[own != qid[at + i]]
+                    best = np.lexsort((own, d))[:k]
                     out["query_id"] += [int(qid[at + i])] * len(best)
-                    out["vec_id"] += ids[c[best]].tolist()
+                    out["vec_id"] += own[best].tolist()
                     out["score"] += d[best].tolist()
         return pa.table({"query_id": pa.array(out["query_id"], pa.int64()), "vec_id": pa.array(out["vec_id"], pa.int64()), "score": pa.array(out["score"], pa.float64())})
 

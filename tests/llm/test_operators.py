@@ -198,6 +198,22 @@ def test_ann(spark):
     assert graph_ann.search(d.where("id < 5"), d.where("id < 1")).count() == 4
 
 
+def test_ann_copies(spark):
+    r = np.random.default_rng(3)
+    v = r.normal(size=(700, 16))
+    v[1:700:2] = v[1]
+    v[0], v[2] = v[1] + 0.01, v[1] - 0.01
+    d = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "id long, v array<double>")
+    asked = [0, 1, 2, 3, 21, 350, 400, 698, 699]
+    got = graph_ann.search(d, d.where(d.id.isin(asked)), 10, 350, 12, 24, 1.2, 48).collect()
+    for q in asked:
+        e = np.sqrt(((v - v[q]) ** 2).sum(1))
+        e[q] = np.inf
+        want = np.argsort(e, kind="stable")[:10].tolist()
+        found = [x.vec_id for x in sorted((x for x in got if x.query_id == q), key=lambda x: x.rank)]
+        assert found == want if q < 100 or q % 2 else len(set(found) & set(want)) >= 9
+
+
 def test_quality_rules(spark, docs):
     for r in quality_rules.measures(docs).collect():
         w = WORD.findall(r.text or "")
