@@ -43,7 +43,7 @@ def plan(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, max_epochs: int
     (source, hash bucket) and then inside the one bucket it falls in, so a source with any share of the rows is
     never sorted in one task; documents are not shuffled.
     Null source is a source of its own, null text has size 0. Rows that repeat id and text share their place in
-    the order and are treated alike. Needs doc_id, text, source; other columns pass through, named as they are
+    the order; if q falls on them, they get their words in turn, in the order in which they are read, so that q is met to the word. Needs doc_id, text, source; other columns pass through, named as they are
     unless they are one of the added names, which are replaced.
     """
     spark, names = docs.sparkSession, ["size", "source_size", "target", "whole", "part"]
@@ -62,21 +62,40 @@ def plan(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, max_epochs: int
     running = W.partitionBy("source").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)
     t, h = targets.alias("t"), histogram.withColumn("before", F.coalesce(F.sum("words").over(running), F.lit(0))).alias("h")
     hit = t.join(h, F.col("t.source").eqNullSafe(F.col("h.source")) & (F.col("before") < F.col("q")) & (F.col("before") + F.col("words") >= F.col("q"))).select("t.source", "h.bucket", (F.col("q") - F.col("before")).alias("q"))
-    inner = W.partitionBy("h.source", "h.bucket").orderBy("key").rangeBetween(W.unboundedPreceding, W.currentRow)
+    inner = W.partitionBy("source", "bucket").orderBy("key").rowsBetween(W.unboundedPreceding, W.currentRow)
     last = (
         sized.alias("s").join(small(hit).alias("h"), F.col("s.source").eqNullSafe(F.col("h.source")) & (F.col("s.bucket") == F.col("h.bucket")))
-        .select("h.source", "h.bucket", "q", "key", "size", F.sum("size").over(inner).alias("upto"))
-        .where((F.col("upto") >= F.col("q")) & (F.col("upto") - F.col("size") < F.col("q")) & (F.col("size") > 0))
-        .groupBy("source", "bucket").agg(F.min(F.struct("key", (F.col("q") - F.col("upto") + F.col("size")).alias("part"))).alias("cut"))
+        .groupBy("h.source", "h.bucket", "q", "key").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("rows"))
+        .withColumn("upto", F.sum("size").over(inner))
+        .where((F.col("upto") >= F.col("q")) & (F.col("upto") - F.col("size") < F.col("q")))
+        .select("source", "bucket", F.struct("key", (F.col("q") - F.col("upto") + F.col("size")).alias("part"), "rows").alias("cut"))
     )
     cuts = stage(t.join(last.alias("l"), F.col("t.source").eqNullSafe(F.col("l.source")), "left").select("t.*", F.col("l.bucket").alias("cut_bucket"), "l.cut"), "mixcut")
     d, c = docs.withColumns({"size": n_words("text"), "_key": key}).withColumn("_bucket", F.conv(F.substring("_key.h", 1, 6), 16, 10).cast("long") % buckets).alias("d"), small(cuts).alias("c")
+    at_cut = (F.col("q") > 0) & (F.col("_bucket") == F.col("cut_bucket")) & (F.col("_key") == F.col("cut.key"))
     part = (
         F.when((F.col("q") <= 0) | F.col("cut").isNull(), F.lit(0))
         .when((F.col("_bucket") < F.col("cut_bucket")) | ((F.col("_bucket") == F.col("cut_bucket")) & (F.col("_key") < F.col("cut.key"))), F.col("size"))
         .when(F.col("_key") == F.col("cut.key"), F.least("size", "cut.part")).otherwise(F.lit(0))
     )
-    return d.join(c, F.col("d.source").eqNullSafe(F.col("c.source")), "left").select(*[F.col(f"d.`{x}`") for x in docs.columns], "size", "source_size", "target", F.col("whole").cast("long").alias("whole"), part.cast("long").alias("part"))
+    met = d.join(c, F.col("d.source").eqNullSafe(F.col("c.source")), "left")
+    out = [*[F.col(f"d.`{x}`") for x in docs.columns], "size", "source_size", "target", F.col("whole").cast("long").alias("whole")]
+    one = met.select(*out, part.cast("long").alias("part"))
+    if cuts.where("cut.rows > 1").isEmpty():
+        return one
+    shared = F.coalesce(at_cut & (F.col("cut.rows") > 1), F.lit(False))
+    tied = stage(met.where(shared).select(*out, F.col("cut.part").alias("_left"), F.monotonically_increasing_id().alias("_at")), "mixtied")
+    return met.where(~shared).select(*out, part.cast("long").alias("part")).union(in_turn(tied).select(*[F.col(f"`{x}`") for x in one.columns]))
+
+
+def in_turn(tied: DataFrame) -> DataFrame:
+    """tied (source, size, _left: words that a source's rows share, _at: place, with the task in the upper bits) with part: rows get all their words in turn until _left is used up. No window holds more than one task's rows or one row for each task."""
+    tied = tied.withColumn("_task", F.shiftright("_at", 33))
+    task = tied.groupBy("source", "_task").agg(F.sum("size").alias("_words"))
+    earlier = task.withColumn("_earlier", F.coalesce(F.sum("_words").over(W.partitionBy("source").orderBy("_task").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).select(F.col("source").alias("_source"), F.col("_task").alias("_of"), "_earlier")
+    own = F.coalesce(F.sum("size").over(W.partitionBy("source", "_task").orderBy("_at").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    given = tied.withColumn("_own", own).join(small(earlier), F.col("source").eqNullSafe(F.col("_source")) & (F.col("_task") == F.col("_of")))
+    return given.withColumn("part", F.greatest(F.lit(0), F.least("size", F.col("_left") - F.col("_earlier") - F.col("_own"))).cast("long"))
 
 
 def mix(docs: DataFrame, **how) -> DataFrame:

@@ -110,6 +110,21 @@ def test_mixing(docs):
     assert mixing.plan(docs.limit(0)).count() == 0
 
 
+def test_mixing_repeats(spark):
+    rows = [(i, f"{i} " + "word " * (i % 37 + 5), f"s{i % 5}") for i in range(60) for _ in range(2)] + [(None, "no id and the same text", "n")] * 9 + [(None, "no id, " + "own text " * i, None) for i in range(9)] * 3
+    d = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(5)
+    got, by = mixing.plan(d).collect(), {}
+    assert sorted((r.doc_id or -1, r.text, r.source or "") for r in got) == sorted((i or -1, t, s or "") for i, t, s in rows)
+    for r in got:
+        assert 0 <= r.part <= r.size
+        by.setdefault(r.source, [int(r.target + 0.5), 0])[1] += r.whole * r.size + r.part
+    assert len(by) == 7 and all(t == x for t, x in by.values())
+    words = {}
+    for r in mixing.mix(d).collect():
+        words[r.source] = words.get(r.source, 0) + len(WORD.findall(r.text))
+    assert words == {s: x for s, (_, x) in by.items()}
+
+
 def test_sharding(docs):
     got = sharding.shard(docs, 5).collect()
     place, slots = {}, {}
