@@ -113,63 +113,75 @@ def pieces_fit(a: Column, b: Column, k: int, pieces: int = 16) -> Column:
 
 
 def owners(docs: DataFrame, k: int, min_chars: int) -> DataFrame:
-    """For each distinct line with a word, the place (d, p) of its first occurrence by id, then position, its keys and counts (null if short). Lines are compared by two 64-bit hashes."""
-    lines = docs.select("d", F.posexplode(F.transform(F.split("t", "\n"), lambda x: F.when(F.length(F.translate(x, BLANKS, "")) > 0, F.struct(x.alias("x"), F.length(x).alias("n"))))).alias("p", "l")).where("l is not null").select("d", "p", "l.*")
+    """For each distinct line with a word, the place (d, r, p) of its first occurrence by id, then row, then position, its keys and counts (null if short). Lines are compared by two 64-bit hashes."""
+    lines = docs.select("d", "r", F.posexplode(F.transform(F.split("t", "\n"), lambda x: F.when(F.length(F.translate(x, BLANKS, "")) > 0, F.struct(x.alias("x"), F.length(x).alias("n"))))).alias("p", "l")).where("l is not null").select("d", "r", "p", "l.*")
     long = F.col("n") >= min_chars
-    keyed = lines.select("d", "p", F.xxhash64("x").alias("a"), F.xxhash64(F.lit(7), "x").alias("b"), F.when(long, line_keys("x", "n", k)).alias("keys"), F.when(long, letter_counts(F.col("x"))).alias("c"))
-    return keyed.groupBy("a", "b").agg(F.min(F.struct("d", "p", "keys", "c")).alias("o")).select("o.*")
+    keyed = lines.select("d", "r", "p", F.xxhash64("x").alias("a"), F.xxhash64(F.lit(7), "x").alias("b"), F.when(long, line_keys("x", "n", k)).alias("keys"), F.when(long, letter_counts(F.col("x"))).alias("c"))
+    return keyed.groupBy("a", "b").agg(F.min(F.struct("d", "r", "p", "keys", "c")).alias("o")).select("o.*")
 
 
 def near_copies(docs: DataFrame, first: DataFrame, k: int) -> DataFrame:
-    """Places (d, p) of those first lines that lie within k edits of another first line before them (by id, then position).
+    """Places (d, r, p) of those first lines that lie within k edits of another first line before them (by id, then row, then position).
 
     Each line is probed against equally long or shorter ones only. Keys, not lines, are shuffled, with counts of letters that rule out
     most other pairs; both sides of the join read the same shuffle. The texts of candidate lines alone are fetched, and pairs verified.
     """
     def texts(places: DataFrame) -> DataFrame:
-        at = stage(places.groupBy("d").agg(F.collect_list("p").alias("ps")), "places")  # at most the lines of one document
-        split = docs.join(small(at, 200_000), "d").select("d", "ps", F.split("t", "\n").alias("ls"))
-        return split.select("d", F.posexplode("ls").alias("p", "x"), "ps").where("array_contains(ps, p)").select("d", "p", "x")
+        at = stage(places.groupBy("d", "r").agg(F.collect_list("p").alias("ps")), "places")  # at most the lines of one document
+        split = docs.join(small(at, 200_000), ["d", "r"]).select("d", "r", "ps", F.split("t", "\n").alias("ls"))
+        return split.select("d", "r", F.posexplode("ls").alias("p", "x"), "ps").where("array_contains(ps, p)").select("d", "r", "p", "x")
 
     kinds = F.array(*[F.lit(kind) for kind, *_ in key_plan(k)])
-    rows = first.where("keys is not null").select("d", "p", "c", F.explode(F.arrays_zip(F.col("keys").alias("key"), kinds.alias("kind"))).alias("k")).select("d", "p", "c", "k.key", "k.kind")
+    rows = first.where("keys is not null").select("d", "r", "p", "c", F.explode(F.arrays_zip(F.col("keys").alias("key"), kinds.alias("kind"))).alias("k")).select("d", "r", "p", "c", "k.key", "k.kind")
     x, y = rows.alias("x"), rows.alias("y")
-    a, b = F.struct("x.d", "x.p"), F.struct("y.d", "y.p")
+    a, b = F.struct("x.d", "x.r", "x.p"), F.struct("y.d", "y.r", "y.p")
     # That y is a line's own segment is said with both kinds: a filter on one side alone would be moved below the shuffle, which could not be shared then.
     alike = (F.col("x.key") == F.col("y.key")) & (F.col("x.kind") - F.col("y.kind") >= F.col("x.kind")) & (a != b) & ((F.col("x.kind") != OWN) | (a > b)) & counts_fit(F.col("x.c"), F.col("y.c"), k)
     longer = F.col("x.kind") == SHORTER
     pairs = x.join(y, alike).select(F.when(longer, a).otherwise(F.greatest(a, b)).alias("a"), F.when(longer, b).otherwise(F.least(a, b)).alias("b"))
     pairs = stage(pairs.distinct(), "pairs")
-    found = stage(texts(pairs.select("a.*").union(pairs.select("b.*")).distinct()).select(F.struct("d", "p").alias("at"), "x"), "lines")
+    found = stage(texts(pairs.select("a.*").union(pairs.select("b.*")).distinct()).select(F.struct("d", "r", "p").alias("at"), "x"), "lines")
     both = pairs.join(found.select(F.col("at").alias("a"), F.col("x").alias("xa")), "a").repartition(width(docs.sparkSession), "b").join(found.select(F.col("at").alias("b"), F.col("x").alias("xb")), "b")
     near = bounded_distance(both.where((F.length("xa") - F.length("xb")).between(0, k) & pieces_fit(F.col("xa"), F.col("xb"), k)), "xa", "xb", k).where(F.col("edits") <= k)
     return near.select(F.greatest("a", "b").alias("x")).select("x.*").distinct()
 
 
+def copies_marked(docs: DataFrame) -> DataFrame:
+    """docs with _again: false for one row of each text, true for the others. Null texts are all false."""
+    docs = stage(docs.withColumns({"_h": F.xxhash64("text"), "_at": F.monotonically_increasing_id()}), "noid")
+    one = docs.where("text is not null").groupBy("_h").agg(F.min("_at").alias("_at")).withColumn("_one", F.lit(True))
+    return docs.join(one, ["_h", "_at"], "left").withColumn("_again", F.col("text").isNotNull() & F.col("_one").isNull()).drop("_h", "_at", "_one")
+
+
 def dedup_lines(docs: DataFrame, edits: int = EDITS, min_chars: int = MIN_CHARS) -> DataFrame:
     """docs with text without repeated lines, and n_lines, n_copies, n_near (removed lines: exact and near copies), all long.
 
     Lines are what newlines part. A line with a word stays where it first occurs, by id and then position; later equal lines
     go, within a document and across documents. A first occurrence of min_chars characters or more goes, too, if it lies
     within edits of another one before it that is as long as that, whether or not that one stays. Lines without a word stay.
-    Null text stays null and has no lines; empty text has one. Rows of equal id form one document: what one keeps in a place,
-    all keep, each from its own text; rows with null id count after all others. A document that loses all its
+    Null text stays null and has no lines; empty text has one. Rows of equal id and text form one document: what one keeps, all
+    keep. Rows of one id with different texts are documents of their own, in the order of a 64-bit hash of the text. Rows with null id are documents
+    of their own, too, also if their texts are equal, and count after all others, in the order of that hash. A document that loses all its
     lines has an empty text. The added columns replace columns of their names.
     """
     added = ["n_lines", "n_copies", "n_near"]
     docs = docs.drop(*added)
-    d = F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1))
-    plain = docs.select(d.alias("d"), F.col("text").alias("t")).where(F.col("t").isNotNull())
+    names = docs.columns
+    d, r, again = F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1)), F.xxhash64("text"), F.lit(False)
+    if not docs.where("doc_id is null").isEmpty():
+        docs, again = docs.where("doc_id is not null").withColumn("_again", again).union(copies_marked(docs.where("doc_id is null"))), F.col("_again")
+    plain = docs.where(~again).select(d.alias("d"), r.alias("r"), F.col("text").alias("t")).where(F.col("t").isNotNull())
     first = stage(owners(plain, edits, min_chars), "first")
     near = stage(near_copies(plain, first, edits), "near")
-    mark = first.select("d", "p").withColumn("n", F.lit(False)).join(near.withColumn("m", F.lit(True)), ["d", "p"], "left").groupBy("d").agg(F.sort_array(F.collect_list(F.when(F.col("m").isNull(), F.col("p")))).alias("_keep"), F.count("m").alias("_near"))
-    out = docs.withColumn("_d", d).join(mark.withColumnRenamed("d", "_d").hint("shuffle_hash"), "_d", "left")
+    mark = first.select("d", "r", "p").withColumn("n", F.lit(False)).join(near.withColumn("m", F.lit(True)), ["d", "r", "p"], "left").groupBy("d", "r").agg(F.sort_array(F.collect_list(F.when(F.col("m").isNull(), F.col("p")))).alias("_keep"), F.count("m").alias("_near"))
+    # A row that copies one with null id meets no mark.
+    out = docs.withColumns({"_d": F.when(~again, d), "_r": r}).join(mark.withColumnsRenamed({"d": "_d", "r": "_r"}).hint("shuffle_hash"), ["_d", "_r"], "left")
     worded = lambda x: F.length(F.translate(x, BLANKS, "")) > 0
     out = out.withColumn("_l", F.split("text", "\n"))
     out = out.withColumn("_kept", F.filter("_l", lambda x, i: ~worded(x) | F.array_contains("_keep", i)))
     n = F.coalesce(F.size("_l"), F.lit(0)).cast("long")
     out = out.withColumns({"text": F.array_join("_kept", "\n"), "n_lines": F.when(F.col("_l").isNull(), 0).otherwise(n).cast("long"), "n_near": F.coalesce("_near", F.lit(0)).cast("long")})
-    return out.withColumn("n_copies", F.when(F.col("_l").isNull(), 0).otherwise(F.size("_l") - F.size("_kept") - F.col("n_near")).cast("long")).select(*docs.columns, *added)
+    return out.withColumn("n_copies", F.when(F.col("_l").isNull(), 0).otherwise(F.size("_l") - F.size("_kept") - F.col("n_near")).cast("long")).select(*names, *added)
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

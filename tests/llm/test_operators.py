@@ -45,6 +45,16 @@ def test_lines(docs):
     assert got == want
 
 
+def test_lines_of_rows_without_id(spark):
+    a, b, c = "the first line that the others resemble here", "a line of a row without id, all its own", "another line of another row without id"
+    rows = [(1, a, 1), (None, f"{a[:-1]}m\n{b}", 2), (None, f"{c}\nand its second line", 3), *[(None, "copied line of rows without id\nx", 4)] * 3, (7, f"{b[:9]} and something else instead\ny", 5), (7, f"{a}\nz\na line of the other row of id 7", 6), (None, None, 7), (None, None, 7)]
+    got = sorted((r.n, r.text or "", r.n_lines, r.n_copies, r.n_near) for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string, n int").repartition(3), 2, 20).collect())
+    assert got == sorted([
+        (1, a, 1, 0, 0), (2, b, 2, 0, 1), (3, f"{c}\nand its second line", 2, 0, 0), (4, "copied line of rows without id\nx", 2, 0, 0), (4, "", 2, 2, 0), (4, "", 2, 2, 0),
+        (5, f"{b[:9]} and something else instead\ny", 2, 0, 0), (6, "z\na line of the other row of id 7", 3, 1, 0), (7, "", 0, 0, 0), (7, "", 0, 0, 0),
+    ])
+
+
 def classes(rows, num, den, n):
     sets = {}
     for d, t in sorted((d, t or "") for d, t in rows if d is not None):
