@@ -101,10 +101,22 @@ def thresholds(good: DataFrame, alpha: float = 0.005, delta: float = 0.05) -> Da
     return ranked.join(ks.select("stratum", "k"), "stratum").where(F.col("above") <= F.col("k")).groupBy("stratum", "rule").agg(F.min("score").alias("cutoff"))
 
 
+def pooled(good: DataFrame, strata: DataFrame, alpha: float, delta: float) -> DataFrame:
+    """(stratum, pool) for each of strata: its own name, or that of the common pool if it has too few rows in good for any cutoff of its own.
+
+    What has enough is decided by the counts alone, at the level that holds with all strata apart; pooling only makes strata fewer.
+    """
+    n = strata.join(good.groupBy("stratum").agg(F.count(F.lit(1)).alias("n")), "stratum", "left").withColumn("n", F.coalesce("n", F.lit(0)))
+    level = F.lit(delta) / len(RULES) / F.col("strata")
+    n = n.crossJoin(F.broadcast(strata.agg(F.count(F.lit(1)).alias("strata"))))  # one row with the number of strata
+    return n.select("stratum", F.when(F.col("n") * F.lit(math.log1p(-alpha)) <= F.log(level), F.col("stratum")).otherwise(F.lit("\0few")).alias("pool"))
+
+
 def judge(docs: DataFrame, labels: DataFrame, alpha: float = 0.005, delta: float = 0.05) -> DataFrame:
     """docs with the measures, base_failed and kept. Strata are languages (null: one of its own); quality 1 in labels (doc_id, quality) marks good documents.
 
-    A document is kept if it passes the base rules and none of its scores is above its stratum's cutoff.
+    A document is kept if it passes the base rules and none of its scores is above its stratum's cutoff. Languages with too few good
+    documents for a cutoff of their own are pooled into one stratum; there, alpha holds for the pool, not for each language.
     Null text is empty and fails the base rules. Documents with null id have no label. Repeated labels of an id count
     once, as good if any is; repeated documents are judged alike. No labels: the base rules alone decide.
     """
@@ -112,7 +124,11 @@ def judge(docs: DataFrame, labels: DataFrame, alpha: float = 0.005, delta: float
     kept = docs.drop("base_failed", "kept")
     seen = stage(measures(kept.select("doc_id", "text", stratum.alias("stratum"))).withColumns(scores()).drop("text"), "rules")
     ids = labels.where("quality = 1").select(F.col("doc_id").alias("_id")).distinct()
-    cut = stage(thresholds(seen.where(~base_failed()).join(ids, F.col("doc_id") == F.col("_id"), "left_semi"), alpha, delta).groupBy("stratum").pivot("rule", list(RULES)).agg(F.min("cutoff")).withColumnsRenamed({r: f"{r}_cut" for r in RULES}), "cutoffs")
+    good = seen.where(~base_failed()).join(ids, F.col("doc_id") == F.col("_id"), "left_semi")
+    pools = stage(pooled(good, seen.select("stratum").distinct(), alpha, delta), "pools")
+    good = good.join(small(pools), "stratum").drop("stratum").withColumnRenamed("pool", "stratum")
+    cut = stage(thresholds(good, alpha, delta).groupBy("stratum").pivot("rule", list(RULES)).agg(F.min("cutoff")).withColumnsRenamed({r: f"{r}_cut" for r in RULES}), "cutoffs")
+    cut = pools.join(small(cut.withColumnRenamed("stratum", "pool")), "pool", "left").drop("pool")
     passed = ~base_failed()
     for r in RULES:
         passed = passed & (F.col(f"{r}_cut").isNull() | (F.col(r) <= F.col(f"{r}_cut")))

@@ -261,3 +261,12 @@ def test_quality_rules(spark, docs):
         assert spark.range(1).select(quality_rules.allowed(F.lit(n).cast("long"), a, F.lit(level))).first()[0] == want
     labels = spark.createDataFrame([(1, 1), (1, 0), (None, 1)], "doc_id long, quality int")
     assert quality_rules.judge(docs, labels).count() == docs.count()
+
+
+def test_quality_rules_pool(spark):
+    text = " ".join(f"word{i}" for i in range(60))
+    good = [(i, f"{text} {i}", ("a", "b", None)[i % 3]) for i in range(1500)]
+    bad = [(5000 + i, f"{text} {'#' * 200} {i}", ("a", "b", None, "c")[i % 4]) for i in range(8)]
+    d = spark.createDataFrame(good + bad, "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(i, 1) for i, *_ in good], "doc_id long, quality int")
+    assert {r.doc_id for r in quality_rules.judge(d, labels).where("not kept and not base_failed").collect()} == {i for i, *_ in bad}
