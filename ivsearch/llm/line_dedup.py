@@ -63,39 +63,31 @@ def key_plan(k: int) -> list[tuple[int, int, int, int]]:
     return plan
 
 
-def line_keys(line: str, n: str, k: int) -> Column:
-    """Index and probe keys of a line of n characters, in the order of key_plan(): 48 bits of a hash of length, segment number and segment; the last segments are the longer ones.
-
-    A lambda over the plan keeps the generated code small enough to be compiled.
-    """
+def line_keys(line: str, n: str, k: int) -> list[Column]:
+    """Index and probe keys of a line of n characters, in the order of key_plan(): 48 bits of a hash of length, segment number and segment; the last segments are the longer ones."""
     x, size = F.col(line), F.col(n)
 
-    def key(s: Column) -> Column:
-        m, i = size - s["g"], s["i"]
+    def key(g: int, i: int, o: int) -> Column:
+        m = size - g
         short, longer = F.floor(m / (k + 1)).cast("int"), (m % (k + 1)).cast("int")
-        at = short * i + F.greatest(F.lit(0), i - (k + 1) + longer) + 1 + s["o"]
-        return F.shiftrightunsigned(F.xxhash64(F.substring(x, at, short + F.when(i - k + longer > 0, 1).otherwise(0)), m, i), 16)
-
-    return F.transform(F.array(*[F.struct(F.lit(g).alias("g"), F.lit(i).alias("i"), F.lit(o).alias("o")) for _, g, i, o in key_plan(k)]), key)
+        at = short * i + F.greatest(F.lit(0), longer + (i - (k + 1))) + (1 + o)
+        return F.shiftrightunsigned(F.xxhash64(F.substring(x, at, short + F.when(longer + (i - k) > 0, 1).otherwise(0)), m, F.lit(i)), 16)
 
+    return [key(g, i, o) for _, g, i, o in key_plan(k)]
 
-#: Letters that are counted for a bound on the edit distance; replace() counts them many times faster than translate() counts classes.
-LETTERS = "eantiros"
 
+def signed(lines: DataFrame, x: str) -> DataFrame:
+    """lines with s1 and s2, bits of the parity of the counts of characters and of pairs of neighbouring characters of x."""
+    step = "(s, c) -> named_struct('p', c, 'a', s.a ^ shiftleft(1L, c & 63), 'b', s.b ^ shiftleft(1L, (s.p * 31 + c) & 63))"
+    of = F.expr(f"aggregate(transform(split(`{x}`, ''), c -> ascii(c)), named_struct('p', 0, 'a', 0L, 'b', 0L), {step})")
+    # One value in an array that explode() takes apart: the two fields then share one evaluation.
+    return lines.withColumn("s", F.explode(F.array(of))).select(*lines.columns, F.col("s.a").alias("s1"), F.col("s.b").alias("s2"))
 
-def letter_counts(line: Column) -> Column:
-    """Counts of eight letters, modulo 16, in one 32-bit number."""
-    n = F.octet_length(line)
-    return reduce(Column.bitwiseOR, (F.shiftleft((n - F.octet_length(F.replace(line, F.lit(c), F.lit("")))) % 16, 4 * i) for i, c in enumerate(LETTERS)))
 
-
-def counts_fit(a: Column, b: Column, k: int) -> Column:
-    """True for all lines within k edits: each edit changes the counts by two at most in all."""
-    total = F.lit(0)
-    for i in range(len(LETTERS)):
-        d = F.abs(F.shiftrightunsigned(a, 4 * i).bitwiseAND(F.lit(15)) - F.shiftrightunsigned(b, 4 * i).bitwiseAND(F.lit(15)))
-        total = total + F.least(d, 16 - d)
-    return total <= 2 * k
+def may_be_near(x: str, y: str, k: int) -> Column:
+    """True for all lines within k edits: an edit takes one character and two pairs at most, and adds as many."""
+    far = lambda s: F.bit_count(F.col(f"{x}.{s}").bitwiseXOR(F.col(f"{y}.{s}")))
+    return (far("s1") <= 2 * k) & (far("s2") <= 4 * k)
 
 
 def pieces_fit(a: Column, b: Column, k: int, pieces: int = 16) -> Column:
@@ -112,45 +104,56 @@ def pieces_fit(a: Column, b: Column, k: int, pieces: int = 16) -> Column:
     return F.size(F.filter(F.sequence(F.lit(0), F.lit(pieces - 1)), stands)) >= pieces - k
 
 
+def worded(x: Column) -> Column:
+    return F.btrim(x, F.lit(BLANKS)) != ""
+
+
 def owners(docs: DataFrame, k: int, min_chars: int) -> DataFrame:
-    """For each distinct line with a word, the place (d, r, p) of its first occurrence by id, then row, then position, its keys and counts (null if short). Lines are compared by two 64-bit hashes."""
-    lines = docs.select("d", "r", F.posexplode(F.transform(F.split("t", "\n"), lambda x: F.when(F.length(F.translate(x, BLANKS, "")) > 0, F.struct(x.alias("x"), F.length(x).alias("n"))))).alias("p", "l")).where("l is not null").select("d", "r", "p", "l.*")
-    long = F.col("n") >= min_chars
-    keyed = lines.select("d", "r", "p", F.xxhash64("x").alias("a"), F.xxhash64(F.lit(7), "x").alias("b"), F.when(long, line_keys("x", "n", k)).alias("keys"), F.when(long, letter_counts(F.col("x"))).alias("c"))
-    return keyed.groupBy("a", "b").agg(F.min(F.struct("d", "r", "p", "keys", "c")).alias("o")).select("o.*")
+    """For each distinct line with a word, the place (d, r, p) of its first occurrence by id, then row, then position, and its keys (null if short). Lines are compared by two 64-bit hashes."""
+    lines = docs.select("d", "r", F.posexplode(F.split("t", "\n")).alias("p", "x")).where(worded(F.col("x"))).withColumn("n", F.length("x"))
+    keyed = lines.select("d", "r", "p", F.xxhash64("x").alias("a"), F.xxhash64(F.lit(7), "x").alias("b"), F.when(F.col("n") >= min_chars, F.array(*line_keys("x", "n", k))).alias("keys"))
+    return keyed.groupBy("a", "b").agg(F.min(F.struct("d", "r", "p", "keys")).alias("o")).select("o.*")
+
+
+def texts(docs: DataFrame, places: DataFrame) -> DataFrame:
+    """(d, r, p, x): the lines at places (d, r, p)."""
+    at = stage(places.groupBy("d", "r").agg(F.collect_list("p").alias("ps")), "places")  # at most the lines of one document
+    docs_, lines = at.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.size("ps")), F.lit(0))).first()
+    few = docs_ <= 200_000 and lines <= 1_000_000  # 32 bytes a document and 4 a line, so under 11 MB
+    split = docs.join(F.broadcast(at) if few else at, ["d", "r"]).select("d", "r", "ps", F.split("t", "\n").alias("ls"))
+    return split.select("d", "r", F.posexplode("ls").alias("p", "x"), "ps").where("array_contains(ps, p)").select("d", "r", "p", "x")
 
 
 def near_copies(docs: DataFrame, first: DataFrame, k: int) -> DataFrame:
     """Places (d, r, p) of those first lines that lie within k edits of another first line before them (by id, then row, then position).
 
-    Each line is probed against equally long or shorter ones only. Keys, not lines, are shuffled, with counts of letters that rule out
-    most other pairs; both sides of the join read the same shuffle. The texts of candidate lines alone are fetched, and pairs verified.
+    Each line is probed against equally long or shorter ones only. Counts by key, aggregated in each task first, tell which keys can
+    give a pair at all; only lines with such a key are fetched, once, and get the parity bits that the join on keys compares
+    before it makes a row. What it makes is verified. Pairs that share a key but not the bits cost a comparison each, and no row.
     """
-    def texts(places: DataFrame) -> DataFrame:
-        at = stage(places.groupBy("d", "r").agg(F.collect_list("p").alias("ps")), "places")  # at most the lines of one document
-        split = docs.join(small(at, 200_000), ["d", "r"]).select("d", "r", "ps", F.split("t", "\n").alias("ls"))
-        return split.select("d", "r", F.posexplode("ls").alias("p", "x"), "ps").where("array_contains(ps, p)").select("d", "r", "p", "x")
-
     kinds = F.array(*[F.lit(kind) for kind, *_ in key_plan(k)])
-    rows = first.where("keys is not null").select("d", "r", "p", "c", F.explode(F.arrays_zip(F.col("keys").alias("key"), kinds.alias("kind"))).alias("k")).select("d", "r", "p", "c", "k.key", "k.kind")
+    rows = first.where("keys is not null").select("d", "r", "p", F.explode(F.arrays_zip(F.col("keys").alias("key"), kinds.alias("kind"))).alias("k")).select("d", "r", "p", "k.key", "k.kind")
+    live = stage(rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("kind").alias("least")).where((F.col("n") > 1) & (F.col("least") == OWN)).select("key"), "live")
+    rows = stage(rows.join(small(live, 500_000), "key", "left_semi"), "liverows")
+    found = stage(signed(texts(docs, rows.select("d", "r", "p").distinct()), "x").select(F.struct("d", "r", "p").alias("at"), "x", "s1", "s2"), "lines")
+    rows = rows.select(F.struct("d", "r", "p").alias("at"), "key", "kind").join(found.select("at", "s1", "s2"), "at")
     x, y = rows.alias("x"), rows.alias("y")
-    a, b = F.struct("x.d", "x.r", "x.p"), F.struct("y.d", "y.r", "y.p")
+    a, b = F.col("x.at"), F.col("y.at")
     # That y is a line's own segment is said with both kinds: a filter on one side alone would be moved below the shuffle, which could not be shared then.
-    alike = (F.col("x.key") == F.col("y.key")) & (F.col("x.kind") - F.col("y.kind") >= F.col("x.kind")) & (a != b) & ((F.col("x.kind") != OWN) | (a > b)) & counts_fit(F.col("x.c"), F.col("y.c"), k)
+    alike = (F.col("x.key") == F.col("y.key")) & (F.col("x.kind") - F.col("y.kind") >= F.col("x.kind")) & (a != b) & ((F.col("x.kind") != OWN) | (a > b)) & may_be_near("x", "y", k)
     longer = F.col("x.kind") == SHORTER
     pairs = x.join(y, alike).select(F.when(longer, a).otherwise(F.greatest(a, b)).alias("a"), F.when(longer, b).otherwise(F.least(a, b)).alias("b"))
     pairs = stage(pairs.distinct(), "pairs")
-    found = stage(texts(pairs.select("a.*").union(pairs.select("b.*")).distinct()).select(F.struct("d", "r", "p").alias("at"), "x"), "lines")
     both = pairs.join(found.select(F.col("at").alias("a"), F.col("x").alias("xa")), "a").repartition(width(docs.sparkSession), "b").join(found.select(F.col("at").alias("b"), F.col("x").alias("xb")), "b")
     near = bounded_distance(both.where((F.length("xa") - F.length("xb")).between(0, k) & pieces_fit(F.col("xa"), F.col("xb"), k)), "xa", "xb", k).where(F.col("edits") <= k)
     return near.select(F.greatest("a", "b").alias("x")).select("x.*").distinct()
 
 
-def copies_marked(docs: DataFrame) -> DataFrame:
-    """docs with _again: false for one row of each text, true for the others. Null texts are all false."""
-    docs = stage(docs.withColumns({"_h": F.xxhash64("text"), "_at": F.monotonically_increasing_id()}), "noid")
-    one = docs.where("text is not null").groupBy("_h").agg(F.min("_at").alias("_at")).withColumn("_one", F.lit(True))
-    return docs.join(one, ["_h", "_at"], "left").withColumn("_again", F.col("text").isNotNull() & F.col("_one").isNull()).drop("_h", "_at", "_one")
+def copies_marked(rows: DataFrame) -> DataFrame:
+    """rows (row, ...) with again: false for one row of each text, true for the others. Null texts are all false."""
+    rows = stage(rows.withColumns({"h": F.xxhash64("row.text"), "at": F.monotonically_increasing_id()}), "noid")
+    one = rows.where("row.text is not null").groupBy("h").agg(F.min("at").alias("at")).withColumn("one", F.lit(True))
+    return rows.join(one, ["h", "at"], "left").withColumn("again", F.col("row.text").isNotNull() & F.col("one").isNull()).select("row", "again")
 
 
 def dedup_lines(docs: DataFrame, edits: int = EDITS, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -162,26 +165,26 @@ def dedup_lines(docs: DataFrame, edits: int = EDITS, min_chars: int = MIN_CHARS)
     Null text stays null and has no lines; empty text has one. Rows of equal id and text form one document: what one keeps, all
     keep. Rows of one id with different texts are documents of their own, in the order of a 64-bit hash of the text. Rows with null id are documents
     of their own, too, also if their texts are equal, and count after all others, in the order of that hash. A document that loses all its
-    lines has an empty text. The added columns replace columns of their names.
+    lines has an empty text. Other columns pass through, whatever their names; the added columns replace columns of their names.
     """
     added = ["n_lines", "n_copies", "n_near"]
-    docs = docs.drop(*added)
-    names = docs.columns
-    d, r, again = F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1)), F.xxhash64("text"), F.lit(False)
+    names = [c for c in docs.columns if c not in added]
+    # A row's own columns travel in one struct, so none of them can clash with a name used here.
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), F.lit(False).alias("again"))
     if not docs.where("doc_id is null").isEmpty():
-        docs, again = docs.where("doc_id is not null").withColumn("_again", again).union(copies_marked(docs.where("doc_id is null"))), F.col("_again")
-    plain = docs.where(~again).select(d.alias("d"), r.alias("r"), F.col("text").alias("t")).where(F.col("t").isNotNull())
+        rows = rows.where("row.doc_id is not null").union(copies_marked(rows.where("row.doc_id is null")))
+    d, r = F.coalesce(F.col("row.doc_id").cast("long"), F.lit(2**63 - 1)), F.xxhash64("row.text")
+    plain = rows.where("not again and row.text is not null").select(d.alias("d"), r.alias("r"), F.col("row.text").alias("t"))
     first = stage(owners(plain, edits, min_chars), "first")
     near = stage(near_copies(plain, first, edits), "near")
-    mark = first.select("d", "r", "p").withColumn("n", F.lit(False)).join(near.withColumn("m", F.lit(True)), ["d", "r", "p"], "left").groupBy("d", "r").agg(F.sort_array(F.collect_list(F.when(F.col("m").isNull(), F.col("p")))).alias("_keep"), F.count("m").alias("_near"))
+    mark = first.select("d", "r", "p").join(near.withColumn("m", F.lit(True)), ["d", "r", "p"], "left").groupBy("d", "r").agg(F.sort_array(F.collect_list(F.when(F.col("m").isNull(), F.col("p")))).alias("keep"), F.count("m").alias("near"))
     # A row that copies one with null id meets no mark.
-    out = docs.withColumns({"_d": F.when(~again, d), "_r": r}).join(mark.withColumnsRenamed({"d": "_d", "r": "_r"}).hint("shuffle_hash"), ["_d", "_r"], "left")
-    worded = lambda x: F.length(F.translate(x, BLANKS, "")) > 0
-    out = out.withColumn("_l", F.split("text", "\n"))
-    out = out.withColumn("_kept", F.filter("_l", lambda x, i: ~worded(x) | F.array_contains("_keep", i)))
-    n = F.coalesce(F.size("_l"), F.lit(0)).cast("long")
-    out = out.withColumns({"text": F.array_join("_kept", "\n"), "n_lines": F.when(F.col("_l").isNull(), 0).otherwise(n).cast("long"), "n_near": F.coalesce("_near", F.lit(0)).cast("long")})
-    return out.withColumn("n_copies", F.when(F.col("_l").isNull(), 0).otherwise(F.size("_l") - F.size("_kept") - F.col("n_near")).cast("long")).select(*names, *added)
+    out = rows.withColumns({"d": F.when(~F.col("again"), d), "r": r}).join(mark.hint("shuffle_hash"), ["d", "r"], "left").withColumn("ls", F.split("row.text", "\n"))
+    out = out.withColumn("kept", F.filter("ls", lambda x, i: ~worded(x) | F.coalesce(F.array_contains("keep", i), F.lit(False))))
+    n = lambda c: F.when(F.col("ls").isNull(), 0).otherwise(c).cast("long")
+    own = [F.array_join("kept", "\n").alias(c) if c == "text" else F.col(f"row.`{c}`") for c in names]
+    near_ = F.coalesce("near", F.lit(0))
+    return out.select(*own, n(F.size("ls")).alias("n_lines"), n(F.size("ls") - F.size("kept") - near_).alias("n_copies"), near_.cast("long").alias("n_near"))
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -55,6 +55,26 @@ def test_lines_of_rows_without_id(spark):
     ])
 
 
+def test_lines_group(spark):
+    """A group of variants of one line, 0 to 6 edits each, against brute force; columns named like internal ones pass through."""
+    rng = np.random.default_rng(5)
+    base = "the mill by the river was built long before the town had its first school and é church"
+    made = []
+    for i in range(90):
+        x = list(base)
+        for _ in range(i % 7):
+            at = int(rng.integers(0, len(x)))
+            x[at : at + int(rng.integers(0, 2))] = str(rng.choice(list("aeñ "))) if rng.integers(0, 3) else ""
+        made.append("".join(x))
+    rows = [(i, made[i], f"k{i}", i, "w", [i]) for i in rng.permutation(90).tolist()]
+    got = {r.doc_id: r for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string, _l string, keep int, row string, d array<int>").repartition(4), 2, 20).collect()}
+    for i, x in enumerate(made):
+        copy, near = x in made[:i], any(lev(x, y) <= 2 for y in made[:i])
+        assert (got[i].n_copies, got[i].n_near, got[i].text) == (int(copy), int(near and not copy), "" if near else x)
+        assert (got[i]._l, got[i].keep, got[i].row, got[i].d) == (f"k{i}", i, "w", [i])
+    assert line_dedup.dedup_lines(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
 def classes(rows, num, den, n):
     sets = {}
     for d, t in sorted((d, t or "") for d, t in rows if d is not None):
