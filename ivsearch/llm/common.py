@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -18,12 +17,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster names for checkpoints; a temporary one only if none is set."""
+    """The folder that the cluster names for checkpoints; where none is set, one in the warehouse, which all executors share."""
     at = spark.conf.get("spark.checkpoint.dir", None)
-    if not at:
-        at = tempfile.mkdtemp(prefix="ivsearch-")
-        spark.conf.set("spark.checkpoint.dir", at)
-    return at
+    return at or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/ivsearch-staged"
 
 
 #: Has Spark delete a query's shuffle files when the query ends, not when the driver collects garbage.
@@ -32,6 +28,12 @@ CLEANUP = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true"}
 BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": "500", "spark.sql.execution.arrow.maxBytesPerBatch": str(16 << 20)}
 
 
+def light_batches(spark: SparkSession) -> None:
+    """Keeps the batches that Python workers get small from here on: a setting of the session that holds when the caller runs what an operator returns."""
+    for k, v in BATCHES.items():
+        spark.conf.set(k, v)
+
+
 def stage(df: DataFrame, name: str = "t") -> DataFrame:
     """Writes df as a table in the shared folder and reads it back: lineage ends here, and lost executors cost no recomputation."""
     spark = df.sparkSession
@@ -70,6 +72,25 @@ def small(df: DataFrame, rows: int = 20_000) -> DataFrame:
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
 
 
+def hidden(df: DataFrame, drop: list[str] | tuple = ()) -> tuple[DataFrame, dict[str, str]]:
+    """df without the columns in drop and with its columns named u0, u1, ..., and their names by the old ones: no column of a caller can then clash with a name that an operator uses."""
+    names = {c: f"u{i}" for i, c in enumerate(c for c in df.columns if c not in drop)}
+    return df.select(*[F.col(f"`{c}`").alias(u) for c, u in names.items()]), names
+
+
+def shown(names: dict[str, str], **other: Column) -> list[Column]:
+    """The columns of hidden() under their own names; other takes the place of a column."""
+    return [other[c].alias(c) if c in other else F.col(u).alias(c) for c, u in names.items()]
+
+
+def excerpt(text: str, chars: int, piece: int = 256) -> Column:
+    """The text, or where it has more than so many characters, as many in pieces from all over it, evenly spaced."""
+    n, t = max(1, chars // piece), F.col(text)
+    step = (F.length(t) - piece) / max(1, n - 1)
+    spread = F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda i: F.substring(t, F.floor(i * step).cast("int") + 1, F.lit(piece)))
+    return F.when(F.length(t) <= chars, t).otherwise(F.array_join(spread, " "))
+
+
 def held(doc_id: str | Column, mod: int) -> Column:
     """crc32 of the id's decimal text, modulo mod."""
     return F.crc32((F.col(doc_id) if isinstance(doc_id, str) else doc_id).cast("string").cast("binary")) % mod

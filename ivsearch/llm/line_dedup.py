@@ -8,7 +8,7 @@ from operator import or_
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BLANKS, small, stage, table, width
+from .common import BLANKS, hidden, shown, small, stage, table, width
 
 #: Within which a line and an earlier one count as near copies, and from which length on.
 EDITS, MIN_CHARS = 2, 32
@@ -149,11 +149,11 @@ def near_copies(docs: DataFrame, first: DataFrame, k: int) -> DataFrame:
     return near.select(F.greatest("a", "b").alias("x")).select("x.*").distinct()
 
 
-def copies_marked(rows: DataFrame) -> DataFrame:
-    """rows (row, ...) with again: false for one row of each text, true for the others. Null texts are all false."""
-    rows = stage(rows.withColumns({"h": F.xxhash64("row.text"), "at": F.monotonically_increasing_id()}), "noid")
-    one = rows.where("row.text is not null").groupBy("h").agg(F.min("at").alias("at")).withColumn("one", F.lit(True))
-    return rows.join(one, ["h", "at"], "left").withColumn("again", F.col("row.text").isNotNull() & F.col("one").isNull()).select("row", "again")
+def copies_marked(rows: DataFrame, text: str) -> DataFrame:
+    """rows with again, true for all but one row of each text, in place of false. Null texts stay false."""
+    rows = stage(rows.drop("again").withColumns({"h": F.xxhash64(text), "at": F.monotonically_increasing_id()}), "noid")
+    one = rows.where(F.col(text).isNotNull()).groupBy("h").agg(F.min("at").alias("at")).withColumn("one", F.lit(True))
+    return rows.join(one, ["h", "at"], "left").withColumn("again", F.col(text).isNotNull() & F.col("one").isNull()).drop("h", "at", "one")
 
 
 def dedup_lines(docs: DataFrame, edits: int = EDITS, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -168,23 +168,22 @@ def dedup_lines(docs: DataFrame, edits: int = EDITS, min_chars: int = MIN_CHARS)
     lines has an empty text. Other columns pass through, whatever their names; the added columns replace columns of their names.
     """
     added = ["n_lines", "n_copies", "n_near"]
-    names = [c for c in docs.columns if c not in added]
-    # A row's own columns travel in one struct, so none of them can clash with a name used here.
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), F.lit(False).alias("again"))
+    rows, names = hidden(docs, added)
+    doc_id, text = names["doc_id"], names["text"]
+    rows = rows.withColumn("again", F.lit(False))
     if not docs.where("doc_id is null").isEmpty():
-        rows = rows.where("row.doc_id is not null").union(copies_marked(rows.where("row.doc_id is null")))
-    d, r = F.coalesce(F.col("row.doc_id").cast("long"), F.lit(2**63 - 1)), F.xxhash64("row.text")
-    plain = rows.where("not again and row.text is not null").select(d.alias("d"), r.alias("r"), F.col("row.text").alias("t"))
+        rows = rows.where(F.col(doc_id).isNotNull()).union(copies_marked(rows.where(F.col(doc_id).isNull()), text))
+    d, r = F.coalesce(F.col(doc_id).cast("long"), F.lit(2**63 - 1)), F.xxhash64(text)
+    plain = rows.where(~F.col("again") & F.col(text).isNotNull()).select(d.alias("d"), r.alias("r"), F.col(text).alias("t"))
     first = stage(owners(plain, edits, min_chars), "first")
     near = stage(near_copies(plain, first, edits), "near")
     mark = first.select("d", "r", "p").join(near.withColumn("m", F.lit(True)), ["d", "r", "p"], "left").groupBy("d", "r").agg(F.sort_array(F.collect_list(F.when(F.col("m").isNull(), F.col("p")))).alias("keep"), F.count("m").alias("near"))
     # A row that copies one with null id meets no mark.
-    out = rows.withColumns({"d": F.when(~F.col("again"), d), "r": r}).join(mark.hint("shuffle_hash"), ["d", "r"], "left").withColumn("ls", F.split("row.text", "\n"))
+    out = rows.withColumns({"d": F.when(~F.col("again"), d), "r": r}).join(mark.hint("shuffle_hash"), ["d", "r"], "left").withColumn("ls", F.split(text, "\n"))
     out = out.withColumn("kept", F.filter("ls", lambda x, i: ~worded(x) | F.coalesce(F.array_contains("keep", i), F.lit(False))))
     n = lambda c: F.when(F.col("ls").isNull(), 0).otherwise(c).cast("long")
-    own = [F.array_join("kept", "\n").alias(c) if c == "text" else F.col(f"row.`{c}`") for c in names]
     near_ = F.coalesce("near", F.lit(0))
-    return out.select(*own, n(F.size("ls")).alias("n_lines"), n(F.size("ls") - F.size("kept") - near_).alias("n_copies"), near_.cast("long").alias("n_near"))
+    return out.select(*shown(names, text=F.array_join("kept", "\n")), n(F.size("ls")).alias("n_lines"), n(F.size("ls") - F.size("kept") - near_).alias("n_copies"), near_.cast("long").alias("n_near"))
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
