@@ -8,14 +8,16 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import small, stage, table, unstage
+from .common import hidden, shown, small, stage, table, unstage
 
 #: Bits of the frequency sketch, bytes handled at a time, buckets in which a set counts its shingles.
 SKETCH_BITS, BATCH, BUCKETS = 18, 1_000_000, 64
+#: 64-bit words of a set's parity bits: bit i tells whether an odd number of its shingles fall in cell i.
+PARITY = 4
 _M = (1 << 64) - 1
 _B = 0x9E3779B97F4A7C15 | 1
 _BLANK = np.zeros(256, bool)
@@ -110,34 +112,50 @@ def frequency_classes(docs: DataFrame, n: int = 3) -> bytes:
 
 
 def set_prefixes(docs: DataFrame, classes: bytes, num: int, den: int, n: int = 3) -> DataFrame:
-    """doc_id, n (set size), lo, hi (digest of the set), prefix: its first shingles, one of which any set of similarity num/den or more shares, hist: how many of the set fall in each bucket."""
+    """doc_id, n (set size), lo, hi (digest of the set), prefix: its first shingles, one of which any set of similarity num/den or more shares, hist: how many of the set fall in each bucket, parity: see PARITY."""
     def run(batches):
         rank = np.frombuffer(classes, np.uint8)
         for ids, texts in _pieces(batches, "doc_id", "text"):
-            size, digest, prefix, hist = [], [], [], []
+            size, digest, prefix, hist, odd = [], [], [], [], []
             for s in shingle_hashes(texts, n):
                 k = rank[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
                 ordered = s[np.argsort(k, kind="stable")] if k.any() else s
                 size.append(len(s))
+                cell = ((s >> np.uint64(24)) & np.uint64(64 * PARITY - 1)).astype(np.int64)
+                odd.append(np.packbits((np.bincount(cell, minlength=64 * PARITY) & 1).astype(bool)).view("<i8"))
                 hist.append(np.bincount((s & np.uint64(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS).astype("<u4").tobytes())
                 digest.append(np.frombuffer(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), np.int64))
                 prefix.append(ordered[: len(s) - -(-num * len(s) // den) + 1].astype(np.int64) if len(s) else s.astype(np.int64))
             d = np.array(digest).reshape(-1, 2)
-            yield pa.RecordBatch.from_pydict({"doc_id": pa.array(ids, pa.int64()), "n": pa.array(size, pa.int32()), "lo": pa.array(d[:, 0]), "hi": pa.array(d[:, 1]), "prefix": pa.array(prefix, pa.list_(pa.int64())), "hist": pa.array(hist, pa.binary())})
+            yield pa.RecordBatch.from_pydict({"doc_id": pa.array(ids, pa.int64()), "n": pa.array(size, pa.int32()), "lo": pa.array(d[:, 0]), "hi": pa.array(d[:, 1]), "prefix": pa.array(prefix, pa.list_(pa.int64())), "hist": pa.array(hist, pa.binary()), "parity": pa.array(odd, pa.list_(pa.int64()))})
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n int, lo long, hi long, prefix array<long>, hist binary")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n int, lo long, hi long, prefix array<long>, hist binary, parity array<long>")
+
+
+def surely_apart(x0: list[Column], x1: list[Column], y0: list[Column], y1: list[Column]) -> Column:
+    """Shingles by which any set of one group differs from any of another, at least: cells whose parity is one in all of the one and zero in all of the other.
+
+    x0 and x1 are the bitwise and, and or, of the parity words of a group's sets; a single set is a group with both alike.
+    """
+    return sum((F.bit_count(a0.bitwiseAND(F.bitwise_not(b1)).bitwiseOR(b0.bitwiseAND(F.bitwise_not(a1)))) for a0, a1, b0, b1 in zip(x0, x1, y0, y1)), F.lit(0))
+
+
+def words(column: str) -> list[Column]:
+    return [F.col(column)[i] for i in range(PARITY)]
 
 
 def at_most(pairs: DataFrame, hists: DataFrame) -> DataFrame:
-    """pairs (a, b) with na, nb and most, which the intersection cannot exceed: in each bucket the sets share at most the smaller count."""
+    """pairs (a, b) with na, nb and most, which the intersection cannot exceed: in each bucket the sets share at most the smaller count, and cells of unlike parity hold a shingle that only one has."""
     def run(batches):
         for t in batches:
             x, y = (np.frombuffer(b"".join(t.column(c).to_pylist()), "<u4").reshape(-1, BUCKETS) for c in ("ha", "hb"))
-            most = pa.array(np.minimum(x, y).sum(1).astype(np.int64))
+            na, nb, apart = (t.column(c).to_numpy().astype(np.int64) for c in ("na", "nb", "apart"))
+            most = pa.array(np.minimum(np.minimum(x, y).sum(1).astype(np.int64), (na + nb - apart) // 2))
             yield pa.RecordBatch.from_arrays([*(t.column(c) for c in ("a", "b", "na", "nb")), most], names=["a", "b", "na", "nb", "most"])
 
-    own = lambda c: hists.select(F.col("rep").alias(c), F.col("n").alias("n" + c), F.col("hist").alias("h" + c))
-    return pairs.select("a", "b").join(own("a"), "a").join(own("b"), "b").select("a", "b", "na", "nb", "ha", "hb").mapInArrow(run, "a long, b long, na int, nb int, most long")
+    own = lambda c: hists.select(F.col("rep").alias(c), F.col("n").alias("n" + c), F.col("hist").alias("h" + c), F.col("parity").alias("p" + c))
+    apart = surely_apart(words("pa"), words("pa"), words("pb"), words("pb")).cast("int").alias("apart")
+    return pairs.select("a", "b").join(own("a"), "a").join(own("b"), "b").select("a", "b", "na", "nb", "ha", "hb", apart).mapInArrow(run, "a long, b long, na int, nb int, most long")
 
 
 def overlaps(docs: DataFrame, pairs: DataFrame, n: int = 3) -> DataFrame:
@@ -189,27 +207,38 @@ def components(edges: DataFrame) -> DataFrame:
             return now.select(F.col("a").alias("node"), F.col("b").alias("component")).union(now.select("b", "b").distinct())
 
 
+def one_text_an_id(docs: DataFrame) -> DataFrame:
+    """docs (doc_id, text) with one row an id, the one whose text sorts first. Texts are shuffled only for ids that repeat."""
+    again = stage(docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id"), "again")
+    if again.isEmpty():
+        return docs
+    again = small(again)
+    first = docs.join(again, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text"))
+    return docs.join(again, "doc_id", "left_anti").union(stage(first, "firsttexts"))
+
+
 def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) -> DataFrame:
     """doc_id, n_shingles, component_id: documents linked when intersection / union of their shingle sets is num/den or more.
 
     Equal sets are one set. What remains is an exact prefix join in two steps. First, neighbours in the size order of each
     index list, and each list's first, are verified, and the links joined into components; so a group of n near copies costs
     about n pairs, not n * n. Then lists are read block by block of sizes and positions, skipping blocks that the bounds exclude and
-    sets of one component, which gives pairs of components that may still touch. The overlap of their two pivots is computed where counts by bucket allow a link; what a member
+    sets of one component, which gives pairs of components that may still touch; the join that makes them also compares parity bits of their
+    sets, a lower bound on how far they differ. The overlap of their two pivots is computed where counts by bucket allow a link; what a member
     can have in common with a set exceeds what its pivot has by at most the shingles it has beyond the pivot; only member pairs
     which that bound allows are verified. No link between different texts is lost.
 
-    One row per row of docs with an id (rows of one id are one document, with the text that sorts first; rows with null id are dropped).
+    One row per distinct id (rows of one id are one document, with the text that sorts first; rows with null id are dropped).
     Null or wordless texts have an empty set and no links. Extra columns are ignored.
     """
-    docs = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    docs = one_text_an_id(docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")))
     classes = frequency_classes(docs, n)
     sets = stage(set_prefixes(docs, classes, num, den, n), "sets")
     reps = stage(sets.where("n > 0").groupBy("lo", "hi").agg(F.min("doc_id").alias("rep")), "reps")
 
     # Lists with more than one set, once for both steps.
     first = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "prefix")
-    hists = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "hist")
+    hists = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "hist", "parity")
     postings = first.select("rep", "n", F.posexplode("prefix").alias("pos", "token"))
     by = W.partitionBy("token")
     listed = stage(postings.withColumn("of", F.count(F.lit(1)).over(by)).where("of > 1").select("token", "rep", "n", (F.col("n") - F.col("pos")).alias("left")), "lists")
@@ -228,24 +257,30 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
     own = listed.join(comp, F.col("rep") == F.col("node"), "left").select("token", "rep", "n", "left", F.coalesce("component", "rep").alias("pivot"))
     ranged = own.withColumn("many", F.min("pivot").over(by) < F.max("pivot").over(by)).where("many")
     block = F.floor(F.log(F.col("n").cast("double")) / np.log(den / num)).cast("int")
-    blocks = ranged.withColumn("block", block).groupBy("token", "block", "pivot").agg(F.min("n").alias("n0"), F.max("n").alias("n1"), F.max("left").alias("left"))
-    ahead = blocks.select("token", F.explode(F.array(F.col("block") - 1, F.col("block"), F.col("block") + 1)).alias("block"), "pivot", "n0", "n1", "left")
+    ranged = ranged.join(hists.select("rep", "parity"), "rep")
+    bits = [f(F.col("parity")[i]).alias(f"{name}{i}") for name, f in (("all", F.bit_and), ("any", F.bit_or)) for i in range(PARITY)]
+    blocks = ranged.withColumn("block", block).groupBy("token", "block", "pivot").agg(F.min("n").alias("n0"), F.max("n").alias("n1"), F.max("left").alias("left"), *bits)
+    ahead = blocks.withColumn("block", F.explode(F.array(F.col("block") - 1, F.col("block"), F.col("block") + 1)))
     x, y = ahead.alias("x"), blocks.alias("y")
+    held = lambda who, name: [F.col(f"{who}.{name}{i}") for i in range(PARITY)]
+    apart = surely_apart(held("x", "all"), held("x", "any"), held("y", "all"), held("y", "any"))
     touch = x.join(y, ["token", "block"]).where(F.col("x.pivot") < F.col("y.pivot")).where((F.col("x.n1") * den >= F.col("y.n0") * num) & (F.col("y.n1") * den >= F.col("x.n0") * num))
-    touch = touch.where(F.least("x.left", "y.left") >= F.ceil(num * (F.col("x.n0") + F.col("y.n0")) / (num + den)))
+    touch = touch.where(F.least("x.left", "y.left") >= F.ceil(num * (F.col("x.n0") + F.col("y.n0")) / (num + den))).where(apart * (num + den) <= (den - num) * (F.col("x.n1") + F.col("y.n1")))
     pivots = stage(touch.select(F.col("x.pivot").alias("a"), F.col("y.pivot").alias("b")).distinct(), "pivots")
     inside = pivots.select("a").union(pivots.select("b")).distinct()
     members = comp.join(inside, F.col("component") == F.col("a"), "left_semi").where("node <> component").select(F.col("component").alias("a"), F.col("node").alias("b"))
     beyond = stage(overlaps(docs, members, n).select(F.col("b").alias("rep"), F.col("a").alias("pivot"), F.col("nb").alias("n"), (F.col("nb") - F.col("both")).alias("extra")), "beyond")
     alone = hists.join(inside, F.col("rep") == F.col("a"), "left_semi").select("rep", F.col("rep").alias("pivot"), "n", F.lit(0).alias("extra"))
-    sides = beyond.union(alone)
+    sides = beyond.union(alone).join(hists.select("rep", "parity"), "rep")
     most = stage(sides.groupBy("pivot").agg(F.max("extra").alias("extra"), F.min("n").alias("n")), "most")
     p, q = most.alias("p"), most.alias("q")
     close = lambda df, shared: df.join(p, F.col("a") == F.col("p.pivot")).join(q, F.col("b") == F.col("q.pivot")).where(F.col(shared) + F.col("p.extra") + F.col("q.extra") >= F.ceil(num * (F.col("p.n") + F.col("q.n")) / (num + den)))
     met = stage(overlaps(docs, stage(close(at_most(pivots, hists), "most").select("a", "b"), "close"), n), "met")
     near = close(met, "both").select("a", "b", "both")
     s, t = sides.alias("s"), sides.alias("t")
+    unlike = surely_apart(words("s.parity"), words("s.parity"), words("t.parity"), words("t.parity"))
     open_ = near.join(s, F.col("a") == F.col("s.pivot")).join(t, F.col("b") == F.col("t.pivot")).where((F.col("s.n") * den >= F.col("t.n") * num) & (F.col("t.n") * den >= F.col("s.n") * num) & (F.col("both") + F.col("s.extra") + F.col("t.extra") >= F.ceil(num * (F.col("s.n") + F.col("t.n")) / (num + den))))
+    open_ = open_.where(unlike * (num + den) <= (den - num) * (F.col("s.n") + F.col("t.n")))
     more = stage(linked(overlaps(docs, stage(open_.select(F.col("s.rep").alias("a"), F.col("t.rep").alias("b")).distinct(), "open"), n)).select("a", "b"), "more")
     top = components(links.select("a", "b").union(more))
     named = reps.join(top, F.col("rep") == F.col("node"), "left").select("lo", "hi", F.coalesce("component", "rep").alias("component_id"))
@@ -255,8 +290,9 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
 
 def drop_near_copies(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) -> DataFrame:
     """docs without the rows whose component has a smaller id; rows with null id stay."""
-    gone = jaccard_classes(docs, num, den, n).where("doc_id <> component_id").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(gone, F.col("doc_id").cast("long") == F.col("_id"), "left_anti")
+    gone = jaccard_classes(docs, num, den, n).where("doc_id <> component_id").select(F.col("doc_id").alias("id"))
+    rows, names = hidden(docs)
+    return rows.join(gone, F.col(names["doc_id"]).cast("long") == F.col("id"), "left_anti").select(*shown(names))
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
