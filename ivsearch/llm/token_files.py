@@ -12,70 +12,99 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import shared_dir, small, table, width
+from .common import light_batches, shared_dir, small, table, width
 from .tokens import encoder, vocabulary
 
-MAGIC = b"CMR1"
-#: Bits of the totals of event and id frequencies, steps between two renewals of them, entries of the order-2 table.
-EVENT_BITS, ID_BITS, RENEW, PAIR_BITS = 12, 20, 64, 20
+MAGIC = b"CMR2"
+#: Bits of the total of a mixed prediction's frequencies, entries of the order-2 table, steps between two renewals of frequencies and weights.
+TOTAL_BITS, PAIR_BITS, RENEW = 26, 20, 64
 U = np.uint64
+#: A lane's interval is widened by 16 bits whenever it is narrower than this.
+NARROW = U(1 << 40)
 
 
-class Model:
-    """Predictions shared by all lanes of a block, and equal in the coder and the decoder step by step.
+class Mixer:
+    """Predictions of order 0, 1 and 2, blended into one distribution; shared by all lanes of a block, and equal in the coder and the decoder step by step.
 
-    Order 2 and order 1 each remember an id for a context and a confidence from 0 to 7. The event (order 2 right, order 1 right, neither) has adaptive
-    frequencies in the context of both confidences and of whether the two agree, which mixes the two orders. An id that neither
-    predicts is coded by adaptive order-0 frequencies. Frequencies are integers, so any machine decodes alike.
+    Order 2 and order 1 each predict one id for a context, remembered with a confidence from 0 to 7; order 0 predicts all ids by their adaptive
+    frequencies. Each step's distribution is their weighted sum. The weights are learned: for each context of both confidences and of
+    whether the two agree, they follow how often order 2, or only order 1, or neither was right there. All sums are integers, so any
+    machine decodes alike. Table entries hold an id and, in three bits, its confidence.
     """
 
     def __init__(self, ids: int):
-        self.n = ids
-        self.two, self.two_sure = np.zeros(1 << PAIR_BITS, np.int32), np.zeros(1 << PAIR_BITS, np.int8)
-        self.one, self.one_sure = np.zeros(ids, np.int32), np.zeros(ids, np.int8)
+        self.n, self.bits = ids, max(18, (ids - 1).bit_length() + 2)
+        if self.bits > TOTAL_BITS - 3:
+            raise ValueError("the vocabulary is too large")
+        self.two, self.one = np.zeros(1 << PAIR_BITS, np.int64), np.zeros(ids, np.int64)
         self.seen, self.events = np.zeros(ids, np.int64), np.tile(np.array([1, 1, 6], np.int64), (128, 1))
-        self.steps = 0
+        self.steps, self.old = 0, 0
 
-    def renew(self) -> None:
-        spare = (1 << ID_BITS) - self.n
-        total = int(self.seen.sum())
+    def renew(self, grid: np.ndarray) -> None:
+        """Frequencies and weights from the rows of grid so far, at steps 0, 1, 2, 4, ..., 64, 128, 192, ..."""
+        t = self.steps
+        self.steps += 1
+        if t % RENEW and t & (t - 1):
+            return
+        if t > self.old:
+            self.seen += np.bincount(grid[self.old : t].ravel(), minlength=self.n)
+        self.old = t
+        spare, total = (1 << self.bits) - self.n, int(self.seen.sum())
         freq = 1 + (self.seen * spare // total if total else np.zeros_like(self.seen))
-        freq[int(np.argmax(freq))] += (1 << ID_BITS) - int(freq.sum())
-        self.freq = freq.astype(U)
-        self.start = np.concatenate([[0], np.cumsum(freq)[:-1]]).astype(U)
+        freq[int(np.argmax(freq))] += (1 << self.bits) - int(freq.sum())
+        self.end = np.cumsum(freq)
+        self.begin, self.freq = self.end - freq, freq
         self.find = np.repeat(np.arange(self.n, dtype=np.int32), freq)
-        e = 1 + self.events * ((1 << EVENT_BITS) - 3) // self.events.sum(1, keepdims=True)
-        e[:, 2] += (1 << EVENT_BITS) - e.sum(1)
-        self.event = e.astype(U)
-        self.event_start = np.concatenate([np.zeros((128, 1), np.int64), np.cumsum(e, 1)[:, :2]], 1).astype(U)
-
-    def predict(self, p1, p2):
-        if self.steps % RENEW == 0:
-            self.renew()
-        self.steps += 1
-        at = ((p2 * 0x9E3779B1 + p1 * 0x85EBCA77) >> 9) & ((1 << PAIR_BITS) - 1)
-        a, b = self.two[at], self.one[p1]
-        agree = a == b
-        return at, a, b, (self.two_sure[at].astype(np.int64) << 4) | (self.one_sure[p1].astype(np.int64) << 1) | agree
-
-    def learn(self, at, a, b, context, p1, got, event) -> None:
-        self.events += np.bincount(context * 3 + event, minlength=384).reshape(128, 3)
-        if self.steps % RENEW == 0:
-            self.events[self.events.sum(1) > 1 << 16] >>= 1
-            np.maximum(self.events, 1, out=self.events)
-        for guess, table_, sure, place in ((a, self.two, self.two_sure, at), (b, self.one, self.one_sure, p1)):
-            right, c = guess == got, sure[place]
-            sure[place] = np.where(right, np.minimum(c + 1, 7), np.where(c > 0, c >> 1, 0))
-            swap = ~right & (c <= 1)
-            table_[place[swap]] = got[swap]
-        miss = got[event == 2]
-        np.add.at(self.seen, miss, 1)
+        self.events[self.events.sum(1) > 1 << 16] >>= 1
+        np.maximum(self.events, 1, out=self.events)
+        two, one, rest = self.events.T
+        self.w0 = np.clip((rest << TOTAL_BITS) // (two + one + rest) >> self.bits, 1, (1 << (TOTAL_BITS - self.bits)) - 2)
+        left = (1 << TOTAL_BITS) - (self.w0 << self.bits)
+        self.w2 = left * two // (two + one)
+        self.w1 = left - self.w2
+
+    def predict(self, p1: np.ndarray, p2: np.ndarray) -> None:
+        """Takes in the last two ids of each lane."""
+        self.at, self.p1 = ((p2 * 0x9E3779B1 + p1 * 0x85EBCA77) >> 9) & ((1 << PAIR_BITS) - 1), p1
+        self.e2, self.e1 = self.two.take(self.at), self.one.take(p1)
+        self.g2, self.g1 = self.e2 >> 3, self.e1 >> 3
+        self.context = ((self.e2 & 7) << 4) | ((self.e1 & 7) << 1) | (self.g1 == self.g2)
+        self.a0, self.a1, self.a2 = (w.take(self.context) for w in (self.w0, self.w1, self.w2))
+
+    def place(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Start and frequency of each lane's id x in the blended distribution: an id's interval is its order-0 share and then what the other orders add to it."""
+        self.is2, self.is1 = self.g2 == x, self.g1 == x
+        start = self.a0 * self.begin.take(x) + self.a2 * (self.g2 < x) + self.a1 * (self.g1 < x)
+        return start.view(U), (self.a0 * self.freq.take(x) + self.a2 * self.is2 + self.a1 * self.is1).view(U)
+
+    def id_at(self, v: np.ndarray) -> np.ndarray:
+        """The id of each lane in whose interval v lies: what the other orders add is taken out, smaller id first, and order 0 looked up."""
+        first = self.g1 <= self.g2
+        small = np.where(first, self.a1, self.a2)
+        for guess, added in ((np.minimum(self.g1, self.g2), small), (np.maximum(self.g1, self.g2), self.a1 + self.a2 - small)):
+            v = v - np.minimum(np.maximum(v - (self.a0 * self.end.take(guess) - 1), 0), added)
+        return self.find.take(v // self.a0).astype(np.int64)
+
+    def learn(self, x: np.ndarray) -> None:
+        """After place(x)."""
+        event = 2 - 2 * self.is2.astype(np.int64) - (self.is1 & ~self.is2)
+        self.events += np.bincount(self.context * 3 + event, minlength=384).reshape(128, 3)
+        for held, entry, right, at in ((self.two, self.e2, self.is2, self.at), (self.one, self.e1, self.is1, self.p1)):
+            sure = entry & 7
+            wrong = np.where(sure <= 1, x << 3, entry - sure + (sure >> 1))
+            held[at] = np.where(right, entry + (sure < 7), wrong)  # where lanes share a context, the last one's entry stays
 
 
 def _lanes(n: int) -> int:
     return max(1, min(4096, n // 512))
 
 
+def _cut(low: np.ndarray, wide: np.ndarray, narrow: np.ndarray) -> np.ndarray:
+    """wide, with narrow intervals that cross a multiple of 2^48 ended there: their upper 16 bits are settled then, so nothing is ever carried."""
+    cross = narrow & (((low ^ (low + wide - U(1))) >> U(48)) != 0)
+    return np.where(cross, (~low + U(1)) & U((1 << 48) - 1), wide) if cross.any() else wide
+
+
 def encode_block(ids: np.ndarray, vocab: int) -> bytes:
     """One block: magic, count, vocabulary size, crc32 of the ids as little-endian 32-bit, words of each lane, words."""
     n, lanes = len(ids), _lanes(len(ids))
@@ -83,46 +112,33 @@ def encode_block(ids: np.ndarray, vocab: int) -> bytes:
     grid = np.zeros(lanes * steps, np.int64)
     grid[:n] = ids
     grid = np.ascontiguousarray(grid.reshape(lanes, steps).T)
-    model, every = Model(vocab), np.arange(lanes)
-    low, wide = np.zeros(lanes, U), np.full(lanes, (1 << 48) - 1, U)
-    out, put = np.zeros((lanes, 3 * steps + 8), np.uint16), np.zeros(lanes, np.int64)
-
-    def shift(who):
-        nonlocal out
-        out[who, put[who]] = (low[who] >> U(32)).astype(np.uint16)
-        put[who] += 1
-        low[who] = (low[who] & U(0xFFFFFFFF)) << U(16)
-
-    def code(who, start, freq, bits):
-        r = wide[who] >> U(bits)
-        new = low[who] + start * r
-        for i in np.flatnonzero(new >> U(48)):  # a carry into words already put
-            x, j = who[i], put[who[i]] - 1
-            while out[x, j] == 0xFFFF:
-                out[x, j] = 0
-                j -= 1
-            out[x, j] += 1
-        low[who], wide[who] = new & U((1 << 48) - 1), r * freq
-        narrow = who[wide[who] < U(1 << 32)]
-        while len(narrow):
-            shift(narrow)
-            wide[narrow] <<= U(16)
-            narrow = narrow[wide[narrow] < U(1 << 32)]
-
+    model = Mixer(vocab)
+    low, wide = np.zeros(lanes, U), np.full(lanes, (1 << 64) - 1, U)
+    room = 3 * steps + 8  # a step puts three words at most
+    out, first = np.zeros(lanes * room, np.uint16), np.arange(lanes) * room
+    put = first.copy()
     p1 = p2 = np.zeros(lanes, np.int64)
     for row in grid:
-        at, a, b, context = model.predict(p1, p2)
-        event = np.where(a == row, 0, np.where(b == row, 1, 2))
-        code(every, model.event_start[context, event], model.event[context, event], EVENT_BITS)
-        miss = np.flatnonzero(event == 2)
-        if len(miss):
-            code(miss, model.start[row[miss]], model.freq[row[miss]], ID_BITS)
-        model.learn(at, a, b, context, p1, row, event)
+        model.renew(grid)
+        model.predict(p1, p2)
+        start, freq = model.place(row)
+        share = wide >> U(TOTAL_BITS)
+        low += start * share
+        wide = share * freq
+        while (narrow := wide < NARROW).any():
+            wide = _cut(low, wide, narrow)
+            out[put] = low >> U(48)  # stays only where the place moves on
+            put += narrow
+            by = narrow.astype(U) << U(4)
+            low, wide = low << by, wide << by
+        model.learn(row)
         p1, p2 = row, p1
-    for _ in range(3):
-        shift(every)
-    words = out[np.arange(out.shape[1]) < put[:, None]]
-    return MAGIC + struct.pack("<QII", n, vocab, zlib.crc32(ids.astype("<u4").tobytes())) + put.astype("<u4").tobytes() + words.astype("<u2").tobytes()
+    for _ in range(4):
+        out[put] = low >> U(48)
+        put, low = put + 1, low << U(16)
+    sizes = put - first
+    words = out.reshape(lanes, room)[np.arange(room) < sizes[:, None]]
+    return MAGIC + struct.pack("<QII", n, vocab, zlib.crc32(ids.astype("<u4").tobytes())) + sizes.astype("<u4").tobytes() + words.astype("<u2").tobytes()
 
 
 def decode_block(data: bytes) -> np.ndarray:
@@ -134,59 +150,46 @@ def decode_block(data: bytes) -> np.ndarray:
     steps = -(-n // lanes)
     sizes = np.frombuffer(data, "<u4", lanes, 20).astype(np.int64)
     words = np.concatenate([np.frombuffer(data, "<u2", offset=20 + 4 * lanes), np.zeros(8, "<u2")]).astype(U)
-    at_word = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.int64)
-    model, last = Model(vocab), len(words) - 1
-    wide, value = np.full(lanes, (1 << 48) - 1, U), np.zeros(lanes, U)
-    for _ in range(3):
-        value = (value << U(16)) | words[np.minimum(at_word, last)]
-        at_word += 1
+    at, last = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.int64), len(words) - 1
+    model = Mixer(vocab)
+    low, wide, code = np.zeros(lanes, U), np.full(lanes, (1 << 64) - 1, U), np.zeros(lanes, U)
+    for _ in range(4):
+        code = (code << U(16)) | words.take(np.minimum(at, last))
+        at += 1
     grid = np.zeros((steps, lanes), np.int64)
     p1 = p2 = np.zeros(lanes, np.int64)
-
-    def take(who):
-        narrow = who[wide[who] < U(1 << 32)]
-        while len(narrow):
-            value[narrow] = (value[narrow] << U(16)) | words[np.minimum(at_word[narrow], last)]
-            at_word[narrow] += 1
-            wide[narrow] <<= U(16)
-            narrow = narrow[wide[narrow] < U(1 << 32)]
-
-    every = np.arange(lanes)
     for row in grid:
-        at, a, b, context = model.predict(p1, p2)
-        r = wide >> U(EVENT_BITS)
-        v, starts = np.minimum(value // r, U((1 << EVENT_BITS) - 1)), model.event_start[context]
-        event = (v >= starts[:, 1]).astype(np.int64) + (v >= starts[:, 2])
-        value -= model.event_start[context, event] * r
-        wide = r * model.event[context, event]
-        take(every)
-        got = np.where(event == 0, a, b).astype(np.int64)
-        miss = np.flatnonzero(event == 2)
-        if len(miss):
-            r = wide[miss] >> U(ID_BITS)
-            ids = model.find[np.minimum(value[miss] // r, U((1 << ID_BITS) - 1)).astype(np.int64)].astype(np.int64)
-            value[miss] -= model.start[ids] * r
-            wide[miss] = r * model.freq[ids]
-            take(miss)
-            got[miss] = ids
-        row[:] = got
-        model.learn(at, a, b, context, p1, got, event)
-        p1, p2 = got, p1
+        model.renew(grid)
+        model.predict(p1, p2)
+        share = wide >> U(TOTAL_BITS)
+        row[:] = model.id_at(np.minimum((code - low) // share, U((1 << TOTAL_BITS) - 1)).view(np.int64))
+        start, freq = model.place(row)
+        low += start * share
+        wide = share * freq
+        while (narrow := wide < NARROW).any():
+            wide = _cut(low, wide, narrow)
+            by = narrow.astype(U) << U(4)
+            low, wide = low << by, wide << by
+            code = np.where(narrow, (code << U(16)) | words.take(np.minimum(at, last)), code)
+            at += narrow
+        model.learn(row)
+        p1, p2 = row, p1
     ids = grid.T.reshape(-1)[:n]
     if zlib.crc32(ids.astype("<u4").tobytes()) != crc:
         raise ValueError("a block of token ids is damaged")
     return ids
 
 
-def write(docs: DataFrame, out: str, path: str | None = None, end_id: int | None = 2, block_ids: int = 1 << 22, vocab: int = 50_304) -> None:
+def write(docs: DataFrame, out: str, path: str | None = None, end_id: int | None = 2, block_ids: int = 1 << 22) -> None:
     """Writes the ids of all texts of docs (doc_id, text), in ascending order of doc_id, to out: one row of a Parquet table per block.
 
     A row holds part and block (their order), the documents' ids and numbers of token ids, and the coded block of all their ids. Documents are
-    dealt by ranges of doc_id; blocks end between documents once they hold block_ids ids. Null text is empty; null doc_id comes first;
-    rows of one id come in the order of their texts.
+    dealt by ranges of doc_id, rows of one id by ranges of a hash of the text, so no id can fill a task; blocks end between documents once they hold block_ids ids.
+    Null text is empty; null doc_id comes first; rows of one id come in the order of that hash. Extra columns are ignored; an empty table gives an empty one.
     """
     path, end = path or vocabulary(), np.array([] if end_id is None else [end_id], "<u4").tobytes()
-    kind = "part int, block int, n_ids long, docs binary, sizes binary, data binary"
+    kind = "part int, block int, n_ids long, n_null int, docs binary, sizes binary, data binary"
+    schema = pa.schema([("part", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64()), ("n_null", pa.int32()), ("docs", pa.binary()), ("sizes", pa.binary()), ("data", pa.binary())])
 
     def run(batches):
         from pyspark import TaskContext
@@ -196,11 +199,11 @@ def write(docs: DataFrame, out: str, path: str | None = None, end_id: int | None
         def flush(docs_, parts):
             nonlocal block
             ids = np.frombuffer(b"".join(parts), "<u4")
-            known = np.array([-(1 << 63) if d is None else d for d in docs_], "<i8").tobytes()
+            known = np.array([d for d in docs_ if d is not None], "<i8").tobytes()
             sizes = np.array([len(p) // 4 for p in parts], "<u4").tobytes()
-            row = pa.RecordBatch.from_pylist([{"part": part, "block": block, "n_ids": len(ids), "docs": zlib.compress(known), "sizes": zlib.compress(sizes), "data": encode_block(ids, vocab)}], schema=pa.schema([("part", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64()), ("docs", pa.binary()), ("sizes", pa.binary()), ("data", pa.binary())]))
+            row = {"part": part, "block": block, "n_ids": len(ids), "n_null": sum(d is None for d in docs_), "docs": zlib.compress(known), "sizes": zlib.compress(sizes), "data": encode_block(ids, len(enc.opens))}
             block += 1
-            return row
+            return pa.RecordBatch.from_pylist([row], schema=schema)
 
         docs_, parts, size = [], [], 0
         for batch in batches:
@@ -214,16 +217,21 @@ def write(docs: DataFrame, out: str, path: str | None = None, end_id: int | None
         if docs_:
             yield flush(docs_, parts)
 
-    dealt = docs.select(F.col("doc_id").cast("long"), "text").repartitionByRange(width(docs.sparkSession), "doc_id").sortWithinPartitions("doc_id", "text")
-    dealt.mapInArrow(run, kind).write.parquet(out)
+    light_batches(docs.sparkSession)
+    # Rows that repeat an id and a text as well are dealt by their place in the input: they are alike, so any order of them is the same.
+    order = ["doc_id", "h", "at"]
+    keyed = docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text").alias("h"), F.monotonically_increasing_id().alias("at"))
+    dealt = keyed.repartitionByRange(width(docs.sparkSession), *order).sortWithinPartitions(*order)
+    dealt.select("doc_id", "text").mapInArrow(run, kind).write.parquet(out)
 
 
-def read(spark: SparkSession, at: str) -> DataFrame:
-    """Documents of files that write() made: doc_id, start (ids of all documents before it), n_tokens, ids_crc32, ids (array<int>).
+def read(spark: SparkSession, at: str, with_ids: bool = True) -> DataFrame:
+    """Documents of files that write() made: doc_id, start (ids of all documents before it), n_tokens, ids_crc32, ids (array<int>, unless with_ids is false).
 
-    Blocks are decoded independently; a damaged one fails the query. First ids of blocks come from a running sum over the block index, one small row a block.
+    Blocks are decoded independently; a damaged one fails the query. First ids of blocks come from running sums, over the parts and inside each.
     """
     files = spark.read.parquet(at)
+    kind = "doc_id long, start long, n_tokens long, ids_crc32 long" + ", ids array<int>" * with_ids
 
     def run(batches):
         for batch in batches:
@@ -232,18 +240,24 @@ def read(spark: SparkSession, at: str) -> DataFrame:
                 docs = np.frombuffer(zlib.decompress(r["docs"]), "<i8")
                 n = np.frombuffer(zlib.decompress(r["sizes"]), "<u4").astype(np.int64)
                 ends = np.concatenate([[0], np.cumsum(n)])
-                raw = ids.tobytes()
-                crc = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(ends, ends[1:])]
-                known = pa.array([None if d == -(1 << 63) else int(d) for d in docs], pa.int64())
-                yield pa.RecordBatch.from_arrays([known, pa.array(ends[:-1] + r["first"]), pa.array(n), pa.array(crc, pa.int64()), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(ids.astype(np.int32)))], ["doc_id", "start", "n_tokens", "ids_crc32", "ids"])
-
-    order = W.orderBy("part", "block")
-    index = files.select(F.col("part").alias("_p"), F.col("block").alias("_b"), (F.sum("n_ids").over(order) - F.col("n_ids")).alias("first"))
-    placed = files.select("part", "block", "docs", "sizes", "data").join(small(index), (F.col("part") == F.col("_p")) & (F.col("block") == F.col("_b"))).select("docs", "sizes", "data", "first")
-    return placed.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long, ids array<int>")
+                raw = memoryview(ids.tobytes())
+                crc = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(ends.tolist(), ends[1:].tolist())]
+                known = pa.concat_arrays([pa.nulls(r["n_null"], pa.int64()), pa.array(docs)])
+                cols = [known, pa.array(ends[:-1] + r["first"]), pa.array(n), pa.array(crc, pa.int64())]
+                if with_ids:
+                    cols.append(pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(ids.astype(np.int32))))
+                yield pa.RecordBatch.from_arrays(cols, [c.split()[0] for c in kind.split(", ")])
+
+    light_batches(spark)
+    parts = files.groupBy(F.col("part").alias("p")).agg(F.sum("n_ids").alias("n"))
+    before = parts.select("p", (F.sum("n").over(W.orderBy("p")) - F.col("n")).alias("before"))  # one row a part
+    index = files.select(F.col("part").alias("p"), F.col("block").alias("b"), (F.sum("n_ids").over(W.partitionBy("part").orderBy("block")) - F.col("n_ids")).alias("own"))
+    first = index.join(before, "p").select("p", "b", (F.col("own") + F.col("before")).alias("first"))
+    placed = files.join(small(first), (F.col("part") == F.col("p")) & (F.col("block") == F.col("b"))).select("n_null", "docs", "sizes", "data", "first")
+    return placed.mapInArrow(run, kind)
 
 
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
     write(table(spark, sf_dir, "documents").select("doc_id", "text"), out)
-    return read(spark, out).drop("ids")
+    return read(spark, out, with_ids=False)
