@@ -9,7 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import table
+from .common import light_batches, table
 from .tokens import encoder, vocabulary
 
 
@@ -117,6 +117,7 @@ def pack(docs: DataFrame, path: str | None = None, capacity: int = 1024, end_id:
         if whole or rest:
             yield flush(whole, rest)
 
+    light_batches(docs.sparkSession)
     return docs.selectExpr("cast(doc_id as bigint) doc_id", "text").mapInArrow(run, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids array<int>")
 
 

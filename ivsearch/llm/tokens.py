@@ -13,11 +13,12 @@ class Encoder:
     The byte-level pre-tokenizer never lets a token cross a single space, or a single newline's front, between two characters
     that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
     are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
-    cache holds at most max_parts parts of at most 64 characters and then starts anew. A text's new parts are encoded in one
+    cache has two generations of at most max_parts parts of at most 64 characters, about 50 MB: when the younger is full it replaces the older, and
+    a part that is met again moves into the younger. A text's new parts are encoded in one
     call: a token that begins with a space or newline begins a part.
     """
 
-    def __init__(self, path: str, max_parts: int = 1_500_000):
+    def __init__(self, path: str, max_parts: int = 150_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -25,6 +26,7 @@ class Encoder:
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.max_parts = max_parts
         self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         words = self.tokenizer.get_vocab(with_added_tokens=True)
         self.opens = np.zeros(max(words.values()) + 1, bool)
         self.opens[[i for w, i in words.items() if w[:1] in ("\u0120", "\u010a")]] = True  # a space and a newline in the byte-level alphabet
@@ -32,6 +34,12 @@ class Encoder:
     def _encode(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _keep(self, fresh: dict[str, bytes]) -> None:
+        if len(self.known) + len(fresh) > self.max_parts:
+            self.known, self.older = {}, self.known
+        if len(fresh) <= self.max_parts:
+            self.known.update(fresh)
+
     def ids(self, text: str | None) -> bytes:
         if not text:
             return b""
@@ -42,8 +50,11 @@ class Encoder:
             if None not in codes:
                 return b"".join(codes)
             new = dict.fromkeys(t for t, c in zip(tail, codes[1:]) if c is None)
-            fresh = self._together(head, list(new))
+            back = {t: self.older[t] for t in new if t in self.older}
+            fresh = self._together(head, [t for t in new if t not in back])
             if fresh:
+                self._keep(back | {t: c for t, c in fresh.items() if len(t) <= 64})
+                fresh |= back
                 return b"".join([c or fresh[t] for t, c in zip(parts, codes)])
         return self._apart(head, tail)
 
@@ -60,11 +71,7 @@ class Encoder:
         if len(starts) != len(new):
             return None
         bounds = [0, *starts.tolist(), len(raw)]
-        fresh = {t: raw[a:b] for t, a, b in zip(["\n\n" + head, *new], bounds, bounds[1:])}
-        if len(self.known) + len(fresh) > self.max_parts:
-            self.known.clear()
-        self.known.update((t, c) for t, c in fresh.items() if len(t) <= 64)
-        return fresh
+        return {t: raw[a:b] for t, a, b in zip(["\n\n" + head, *new], bounds, bounds[1:])}
 
     def _apart(self, head: str, tail: list[str]) -> bytes:
         chunks, closed = [head], head != "" and not head[-1].isspace()
@@ -76,15 +83,12 @@ class Encoder:
                 chunks[-1] += " " + part
             closed = part != "" and not part[-1].isspace()
         head, *tail = chunks
-        new = [t for t in set(tail) if t not in self.known]
-        if len(self.known) + len(new) > self.max_parts:
-            self.known.clear()
-            new = list(set(tail))
+        have = {t: c for t in set(tail) if (c := self.known.get(t) or self.older.get(t)) is not None}
+        new = [t for t in set(tail) if t not in have]
         start, *codes = self._encode([head.replace(" \n", "\n"), *((" " + t).replace(" \n", "\n") for t in new)])
-        fresh = dict(zip(new, codes))
-        out = b"".join([start, *(fresh[t] if t in fresh else self.known[t] for t in tail)])
-        self.known.update((t, c) for t, c in fresh.items() if len(t) <= 64 and " " not in t and not t[-1].isspace())
-        return out
+        have |= zip(new, codes)
+        self._keep({t: c for t, c in have.items() if len(t) <= 64 and " " not in t and not t[-1].isspace()})
+        return b"".join([start, *(have[t] for t in tail)])
 
 
 _SHARED: dict[str, Encoder] = {}
