@@ -8,11 +8,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
-from .common import held, lowest, stage, table
+from .common import excerpt, held, light_batches, lowest, stage, table
 
-#: Bounds of what is learned from: texts of each class for dictionaries, texts of each class for calibration, characters of a text that may be used at all.
+#: Bounds of what is learned from: texts of each class for dictionaries, texts of each class for calibration, characters that are taken from all over a longer text.
 DICT_TEXTS, FIT_TEXTS, MAX_CHARS, DICT_BYTES = 1200, 1200, 20_000, 112_640
 #: Texts are compressed in pieces of so many bytes: in longer ones a text's own repetitions outweigh the dictionary.
 PIECE = 256
@@ -23,15 +22,15 @@ def _pieces(data: bytes) -> list[bytes]:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_class: int) -> list:
-    """At most per_class labelled texts of each quality, in the order of a hash of the id; texts over MAX_CHARS are passed over.
+    """At most per_class labelled texts of each quality, in the order of a hash of the id; of texts over MAX_CHARS, that many characters from all over them.
 
     Ids alone are joined with labels and chosen from; then the texts of the chosen, at most twice per_class ids, are read.
     """
     known = labels.where("quality in (0, 1)").groupBy(F.col("doc_id").alias("_id")).agg(F.max("quality").alias("quality"))
-    usable = docs.where(F.length("text").between(1, MAX_CHARS))
+    usable = docs.where(F.length("text") > 0)
     ids = stage(usable.select("doc_id").distinct().join(known, F.col("doc_id") == F.col("_id")).select(F.xxhash64(F.lit(11), "doc_id").alias("h"), "doc_id", "quality"), "labelled")
     chosen = stage(lowest(ids.where("quality = 0"), per_class).union(lowest(ids.where("quality = 1"), per_class)).withColumnRenamed("doc_id", "_id"), "chosen")
-    texts = stage(usable.join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).select("h", "doc_id", "text", "quality"), "labelledtexts")
+    texts = stage(usable.join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).select("h", "doc_id", excerpt("text", MAX_CHARS).alias("text"), "quality"), "labelledtexts")
     return [r for q in (0, 1) for r in lowest(texts.where(F.col("quality") == q), per_class).collect()]
 
 
@@ -101,17 +100,12 @@ def classify(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame
 
     Rows that repeat get equal scores; other columns pass through, and columns named like the added ones are replaced.
     """
-    docs = docs.drop("score", "predicted")
-    schema = T.StructType([*docs.schema.fields]).add("score", "double").add("predicted", "integer")
-    names = docs.columns
-    at = names.index("text")
+    @F.arrow_udf("double")
+    def score(texts: pa.Array) -> pa.Array:
+        return pa.array([model.score(t.as_py()) for t in texts], pa.float64())
 
-    def run(batches):
-        for b in batches:
-            s = [model.score(t.as_py()) for t in b.column(at)]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s, pa.float64()), pa.array([int(x >= threshold) for x in s], pa.int32())], names=[*names, "score", "predicted"])
-
-    return docs.mapInArrow(run, schema)
+    light_batches(docs.sparkSession)  # only texts go to Python, and numbers come back
+    return docs.withColumn("score", score("text")).withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
 def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
