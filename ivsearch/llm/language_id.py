@@ -3,19 +3,24 @@
 from __future__ import annotations
 
 import re
-from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import held, lowest, stage, table
+from .common import excerpt, held, light_batches, stage, table
 
-#: Hash bits, n-gram lengths; bounds of the training sample: rows in all, characters of a text.
+#: Hash bits, n-gram lengths; bounds of the training sample: rows in all (at least 20 a language), characters that are taken from all over a longer text.
 BITS, GRAMS, MAX_ROWS, MAX_CHARS = 14, (1, 2, 3), 6000, 4000
-LETTER = re.compile(r"[^\W\d_]")
+WORDLIKE = re.compile(r"[^\W\d_]")
+
+
+def has_letter(text: str) -> bool:
+    """The pattern also finds numerals such as a half or a superscript two, which are no letters."""
+    return any(m.group().isalpha() for m in WORDLIKE.finditer(text))
 
 
 def counts(text: str) -> np.ndarray:
@@ -45,7 +50,7 @@ class Model:
         return v @ self.weights[i] + self.bias
 
     def predict(self, text: str | None) -> tuple[str, float]:
-        if not text or not self.langs or not LETTER.search(text):
+        if not text or not self.langs or not has_letter(text):
             return "und", 0.0
         z = self.logits(text) / self.temperature
         p = np.exp(z - z.max())
@@ -54,20 +59,22 @@ class Model:
 
 
 def train(docs: DataFrame, rows: int = MAX_ROWS, alpha: float = 0.5, beta: float = 1.0, l1: float = 0.02, l2: float = 0.02, epochs: int = 2) -> Model:
-    """Learns from at most rows rows with text and lang, the first by a hash of the id among texts of MAX_CHARS at most, an equal share for each of up to 100 languages seen.
+    """Learns from at most max(rows, 20 a language) rows with text and lang, the first of each language by a hash of the id, in equal shares; of longer texts MAX_CHARS characters from all over them.
 
-    Follow-the-regularised-leader: per coordinate sums z and squared gradients n; weights are zero while |z| <= l1, and shrunk by l2 and the
+    Every language with a letter in a chosen text is learned. Follow-the-regularised-leader: per coordinate sums z and squared gradients n; weights are zero while |z| <= l1, and shrunk by l2 and the
     coordinate's own rate otherwise. A fifth of the rows is kept to set the temperature that gives the least log loss.
     """
-    langs = sorted(r.lang for r in docs.where("lang is not null and text is not null").groupBy("lang").count().orderBy(F.col("count").desc(), "lang").limit(100).collect())
-    usable = docs.where(F.length("text").between(1, MAX_CHARS) & F.col("lang").isNotNull())
+    usable = docs.where(F.col("lang").isNotNull() & (F.length("text") > 0))
     ids = stage(usable.select(F.xxhash64(F.lit(13), "doc_id").alias("h"), "doc_id", "lang"), "langids")
-    each = rows // max(1, len(langs))
-    chosen = reduce(DataFrame.union, [lowest(ids.where(F.col("lang") == x), each) for x in langs]) if langs else ids
-    chosen = stage(chosen.select("h", F.col("doc_id").alias("_id")).distinct(), "langchosen")
-    texts = stage(usable.join(F.broadcast(chosen), F.col("doc_id").eqNullSafe(F.col("_id"))).select("h", "text", "lang"), "langtexts")
-    seen = [r for x in langs for r in lowest(texts.where(F.col("lang") == x), each).collect()]
-    seen = sorted((r for r in seen if LETTER.search(r.text)), key=lambda r: (r.h, r.text))
+    each = max(20, rows // max(1, ids.select("lang").distinct().count()))
+    first = W.partitionBy("lang").orderBy("h", "doc_id")  # a limit on its rank is applied in each task before the shuffle
+    chosen = stage(ids.withColumn("rank", F.row_number().over(first)).where(F.col("rank") <= each).select(F.col("doc_id").alias("_id"), F.col("lang").alias("_lang")).distinct(), "langchosen")
+    same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("lang") == F.col("_lang"))
+    texts = stage(usable.join(F.broadcast(chosen), same).select(F.xxhash64(F.lit(13), "doc_id").alias("h"), excerpt("text", MAX_CHARS).alias("text"), "lang"), "langtexts")
+    by = W.partitionBy("lang").orderBy("h", "text")  # ids may repeat
+    seen = texts.withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= each).select("h", "text", "lang").collect()
+    seen = sorted((r for r in seen if has_letter(r.text)), key=lambda r: (r.h, r.text))
+    langs = sorted({r.lang for r in seen})
     if not seen:
         return Model([], np.ones(1 << BITS), np.zeros((1 << BITS, 0)), np.zeros(0))
     k, y = len(langs), [langs.index(r.lang) for r in seen]
@@ -117,6 +124,7 @@ def identify(docs: DataFrame, model: Model) -> DataFrame:
 
     The whole text counts. Columns named like the added ones are replaced; other columns pass through.
     """
+    light_batches(docs.sparkSession)
     docs = docs.drop("lang_pred", "score")
     schema = T.StructType([*docs.schema.fields]).add("lang_pred", "string").add("score", "double")
     names = docs.columns
