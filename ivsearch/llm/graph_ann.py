@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import light_batches, stage, table
 
 
 def _near(v: np.ndarray, sq: np.ndarray, q: np.ndarray, ids: np.ndarray) -> np.ndarray:
@@ -99,56 +99,100 @@ def build(v: np.ndarray, degree: int, width: int, alpha: float, batch: int = 256
     return graph, start
 
 
-def search(vectors: DataFrame, queries: DataFrame, k: int = 10, shard_rows: int = 4000, degree: int = 32, width: int = 64, alpha: float = 1.2, beam_width: int = 160, block: int = 1024) -> DataFrame:
-    """query_id, rank (from 1), vec_id, score (Euclidean distance in double precision): k nearest other rows found for each query.
+SHARD = "shard int, ids binary, firsts binary, v binary, dim int, graph binary, start int"
 
-    Rows of vectors (id, v) are dealt by a hash to shards of about shard_rows; each shard is one task, which builds a graph of its distinct vectors and answers
-    the queries (id, v) in blocks by beam search. A vector found stands for all its ids, of which the k + 1 smallest can matter. A shard's best k of each query are merged; distances are computed anew on the original vectors,
-    ties go to smaller ids. Null vectors, zero vectors, vectors of another length than most of the first and those with null or
-    non-finite components take no part. Equal vectors under different ids all count; rows of one id count once. Shards of max(4 k, 64) distinct vectors or fewer are scanned.
-    Queries are a stated set and are sent to every shard, which reads them block by block.
+
+def clean(df: DataFrame) -> DataFrame:
+    """id long, v array<double>: rows with an id and a vector without null or non-finite components that is not zero."""
+    fine = F.col("v").isNotNull() & F.forall("v", lambda y: y.isNotNull() & ~F.isnan(y) & (F.abs(y) < float("inf"))) & F.exists("v", lambda y: y != 0)
+    return df.where(F.col("id").isNotNull() & fine).select(F.col("id").cast("long"), F.col("v").cast("array<double>"))
+
+
+def index(vectors: DataFrame, k: int = 10, shard_rows: int = 4000, degree: int = 32, width: int = 64, alpha: float = 1.2) -> DataFrame:
+    """One row for each shard of vectors (id, v), stored: its distinct vectors, the k + 1 smallest ids of each, its graph and entry (no graph: scan).
+
+    Rows are dealt by a hash to shards of about shard_rows; each shard is one task. A vector found stands for all its ids, of which the k + 1 smallest
+    can matter. Only vectors of the most frequent length (the shorter of equally frequent ones) count; of rows of one id, the smallest vector. Shards of max(4 k, 64) distinct vectors or fewer are scanned.
     """
-    spark = vectors.sparkSession
-    fine = lambda x: F.col(x).isNotNull() & F.forall(x, lambda y: y.isNotNull() & ~F.isnan(y) & (F.abs(y) < float("inf"))) & F.exists(x, lambda y: y != 0)
-    clean = lambda df: df.where(F.col("id").isNotNull() & fine("v")).select(F.col("id").cast("long"), F.col("v").cast("array<double>"))
-    base, asked = clean(vectors).dropDuplicates(["id"]), clean(queries).dropDuplicates(["id"])
+    base = clean(vectors)
+    length = base.groupBy(F.size("v").alias("n")).agg(F.count(F.lit(1)).alias("rows")).orderBy(F.col("rows").desc(), "n").first()
+    base = base.where(F.size("v") == (length.n if length else 0)).groupBy("id").agg(F.min("v").alias("v"))
     shards = max(1, -(-base.count() // shard_rows))
-    blocks = max(1, -(-asked.count() // block))
-    rows = base.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int"))
-    sent = asked.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).withColumn("block", F.pmod(F.xxhash64(F.lit(3), "id"), F.lit(blocks)).cast("int"))
 
-    def run(key, left, right):
-        ids = left.column("id").to_numpy()
+    def make(key, t):
+        ids = t.column("id").to_numpy()
         order = np.argsort(ids)
         ids = ids[order]
-        out: dict[str, list] = {"query_id": [], "vec_id": [], "score": []}
-        if len(ids):
-            v, of = np.unique(np.array(left.column("v").to_pylist(), np.float64)[order] + 0.0, axis=0, return_inverse=True)  # + 0.0: no negative zeros
-            by = np.argsort(of.ravel(), kind="stable")
-            first = np.searchsorted(of.ravel()[by], np.arange(len(v) + 1))
-            owners = [ids[by[a : min(b, a + k + 1)]] for a, b in zip(first[:-1], first[1:])]  # one of them may be the query's own
-            sq = (v * v).sum(1)
-            small = len(v) <= max(4 * k, 64)
-            graph, start = (None, 0) if small else build(v, degree, width, alpha)
-            qid, q = right.column("id").to_numpy(), right.column("v").to_pylist()
-            for at in range(0, len(qid), block):
-                part = np.array(q[at : at + block], np.float64).reshape(-1, v.shape[1])
-                found = np.tile(np.arange(len(v)), (len(part), 1)) if small else beam(v, sq, graph, part, start, beam_width)[0]
-                for i, (one, c) in enumerate(zip(part, found)):
-                    c = c[c >= 0]
-                    d = np.sqrt(((v[c] - one) ** 2).sum(1))
-                    own = np.concatenate([owners[x] for x in c])
-                    d = np.repeat(d, [len(owners[x]) for x in c])[own != qid[at + i]]
-                    own = own[own != qid[at + i]]
-                    best = np.lexsort((own, d))[:k]
-                    out["query_id"] += [int(qid[at + i])] * len(best)
-                    out["vec_id"] += own[best].tolist()
-                    out["score"] += d[best].tolist()
-        return pa.table({"query_id": pa.array(out["query_id"], pa.int64()), "vec_id": pa.array(out["vec_id"], pa.int64()), "score": pa.array(out["score"], pa.float64())})
-
-    found = rows.repartition(shards, "shard").groupBy("shard").cogroup(sent.drop("block").repartition(shards, "shard").groupBy("shard")).applyInArrow(run, "query_id long, vec_id long, score double")
-    best = W.partitionBy("query_id").orderBy("score", "vec_id")
-    return found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+        flat = pa.concat_arrays([c.flatten() for c in t.column("v").chunks]).to_numpy(zero_copy_only=False).reshape(len(ids), -1)
+        v, of = np.unique(flat[order] + 0.0, axis=0, return_inverse=True)  # + 0.0: no negative zeros
+        by = np.argsort(of.ravel(), kind="stable")
+        bounds = np.searchsorted(of.ravel()[by], np.arange(len(v) + 1))
+        owners = [ids[by[a : min(b, a + k + 1)]] for a, b in zip(bounds[:-1], bounds[1:])]  # one of them may be the query's own
+        graph, start = (np.zeros((0, 0), np.int32), 0) if len(v) <= max(4 * k, 64) else build(v, degree, width, alpha)
+        firsts = np.concatenate([[0], np.cumsum([len(x) for x in owners])])
+        row = {"shard": key[0].as_py(), "ids": np.concatenate(owners).astype("<i8").tobytes(), "firsts": firsts.astype("<i8").tobytes(), "v": v.tobytes(), "dim": v.shape[1], "graph": graph.astype("<i4").tobytes(), "start": start}
+        return pa.Table.from_pylist([row], schema=pa.schema([("shard", pa.int32()), ("ids", pa.binary()), ("firsts", pa.binary()), ("v", pa.binary()), ("dim", pa.int32()), ("graph", pa.binary()), ("start", pa.int32())]))
+
+    dealt = base.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int"))
+    return stage(dealt.repartition(shards, "shard").groupBy("shard").applyInArrow(make, SHARD), "graphs")
+
+
+def nearest(shards: DataFrame, queries: DataFrame, k: int = 10, beam_width: int = 160, block: int = 32_768, lanes: int = 1024) -> DataFrame:
+    """query_id, rank (from 1), vec_id, score (Euclidean distance in double precision): the k nearest other rows found in stored shards for each query (id, v).
+
+    Queries are a stated set. They are taken in blocks of about so many, each broadcast to the shards, which answer it by beam search; a block's results are
+    written before the next is read, so nothing that is held at once grows with the queries. A shard's best k of each query are merged; distances are computed anew on the original vectors,
+    ties go to smaller ids. Queries that clean() leaves out or whose length differs from the shards' get no rows.
+    """
+    spark = queries.sparkSession
+    light_batches(spark)
+    kind = "query_id long, vec_id long, score double"
+    asked = stage(clean(queries).groupBy("id").agg(F.min("v").alias("v")).withColumn("h", F.xxhash64(F.lit(3), "id")), "asked")
+    blocks = max(1, -(-asked.count() // block))
+
+    def search_block(part: int) -> DataFrame:
+        rows = asked.where(F.pmod("h", F.lit(blocks)) == part).select("id", "v").toArrow()  # about block rows
+        sent = spark.sparkContext.broadcast((rows.column("id").to_numpy(), rows.column("v").to_pylist()))
+
+        def run(batches):
+            qid, qv = sent.value
+            for b in batches:
+                for r in b.to_pylist():
+                    v = np.frombuffer(r["v"], np.float64).reshape(-1, r["dim"])
+                    ids, firsts = np.frombuffer(r["ids"], "<i8"), np.frombuffer(r["firsts"], "<i8")
+                    graph, sq = np.frombuffer(r["graph"], "<i4"), (v * v).sum(1)
+                    graph = graph.reshape(len(v), -1) if len(graph) else graph
+                    fit = np.array([i for i, x in enumerate(qv) if len(x) == r["dim"]], np.int64)
+                    for at in range(0, len(fit), lanes):
+                        some = fit[at : at + lanes]
+                        q = np.array([qv[i] for i in some], np.float64)
+                        met = beam(v, sq, graph, q, r["start"], beam_width)[0] if len(graph) else np.tile(np.arange(len(v)), (len(some), 1))
+                        out = ([], [], [])
+                        for one, own, c in zip(q, qid[some].tolist(), met):
+                            c = c[c >= 0]
+                            d = np.sqrt(((v[c] - one) ** 2).sum(1))
+                            n = firsts[c + 1] - firsts[c]
+                            found = np.concatenate([ids[firsts[x] : firsts[x + 1]] for x in c])
+                            d, found = np.repeat(d, n)[found != own], found[found != own]
+                            best = np.lexsort((found, d))[:k]
+                            for o, x in zip(out, (np.full(len(best), own), found[best], d[best])):
+                                o.append(x)
+                        cols = [np.concatenate(o) for o in out]
+                        yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], ["query_id", "vec_id", "score"])
+
+        best = W.partitionBy("query_id").orderBy("score", "vec_id")
+        found = shards.repartition(shards.count() or 1, "shard").mapInArrow(run, kind)
+        return found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+    if blocks == 1:
+        return search_block(0)
+    parts = [stage(search_block(i), "nearest") for i in range(blocks)]
+    return spark.read.schema(parts[0].schema).parquet(*{f.rsplit("/", 1)[0] for p in parts for f in p.inputFiles()})
+
+
+def search(vectors: DataFrame, queries: DataFrame, k: int = 10, shard_rows: int = 4000, degree: int = 32, width: int = 64, alpha: float = 1.2, beam_width: int = 160) -> DataFrame:
+    """nearest() over index(). Null and zero vectors, vectors of another length than most and those with null or non-finite components take no part. Equal vectors under different ids all count; rows of one id count once, by the smallest vector. Extra columns are ignored."""
+    return nearest(index(vectors, k, shard_rows, degree, width, alpha), queries, k, beam_width)
 
 
 def op9_graph_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
