@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import WORD, n_words, small, stage, table, width
+from .common import WORD, hidden, n_words, shown, small, stage, table
 
 
 def water_fill(sources: DataFrame, weights=(3, 1, 2), share: float = 1.5, max_epochs: int = 2) -> DataFrame:
@@ -43,14 +43,16 @@ def plan(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, max_epochs: int
     (source, hash bucket) and then inside the one bucket it falls in, so a source with any share of the rows is
     never sorted in one task; documents are not shuffled.
     Null source is a source of its own, null text has size 0. Rows that repeat id and text share their place in
-    the order; if q falls on them, they get their words in turn, in the order in which they are read, so that q is met to the word. Needs doc_id, text, source; other columns pass through, named as they are
+    the order; if q falls on them, they get their words in turn, in the order in which they are read, so that q is met to the word. Rows
+    without id are ordered by their texts. Needs doc_id, text, source; other columns pass through, whatever their names,
     unless they are one of the added names, which are replaced.
     """
-    spark, names = docs.sparkSession, ["size", "source_size", "target", "whole", "part"]
-    docs = docs.drop(*names)
-    key = F.struct(F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("-")))).alias("h"), F.col("doc_id").alias("d"), F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("t"))
+    rows, names = hidden(docs, ["size", "source_size", "target", "whole", "part"])
+    doc_id, text = names["doc_id"], names["text"]
+    crc = F.crc32(F.coalesce(text, F.lit("")).cast("binary"))
+    key = F.struct(F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(doc_id).cast("string"), F.concat(F.lit("-"), crc.cast("string"))))).alias("h"), F.col(doc_id).alias("d"), crc.alias("t"))
     bucket = F.conv(F.substring("key.h", 1, 6), 16, 10).cast("long") % buckets
-    sized = stage(docs.select("source", n_words("text").alias("size"), key.alias("key")).withColumn("bucket", bucket), "mix")
+    sized = stage(rows.select(F.col(names["source"]).alias("source"), n_words(text).alias("size"), key.alias("key")).withColumn("bucket", bucket), "mix")
     histogram = stage(sized.groupBy("source", "bucket").agg(F.sum("size").alias("words")), "mixhist")
     targets = water_fill(histogram.groupBy("source").agg(F.sum("words").alias("source_size")), weights, share, max_epochs)
     need = F.floor(F.col("target") + 0.5)
@@ -71,39 +73,43 @@ def plan(docs: DataFrame, weights=(3, 1, 2), share: float = 1.5, max_epochs: int
         .select("source", "bucket", F.struct("key", (F.col("q") - F.col("upto") + F.col("size")).alias("part"), "rows").alias("cut"))
     )
     cuts = stage(t.join(last.alias("l"), F.col("t.source").eqNullSafe(F.col("l.source")), "left").select("t.*", F.col("l.bucket").alias("cut_bucket"), "l.cut"), "mixcut")
-    d, c = docs.withColumns({"size": n_words("text"), "_key": key}).withColumn("_bucket", F.conv(F.substring("_key.h", 1, 6), 16, 10).cast("long") % buckets).alias("d"), small(cuts).alias("c")
-    at_cut = (F.col("q") > 0) & (F.col("_bucket") == F.col("cut_bucket")) & (F.col("_key") == F.col("cut.key"))
+    placed = rows.withColumns({"size": n_words(text), "key": key}).withColumn("bucket", bucket)
+    at_cut = (F.col("q") > 0) & (F.col("bucket") == F.col("cut_bucket")) & (F.col("key") == F.col("cut.key"))
     part = (
         F.when((F.col("q") <= 0) | F.col("cut").isNull(), F.lit(0))
-        .when((F.col("_bucket") < F.col("cut_bucket")) | ((F.col("_bucket") == F.col("cut_bucket")) & (F.col("_key") < F.col("cut.key"))), F.col("size"))
-        .when(F.col("_key") == F.col("cut.key"), F.least("size", "cut.part")).otherwise(F.lit(0))
+        .when((F.col("bucket") < F.col("cut_bucket")) | ((F.col("bucket") == F.col("cut_bucket")) & (F.col("key") < F.col("cut.key"))), F.col("size"))
+        .when(F.col("key") == F.col("cut.key"), F.least("size", "cut.part")).otherwise(F.lit(0))
     )
-    met = d.join(c, F.col("d.source").eqNullSafe(F.col("c.source")), "left")
-    out = [*[F.col(f"d.`{x}`") for x in docs.columns], "size", "source_size", "target", F.col("whole").cast("long").alias("whole")]
+    met = placed.join(small(cuts), F.col(names["source"]).eqNullSafe(F.col("source")), "left")
+    out = [*names.values(), "size", "source_size", "target", F.col("whole").cast("long").alias("whole")]
+    final = lambda df: df.select(*shown(names), "size", "source_size", "target", "whole", "part")
     one = met.select(*out, part.cast("long").alias("part"))
     if cuts.where("cut.rows > 1").isEmpty():
-        return one
+        return final(one)
     shared = F.coalesce(at_cut & (F.col("cut.rows") > 1), F.lit(False))
-    tied = stage(met.where(shared).select(*out, F.col("cut.part").alias("_left"), F.monotonically_increasing_id().alias("_at")), "mixtied")
-    return met.where(~shared).select(*out, part.cast("long").alias("part")).union(in_turn(tied).select(*[F.col(f"`{x}`") for x in one.columns]))
+    tied = stage(met.where(shared).select(*out, F.col("source"), F.col("cut.part").alias("left"), F.monotonically_increasing_id().alias("at")), "mixtied")
+    return final(met.where(~shared).select(*out, part.cast("long").alias("part")).union(in_turn(tied).select(*one.columns)))
 
 
 def in_turn(tied: DataFrame) -> DataFrame:
-    """tied (source, size, _left: words that a source's rows share, _at: place, with the task in the upper bits) with part: rows get all their words in turn until _left is used up. No window holds more than one task's rows or one row for each task."""
-    tied = tied.withColumn("_task", F.shiftright("_at", 33))
-    task = tied.groupBy("source", "_task").agg(F.sum("size").alias("_words"))
-    earlier = task.withColumn("_earlier", F.coalesce(F.sum("_words").over(W.partitionBy("source").orderBy("_task").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).select(F.col("source").alias("_source"), F.col("_task").alias("_of"), "_earlier")
-    own = F.coalesce(F.sum("size").over(W.partitionBy("source", "_task").orderBy("_at").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    given = tied.withColumn("_own", own).join(small(earlier), F.col("source").eqNullSafe(F.col("_source")) & (F.col("_task") == F.col("_of")))
-    return given.withColumn("part", F.greatest(F.lit(0), F.least("size", F.col("_left") - F.col("_earlier") - F.col("_own"))).cast("long"))
+    """tied (source, size, left: words that a source's rows share, at: place, with the task in the upper bits) with part: rows get all their words in turn until left is used up. No window holds more than one task's rows or one row for each task."""
+    tied = tied.withColumn("task", F.shiftright("at", 33))
+    task = tied.groupBy("source", "task").agg(F.sum("size").alias("words"))
+    earlier = task.withColumn("earlier", F.coalesce(F.sum("words").over(W.partitionBy("source").orderBy("task").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).select(F.col("source").alias("of_source"), F.col("task").alias("of_task"), "earlier")
+    own = F.coalesce(F.sum("size").over(W.partitionBy("source", "task").orderBy("at").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    given = tied.withColumn("own", own).join(small(earlier), F.col("source").eqNullSafe(F.col("of_source")) & (F.col("task") == F.col("of_task")))
+    return given.withColumn("part", F.greatest(F.lit(0), F.least("size", F.col("left") - F.col("earlier") - F.col("own"))).cast("long"))
 
 
 def mix(docs: DataFrame, **how) -> DataFrame:
     """The mixed corpus, with the columns of docs: a row per whole repetition, and the first words of a cut one."""
+    rows, names = hidden(docs)
+    own = {c: names[c] for c in ("doc_id", "text", "source")}
+    p = plan(rows.withColumnsRenamed({u: c for c, u in own.items()}), **how)
     cut = F.array_join(F.slice(F.regexp_extract_all("text", F.lit(WORD), F.lit(0)), 1, F.col("part").cast("int")), " ")
     extra = F.when(F.col("part") <= 0, F.array().cast("array<string>")).when(F.col("part") == F.col("size"), F.array("text")).otherwise(F.array(cut))
-    p = plan(docs, **how)
-    return p.withColumn("_copy", F.explode(F.concat(F.array_repeat(F.col("text"), F.col("whole").cast("int")), extra))).withColumn("text", F.col("_copy")).select(*docs.columns)
+    copies = p.withColumn("copy", F.explode(F.concat(F.array_repeat(F.col("text"), F.col("whole").cast("int")), extra)))
+    return copies.select(*shown(names | {c: c for c in own}, text=F.col("copy")))
 
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

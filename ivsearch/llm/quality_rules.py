@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import BLANKS, WORD, small, stage, table
+from .common import BLANKS, WORD, hidden, shown, small, stage, table
 
 SYMBOLS = "#*$%&|<>"
 #: Rule names; each has an integer score from 0 to 1000 that grows with suspicion.
@@ -25,27 +25,29 @@ def measures(docs: DataFrame, text: str = "text") -> DataFrame:
     n_repeat_words counts the words that lie in some three-word window occurring at least twice in the text. Windows are
     hashed to 64 bits and sorted with their places inside the row; equal neighbours are repeats, and the words covered
     are summed from the gaps between their sorted places. All of it stays in one row: no shuffle, no Python.
-    Columns of docs with these names are replaced.
+    Columns of docs with these names are replaced; others pass through, whatever their names.
     """
-    t = F.coalesce(F.col(text), F.lit(""))
-    a = docs.withColumn("_t", t).withColumn("_w", F.regexp_extract_all("_t", F.lit(WORD), F.lit(0)))
-    a = a.withColumn("n_words", F.size("_w").cast("long"))
-    at = lambda i: F.get("_w", i)
-    a = a.withColumn("_h", F.when(F.col("n_words") < 3, F.array().cast("array<bigint>")).otherwise(F.transform(F.sequence(F.lit(0), F.greatest(F.size("_w") - 3, F.lit(0))), lambda i: F.xxhash64(at(i), at(i + 1), at(i + 2)))))
-    a = a.withColumn("_some", F.size(F.array_distinct("_h")) < F.size("_h"))
-    a = a.withColumn("_s", F.when(F.col("_some"), F.array_sort(F.transform("_h", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))))
-    same = lambda x, i: F.coalesce(F.get("_s", i)["h"] == x["h"], F.lit(False))
-    a = a.withColumn("_p", F.when(F.col("_some"), F.array_sort(F.transform(F.filter("_s", lambda x, i: same(x, i - 1) | same(x, i + 1)), lambda x: x["i"]))))
-    covered = F.aggregate(F.transform("_p", lambda p, i: F.least(F.coalesce(F.get("_p", i + 1) - p, F.lit(3)), F.lit(3))), F.lit(0), lambda x, y: x + y)
-    a = a.withColumn("_l", F.filter(F.split("_t", "\n"), lambda x: F.length(F.translate(x, BLANKS, "")) > 0))
-    return a.withColumns({
-        "n_repeat_words": F.coalesce(covered, F.lit(0)).cast("long"),
-        "word_chars": _without("_t", BLANKS).cast("long"),
-        "n_symbols": (F.length("_t") - _without("_t", SYMBOLS)).cast("long"),
-        "n_lines": F.size("_l").cast("long"),
-        "n_dup_lines": (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long"),
-        "n_capitals": (F.length("_t") - _without("_t", "ABCDEFGHIJKLMNOPQRSTUVWXYZ")).cast("long"),
-    }).drop("_t", "_w", "_h", "_some", "_s", "_p", "_l")
+    added = ["n_words", "n_repeat_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_capitals"]
+    a, names = hidden(docs, added)
+    a = a.withColumn("t", F.coalesce(F.col(names[text]), F.lit(""))).withColumn("w", F.regexp_extract_all("t", F.lit(WORD), F.lit(0)))
+    a = a.withColumn("n_words", F.size("w").cast("long"))
+    at = lambda i: F.get("w", i)
+    a = a.withColumn("h", F.when(F.col("n_words") < 3, F.array().cast("array<bigint>")).otherwise(F.transform(F.sequence(F.lit(0), F.greatest(F.size("w") - 3, F.lit(0))), lambda i: F.xxhash64(at(i), at(i + 1), at(i + 2)))))
+    a = a.withColumn("some", F.size(F.array_distinct("h")) < F.size("h"))
+    a = a.withColumn("s", F.when(F.col("some"), F.array_sort(F.transform("h", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))))
+    same = lambda x, i: F.coalesce(F.get("s", i)["h"] == x["h"], F.lit(False))
+    a = a.withColumn("p", F.when(F.col("some"), F.array_sort(F.transform(F.filter("s", lambda x, i: same(x, i - 1) | same(x, i + 1)), lambda x: x["i"]))))
+    covered = F.aggregate(F.transform("p", lambda p, i: F.least(F.coalesce(F.get("p", i + 1) - p, F.lit(3)), F.lit(3))), F.lit(0), lambda x, y: x + y)
+    a = a.withColumn("l", F.filter(F.split("t", "\n"), lambda x: F.btrim(x, F.lit(BLANKS)) != ""))
+    return a.select(
+        *shown(names), "n_words",
+        F.coalesce(covered, F.lit(0)).cast("long").alias("n_repeat_words"),
+        _without("t", BLANKS).cast("long").alias("word_chars"),
+        (F.length("t") - _without("t", SYMBOLS)).cast("long").alias("n_symbols"),
+        F.size("l").cast("long").alias("n_lines"),
+        (F.size("l") - F.size(F.array_distinct("l"))).cast("long").alias("n_dup_lines"),
+        (F.length("t") - _without("t", "ABCDEFGHIJKLMNOPQRSTUVWXYZ")).cast("long").alias("n_capitals"),
+    )
 
 
 def base_failed() -> Column:
@@ -115,7 +117,8 @@ def pooled(good: DataFrame, strata: DataFrame, alpha: float, delta: float) -> Da
 def judge(docs: DataFrame, labels: DataFrame, alpha: float = 0.005, delta: float = 0.05) -> DataFrame:
     """docs with the measures, base_failed and kept. Strata are languages (null: one of its own); quality 1 in labels (doc_id, quality) marks good documents.
 
-    A document is kept if it passes the base rules and none of its scores is above its stratum's cutoff. Languages with too few good
+    A document is kept if it passes the base rules and none of its scores is above its stratum's cutoff. alpha bounds the false rejections of each rule,
+    so with six rules a stratum falsely rejects at most 6 * alpha (3%) of its good documents that pass the base rules, all with confidence 1 - delta. Languages with too few good
     documents for a cutoff of their own are pooled into one stratum; there, alpha holds for the pool, not for each language.
     Null text is empty and fails the base rules. Documents with null id have no label. Repeated labels of an id count
     once, as good if any is; repeated documents are judged alike. No labels: the base rules alone decide.
@@ -137,8 +140,9 @@ def judge(docs: DataFrame, labels: DataFrame, alpha: float = 0.005, delta: float
 
 def filter_documents(docs: DataFrame, labels: DataFrame, **how) -> DataFrame:
     """The rows of docs that judge() keeps; rows of one id stay or go together, by the worst."""
-    bad = judge(docs, labels, **how).where(~F.col("kept")).select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
+    bad = judge(docs, labels, **how).where(~F.col("kept")).select(F.col("doc_id").alias("id")).distinct()
+    rows, names = hidden(docs)
+    return rows.join(bad, F.col(names["doc_id"]).eqNullSafe(F.col("id")), "left_anti").select(*shown(names))
 
 
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import small, stage, table
+from .common import hidden, shown, stage, table
 
 KEY_BITS = 63
 
@@ -84,13 +84,14 @@ def shard(docs: DataFrame, shards: int = 24, bucket_rows: int = 20_000) -> DataF
     the rows of a shard from 0: by fine hash buckets, whose row counts give each its first slot, so that no task sorts
     a shard, nor the copies of one text.
     Null texts are one group, of 8 bytes a row; empty texts another. Rows that repeat id and text stay together, in any
-    order among themselves. An empty table gives no rows. Columns named like the added ones are replaced.
+    order among themselves. An empty table gives no rows. Other columns pass through, whatever their names; columns named like the added ones are replaced.
     """
     added = ["size", "text_crc32", "shard", "slot"]
-    docs = docs.drop(*added)
-    key = F.xxhash64("text").bitwiseAND(F.lit(2**KEY_BITS - 1))
-    keyed = docs.withColumns({"size": F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + 8, "_k": key, "text_crc32": F.crc32(F.coalesce("text", F.lit("")).cast("binary"))})
-    units = stage(keyed.groupBy(F.col("_k").alias("k")).agg(F.sum("size").alias("bytes"), F.count(F.lit(1)).alias("n")), "units")
+    rows_, names = hidden(docs, added)
+    doc_id, text = names["doc_id"], names["text"]
+    key = F.xxhash64(text).bitwiseAND(F.lit(2**KEY_BITS - 1))
+    keyed = rows_.withColumns({"size": F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + 8, "k": key, "text_crc32": F.crc32(F.coalesce(text, F.lit("")).cast("binary"))})
+    units = stage(keyed.groupBy("k").agg(F.sum("size").alias("bytes"), F.count(F.lit(1)).alias("n")), "units")
     total, rows = units.agg(F.coalesce(F.sum("bytes"), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0))).first()
     big: dict[int, int] = {}
     while len(big) < shards - 1:  # at most one round for each shard
@@ -101,15 +102,16 @@ def shard(docs: DataFrame, shards: int = 24, bucket_rows: int = 20_000) -> DataF
         big |= {r.k: r.bytes for r in sorted(found, key=lambda r: (-r.bytes, r.k))[: shards - 1 - len(big)]}
     rest = units.where(~F.col("k").isin(list(big))) if big else units
     cuts, _ = minimax_cuts(rest, shards - len(big))
-    number = F.lit(len(big)) + sum((F.when(F.col("_k") >= c, 1).otherwise(0) for c in cuts), F.lit(0))
+    number = F.lit(len(big)) + sum((F.when(F.col("k") >= c, 1).otherwise(0) for c in cuts), F.lit(0))
     for i, k in enumerate(big):
-        number = F.when(F.col("_k") == k, i).otherwise(number)
+        number = F.when(F.col("k") == k, i).otherwise(number)
     buckets = max(16, rows // bucket_rows // shards)
-    placed = keyed.withColumn("shard", number.cast("int")).withColumn("_f", F.pmod(F.xxhash64(F.lit(5), "_k", "doc_id"), F.lit(buckets)).cast("int"))
-    counts = placed.groupBy(F.col("shard").alias("_s"), F.col("_f").alias("_g")).agg(F.count(F.lit(1)).alias("_n"))
-    first = counts.withColumn("_first", F.sum("_n").over(W.partitionBy("_s").orderBy("_g")) - F.col("_n")).drop("_n")
-    within = W.partitionBy("shard", "_f").orderBy("doc_id", "text_crc32", "_k")
-    return placed.withColumn("_r", F.row_number().over(within) - 1).join(first, (F.col("shard") == F.col("_s")) & (F.col("_f") == F.col("_g"))).select(*docs.columns, "size", "text_crc32", "shard", (F.col("_first") + F.col("_r")).cast("long").alias("slot"))
+    placed = keyed.withColumn("shard", number.cast("int")).withColumn("f", F.pmod(F.xxhash64(F.lit(5), "k", doc_id), F.lit(buckets)).cast("int"))
+    counts = placed.groupBy(F.col("shard").alias("s"), F.col("f").alias("g")).agg(F.count(F.lit(1)).alias("n"))
+    first = counts.withColumn("first", F.sum("n").over(W.partitionBy("s").orderBy("g")) - F.col("n")).drop("n")
+    within = W.partitionBy("shard", "f").orderBy(doc_id, "text_crc32", "k")
+    numbered = placed.withColumn("r", F.row_number().over(within) - 1).join(first, (F.col("shard") == F.col("s")) & (F.col("f") == F.col("g")))
+    return numbered.select(*shown(names), "size", "text_crc32", "shard", (F.col("first") + F.col("r")).cast("long").alias("slot"))
 
 
 def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
