@@ -109,6 +109,26 @@ def test_jaccard(spark, docs):
     assert {tuple(r) for r in ngram_join.jaccard_classes(spark.createDataFrame(more, "doc_id long, text string"), 6, 10, 2).collect()} == classes(more, 6, 10, 2)
 
 
+def test_jaccard_repeated_ids(spark):
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    d = spark.createDataFrame([(1, a, 0), (1, b, 1), (2, b, 2), (3, a, 3), (3, a, 3), (None, a, 4), (4, None, 5)], "doc_id long, text string, rep int")
+    assert sorted(tuple(r) for r in ngram_join.jaccard_classes(d, 9, 10, 3).collect()) == [(1, 38, 1), (2, 38, 2), (3, 38, 1), (4, 0, 4)]
+    assert sorted((r.doc_id or 0, r.rep) for r in ngram_join.drop_near_copies(d).collect()) == [(0, 4), (1, 0), (1, 1), (2, 2), (4, 5)]
+    assert ngram_join.jaccard_classes(d.limit(0)).count() == 0
+
+
+def test_jaccard_group(spark):
+    """Variants of one long text, most pairs of them just under the threshold, some sharing changes."""
+    rng = np.random.default_rng(8)
+    rows = []
+    for i in range(150):
+        w = [f"w{j}" for j in range(120)]
+        for _ in range(i % 9):
+            w[rng.integers(0, 120)] = f"x{rng.integers(0, 12)}"
+        rows.append((int(i), " ".join(w[: 120 - i % 4])))
+    assert {tuple(r) for r in ngram_join.jaccard_classes(spark.createDataFrame(rows, "doc_id long, text string"), 9, 10, 3).collect()} == classes(rows, 9, 10, 3)
+
+
 def test_packing(docs):
     enc = tokens.encoder(tokens.vocabulary())
     seen, windows = {}, {}
@@ -155,6 +175,21 @@ def test_mixing_repeats(spark):
     assert words == {s: x for s, (_, x) in by.items()}
 
 
+def test_clashing_columns(spark):
+    """Columns named like those that operators use inside pass through unchanged, nulls and repeated rows too."""
+    names = ["row", "key", "bucket", "cut", "q", "whole_", "k", "f", "s", "n", "first", "h", "w", "t", "_id", "_key", "_k", "_l", "weight", "cut_bucket", "left", "at"]
+    rows = [(i if i % 4 else None, f"text number {i // 2} " * (i % 5) if i % 7 else None, f"s{i % 2}", "en", *range(len(names))) for i in range(30)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string, " + ", ".join(f"`{n}` int" for n in names))
+    own = sorted(map(repr, rows))
+    same = lambda df: sorted(repr(tuple(r)) for r in df.select(*[f"`{c}`" for c in d.columns]).collect())
+    assert same(mixing.plan(d)) == own and same(sharding.shard(d, 3)) == own and same(quality_rules.measures(d)) == own
+    assert set(mixing.mix(d).columns) == set(d.columns) and mixing.mix(d).select("weight").distinct().count() == 1
+    assert set(same(ngram_join.drop_near_copies(d))) <= set(own)
+    assert line_dedup.dedup_lines(d).select(*names).distinct().count() == 1
+    labels = spark.createDataFrame([(1, 1)], "doc_id long, quality int")
+    assert set(same(quality_rules.filter_documents(d, labels))) <= set(own)
+
+
 def test_sharding(docs):
     got = sharding.shard(docs, 5).collect()
     place, slots = {}, {}
@@ -185,8 +220,10 @@ def test_token_files(spark, docs, tmp_path):
     token_files.write(docs, str(tmp_path / "t"))
     rows = token_files.read(spark, str(tmp_path / "t")).orderBy("start").collect()
     enc, start = tokens.encoder(tokens.vocabulary()), 0
-    want = sorted(((r.doc_id is not None, r.doc_id or 0, r.text is not None, r.text or ""), r) for r in docs.collect())
-    for r, (_, d) in zip(rows, want, strict=True):
+    from pyspark.sql import functions as F
+
+    want = docs.orderBy(F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).collect()
+    for r, d in zip(rows, want, strict=True):
         ids = np.frombuffer(enc.ids(d.text), "<u4").tolist() + [2]
         assert (r.doc_id, r.start, r.n_tokens, r.ids) == (d.doc_id, start, len(ids), ids)
         start += len(ids)
@@ -202,8 +239,45 @@ def test_blocks():
         token_files.decode_block(block[:-200] + bytes(200))
 
 
+def test_token_files_ids(spark, tmp_path):
+    """The smallest long is an id like others, a hot id is dealt over tasks, an empty table gives no rows."""
+    d = spark.createDataFrame([(-(2**63), "least", 1), (None, "none", 2), *[(5, f"hot {i % 9}", i) for i in range(60)], (2**63 - 1, None, 3)], "doc_id long, text string, h int")
+    token_files.write(d, str(tmp_path / "t"), block_ids=40)
+    got = token_files.read(spark, str(tmp_path / "t"), with_ids=False).orderBy("start").collect()
+    assert [r.doc_id for r in got] == [None, -(2**63), *[5] * 60, 2**63 - 1] and got[-1].n_tokens == 1
+    assert all(a.start + a.n_tokens == b.start for a, b in zip(got, got[1:]))
+    token_files.write(d.limit(0), str(tmp_path / "e"))
+    assert token_files.read(spark, str(tmp_path / "e")).count() == 0
+
+
+def test_mixed_orders():
+    """The blended distribution is one: intervals of all ids tile the total, and id_at() inverts place()."""
+    m = token_files.Mixer(60)
+    rng = np.random.default_rng(0)
+    grid = rng.integers(0, 60, (200, 40))
+    for t in range(1, 200):
+        m.renew(grid)
+        m.predict(grid[t - 1], grid[t - 2])
+        m.place(grid[t])
+        m.learn(grid[t])
+    m.predict(np.full(60, 7), np.full(60, 9))
+    m.g1, m.g2 = np.arange(60) % 7, np.arange(60) % 5
+    start, freq = m.place(np.arange(60))
+    for lane in range(60):
+        m1 = [np.full(60, getattr(m, x)[lane]) for x in ("g1", "g2", "a0", "a1", "a2")]
+        n = token_files.Mixer(60)
+        n.__dict__ |= m.__dict__
+        n.g1, n.g2, n.a0, n.a1, n.a2 = m1
+        start, freq = (x.astype(np.int64) for x in n.place(np.arange(60)))
+        assert start[0] == 0 and (start[1:] == (start + freq)[:-1]).all() and start[-1] + freq[-1] == 1 << token_files.TOTAL_BITS
+        assert (n.id_at(start) == np.arange(60)).all() and (n.id_at(start + freq - 1) == np.arange(60)).all()
+
+
 def test_tokens():
     enc = tokens.encoder(tokens.vocabulary())
+    tiny = tokens.Encoder(tokens.vocabulary(), max_parts=5)
+    text = "some words come again and again\nand some words are new words here " * 4
+    assert tiny.ids(text) == tiny.ids(text) == enc.ids(text) and len(tiny.known) + len(tiny.older) <= 10
     for t in ["", " ", " a", "a ", "a  b", "x\n y", "x \ny", "it's\tfine <|endoftext|> é日本", "　 b", "a  b"]:
         assert np.frombuffer(enc.ids(t), "<u4").tolist() == enc.tokenizer.encode(t, add_special_tokens=False).ids
 
@@ -217,6 +291,15 @@ def test_quality_classifier(spark):
     assert np.mean([got[i].predicted == int(i < 100) for i, _ in good + bad]) > 0.95
     assert all(0 <= r.score <= 1 for r in got.values())
     assert quality_classifier.classify(d, quality_classifier.train(d, labels.limit(0))).count() == 162
+    # Texts of any length are learned from, by pieces from all over them.
+    from pyspark.sql import functions as F
+
+    from ivsearch.llm.common import excerpt
+
+    long = d.withColumn("text", F.repeat("text", 300))
+    assert long.select(F.max(F.length("text")), F.max(F.length(excerpt("text", 20_000)))).first()[1] <= 20_100
+    m = quality_classifier.train(long, labels, 40, 40)
+    assert m.score(good[0][1]) > m.score(bad[0][1])
 
 
 def test_language(spark):
@@ -226,6 +309,11 @@ def test_language(spark):
     got = {r.doc_id: r.lang_pred for r in language_id.identify(d, m).collect()}
     assert all(got[i] == ("en" if i % 2 else "de") for i in range(60)) and got[99] == got[98] == "und"
     assert (np.abs(m.weights) == 0).mean() > 0.5
+    # Numerals are no letters; languages with long texts only, and more than a hundred of them, are learned.
+    assert m.predict("\u00bd \u00b2 12") == ("und", 0.0) and m.predict("\u0416")[0] in ("en", "de")
+    many = spark.createDataFrame([(i, f"{chr(0x4E00 + i % 130)}{chr(0x5E00 + i % 130)} " * 1500, f"l{i % 130:03}") for i in range(520)], "doc_id long, text string, lang string")
+    m = language_id.train(many)
+    assert len(m.langs) == 130 and all(m.predict(f"{chr(0x4E00 + i)}{chr(0x5E00 + i)} " * 3)[0] == f"l{i:03}" for i in range(0, 130, 13))
 
 
 def test_ann(spark):
@@ -243,6 +331,19 @@ def test_ann(spark):
     assert graph_ann.search(d.where("id < 5"), d.where("id < 1")).count() == 4
 
 
+def test_ann_odd_rows(spark):
+    """Mixed lengths, repeated ids, columns of other names, no rows; queries in several blocks give the same as in one."""
+    r = np.random.default_rng(1)
+    v = r.normal(size=(300, 8))
+    rows = [(i, x.tolist(), i) for i, x in enumerate(v)] + [(400, [1.0, 2.0], 0), (401, [float("inf")] * 8, 0), (7, (v[7] + 5).tolist(), 0)]
+    d = spark.createDataFrame(rows, "id long, v array<double>, shard int")
+    asked = d.where("id % 50 = 0")
+    one = graph_ann.index(d, 10, 150, 12, 24)
+    a, b = (sorted(tuple(x) for x in graph_ann.nearest(one, asked, 10, 60, block=n).collect()) for n in (1000, 2))
+    assert a == b and len(a) == 60 and {x[0] for x in a} == {0, 50, 100, 150, 200, 250}
+    assert graph_ann.search(d.limit(0), asked).count() == 0 and graph_ann.search(d, d.limit(0)).count() == 0
+
+
 def test_ann_copies(spark):
     r = np.random.default_rng(3)
     v = r.normal(size=(700, 16))
