@@ -7,7 +7,8 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..session import number, small
+from ..operators.joins import asof
+from ..session import materialize, number, small
 from .relations import AxisPlan
 
 
@@ -19,22 +20,44 @@ def to_axis(df: DataFrame, column: str) -> Column:
     return F.col(column).cast("double")
 
 
+def on_axis(df: DataFrame, *ends: str) -> DataFrame:
+    """df with its endpoints as doubles: dates, timestamps and decimals may stand in it."""
+    return df.withColumns({c: to_axis(df, c) for c in ends if not isinstance(df.schema[c].dataType, T.DoubleType)})
+
+
 def accept(objects: DataFrame, dim: int | None = None) -> tuple[DataFrame, DataFrame]:
-    """(valid, rejected) objects: s and t known, not NaN, s <= t, and a whole vector."""
-    v = F.col("vec").isNotNull() & F.forall("vec", lambda x: x.isNotNull() & ~F.isnan(x))
-    ok = F.coalesce(v & ~F.isnan("s") & ~F.isnan("t") & (F.col("s") <= F.col("t")), F.lit(False))
-    ok = ok & (F.size("vec") == dim) if dim else ok
-    return objects.where(ok), objects.where(~ok)
+    """(valid, rejected) objects, endpoints as doubles: an oid, s and t known and finite, s <= t, and a vector of finite components, dim of them if that is given."""
+    o = on_axis(objects, "s", "t")
+    finite = lambda x: ~F.isnan(x) & (F.abs(x) < float("inf"))
+    v = F.col("vec").isNotNull() & F.forall("vec", lambda x: x.isNotNull() & finite(x))
+    ok = F.col("oid").isNotNull() & v & finite(F.col("s")) & finite(F.col("t")) & (F.col("s") <= F.col("t"))
+    ok = F.coalesce(ok & (F.size("vec") == dim) if dim is not None else ok, F.lit(False))
+    return o.where(ok), o.where(~ok)
+
+
+def whole(objects: DataFrame) -> DataFrame:
+    """The valid objects of one dimension, the most frequent (the smaller of equally frequent ones), one an oid: of rows that repeat an oid, the smallest by s, t and vector."""
+    good, _ = accept(objects)
+    most = good.groupBy(F.size("vec").alias("n")).agg(F.count(F.lit(1)).alias("rows")).orderBy(F.col("rows").desc(), "n").first()
+    if most is None:
+        return good
+    good = good.where(F.size("vec") == most.n)
+    again = small(materialize(good.groupBy("oid").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("oid"), "again"))
+    if again.isEmpty():
+        return good
+    rest = ["s", "t", "vec", *[c for c in good.columns if c not in ("oid", "s", "t", "vec")]]
+    one = good.join(again, "oid", "left_semi").groupBy("oid").agg(F.min_by(F.struct(*rest), F.struct("s", "t", "vec")).alias("o")).select("oid", "o.*").select(*good.columns)
+    return good.join(again, "oid", "left_anti").select(*good.columns).union(one)
 
 
 def attach(objects: DataFrame, plan: AxisPlan) -> DataFrame:
     x, y = plan.object_axes()
-    return objects.withColumns({"x": x, "y": y})
+    return on_axis(objects, "s", "t").withColumns({"x": x, "y": y})
 
 
 def attach_queries(queries: DataFrame, plan: AxisPlan) -> DataFrame:
     x, y = plan.query_axes()
-    return queries.withColumns({"xq": x, "yq": y})
+    return on_axis(queries, "sq", "tq").withColumns({"xq": x, "yq": y})
 
 
 def thresholds(objects: DataFrame, axis: str) -> DataFrame:
@@ -45,16 +68,21 @@ def thresholds(objects: DataFrame, axis: str) -> DataFrame:
 def snap(queries: DataFrame, objects: DataFrame) -> DataFrame:
     """queries with a (least object X at or above xq) and c (greatest object Y at or below yq); null: nothing is valid.
 
-    One pass over the distinct coordinates with the stated queries at hand, pre-aggregated in each task.
+    Two as-of joins with the distinct coordinates: sorted merges inside ranges, no pair of a query and an object.
     """
-    q = small(queries.select("qid", "xq", "yq"))
-    up = objects.select("x").distinct().join(q, F.col("x") >= F.col("xq")).groupBy("qid").agg(F.min("x").alias("a"))
-    down = objects.select("y").distinct().join(q, F.col("y") <= F.col("yq")).groupBy("qid").agg(F.max("y").alias("c"))
-    return queries.join(up, "qid", "left").join(down, "qid", "left")
+    up = asof(queries, objects.select("x"), "xq", "x", "forward").withColumnRenamed("found", "a")
+    return asof(up, objects.select("y"), "yq", "y", "backward").withColumnRenamed("found", "c")
 
 
-def entry_table(objects: DataFrame, groups: str | None = None) -> DataFrame:
-    """Objects at which the largest X so far, in the order of (y, oid), grows: the last with y <= c is valid in state (a, c) or none is."""
-    order = (W.partitionBy(groups) if groups else W.partitionBy()).orderBy("y", "oid").rowsBetween(W.unboundedPreceding, -1)
-    before = F.max("x").over(order)
-    return objects.withColumn("_b", before).where(F.col("_b").isNull() | (F.col("x") > F.col("_b"))).select(*([groups] if groups else []), "oid", "x", "y")
+def entry_table(objects: DataFrame) -> DataFrame:
+    """Objects at which the largest X so far, in the order of (y, oid), grows: the last with y <= c is valid in state (a, c) or none is.
+
+    Two levels: objects are dealt to ranges of the order; the largest X of all earlier ranges, one row a range, starts the running maximum inside each.
+    """
+    n = int(objects.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = materialize(objects.select("oid", "x", "y").repartitionByRange(n, "y", "oid").withColumn("_part", F.spark_partition_id()), "ranges")
+    earlier = W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
+    tops = dealt.groupBy("_part").agg(F.max("x").alias("_top")).select("_part", F.max("_top").over(earlier).alias("_top"))  # a row for each range
+    own = F.max("x").over(W.partitionBy("_part").orderBy("y", "oid").rowsBetween(W.unboundedPreceding, -1))
+    before = dealt.withColumn("_own", own).join(F.broadcast(tops), "_part").withColumn("_before", F.greatest("_own", "_top"))
+    return before.where(F.col("_before").isNull() | (F.col("x") > F.col("_before"))).select("oid", "x", "y")

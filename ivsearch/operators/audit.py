@@ -29,13 +29,13 @@ def active_counts(index: DataFrame, states: DataFrame) -> DataFrame:
     return hit.select("_a", "_c", "shard", "src", "dst").distinct().groupBy(F.col("_a").alias("a"), F.col("_c").alias("c")).agg(F.count(F.lit(1)).alias("edges"))
 
 
-def unconnected(index: DataFrame, a: int, c: int, rounds: int = 64) -> int:
+def unconnected(index: DataFrame, a: int, c: int) -> int:
     """How many components the active graph of a state has beyond one a shard; labels spread from edge to edge, one shuffle a round."""
     from ..session import materialize
 
     nodes = index.where((F.col("xr") >= a) & (F.col("yr") <= c)).select("shard", F.col("ord").alias("node"), F.col("ord").alias("label"))
     e, last = materialize(active(index, a, c), "active"), None
-    for _ in range(rounds):
+    while True:
         near = e.join(nodes.withColumnRenamed("node", "src"), ["shard", "src"]).groupBy("shard", F.col("dst").alias("node")).agg(F.min("label").alias("m"))
         nodes = materialize(nodes.join(near, ["shard", "node"], "left").select("shard", "node", F.least("label", F.coalesce("m", "label")).alias("label")), "labels")
         total = nodes.agg(F.sum("label")).first()[0]

@@ -6,10 +6,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.coords import attach, attach_queries
+from ..functions.coords import attach, attach_queries, on_axis
 from ..functions.relations import Relation
 from ..functions.vectors import l2
 from ..session import small
+from .joins import cell_of, cuts_of, knn_join
 
 
 def top(found: DataFrame, k: int | None = None) -> DataFrame:
@@ -20,10 +21,26 @@ def top(found: DataFrame, k: int | None = None) -> DataFrame:
 
 
 def filtered_knn(objects: DataFrame, queries: DataFrame, relation: Relation | None, where: Column | None = None) -> DataFrame:
-    """Ground truth: every valid object of every query, nearest k kept. relation None: all objects. where: a further filter on the objects' payload, pushed to the scan."""
-    o = objects if where is None else objects.where(where)
-    pairs = o.join(small(queries), relation.predicate() if relation else F.lit(True))
-    return top(pairs.select("qid", "k", "oid", l2("vec", "qvec").alias("dist")))
+    """Ground truth: every valid object of every query, nearest k kept. relation None: all objects. where: a further filter on the objects' payload, pushed to the scan.
+
+    The stated queries meet each batch of objects as one matrix product, masked by the relation; a batch hands on k of each query at most.
+    """
+    o, q = on_axis(objects if where is None else objects.where(where), "s", "t") if relation else (objects if where is None else objects.where(where)), queries
+    most = q.agg(F.max("k")).first()[0]
+    if most is None:
+        return top(o.join(q, F.lit(False)).select("qid", "k", "oid", F.lit(0.0).alias("dist")))
+    if relation:
+        q = on_axis(q, "sq", "tq")
+
+    def valid(asked, held):
+        ok = True
+        for t in relation.terms:
+            left, right = held[t.end][None, :], asked[t.query][:, None]
+            ok = ok & (left >= right if t.op == ">=" else left <= right)
+        return ok
+
+    found = knn_join(q, o, most, valid if relation else None, ("s", "t", "sq", "tq") if relation else ())
+    return top(found.join(q.select("qid", "k"), "qid"))
 
 
 def interval_join(objects: DataFrame, queries: DataFrame, relation: Relation, method: str = "broadcast", cells: int = 64) -> DataFrame:
@@ -38,9 +55,9 @@ def interval_join(objects: DataFrame, queries: DataFrame, relation: Relation, me
     if method == "dominance":
         plan = relation.plan()
         o, q = attach(objects, plan), attach_queries(queries, plan)
-        cuts = o.approxQuantile("x", [i / cells for i in range(1, cells)], 0.001)
-        cell = lambda x: sum((F.when(x >= c, 1).otherwise(0) for c in sorted(set(cuts))), F.lit(0))
-        sent = q.withColumn("cell", F.explode(F.sequence(cell(F.col("xq")), F.lit(len(set(cuts))))))
+        cuts = cuts_of(o, "x", cells)
+        cell = lambda x: cell_of(x, cuts)
+        sent = q.withColumn("cell", F.explode(F.sequence(cell(F.col("xq")), F.lit(len(cuts)))))  # up to cells rows a query
         return o.withColumn("cell", cell(F.col("x"))).join(sent, "cell").where((F.col("x") >= F.col("xq")) & (F.col("y") <= F.col("yq"))).select("qid", "oid")
     if relation.name != "overlaps":
         raise ValueError("grid cells serve overlaps")

@@ -1,135 +1,232 @@
-"""The state-labelled graph as a table: one row per object, with its labelled edges in arrays, sharded."""
+"""The state-labelled graph as a table: one row per object, with its labelled edges in arrays, sharded; and packed, one row per shard."""
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.coords import accept, attach, attach_queries
+from ..functions.coords import attach, attach_queries, whole
 from ..functions.relations import Relation, custom
-from ..session import materialize, small
-from . import kernels
+from ..session import light_batches, materialize
+from . import blobs, kernels
+from .joins import _matrix, cell_of, cuts_of, query_blocks
 
 KIND = "shard int, ord int, oid long, vec array<double>, x double, y double, xr int, yr int, dst array<int>, l array<int>, r array<int>, b array<int>, kind array<int>, rounds int, uncovered int"
+PACKED = "shard int, n long, x1 double, y0 double, blob binary"
 
 
 def assign(objects: DataFrame, shard_rows: int, method: str = "hash") -> DataFrame:
     """objects with shard: `hash` by oid; `zone` by ranges of x, which lets selective queries skip shards. About shard_rows each."""
     shards = max(1, -(-objects.count() // shard_rows))
     if method == "zone" and shards > 1:
-        cuts = objects.approxQuantile("x", [i / shards for i in range(1, shards)], 0.001)
-        return objects.withColumn("shard", sum((F.when(F.col("x") >= c, 1).otherwise(0) for c in cuts), F.lit(0)).cast("int"))
+        return objects.withColumn("shard", cell_of(F.col("x"), cuts_of(objects, "x", shards)))
     return objects.withColumn("shard", F.pmod(F.xxhash64("oid"), F.lit(shards)).cast("int"))
 
 
 def _arrays(t: pa.Table):
-    v = np.array(t.column("vec").to_pylist(), np.float64)
+    v = _matrix(t.column("vec"))
     oid, x, y = (t.column(c).to_numpy() for c in ("oid", "x", "y"))
     order = np.lexsort((oid, y))
     v, oid, x, y = v[order], oid[order], x[order], y[order]
     return v, oid, x, y, np.unique(x, return_inverse=True)[1], np.unique(y, return_inverse=True)[1]
 
 
-def build(objects: DataFrame, relation: Relation, m: int = 16, method: str = "practical", pool: int = 200, leap: str = "max", patch: str = "anchored", kp: int = 8, shard_rows: int = 4000, sharding: str = "hash", swap: bool = False) -> DataFrame:
-    """The index of objects (oid, vec, s, t) for one relation. method `exact` sweeps every threshold; `practical` reuses a pool, leaps and patches.
+def build(objects: DataFrame, relation: Relation, m: int = 16, method: str = "practical", pool: int = 200, leap: str = "max", patch: str = "anchored", kp: int = 8, shard_rows: int = 4000, sharding: str = "hash", swap: bool = False, pool_by: str = "scan") -> DataFrame:
+    """The index of objects (oid, vec, s, t) for one relation. method `exact` sweeps every threshold; `practical` reuses a pool, leaps and patches; `incremental` takes candidates from the graph so far.
 
-    What an object is linked to depends on earlier objects' data alone, not on their edges, so a shard is one task and its objects are independent.
-    Objects outside the model (null or NaN endpoints, s > t, broken vectors) are left out.
+    A shard is one task, and shards are independent. With exact sweeps and scanned pools an object's links depend on earlier objects' data alone, not on their edges.
+    Endpoints may be numbers, decimals, dates or timestamps. Objects outside the model (no oid, null or infinite or NaN endpoints, s > t, broken vectors or of
+    another length than most) are left out; of rows that repeat an oid one is taken.
     """
-    good, _ = accept(objects)
-    placed = assign(attach(good, relation.plan(swap)), shard_rows, sharding).select("shard", "oid", "vec", "x", "y")
+    placed = assign(attach(whole(objects), relation.plan(swap)), shard_rows, sharding).select("shard", "oid", "vec", "x", "y")
 
     def run(key, t):
         v, oid, x, y, xr, yr = _arrays(t)
-        rows, rounds, open_ = kernels.build(v, oid, xr, yr, m, method, pool, leap, patch, kp)
+        rows, rounds, open_ = kernels.build(v, oid, xr, yr, m, method, pool, leap, patch, kp, pool_by)
         out = [[] for _ in oid]
         for src, *edge in rows:
             out[src].append(edge)
-        lists = [pa.array([[e[i] for e in own] for own in out], pa.list_(pa.int32())) for i in range(5)]
-        n = len(oid)
-        one = lambda z: pa.array([z] + [0] * (n - 1), pa.int32())
-        cols = [pa.array([key[0].as_py()] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array(oid, pa.int64()), pa.array(v.tolist(), pa.list_(pa.float64())), pa.array(x), pa.array(y), pa.array(xr, pa.int32()), pa.array(yr, pa.int32()), *lists, one(rounds), one(open_)]
-        return pa.Table.from_arrays(cols, names=[c.split()[0] for c in KIND.split(", ")])
+        return _rows(key[0].as_py(), v, oid, x, y, xr, yr, out, rounds, open_)
 
     return placed.groupBy("shard").applyInArrow(run, KIND)
 
 
+def _rows(shard: int, v, oid, x, y, xr, yr, out: list, rounds: int = 0, open_: int = 0) -> pa.Table:
+    lists = [pa.array([[e[i] for e in own] for own in out], pa.list_(pa.int32())) for i in range(5)]
+    n = len(oid)
+    one = lambda z: pa.array([z] + [0] * (n - 1), pa.int32())
+    cols = [pa.array([shard] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array(oid, pa.int64()), pa.array(v.tolist(), pa.list_(pa.float64())), pa.array(x), pa.array(y), pa.array(xr, pa.int32()), pa.array(yr, pa.int32()), *lists, one(rounds), one(open_)]
+    return pa.Table.from_arrays(cols, names=[c.split()[0] for c in KIND.split(", ")])
+
+
+def pack(index: DataFrame) -> DataFrame:
+    """index with one row for each shard: its zone (largest x, smallest y) and its arrays, edges as one list with offsets. Done once, it saves every search the shuffle of the index."""
+    def run(key, t):
+        t = t.sort_by("ord")
+        dst = t.column("dst").combine_chunks()
+        ends = np.concatenate([[0], np.cumsum(pa.compute.fill_null(pa.compute.list_value_length(dst), 0).to_numpy())])
+        flat = {c: t.column(c).combine_chunks().flatten().to_numpy() for c in ("dst", "l", "r", "b")}
+        x, y = t.column("x").to_numpy(), t.column("y").to_numpy()
+        blob = blobs.pack(oid=t.column("oid").to_numpy(), v=_matrix(t.column("vec")), x=x, y=y, ends=ends.astype(np.int64), **flat)
+        return pa.Table.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([t.num_rows], pa.int64()), pa.array([x.max()]), pa.array([y.min()]), pa.array([blob], pa.binary())], names=[c.split()[0] for c in PACKED.split(", ")])
+
+    return index.groupBy("shard").applyInArrow(run, PACKED)
+
+
 def edges(index: DataFrame) -> DataFrame:
     """shard, src, dst, l, r, b, kind, and the coordinates' ranks at both ends where asked by joins."""
     e = F.explode(F.arrays_zip("dst", "l", "r", "b", "kind")).alias("e")
     return index.select("shard", F.col("ord").alias("src"), e).select("shard", "src", "e.*")
 
 
-def route(queries: DataFrame, index: DataFrame) -> DataFrame:
-    """A row for each query and shard that can hold a valid object: zone bounds of the shards against the query's corner."""
-    zones = index.select(F.col("shard").alias("_shard"), "x", "y").groupBy("_shard").agg(F.max("x").alias("x1"), F.min("y").alias("y0"))
-    return queries.join(small(zones), (F.col("x1") >= F.col("xq")) & (F.col("y0") <= F.col("yq"))).select(F.col("_shard").alias("to"), "qid", "qvec", "xq", "yq", "k")
+class Shard:
+    """A packed shard, opened: rows by (y, oid), ranks, entries, and edges by row."""
+
+    def __init__(self, blob: bytes):
+        a = blobs.unpack(blob)
+        self.v, self.oid, self.x, self.y, self.ends = a["v"], a["oid"], a["x"], a["y"], a["ends"]
+        self.edges = tuple(a[c] for c in ("dst", "l", "r", "b"))
+        (self.ux, self.xr), (self.uy, self.yr) = (np.unique(z, return_inverse=True) for z in (self.x, self.y))
+        self.tops = kernels.prefix_tops(self.xr)
+
+    def __getitem__(self, u: int) -> tuple:
+        at, to = self.ends[u], self.ends[u + 1]
+        return tuple(e[at:to] for e in self.edges)
+
+    def find(self, q, xq: float, yq: float, k: int, ef: int, mode: str, scan_below: int, fan: int) -> tuple[np.ndarray, np.ndarray, tuple]:
+        """(rows, distances, costs) of up to k valid objects, nearest first."""
+        a, c = int(np.searchsorted(self.ux, xq)), int(np.searchsorted(self.uy, yq, side="right")) - 1
+        last = int(np.searchsorted(self.y, yq, side="right")) - 1  # rows up to here have y <= yq
+        none = np.zeros(0, np.int64), np.zeros(0), (0, 0, 0)
+        if a >= len(self.ux) or last < 0 or self.xr[self.tops[last]] < a:
+            return none
+        start = int(self.tops[last])
+        valid = (self.xr >= a) & (self.yr <= c) if mode != "walk" or scan_below else None
+        if scan_below and valid.sum() <= scan_below:
+            ids, costs = np.flatnonzero(valid), (int(valid.sum()), 0, 0)
+        elif mode == "walk":
+            ids, _, costs = kernels.walk(self.v, self, q, a, c, start, max(ef, k))
+        elif mode == "post":
+            ids, _, costs = kernels.walk(self.v, self, q, a, c, 0, max(ef, k), labels=False)
+            ids = [i for i in ids if valid[i]]
+        elif mode == "dense":
+            ids, _, costs = kernels.walk(self.v, self, q, a, c, start, max(ef, k), labels=False, admit=valid, fan=fan)
+        else:
+            ids, _, costs = kernels.walk(self.v, self, q, a, c, start, max(ef, k), labels=False, admit=valid, hop_through=True)
+        ids = np.array(ids, np.int64)
+        d = np.sqrt(kernels.dist2(self.v, ids, q)) if len(ids) else np.zeros(0)
+        best = np.lexsort((self.oid[ids], d))[:k]
+        return ids[best], d[best], costs
+
+
+FOUND = "qid long, oid long, dist double, evals long, hops long, tests long, k int"
+
+
+def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard) -> DataFrame:
+    """FOUND rows: answer(shard, query vector, xq, yq, k) -> (rows, distances, costs) for each packed shard and each query whose corner meets its zone; a row without oid carries the costs.
+
+    Shards stay where they are; the stated queries (qid, qvec, xq, yq, k) go to them in broadcast blocks.
+    """
+    spark = packed.sparkSession
+    light_batches(spark)
+    out = None
+    for some in query_blocks(queries.where("qvec is not null and xq is not null and yq is not null").select("qid", "qvec", "xq", "yq", "k")):
+        sent = spark.sparkContext.broadcast(some.toArrow())
+
+        def run(batches, sent=sent):
+            t = sent.value
+            qs = list(zip(t.column("qid").to_pylist(), t.column("qvec").to_pylist(), t.column("xq").to_pylist(), t.column("yq").to_pylist(), t.column("k").to_pylist()))
+            for b in batches:
+                for r in b.to_pylist():
+                    shard = None
+                    rows = {c.split()[0]: [] for c in FOUND.split(", ")}
+                    for qid, q, xq, yq, k in qs:
+                        if r["x1"] >= xq and r["y0"] <= yq:
+                            shard = shard or open_shard(r["blob"])
+                            if len(q) != shard.v.shape[1]:
+                                continue
+                            ids, d, costs = answer(shard, np.array(q, np.float64), xq, yq, k)
+                            n = len(ids) + 1
+                            for c, x in zip(rows, ([qid] * n, [*shard.oid[ids].tolist(), None], [*d.tolist(), None], *([0] * (n - 1) + [z] for z in costs), [k] * n)):
+                                rows[c] += x
+                    types = {"long": pa.int64(), "double": pa.float64(), "int": pa.int32()}
+                    yield pa.RecordBatch.from_arrays([pa.array(rows[c], types[k]) for c, k in (x.split() for x in FOUND.split(", "))], names=list(rows))
+
+        part = packed.select("x1", "y0", "blob").mapInArrow(run, FOUND)
+        out = part if out is None else out.union(part)
+    return out
+
+
+def merged(found: DataFrame, stats: bool) -> DataFrame:
+    """qid, rank, oid, dist of the nearest k over all shards; with stats also evals, hops and tests, each query's sums over the shards."""
+    best = W.partitionBy("qid").orderBy("dist", "oid")
+    if stats:
+        found = materialize(found, "found")
+    top = found.where("oid is not null").withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= F.col("k")).select("qid", "rank", "oid", "dist")
+    return top.join(found.groupBy("qid").agg(*[F.sum(c).alias(c) for c in ("evals", "hops", "tests")]), "qid") if stats else top
 
 
-def search(index: DataFrame, queries: DataFrame, relation: Relation, ef: int = 64, swap: bool = False, mode: str = "walk", scan_below: int = 0, stats: bool = False) -> DataFrame:
-    """qid, rank, oid, dist (and evals): the k nearest valid objects found for queries (qid, qvec, sq, tq, k).
+def search(index: DataFrame, queries: DataFrame, relation: Relation, ef: int = 64, swap: bool = False, mode: str = "walk", scan_below: int = 0, stats: bool = False, fan: int = 16) -> DataFrame:
+    """qid, rank, oid, dist (and costs): the k nearest valid objects found for queries (qid, qvec, sq, tq, k), in an index as built or, without any shuffle of it, packed.
 
     A shard snaps the query to its own state, takes a valid entry or none, and walks; valid sets of up to scan_below objects are scanned.
     Shards' results are merged by (distance, oid): the union of the shards' valid sets is the whole valid set.
-    mode `walk` follows labels; `post` ignores them and drops invalid results; `predicate` tests the relation at each node, passing through others.
+    mode `walk` follows labels; `post` ignores them and drops invalid results; `predicate` tests the relation at each node, passing through others;
+    `dense` follows only valid neighbours, the nearest fan of each node's.
+    Queries without vector or interval, or of another dimension, get no rows.
     """
-    routed = route(attach_queries(queries, relation.plan(swap)), index)
-    out = "qid long, oid long, dist double, evals long, k int"
-    left = index.select("shard", "ord", "oid", "vec", "x", "y", "dst", "l", "r", "b")
-
-    def run(key, t, qs):
-        rows = {c: [] for c in ("qid", "oid", "dist", "evals", "k")}
-        if t.num_rows and qs.num_rows:
-            t = t.sort_by("ord")
-            v = np.array(t.column("vec").to_pylist(), np.float64)
-            oid, x, y = (t.column(c).to_numpy() for c in ("oid", "x", "y"))
-            xr, yr = (np.unique(z, return_inverse=True)[1] for z in (x, y))
-            graph = [tuple(np.array(t.column(c)[i].as_py(), np.int64) for c in ("dst", "l", "r", "b")) for i in range(len(oid))]
-            ux, uy = np.unique(x), np.unique(y)
-            top = np.maximum.accumulate(xr)
-            first = np.flatnonzero(np.concatenate([[True], top[1:] > top[:-1]]))
-            for qid, q, xq, yq, k in zip(*(qs.column(c).to_pylist() for c in ("qid", "qvec", "xq", "yq", "k"))):
-                a, c = int(np.searchsorted(ux, xq)), int(np.searchsorted(uy, yq, side="right")) - 1
-                if a >= len(ux) or c < 0:
-                    continue
-                q, valid = np.array(q, np.float64), (xr >= a) & (yr <= c)
-                if not valid.any():
-                    continue
-                start = first[np.searchsorted(yr[first], c, side="right") - 1] if mode == "walk" else np.flatnonzero(valid)[0]
-                if mode == "walk" and valid.sum() > scan_below:
-                    ids, _, evals = kernels.walk(v, graph, q, a, c, int(start), max(ef, k))
-                elif mode == "walk":
-                    ids, evals = np.flatnonzero(valid).tolist(), int(valid.sum())
-                elif mode == "post":
-                    ids, _, evals = kernels.walk(v, graph, q, a, c, 0, max(ef, k), labels=False)
-                    ids = [i for i in ids if valid[i]]
-                else:
-                    ids, _, evals = kernels.walk(v, graph, q, a, c, int(start), max(ef, k), labels=False, admit=valid, hop_through=True)
-                d = np.sqrt(kernels.dist2(v, ids, q)) if len(ids) else np.zeros(0)
-                best = np.lexsort((oid[ids], d))[:k] if len(ids) else []
-                rows["qid"] += [qid] * len(best)
-                rows["oid"] += [int(oid[ids[i]]) for i in best]
-                rows["dist"] += [float(d[i]) for i in best]
-                rows["evals"] += [evals] * len(best)
-                rows["k"] += [k] * len(best)
-        return pa.table({"qid": pa.array(rows["qid"], pa.int64()), "oid": pa.array(rows["oid"], pa.int64()), "dist": pa.array(rows["dist"], pa.float64()), "evals": pa.array(rows["evals"], pa.int64()), "k": pa.array(rows["k"], pa.int32())})
-
-    found = left.groupBy("shard").cogroup(routed.groupBy("to")).applyInArrow(run, out)
-    best = W.partitionBy("qid").orderBy("dist", "oid")
-    merged = found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= F.col("k"))
-    return merged.select("qid", "rank", "oid", "dist", *(["evals"] if stats else []))
-
-
-def save(index: DataFrame, path: str) -> None:
-    index.repartition("shard").sortWithinPartitions("shard", "ord").write.partitionBy("shard").parquet(path)
+    shards = index if "blob" in index.columns else pack(index)
+    asked = attach_queries(queries, relation.plan(swap))
+    return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan)), stats)
+
+
+def save(index: DataFrame, path: str, relation: Relation, **parameters) -> str:
+    """Writes a new version of an index under path: its rows, sorted by shard and order, its packed shards, its entries and thresholds; and last one row of meta, which makes the version current. Returns the version."""
+    spark, version = index.sparkSession, uuid.uuid4().hex
+    at = f"{path}/{version}"
+    index.repartition("shard").sortWithinPartitions("shard", "ord").write.partitionBy("shard").parquet(f"{at}/objects")
+    rows = spark.read.schema(index.schema).parquet(f"{at}/objects")
+    shards = rows.select("shard").distinct().count() or 1
+    pack(rows).repartition(shards, "shard").write.parquet(f"{at}/shards")
+    order = W.partitionBy("shard").orderBy("y", "oid").rowsBetween(W.unboundedPreceding, -1)  # a shard's rows
+    tops = rows.withColumn("_m", F.max("x").over(order)).where(F.col("_m").isNull() | (F.col("x") > F.col("_m")))
+    tops.select("shard", "ord", "oid", "x", "xr", "y", "yr").write.parquet(f"{at}/entries")
+    axis = lambda c: rows.select("shard", F.lit(c).alias("axis"), F.col(c).alias("val"), F.col(f"{c}r").alias("rank")).distinct()
+    axis("x").union(axis("y")).write.parquet(f"{at}/thresholds")
+    terms = [f"{t.end}{t.op}{t.query}" for t in relation.terms]
+    meta = spark.createDataFrame([(version, relation.name, terms, {k: str(v) for k, v in parameters.items()})], "version string, relation string, terms array<string>, parameters map<string,string>")
+    meta.withColumn("written", F.current_timestamp()).write.mode("append").parquet(f"{path}/meta")
+    return version
+
+
+def load(spark: SparkSession, path: str, version: str | None = None) -> tuple[dict[str, DataFrame], Relation, dict]:
+    """(tables objects, shards, entries and thresholds; relation; parameters) of a version, the last one written if none is named. A version without meta was never finished, and is not seen."""
+    meta = spark.read.parquet(f"{path}/meta")
+    row = (meta.where(F.col("version") == version) if version else meta.orderBy(F.col("written").desc(), "version").limit(1)).first()
+    if row is None:
+        raise ValueError(f"no version {version} of an index in {path}")
+    tables = {t: spark.read.parquet(f"{path}/{row.version}/{t}") for t in ("objects", "shards", "entries", "thresholds")}
+    return tables, custom(*row.terms, name=row.relation), dict(row.parameters)
+
+
+def unlabelled(objects: DataFrame, relation: Relation, m: int = 16, pool: int = 200, shard_rows: int = 4000, gamma: int = 0) -> DataFrame:
+    """A proximity graph whose edges carry no state, with the objects' coordinates, for the baselines that ignore labels: each object is swept once. gamma: no sweep, but edges to the m * gamma nearest objects, unpruned, for mode `dense`."""
+    placed = assign(attach(whole(objects), relation.plan()), shard_rows).select("shard", "oid", "vec", "x", "y")
 
-
-def unlabelled(objects: DataFrame, relation: Relation, m: int = 16, pool: int = 200, shard_rows: int = 4000) -> DataFrame:
-    """A plain proximity graph with the objects' coordinates beside it, for the baselines that ignore labels: all objects share one coordinate, so each is swept once."""
-    flat = objects.select("oid", "vec", F.lit(0.0).alias("s"), F.lit(0.0).alias("t"))
-    graph = build(flat, custom("s>=sq", "t<=tq"), m, "practical", pool, "full", "none", shard_rows=shard_rows).drop("x", "y")
-    axes = attach(accept(objects)[0], relation.plan()).select("oid", "x", "y")
-    return materialize(graph.join(axes, "oid"), "plain")
+    def run(key, t):
+        v, oid, x, y, xr, yr = _arrays(t)
+        out = [[] for _ in oid]
+        if gamma:
+            out = [[(int(u), 0, 0, 0, 0) for u in near] for near in kernels.dense(v, oid, m * gamma)]
+        else:
+            zero = np.zeros(len(oid), np.int64)
+            for src, *edge in kernels.build(v, oid, zero, zero, m, "practical", pool, "full", "none")[0]:
+                out[src].append(edge)
+        return _rows(key[0].as_py(), v, oid, x, y, xr, yr, out)
+
+    return materialize(placed.groupBy("shard").applyInArrow(run, KIND), "plain")

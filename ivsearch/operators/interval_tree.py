@@ -1,64 +1,162 @@
-"""Baseline for containment: a tree of plain graphs over the plane of (s, t), a graph for each node."""
+"""Baselines that keep several plain graphs: a tree of them over the plane of (s, t), for containment, and levels of ever fewer objects."""
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from ..functions.coords import accept
-from ..session import small
-from . import kernels
-from .exact import top
-from .index import assign
+from ..functions.coords import attach, attach_queries, whole
+from ..functions.relations import CONTAINED, Relation
+from ..session import materialize
+from . import blobs, kernels
+from .index import PACKED, Shard, _arrays, assign, each_shard, merged
 
 
-def search(objects: DataFrame, queries: DataFrame, leaf: int = 64, m: int = 16, pool: int = 100, ef: int = 64, shard_rows: int = 4000) -> DataFrame:
-    """qid, rank, oid, dist. In each shard the plane is halved at medians of s and t in turn down to leaf objects; a query takes the largest nodes that lie
-    inside its rectangle whole, and the leaves that cross its edge, whose objects are tested one by one."""
-    placed = assign(accept(objects)[0].withColumn("x", F.col("s")), shard_rows).select("shard", "oid", "vec", "s", "t")
-    shards = placed.select(F.col("shard").alias("to")).distinct()
-    sent = shards.join(small(queries.select("qid", "qvec", "sq", "tq", "k")), F.lit(True))
+def _plain(v, oid, m: int, pool: int) -> list[np.ndarray]:
+    """Each row's neighbours in a graph that is swept once."""
+    zero, out = np.zeros(len(oid), np.int64), [[] for _ in oid]
+    for src, dst, *_ in kernels.build(v, oid, zero, zero, m, "practical", pool, "full", "none")[0]:
+        out[src].append(dst)
+    return [np.array(x, np.int64) for x in out]
 
-    def run(key, t, qs):
-        v = np.array(t.column("vec").to_pylist(), np.float64)
-        oid, s, e = (t.column(c).to_numpy() for c in ("oid", "s", "t"))
-        nodes = []
+
+def _flat(lists: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    return np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int64), np.concatenate([*lists, np.zeros(0, np.int64)])
+
+
+def _packed(objects: DataFrame, relation: Relation, shard_rows: int, make) -> DataFrame:
+    placed = assign(attach(whole(objects), relation.plan()), shard_rows).select("shard", "oid", "vec", "x", "y")
+
+    def run(key, t):
+        v, oid, x, y, *_ = _arrays(t)
+        none = np.zeros(0, np.int32)
+        blob = blobs.pack(oid=oid, v=v, x=x, y=y, ends=np.zeros(len(oid) + 1, np.int64), dst=none, l=none, r=none, b=none, **make(v, oid, x, y))
+        return pa.Table.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([len(oid)], pa.int64()), pa.array([x.max()]), pa.array([y.min()]), pa.array([blob], pa.binary())], names=[c.split()[0] for c in PACKED.split(", ")])
+
+    return materialize(placed.groupBy("shard").applyInArrow(run, PACKED), "packed")
+
+
+class Listed:
+    """Neighbours by row, as a graph for walks without labels."""
+
+    def __init__(self, ends, dst):
+        self.ends, self.dst = ends, dst
+
+    def __getitem__(self, u: int) -> tuple:
+        near = self.dst[self.ends[u] : self.ends[u + 1]]
+        return near, near, near, near
+
+
+class Tree(Shard):
+    def __init__(self, blob: bytes):
+        super().__init__(blob)
+        a = blobs.unpack(blob)
+        self.rows, self.of, self.kids, self.box = a["rows"], a["of"], a["kids"], a["box"]
+        self.node_ends, self.near_ends, self.near = a["node_ends"], a["near_ends"], a["near"]
+
+    def take(self, q, xq: float, yq: float, k: int, ef: int) -> tuple[np.ndarray, np.ndarray, tuple]:
+        todo, hits, costs = [0] if len(self.of) else [], [], np.zeros(3, np.int64)
+        while todo:
+            i = todo.pop()
+            rows = self.rows[self.of[i, 0] : self.of[i, 1]]
+            low, high = self.box[i]
+            if self.x[rows].max() < xq or self.y[rows].min() > yq:
+                continue
+            if low >= xq and high <= yq and self.of[i, 2] >= 0:
+                at = self.of[i, 2]
+                graph = Listed(self.near_ends[at : at + len(rows) + 1], self.near)
+                found, _, spent = kernels.walk(self.v[rows], graph, q, 0, 0, 0, max(ef, k), labels=False)
+                hits.append(rows[found])
+                costs += spent
+            elif self.kids[i, 0] >= 0 and not (low >= xq and high <= yq):
+                todo += self.kids[i].tolist()
+            else:
+                hits.append(rows[(self.x[rows] >= xq) & (self.y[rows] <= yq)])
+                costs[0] += len(hits[-1])
+        ids = np.concatenate([*hits, np.zeros(0, np.int64)]).astype(np.int64)
+        d = np.sqrt(kernels.dist2(self.v, ids, q)) if len(ids) else np.zeros(0)
+        best = np.lexsort((self.oid[ids], d))[:k]
+        return ids[best], d[best], tuple(int(c) for c in costs)
+
+
+def build(objects: DataFrame, leaf: int = 64, m: int = 16, pool: int = 100, shard_rows: int = 4000) -> DataFrame:
+    """The tree of graphs, stored, one row a shard: its plane is halved at medians of s and t in turn down to leaf objects; every node above a leaf has a graph of its own."""
+    def make(v, oid, x, y):
+        order, of, kids, box, near = [], [], [], [], []
+        size = 0
 
         def split(ids, depth):
-            order = ids[np.argsort(oid[ids])]
-            sub, zero = v[order], np.zeros(len(order), np.int64)
-            graph = [[] for _ in order]
-            if len(order) > leaf:
-                for src, dst, *_ in kernels.build(sub, oid[order], zero, zero, m, "practical", pool, "full", "none")[0]:
-                    graph[src].append(dst)
-            n = len(nodes)
-            z = lambda g: np.zeros(len(g), np.int64)
-            nodes.append((order, [(np.array(g, np.int64), z(g), z(g), z(g)) for g in graph], (s[order].min(), e[order].max()), []))
-            axis = (s, e)[depth % 2][order]
-            low = axis < np.median(axis)
-            if len(order) > leaf and 0 < low.sum() < len(order):
-                nodes[n][3].extend([split(order[low], depth + 1), split(order[~low], depth + 1)])
-            return n
+            nonlocal size
+            i, own = len(of), ids[np.argsort(oid[ids])]
+            order.append(own)
+            big = len(own) > leaf
+            of.append([size, size + len(own), sum(len(g) + 1 for g in near) if big else -1])
+            size += len(own)
+            kids.append([-1, -1])
+            box.append([x[own].min(), y[own].max()])
+            if big:
+                near.append(_plain(v[own], oid[own], m, pool))
+                axis = (x, y)[depth % 2][own]
+                low = axis < np.median(axis)
+                if 0 < low.sum() < len(own):
+                    kids[i] = [split(own[low], depth + 1), split(own[~low], depth + 1)]
+            return i
 
         if len(oid):
             split(np.arange(len(oid)), 0)
-        rows = []
-        for qid, q, a, c, k in zip(*(qs.column(x).to_pylist() for x in ("qid", "qvec", "sq", "tq", "k"))):
-            q, todo = np.array(q, np.float64), [0] if nodes else []
-            while todo:
-                order, graph, (lo, hi), kids = nodes[todo.pop()]
-                if lo >= a and hi <= c:
-                    hit = order[kernels.walk(v[order], graph, q, 0, 0, 0, max(ef, k))[0]] if len(order) > leaf else order
-                elif kids:
-                    todo.extend(kids)
-                    continue
-                else:
-                    hit = order[(s[order] >= a) & (e[order] <= c)]
-                rows += [(qid, int(oid[i]), float(d), k) for i, d in zip(hit, np.sqrt(kernels.dist2(v, hit, q)))]
-        cols = list(zip(*rows)) or [[]] * 4
-        return pa.table({"qid": pa.array(cols[0], pa.int64()), "oid": pa.array(cols[1], pa.int64()), "dist": pa.array(cols[2], pa.float64()), "k": pa.array(cols[3], pa.int32())})
-
-    found = placed.groupBy("shard").cogroup(sent.groupBy("to")).applyInArrow(run, "qid long, oid long, dist double, k int")
-    return top(found)
+        ends, at = [], 0
+        for graph in near:  # one entry more than rows for each graph, so that graphs lie side by side
+            e, _ = _flat(graph)
+            ends.append(e + at)
+            at += int(e[-1])
+        flat = np.concatenate([*(x for g in near for x in g), np.zeros(0, np.int64)])
+        return {"rows": np.concatenate([*order, np.zeros(0, np.int64)]).astype(np.int64), "of": np.array(of, np.int64).reshape(-1, 3), "kids": np.array(kids, np.int64).reshape(-1, 2), "box": np.array(box, np.float64).reshape(-1, 2), "near_ends": np.concatenate([*ends, np.zeros(0, np.int64)]).astype(np.int64), "near": flat.astype(np.int64), "node_ends": np.zeros(0, np.int64)}
+
+    return _packed(objects, CONTAINED, shard_rows, make)
+
+
+def search(tree: DataFrame, queries: DataFrame, ef: int = 64, stats: bool = False) -> DataFrame:
+    """qid, rank, oid, dist: a query takes the largest nodes that lie inside its rectangle whole, by their graphs, and the leaves that cross its edge, whose objects are tested one by one."""
+    asked = attach_queries(queries, CONTAINED.plan())
+    return merged(each_shard(tree, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Tree), stats)
+
+
+class Layered(Shard):
+    def __init__(self, blob: bytes):
+        super().__init__(blob)
+        a = blobs.unpack(blob)
+        self.levels = [(a[f"m{i}"], Listed(a[f"e{i}"], a[f"d{i}"])) for i in range(int(a["levels"][0]))]
+
+    def take(self, q, xq: float, yq: float, k: int, ef: int) -> tuple[np.ndarray, np.ndarray, tuple]:
+        costs, at = np.zeros(3, np.int64), 0
+        for i in range(len(self.levels) - 1, -1, -1):
+            members, graph = self.levels[i]
+            start = int(np.searchsorted(members, at)) if i < len(self.levels) - 1 else 0
+            found, _, spent = kernels.walk(self.v[members], graph, q, 0, 0, start, max(ef, k) if i == 0 else 1, labels=False)
+            costs += spent
+            at = int(members[found[0]])
+        ids = np.array([x for x in members[found] if self.x[x] >= xq and self.y[x] <= yq], np.int64)
+        d = np.sqrt(kernels.dist2(self.v, ids, q)) if len(ids) else np.zeros(0)
+        best = np.lexsort((self.oid[ids], d))[:k]
+        return ids[best], d[best], tuple(int(c) for c in costs)
+
+
+def build_layered(objects: DataFrame, relation: Relation, m: int = 16, pool: int = 200, shard_rows: int = 4000) -> DataFrame:
+    """A layered small-world graph, stored, one row a shard: each level holds a geometric draw of the one below, about 1 in m, with a graph of its own."""
+    def make(v, oid, x, y):
+        drawn, out, level = kernels.levels(oid, m), {}, 0
+        while level == 0 or (drawn >= level).any():
+            members = np.flatnonzero(drawn >= level)
+            out[f"m{level}"] = members.astype(np.int64)
+            out[f"e{level}"], out[f"d{level}"] = _flat(_plain(v[members], oid[members], m, pool))
+            level += 1
+        return out | {"levels": np.array([level], np.int64)}
+
+    return _packed(objects, relation, shard_rows, make)
+
+
+def search_layered(graph: DataFrame, queries: DataFrame, relation: Relation, ef: int = 64, stats: bool = False) -> DataFrame:
+    """Post-filter: a greedy descent through the upper levels, a walk of width ef on the lowest, and of what it finds the valid ones."""
+    asked = attach_queries(queries, relation.plan())
+    return merged(each_shard(graph, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Layered), stats)

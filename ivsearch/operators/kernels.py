@@ -55,22 +55,92 @@ def sweep_exact(v, oid, xr, j: int, m: int, width: int | None = None):
     return edges, rounds
 
 
+def pools(v, oid, z: int, block: int = 256):
+    """(j, ids, squared distances) of the z nearest earlier objects of each j, by (distance, oid): chosen by a matrix product of a block, with all that rounding could bring in, and measured anew."""
+    n, sq = len(v), np.einsum("ij,ij->i", v, v)
+    for at in range(1, n, block):
+        to = min(n, at + block)
+        rough = sq[:to][None] + sq[at:to, None] - 2 * (v[at:to] @ v[:to].T)
+        for j in range(at, to):
+            row = rough[j - at, :j]
+            if j > z:
+                edge = row[np.argpartition(row, z - 1)[:z]].max()
+                ids = np.flatnonzero(row <= edge + 1e-9 * (sq[j] + abs(edge) + 1))
+            else:
+                ids = np.arange(j)
+            d = dist2(v, ids, v[j])
+            order = np.lexsort((oid[ids], d))[:z]
+            yield j, ids[order], d[order]
+
+
+def closer(v, ids, d) -> np.ndarray:
+    """[w, u]: w is strictly nearer to the centre than u, and nearer to u than the centre is."""
+    c = v[ids]
+    sq = np.einsum("ij,ij->i", c, c)
+    between = sq[:, None] + sq - 2 * (c @ c.T)
+    return (between < d[None]) & (d[:, None] < d[None])
+
+
+def keep(alive: np.ndarray, close: np.ndarray, m: int) -> list[int]:
+    """diversify() on places: of the places alive, in their order, those that no kept one is closer to; at most m."""
+    alive, kept = alive.copy(), []
+    while len(kept) < m:
+        i = int(alive.argmax())
+        if not alive[i]:
+            break
+        kept.append(i)
+        alive[i] = False
+        alive &= ~close[i]
+    return kept
+
+
 def sweep_pooled(v, xr, j: int, ids, d, m: int, leap: str = "max", quantile: float = 0.75):
     """(edges, rounds, uncovered) of object j from one pool of earlier objects: uncovered is the range of thresholds left when the pool has none for them."""
-    edges, x, rounds, ranks = [], 0, 0, xr[ids]
+    edges, x, rounds, ranks, close = [], 0, 0, xr[ids], closer(v, ids, d)
     while x <= xr[j]:
         at = ranks >= x
         if not at.any():
             return edges, rounds, (x, int(xr[j]))
-        kept = diversify(v, ids[at], d[at], m)
+        kept = ids[keep(at, close, m)]
         own = np.sort(xr[kept])
         stop = {"full": ranks[at].min(), "conservative": own[0], "aggressive": own[int(quantile * (len(own) - 1))], "max": own[-1]}[leap]
         stop = min(int(stop), int(xr[j]))
-        edges += [(u, x, min(stop, int(xr[u]))) for u in kept]
+        edges += [(int(u), x, min(stop, int(xr[u]))) for u in kept]
         x, rounds = stop + 1, rounds + 1
     return edges, rounds, None
 
 
+class Growing:
+    """A graph under construction, for searches over it: each object's edges (other, l, r, b) as growing lists."""
+
+    def __init__(self, n: int):
+        self.lists = [[] for _ in range(n)]
+        self.arrays: dict[int, tuple] = {}
+
+    def add(self, src: int, edge: tuple) -> None:
+        self.lists[src].append(edge)
+        self.arrays.pop(src, None)
+
+    def __getitem__(self, u: int) -> tuple:
+        if u not in self.arrays:
+            self.arrays[u] = tuple(np.array(self.lists[u], np.int64).reshape(-1, 4).T)
+        return self.arrays[u]
+
+
+def sweep_by_search(v, xr, yr, j: int, m: int, graph: Growing, width: int, starts: np.ndarray):
+    """(edges, rounds) of object j where each threshold's candidates come from a labelled search of the graph so far, in the state of the threshold and the object before j."""
+    edges, x, rounds, c = [], 0, 0, int(yr[j - 1])
+    while x <= xr[j]:
+        if xr[starts[j - 1]] < x:  # starts[i]: an object up to i with the largest x, so none is valid
+            break
+        ids, d, _ = walk(v, graph, v[j], x, c, int(starts[j - 1]), width)
+        ids, d = np.array([i for i in ids if i < j], np.int64), np.array([e for i, e in zip(ids, d) if i < j])
+        right = min(int(xr[j]), int(xr[ids].min()))
+        edges += [(u, x, right) for u in diversify(v, ids, d, m)]
+        x, rounds = right + 1, rounds + 1
+    return edges, rounds
+
+
 def mend(v, oid, xr, j: int, span: tuple[int, int], m: int, kp: int, how: str = "anchored"):
     """Repair edges (u, l, r) for the uncovered thresholds of object j.
 
@@ -96,14 +166,14 @@ def mend(v, oid, xr, j: int, span: tuple[int, int], m: int, kp: int, how: str =
     return [(int(u), low, min(int(xr[j]), int(xr[u]), high)) for u in chosen]
 
 
-def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True, admit=None, hop_through: bool = False):
-    """Best-first search from start along edges alive in (a, c): (ids, squared distances, distance evaluations), nearest first, at most size.
+def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True, admit=None, hop_through: bool = False, fan: int | None = None):
+    """Best-first search from start along edges alive in (a, c): (ids, squared distances, costs), nearest first, at most size; costs are distance evaluations, expanded nodes and edges tested.
 
     graph[u] is (other, l, r, b) as arrays. Without labels every edge is followed; admit then tells which nodes may be results:
-    others are passed over, or through where hop_through.
+    others are passed over, or through where hop_through. fan: of a node's admitted neighbours only the first so many.
     """
     d0 = float(dist2(v, [start], q)[0])
-    seen, evals = {start}, 1
+    seen, evals, hops, tests = {start}, 1, 0, 0
     ok = lambda x: admit is None or admit[x]
     best = [(-d0, -start)] if ok(start) else []
     todo = [(d0, start)]
@@ -112,14 +182,17 @@ def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True
         if len(best) == size and d > -best[0][0]:
             break
         other, l, r, b = graph[u]
+        hops, tests = hops + 1, tests + len(other)
         near = other[(l <= a) & (a <= r) & (b <= c)] if labels else other
-        near = np.array([x for x in dict.fromkeys(near.tolist()) if x not in seen and (hop_through or ok(x))], np.int64)
-        if not len(near):
+        if admit is not None and not hop_through:
+            near = near[admit[near]]
+        near = [x for x in dict.fromkeys(near[:fan].tolist()) if x not in seen]
+        if not near:
             continue
-        seen.update(near.tolist())
+        seen.update(near)
         far = dist2(v, near, q)
         evals += len(near)
-        for x, e in zip(near.tolist(), far.tolist()):
+        for x, e in zip(near, far.tolist()):
             if len(best) < size or e < -best[0][0]:
                 heapq.heappush(todo, (e, x))
                 if ok(x):
@@ -127,28 +200,71 @@ def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True
                     if len(best) > size:
                         heapq.heappop(best)
     found = sorted((-d, -x) for d, x in best)
-    return [x for _, x in found], [d for d, _ in found], evals
+    return [x for _, x in found], [d for d, _ in found], (evals, hops, tests)
+
+
+def prefix_tops(xr) -> np.ndarray:
+    """For each place the first object up to it that has the largest x so far: an entry of every state that has a valid object there."""
+    top = np.maximum.accumulate(xr)
+    return np.maximum.accumulate(np.where(np.concatenate([[True], top[1:] > top[:-1]]), np.arange(len(xr)), 0))
 
 
-def build(v, oid, xr, yr, m: int, method: str = "exact", pool: int = 100, leap: str = "max", patch: str = "anchored", kp: int = 8):
-    """Directed edges (src, dst, l, r, b, kind) of a shard and (rounds, uncovered ranges). Objects do not depend on each other's edges."""
+def build(v, oid, xr, yr, m: int, method: str = "exact", pool: int = 100, leap: str = "max", patch: str = "anchored", kp: int = 8, pool_by: str = "scan"):
+    """Directed edges (src, dst, l, r, b, kind) of a shard and (rounds, uncovered ranges).
+
+    `exact` and `practical` with pools by `scan` link an object to earlier ones by their data alone. Pools by `graph` come from one broad
+    search of the graph so far, without labels; `incremental` searches that graph at every threshold, with labels: both insert one object after the other.
+    """
     rows, rounds, open_ = [], 0, 0
+    growing = Growing(len(v)) if method == "incremental" or pool_by == "graph" else None
+    scanned = pools(v, oid, pool) if method == "practical" and growing is None else None
+    starts = prefix_tops(xr) if len(v) else None
     for j in range(1, len(v)):
+        extra = []
         if method == "exact":
             edges, n = sweep_exact(v, oid, xr, j, m)
-            extra = []
+        elif method == "incremental":
+            edges, n = sweep_by_search(v, xr, yr, j, m, growing, max(pool, m), starts)
         else:
-            ids, d = earlier(v, oid, j)
-            edges, n, gap = sweep_pooled(v, xr, j, ids[:pool], d[:pool], m, leap)
+            if scanned is not None:
+                _, ids, d = next(scanned)
+            else:
+                ids, d, _ = walk(v, growing, v[j], 0, 0, j - 1, pool, labels=False)
+                ids, d = np.array(ids, np.int64), np.array(d)
+            edges, n, gap = sweep_pooled(v, xr, j, ids, d, m, leap)
             extra = mend(v, oid, xr, j, gap, m, kp, patch) if gap else []
             open_ += gap is not None
         rounds += n
         for kind, some in ((PLAIN, edges), (PATCH, extra)):
             for u, l, r in some:
                 rows += [(j, u, l, r, int(yr[j]), kind), (u, j, l, r, int(yr[j]), kind)]
+                if growing is not None:
+                    growing.add(j, (u, l, r, int(yr[j])))
+                    growing.add(u, (j, l, r, int(yr[j])))
     return rows, rounds, open_
 
 
+def dense(v, oid, width: int):
+    """Edges of every object to its width nearest ones, nearest first, unpruned: the graph of a walk that tests the predicate itself."""
+    n, sq = len(v), np.einsum("ij,ij->i", v, v)
+    out = []
+    for at in range(0, n, 256):
+        rough = sq[None] + sq[at : at + 256, None] - 2 * (v[at : at + 256] @ v.T)
+        for i, row in enumerate(rough):
+            row[at + i] = np.inf
+            ids = np.argpartition(row, min(width, n - 1) - 1)[:width] if n > 1 else np.zeros(0, np.int64)
+            out.append(ids[np.lexsort((oid[ids], row[ids]))])
+    return out
+
+
+def levels(oid, ratio: int) -> np.ndarray:
+    """A geometric draw for each oid: level l with a share of 1/ratio of those on l - 1."""
+    h = (oid.astype(np.uint64) + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
+    h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    u = ((h ^ (h >> np.uint64(32))) >> np.uint64(11)).astype(np.float64) / 2**53
+    return np.floor(-np.log(np.maximum(u, 1e-18)) / np.log(ratio)).astype(np.int64)
+
+
 def dedicated(v, oid, xr, yr, a: int, c: int, m: int) -> set[tuple[int, int]]:
     """Edges of the insertion-only graph on the objects valid in one state."""
     valid = np.flatnonzero((xr >= a) & (yr <= c))

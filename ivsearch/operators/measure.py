@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..session import small
+
 
 def recall(results: DataFrame, truth: DataFrame) -> DataFrame:
     """qid, hits, truth (its size), recall: the share of the true answers found; queries without valid objects are left out."""
@@ -62,9 +64,17 @@ def by_method(points: DataFrame, value: str = "recall") -> DataFrame:
 
 
 def selectivity(objects: DataFrame, queries: DataFrame, relation) -> DataFrame:
-    """qid, valid, sigma: the number of valid objects and its share of all."""
-    from ..session import small
+    """qid, valid, sigma: the number of valid objects and its share of all, by counts of valid pairs in each task of objects."""
+    from ..functions.coords import on_axis
 
     n = objects.count()
-    pairs = objects.select("oid", "s", "t").join(small(queries.select("qid", "sq", "tq")), relation.predicate()).groupBy("qid").agg(F.count(F.lit(1)).alias("valid"))
+    o, q = on_axis(objects.select("oid", "s", "t"), "s", "t"), on_axis(queries.select("qid", "sq", "tq"), "sq", "tq")
+    pairs = o.join(small(q), relation.predicate()).groupBy("qid").agg(F.count(F.lit(1)).alias("valid"))
     return queries.select("qid").join(pairs, "qid", "left").select("qid", F.coalesce("valid", F.lit(0)).alias("valid")).withColumn("sigma", F.col("valid") / F.lit(max(n, 1)))
+
+
+def graph_stats(index: DataFrame) -> DataFrame:
+    """kind, edges, mean_width (of labels, in thresholds), and the mean, median and largest degree of any kind."""
+    e = index.select(F.explode(F.arrays_zip("l", "r", "kind")).alias("e")).select("e.*")
+    degree = index.agg(F.avg(F.size("dst")).alias("mean_degree"), F.percentile_approx(F.size("dst"), 0.5).alias("median_degree"), F.max(F.size("dst")).alias("max_degree"))
+    return e.groupBy("kind").agg(F.count(F.lit(1)).alias("edges"), F.avg(F.col("r") - F.col("l") + 1).alias("mean_width")).join(F.broadcast(degree))  # one row

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,11 +10,9 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
+    """The folder that the cluster names for checkpoints; where none is set, one in the warehouse, which all executors share."""
     at = spark.conf.get("spark.checkpoint.dir", None)
-    if not at:
-        at = tempfile.mkdtemp(prefix="ivsearch-")
-        spark.conf.set("spark.checkpoint.dir", at)
-    return at
+    return at or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/ivsearch-staged"
 
 
 def materialize(df: DataFrame, name: str = "t") -> DataFrame:
@@ -25,9 +22,18 @@ def materialize(df: DataFrame, name: str = "t") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def small(df: DataFrame, rows: int = 50_000) -> DataFrame:
-    """A broadcast hint where df is found to be small; a shuffled join beyond that."""
-    return F.broadcast(df) if len(df.limit(rows + 1).select(F.lit(1)).take(rows + 1)) <= rows else df
+def light_batches(spark: SparkSession) -> None:
+    """Keeps the batches that Python workers get small from here on: a setting of the session that holds when the caller runs what an operator returns."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "2000")
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(16 << 20))
+
+
+def small(df: DataFrame, rows: int = 20_000, bytes_a_value: int = 1024) -> DataFrame:
+    """A broadcast hint where df is found to be small, by rows and, where it holds arrays, strings or structs, by what these weigh; a shuffled join beyond that."""
+    of = {c: F.size(c) * 8 if t.startswith("array<") and "<" not in t[6:] else F.octet_length(c) if t in ("string", "binary") else F.length(F.to_json(F.struct(c))) for c, t in df.dtypes if t in ("string", "binary") or "<" in t}
+    weight = sum((F.coalesce(w, F.lit(0)) for w in of.values()), F.lit(0))
+    n, size = df.limit(rows + 1).agg(F.count(F.lit(1)), F.coalesce(F.sum(weight), F.lit(0))).first()
+    return F.broadcast(df) if n <= rows and size <= rows * bytes_a_value else df
 
 
 def number(df: DataFrame, order: list[str], name: str, partitions: int | None = None) -> DataFrame:
@@ -39,5 +45,5 @@ def number(df: DataFrame, order: list[str], name: str, partitions: int | None =
     dealt = materialize(df.repartitionByRange(n, *order).withColumn("_part", F.spark_partition_id()), "ranges")
     counts = dealt.groupBy("_part").agg(F.count(F.lit(1)).alias("_n"))
     first = counts.select("_part", (F.sum("_n").over(W.orderBy("_part")) - F.col("_n")).alias("_first"))  # a row for each range
-    within = F.row_number().over(W.partitionBy("_part").orderBy(*order)) - 1
-    return dealt.withColumn("_r", within).join(F.broadcast(first), "_part").withColumn(name, F.col("_first") + F.col("_r")).drop("_part", "_r", "_first")
+    own = F.row_number().over(W.partitionBy("_part").orderBy(*order)) - 1
+    return dealt.withColumn("_own", own).join(F.broadcast(first), "_part").withColumn(name, F.col("_first") + F.col("_own")).drop("_part", "_own", "_first")
