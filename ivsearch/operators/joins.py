@@ -127,17 +127,17 @@ def prefix_knn(ordered: DataFrame, z: int, block: int = 2048) -> DataFrame:
     b = ordered.withColumn("blk", F.floor(F.col("ord") / block).cast("int"))
     top = b.agg(F.coalesce(F.max("blk"), F.lit(-1))).first()[0]
     late = b.withColumn("early", F.explode(F.sequence(F.lit(0), F.col("blk")))).select("early", F.col("blk").alias("late"), "ord", "oid", "vec")
-    early = b.withColumn("late", F.explode(F.sequence(F.col("blk"), F.lit(max(top, 0))))).select(F.col("blk").alias("early"), "late", "ord", "oid", "vec")
+    early = b.withColumn("late", F.explode(F.sequence(F.col("blk"), F.lit(max(top, 0))))).select(F.col("blk").alias("from_blk"), F.col("late").alias("to_blk"), F.col("ord").alias("at"), F.col("oid").alias("id"), F.col("vec").alias("v"))
 
     def run(key, x, y):
-        q, v = _matrix(x.column("vec")), _matrix(y.column("vec"))
-        qo, vo = x.column("ord").to_numpy(), y.column("ord").to_numpy()
+        q, v = _matrix(x.column("vec")), _matrix(y.column("v"))
+        qo, vo = x.column("ord").to_numpy(), y.column("at").to_numpy()
         if not len(q) or not len(v):
             return pa.table({"qid": pa.array([], pa.int64()), "oid": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
-        rows, ids, dist = nearest_in(q, v, y.column("oid").to_numpy(), z, vo[None] < qo[:, None])
+        rows, ids, dist = nearest_in(q, v, y.column("id").to_numpy(), z, vo[None] < qo[:, None])
         return pa.table({"qid": pa.array(x.column("oid").to_numpy()[rows.astype(int)], pa.int64()), "oid": pa.array(ids.astype(np.int64)), "dist": pa.array(dist.astype(np.float64))})
 
-    found = late.groupBy("early", "late").cogroup(early.groupBy("early", "late")).applyInArrow(run, OUT)
+    found = late.groupBy("early", "late").cogroup(early.groupBy("from_blk", "to_blk")).applyInArrow(run, OUT)
     w = W.partitionBy("qid").orderBy("dist", "oid")
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= z).select("qid", "rank", "oid", "dist")
 

@@ -3,11 +3,8 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..session import small
-
 
 def grid(objects: DataFrame, cells: int = 64) -> tuple[DataFrame, tuple]:
     """(i, j, n) of objects with coordinates x and y in cells x cells of equal width, and the bounds (x0, width of i, y0, width of j). At most cells * cells rows."""
@@ -46,8 +43,8 @@ def density(objects: DataFrame, width: float) -> DataFrame:
     """oid, n: objects with y in [own y - width, own y]. Strips as wide as the range; each also gets the strip before it, so no window spans the table."""
     strip = F.floor(F.col("y") / width).cast("long")
     both = objects.select("oid", "y", F.explode(F.array(F.struct(strip.alias("strip"), F.lit(True).alias("own")), F.struct((strip + 1).alias("strip"), F.lit(False).alias("own")))).alias("z")).select("oid", "y", "z.*")
-    w = W.partitionBy("strip").orderBy("y").rangeBetween(-float(width), 0.0)
-    return both.withColumn("n", F.count(F.lit(1)).over(w)).where("own").select("oid", "n")
+    n = F.expr(f"count(1) OVER (PARTITION BY strip ORDER BY y RANGE BETWEEN CAST({float(width)!r} AS DOUBLE) PRECEDING AND CURRENT ROW)")
+    return both.withColumn("n", n).where("own").select("oid", "n")
 
 
 def states(objects: DataFrame) -> DataFrame:
@@ -59,11 +56,3 @@ def successors(numbered: DataFrame) -> DataFrame:
     """val, next: each threshold (val, rank) and the one after it, by a join of ranks."""
     after = numbered.select((F.col("rank") - 1).alias("rank"), F.col("val").alias("next"))
     return numbered.join(after, "rank", "left").select("val", "next")
-
-
-def quantile_marks(objects: DataFrame, column: str, parts: int) -> list[float]:
-    return objects.approxQuantile(column, [i / parts for i in range(parts + 1)], 0.001)
-
-
-def few(df: DataFrame) -> DataFrame:
-    return small(df)

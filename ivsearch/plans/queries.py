@@ -215,7 +215,9 @@ def queries() -> dict:
     q |= {f"rel_{r}_{v}": valid_counts(r, v) for r in ("contained", "overlaps") for v in WIDE} | {f"filtered_knn_contained_{v}": truth("contained", v) for v in WIDE}
     q |= {f"rel_custom_{tag}": custom_counts(terms) for tag, terms in CUSTOM.items()}
     q |= {"slg_search_scalar_range": scalar_range, "slg_search_custom_swapped": swapped, "slg_search_dates": dated}
-    return q
+    from . import reports, surround
+
+    return q | surround.QUERIES | reports.QUERIES
 
 
 _OWN = {
@@ -333,4 +335,6 @@ def oracle_sql() -> dict[str, str]:
     s["text_hash_vectors"] = """WITH w AS (SELECT doc_id, unnest(regexp_split_to_array(lower(trim(text)), '\\s+')) AS w FROM documents),
 c AS (SELECT doc_id, (('0x' || substr(md5(w), 1, 8))::BIGINT % 64)::INTEGER AS cell, count(*) AS n FROM w WHERE w <> '' GROUP BY 1, 2)
 SELECT doc_id, cell, round(n / sqrt(sum(n * n) OVER (PARTITION BY doc_id)), 6) AS w FROM c"""
-    return s
+    from . import reports, surround
+
+    return s | surround.sql(_base, _ranked, _COND, pts) | reports.sql(_workload)
