@@ -15,9 +15,9 @@ from pyspark.sql import functions as F
 from .common import light_batches, shared_dir, small, table, width
 from .tokens import encoder, vocabulary
 
-MAGIC = b"CMR2"
+MAGIC = b"CMR3"
 #: Bits of the total of a mixed prediction's frequencies, entries of the order-2 table, steps between two renewals of frequencies and weights.
-TOTAL_BITS, PAIR_BITS, RENEW = 26, 20, 64
+TOTAL_BITS, PAIR_BITS, RENEW = 26, 18, 64
 U = np.uint64
 #: A lane's interval is widened by 16 bits whenever it is narrower than this.
 NARROW = U(1 << 40)
@@ -36,7 +36,7 @@ class Mixer:
         self.n, self.bits = ids, max(18, (ids - 1).bit_length() + 2)
         if self.bits > TOTAL_BITS - 3:
             raise ValueError("the vocabulary is too large")
-        self.two, self.one = np.zeros(1 << PAIR_BITS, np.int64), np.zeros(ids, np.int64)
+        self.two, self.one = np.zeros(1 << PAIR_BITS, np.int32), np.zeros(ids, np.int32)  # small enough to stay in a core's cache
         self.seen, self.events = np.zeros(ids, np.int64), np.tile(np.array([1, 1, 6], np.int64), (128, 1))
         self.steps, self.old = 0, 0
 
@@ -65,7 +65,7 @@ class Mixer:
 
     def predict(self, p1: np.ndarray, p2: np.ndarray) -> None:
         """Takes in the last two ids of each lane."""
-        self.at, self.p1 = ((p2 * 0x9E3779B1 + p1 * 0x85EBCA77) >> 9) & ((1 << PAIR_BITS) - 1), p1
+        self.at, self.p1 = ((p2 * 0x9E3779B1 + p1 * 0x85EBCA77) >> 11) & ((1 << PAIR_BITS) - 1), p1
         self.e2, self.e1 = self.two.take(self.at), self.one.take(p1)
         self.g2, self.g1 = self.e2 >> 3, self.e1 >> 3
         self.context = ((self.e2 & 7) << 4) | ((self.e1 & 7) << 1) | (self.g1 == self.g2)
@@ -99,24 +99,22 @@ def _lanes(n: int) -> int:
     return max(1, min(4096, n // 512))
 
 
-def _cut(low: np.ndarray, wide: np.ndarray, narrow: np.ndarray) -> np.ndarray:
-    """wide, with narrow intervals that cross a multiple of 2^48 ended there: their upper 16 bits are settled then, so nothing is ever carried."""
-    cross = narrow & (((low ^ (low + wide - U(1))) >> U(48)) != 0)
+def _cut(low: np.ndarray, wide: np.ndarray) -> np.ndarray:
+    """wide, with intervals that cross a multiple of 2^48 ended there: their upper 16 bits are settled then, so nothing is ever carried."""
+    cross = ((low ^ (low + wide - U(1))) >> U(48)) != 0
     return np.where(cross, (~low + U(1)) & U((1 << 48) - 1), wide) if cross.any() else wide
 
 
 def encode_block(ids: np.ndarray, vocab: int) -> bytes:
-    """One block: magic, count, vocabulary size, crc32 of the ids as little-endian 32-bit, words of each lane, words."""
+    """One block: magic, count, vocabulary size, crc32 of the ids as little-endian 32-bit, the first four words of each lane, and the other words in the order in which the decoder takes them."""
     n, lanes = len(ids), _lanes(len(ids))
     steps = -(-n // lanes)
     grid = np.zeros(lanes * steps, np.int64)
     grid[:n] = ids
     grid = np.ascontiguousarray(grid.reshape(lanes, steps).T)
-    model = Mixer(vocab)
+    model, every = Mixer(vocab), np.arange(lanes)
     low, wide = np.zeros(lanes, U), np.full(lanes, (1 << 64) - 1, U)
-    room = 3 * steps + 8  # a step puts three words at most
-    out, first = np.zeros(lanes * room, np.uint16), np.arange(lanes) * room
-    put = first.copy()
+    words, who = [], []
     p1 = p2 = np.zeros(lanes, np.int64)
     for row in grid:
         model.renew(grid)
@@ -125,20 +123,26 @@ def encode_block(ids: np.ndarray, vocab: int) -> bytes:
         share = wide >> U(TOTAL_BITS)
         low += start * share
         wide = share * freq
-        while (narrow := wide < NARROW).any():
-            wide = _cut(low, wide, narrow)
-            out[put] = low >> U(48)  # stays only where the place moves on
-            put += narrow
-            by = narrow.astype(U) << U(4)
-            low, wide = low << by, wide << by
+        while len(at := np.flatnonzero(wide < NARROW)):
+            x, y = low[at], wide[at]
+            words.append((x >> U(48)).astype(np.uint16))
+            who.append(at.astype(np.uint16))
+            low[at], wide[at] = x << U(16), _cut(x, y) << U(16)
         model.learn(row)
         p1, p2 = row, p1
-    for _ in range(4):
-        out[put] = low >> U(48)
-        put, low = put + 1, low << U(16)
-    sizes = put - first
-    words = out.reshape(lanes, room)[np.arange(room) < sizes[:, None]]
-    return MAGIC + struct.pack("<QII", n, vocab, zlib.crc32(ids.astype("<u4").tobytes())) + sizes.astype("<u4").tobytes() + words.astype("<u2").tobytes()
+    events = sum(map(len, who))
+    for i in range(4):
+        words.append((low >> U(48 - 16 * i)).astype(np.uint16))
+        who.append(every.astype(np.uint16))
+    # A lane's decoder holds four words at first, and takes the next one each time it widens.
+    who, words = np.concatenate(who), np.concatenate(words)
+    order = np.argsort(who, kind="stable")
+    place = np.empty(len(order), np.int64)
+    place[order] = np.arange(len(order))
+    words = words[order]
+    first = np.concatenate([[0], np.cumsum(np.bincount(who, minlength=lanes))[:-1]])
+    parts = words[first[:, None] + np.arange(4)], words[place[:events] + 4]
+    return MAGIC + struct.pack("<QII", n, vocab, zlib.crc32(ids.astype("<u4").tobytes())) + b"".join(x.astype("<u2").tobytes() for x in parts)
 
 
 def decode_block(data: bytes) -> np.ndarray:
@@ -148,30 +152,27 @@ def decode_block(data: bytes) -> np.ndarray:
     n, vocab, crc = struct.unpack_from("<QII", data, 4)
     lanes = _lanes(n)
     steps = -(-n // lanes)
-    sizes = np.frombuffer(data, "<u4", lanes, 20).astype(np.int64)
-    words = np.concatenate([np.frombuffer(data, "<u2", offset=20 + 4 * lanes), np.zeros(8, "<u2")]).astype(U)
-    at, last = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.int64), len(words) - 1
+    words, at = np.frombuffer(data, "<u2", offset=20).astype(U), 4 * lanes
     model = Mixer(vocab)
     low, wide, code = np.zeros(lanes, U), np.full(lanes, (1 << 64) - 1, U), np.zeros(lanes, U)
-    for _ in range(4):
-        code = (code << U(16)) | words.take(np.minimum(at, last))
-        at += 1
+    for i in range(4):
+        code = (code << U(16)) | words[i : 4 * lanes : 4]
     grid = np.zeros((steps, lanes), np.int64)
     p1 = p2 = np.zeros(lanes, np.int64)
     for row in grid:
         model.renew(grid)
         model.predict(p1, p2)
         share = wide >> U(TOTAL_BITS)
-        row[:] = model.id_at(np.minimum((code - low) // share, U((1 << TOTAL_BITS) - 1)).view(np.int64))
+        row[:] = model.id_at(np.minimum((code - low) // np.maximum(share, U(1)), U((1 << TOTAL_BITS) - 1)).view(np.int64))
         start, freq = model.place(row)
         low += start * share
         wide = share * freq
-        while (narrow := wide < NARROW).any():
-            wide = _cut(low, wide, narrow)
-            by = narrow.astype(U) << U(4)
-            low, wide = low << by, wide << by
-            code = np.where(narrow, (code << U(16)) | words.take(np.minimum(at, last)), code)
-            at += narrow
+        while len(who := np.flatnonzero(wide < NARROW)):
+            x, new = low[who], words[at : at + len(who)]
+            if len(new) < len(who):
+                raise ValueError("a block of token ids is damaged")
+            at += len(who)
+            wide[who], low[who], code[who] = _cut(x, wide[who]) << U(16), x << U(16), (code[who] << U(16)) | new
         model.learn(row)
         p1, p2 = row, p1
     ids = grid.T.reshape(-1)[:n]
@@ -207,9 +208,9 @@ def write(docs: DataFrame, out: str, path: str | None = None, end_id: int | None
 
         docs_, parts, size = [], [], 0
         for batch in batches:
-            for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text")):
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), enc.many(batch.column("text").to_pylist())):
                 docs_.append(doc)
-                parts.append(enc.ids(text.as_py()) + end)
+                parts.append(ids + end)
                 size += len(parts[-1]) // 4
                 if size >= block_ids:
                     yield flush(docs_, parts)
