@@ -101,8 +101,8 @@ def pack(docs: DataFrame, path: str | None = None, capacity: int = 1024, end_id:
 
         whole, rest, n = [], [], 0
         for batch in batches:
-            for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text")):
-                ids = enc.ids(text.as_py()) + end
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), enc.many(batch.column("text").to_pylist())):
+                ids += end
                 total = len(ids) // 4
                 full = total - total % capacity
                 whole += [(doc, s, ids[4 * s : 4 * (s + capacity)], total) for s in range(0, full, capacity)]

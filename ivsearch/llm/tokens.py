@@ -3,9 +3,13 @@
 from __future__ import annotations
 
 import os
+import re
 
 import numpy as np
 
+#: A part that begins a token by itself and ends before the next part.
+PART = re.compile(r"\n?\S+").fullmatch
+
 
 class Encoder:
     """Ids of texts, as little-endian unsigned 32-bit integers, equal to those of Tokenizer.encode(add_special_tokens=False).
@@ -14,7 +18,7 @@ class Encoder:
     that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
     are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
     cache has two generations of at most max_parts parts of at most 64 characters, about 50 MB: when the younger is full it replaces the older, and
-    a part that is met again moves into the younger. A text's new parts are encoded in one
+    a part that is met again moves into the younger. The new parts of many texts are encoded in one
     call: a token that begins with a space or newline begins a part.
     """
 
@@ -41,37 +45,59 @@ class Encoder:
             self.known.update(fresh)
 
     def ids(self, text: str | None) -> bytes:
-        if not text:
-            return b""
-        head, *tail = text.replace("\n", " \n").split(" ")
-        if head and not head[-1].isspace():
-            parts = ["\n\n" + head, *tail]  # no part begins with two newlines
-            codes = list(map(self.known.get, parts))
-            if None not in codes:
-                return b"".join(codes)
-            new = dict.fromkeys(t for t, c in zip(tail, codes[1:]) if c is None)
-            back = {t: self.older[t] for t in new if t in self.older}
-            fresh = self._together(head, [t for t in new if t not in back])
-            if fresh:
-                self._keep(back | {t: c for t, c in fresh.items() if len(t) <= 64})
-                fresh |= back
-                return b"".join([c or fresh[t] for t, c in zip(parts, codes)])
-        return self._apart(head, tail)
-
-    def _together(self, head: str, new: list[str]) -> dict[str, bytes] | None:
-        """Ids of the head of a text (under its name in the cache) and of parts; None if white space joins some."""
-        for t in new:
-            first = t[1:2] if t[:1] == "\n" else t[:1]
-            if not first or first.isspace() or t[-1].isspace():
-                return None
-        if head[0].isspace():
-            return None
-        (raw,) = self._encode([" ".join([head, *new]).replace(" \n", "\n")])
+        return self.many([text])[0]
+
+    def many(self, texts: list[str | None], chars: int = 1_000_000) -> list[bytes]:
+        """Ids of each text; texts are taken in groups of about so many characters, whose new parts are encoded in one call."""
+        out, group, size = [], [], 0
+        for t in texts:
+            group.append(t)
+            size += len(t or "")
+            if size >= chars:
+                out += self._group(group)
+                group, size = [], 0
+        return out + self._group(group)
+
+    def _group(self, texts: list[str | None]) -> list[bytes]:
+        out: list[bytes] = [b""] * len(texts)
+        get, open_, new = self.known.get, [], {}
+        for i, text in enumerate(texts):
+            if not text:
+                continue
+            parts = text.replace("\n", " \n").split(" ")
+            head = parts[0]
+            if not head or head[0].isspace() or head[-1].isspace():
+                out[i] = self._apart(head, parts[1:])
+                continue
+            parts[0] = "\n\n" + head  # no other part begins with two newlines
+            codes = list(map(get, parts))
+            if None in codes:
+                open_.append((i, parts, codes))
+                new.update((p, None) for p, c in zip(parts, codes) if c is None)
+            else:
+                out[i] = b"".join(codes)
+        if open_:
+            fresh = self._fresh(new)
+            for i, parts, codes in open_:
+                try:
+                    out[i] = b"".join([c or fresh[p] for p, c in zip(parts, codes)])
+                except KeyError:
+                    out[i] = self._apart(parts[0][2:], parts[1:])
+            self._keep({p: c for p, c in fresh.items() if len(p) <= 64})
+        return out
+
+    def _fresh(self, new: dict[str, None]) -> dict[str, bytes]:
+        """Ids of parts that the younger generation lacks, but for parts with other white space than a newline before them."""
+        have = {p: self.older[p] for p in new if p in self.older}
+        heads = [p for p in new if p not in have and p[:2] == "\n\n"]
+        tails = [p for p in new if p not in have and p[:2] != "\n\n" and PART(p)]
+        *own, raw = self._encode([*(p[2:] for p in heads), " ".join(["x", *tails]).replace(" \n", "\n")])
+        have |= zip(heads, own)
         starts = 4 * np.flatnonzero(self.opens[np.frombuffer(raw, "<u4")])
-        if len(starts) != len(new):
-            return None
-        bounds = [0, *starts.tolist(), len(raw)]
-        return {t: raw[a:b] for t, a, b in zip(["\n\n" + head, *new], bounds, bounds[1:])}
+        if len(starts) == len(tails):
+            bounds = [*starts.tolist(), len(raw)]
+            have |= {p: raw[a:b] for p, a, b in zip(tails, bounds, bounds[1:])}
+        return have
 
     def _apart(self, head: str, tail: list[str]) -> bytes:
         chunks, closed = [head], head != "" and not head[-1].isspace()
