@@ -116,6 +116,7 @@ def pack(docs: DataFrame, path: str | None = None, capacity: int = 1024, end_id:
                     whole, rest, n = [], [], 0
         if whole or rest:
             yield flush(whole, rest)
+        enc.forget()
 
     light_batches(docs.sparkSession)
     return docs.selectExpr("cast(doc_id as bigint) doc_id", "text").mapInArrow(run, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids array<int>")

@@ -215,6 +215,7 @@ def write(docs: DataFrame, out: str, path: str | None = None, end_id: int | None
                 if size >= block_ids:
                     yield flush(docs_, parts)
                     docs_, parts, size = [], [], 0
+        enc.forget()
         if docs_:
             yield flush(docs_, parts)
 

@@ -17,12 +17,12 @@ class Encoder:
     The byte-level pre-tokenizer never lets a token cross a single space, or a single newline's front, between two characters
     that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
     are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
-    cache has two generations of at most max_parts parts of at most 64 characters, about 50 MB: when the younger is full it replaces the older, and
+    cache has two generations of at most max_parts parts of at most 64 characters, about 130 MB each, and tasks drop it when they end: when the younger is full it replaces the older, and
     a part that is met again moves into the younger. The new parts of many texts are encoded in one
     call: a token that begins with a space or newline begins a part.
     """
 
-    def __init__(self, path: str, max_parts: int = 150_000):
+    def __init__(self, path: str, max_parts: int = 500_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -44,6 +44,10 @@ class Encoder:
         if len(fresh) <= self.max_parts:
             self.known.update(fresh)
 
+    def forget(self) -> None:
+        """Drops the cache: the worker may next serve a task of another kind."""
+        self.known, self.older = {}, {}
+
     def ids(self, text: str | None) -> bytes:
         return self.many([text])[0]
 
