@@ -8,7 +8,11 @@ import re
 import numpy as np
 
 #: A part that begins a token by itself and ends before the next part.
-PART = re.compile(r"\n?\S+").fullmatch
+PART = re.compile(r"\n?\S{1,64}").fullmatch
+#: Stands for a text's first word, which no space or newline precedes; no part is like it.
+NONE = "\n\n"
+#: Letters and then punctuation, between which a token always ends.
+ENDED = re.compile(r"(\n?[^\W\d_]{1,60})([.,;:!?]{1,4})").fullmatch
 
 
 class Encoder:
@@ -17,7 +21,7 @@ class Encoder:
     The byte-level pre-tokenizer never lets a token cross a single space, or a single newline's front, between two characters
     that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
     are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
-    cache has two generations of at most max_parts parts of at most 64 characters, about 130 MB each, and tasks drop it when they end: when the younger is full it replaces the older, and
+    cache has two generations of about max_parts parts of at most 64 characters, about 130 MB each, and tasks drop it when they end: when the younger is full it replaces the older, and
     a part that is met again moves into the younger. The new parts of many texts are encoded in one
     call: a token that begins with a space or newline begins a part.
     """
@@ -31,6 +35,7 @@ class Encoder:
         self.max_parts = max_parts
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
+        self.points: dict[str, bytes] = {}
         words = self.tokenizer.get_vocab(with_added_tokens=True)
         self.opens = np.zeros(max(words.values()) + 1, bool)
         self.opens[[i for w, i in words.items() if w[:1] in ("\u0120", "\u010a")]] = True  # a space and a newline in the byte-level alphabet
@@ -38,12 +43,6 @@ class Encoder:
     def _encode(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _keep(self, fresh: dict[str, bytes]) -> None:
-        if len(self.known) + len(fresh) > self.max_parts:
-            self.known, self.older = {}, self.known
-        if len(fresh) <= self.max_parts:
-            self.known.update(fresh)
-
     def forget(self) -> None:
         """Drops the cache: the worker may next serve a task of another kind."""
         self.known, self.older = {}, {}
@@ -63,8 +62,10 @@ class Encoder:
         return out + self._group(group)
 
     def _group(self, texts: list[str | None]) -> list[bytes]:
-        out: list[bytes] = [b""] * len(texts)
-        get, open_, new = self.known.get, [], {}
+        if len(self.known) > self.max_parts:
+            self.known, self.older = {}, self.known
+        known, out, open_, new = self.known, [b""] * len(texts), [], set()
+        known[NONE] = b""
         for i, text in enumerate(texts):
             if not text:
                 continue
@@ -73,35 +74,47 @@ class Encoder:
             if not head or head[0].isspace() or head[-1].isspace():
                 out[i] = self._apart(head, parts[1:])
                 continue
-            parts[0] = "\n\n" + head  # no other part begins with two newlines
-            codes = list(map(get, parts))
-            if None in codes:
-                open_.append((i, parts, codes))
-                new.update((p, None) for p, c in zip(parts, codes) if c is None)
-            else:
-                out[i] = b"".join(codes)
-        if open_:
-            fresh = self._fresh(new)
-            for i, parts, codes in open_:
-                try:
-                    out[i] = b"".join([c or fresh[p] for p, c in zip(parts, codes)])
-                except KeyError:
-                    out[i] = self._apart(parts[0][2:], parts[1:])
-            self._keep({p: c for p, c in fresh.items() if len(p) <= 64})
+            parts[0] = NONE
+            new |= set(parts).difference(known)
+            open_.append((i, head, parts))
+        for (i, head, parts), first in zip(open_, self._learn(new, [x[1] for x in open_])):
+            try:
+                out[i] = first + b"".join(map(known.__getitem__, parts))
+            except KeyError:
+                out[i] = self._apart(head, parts[1:])
         return out
 
-    def _fresh(self, new: dict[str, None]) -> dict[str, bytes]:
-        """Ids of parts that the younger generation lacks, but for parts with other white space than a newline before them."""
-        have = {p: self.older[p] for p in new if p in self.older}
-        heads = [p for p in new if p not in have and p[:2] == "\n\n"]
-        tails = [p for p in new if p not in have and p[:2] != "\n\n" and PART(p)]
-        *own, raw = self._encode([*(p[2:] for p in heads), " ".join(["x", *tails]).replace(" \n", "\n")])
-        have |= zip(heads, own)
+    def _learn(self, new: set[str], heads: list[str]) -> list[bytes]:
+        """Ids of heads of texts; ids of new parts go to the younger generation, but for long parts and those with other white space than a newline before them."""
+        known, older, points = self.known, self.older, self.points
+        need, ended = {}, []
+        for p in new:
+            if p in older:
+                known[p] = older[p]
+            elif m := ENDED(p):
+                w, end = m.groups()
+                ended.append((p, w, end))
+                if w not in known:
+                    need[w] = None
+            elif PART(p):
+                need[p] = None
+        tails = []
+        for w in need:
+            if w in older:
+                known[w] = older[w]
+            else:
+                tails.append(w)
+        *own, raw = self._encode([*heads, " ".join(["x", *tails]).replace(" \n", "\n")])
         starts = 4 * np.flatnonzero(self.opens[np.frombuffer(raw, "<u4")])
         if len(starts) == len(tails):
             bounds = [*starts.tolist(), len(raw)]
-            have |= {p: raw[a:b] for p, a, b in zip(tails, bounds, bounds[1:])}
-        return have
+            known.update(zip(tails, [raw[a:b] for a, b in zip(bounds, bounds[1:])]))
+        for p, w, end in ended:
+            if w in known:
+                if end not in points:
+                    points[end] = self._encode([end])[0]  # there are at most 6 + 6^2 + 6^3 + 6^4 of them
+                known[p] = known[w] + points[end]
+        return own
 
     def _apart(self, head: str, tail: list[str]) -> bytes:
         chunks, closed = [head], head != "" and not head[-1].isspace()
@@ -117,7 +130,6 @@ class Encoder:
         new = [t for t in set(tail) if t not in have]
         start, *codes = self._encode([head.replace(" \n", "\n"), *((" " + t).replace(" \n", "\n") for t in new)])
         have |= zip(new, codes)
-        self._keep({t: c for t, c in have.items() if len(t) <= 64 and " " not in t and not t[-1].isspace()})
         return b"".join([start, *(have[t] for t in tail)])
 
 
