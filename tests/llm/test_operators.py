@@ -277,7 +277,9 @@ def test_tokens():
     enc = tokens.encoder(tokens.vocabulary())
     tiny = tokens.Encoder(tokens.vocabulary(), max_parts=5)
     text = "some words come again and again\nand some words are new words here " * 4
-    assert tiny.ids(text) == tiny.ids(text) == enc.ids(text) and len(tiny.known) + len(tiny.older) <= 10
+    assert tiny.ids(text) == tiny.ids(text) == enc.ids(text) and len(tiny.known) < 30
+    odd = ["word. word, word.", "word.\nword.\n\nword.", "a\u00bd. x", "no . dots", "w" * 70 + " end.", "\n\nx y", " lead", "trail ", "", None, "two  spaces", "tab\there."] * 2
+    assert [np.frombuffer(x, "<u4").tolist() for x in tokens.Encoder(tokens.vocabulary(), 3).many(odd, 20)] == [enc.tokenizer.encode(t or "", add_special_tokens=False).ids for t in odd]
     for t in ["", " ", " a", "a ", "a  b", "x\n y", "x \ny", "it's\tfine <|endoftext|> é日本", "　 b", "a  b"]:
         assert np.frombuffer(enc.ids(t), "<u4").tolist() == enc.tokenizer.encode(t, add_special_tokens=False).ids
 
