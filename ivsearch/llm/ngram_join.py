@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -237,15 +238,16 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
     reps = stage(sets.where("n > 0").groupBy("lo", "hi").agg(F.min("doc_id").alias("rep")), "reps")
 
     # Lists with more than one set, once for both steps.
-    first = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "prefix")
+    fold = reduce(Column.bitwiseXOR, words("parity"))  # one word goes with every entry of a list: the parity of 64 cells
+    first = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", fold.alias("odd"), "prefix")
     hists = sets.join(reps.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "hist", "parity")
-    postings = first.select("rep", "n", F.posexplode("prefix").alias("pos", "token"))
+    postings = first.select("rep", "n", "odd", F.posexplode("prefix").alias("pos", "token"))
     by = W.partitionBy("token")
-    listed = stage(postings.withColumn("of", F.count(F.lit(1)).over(by)).where("of > 1").select("token", "rep", "n", (F.col("n") - F.col("pos")).alias("left")), "lists")
+    listed = stage(postings.withColumn("of", F.count(F.lit(1)).over(by)).where("of > 1").select("token", "rep", "n", "odd", (F.col("n") - F.col("pos")).alias("left")), "lists")
     linked = lambda df: df.where(den * F.col("both") >= num * (F.col("na") + F.col("nb") - F.col("both")))
-    fits = lambda x, y: (F.col(f"{x}.n") * den >= F.col(f"{y}.n") * num) & (F.col(f"{y}.n") * den >= F.col(f"{x}.n") * num) & (F.least(f"{x}.left", f"{y}.left") >= F.ceil(num * (F.col(f"{x}.n") + F.col(f"{y}.n")) / (num + den)))
+    fits = lambda x, y: (F.col(f"{x}.n") * den >= F.col(f"{y}.n") * num) & (F.col(f"{y}.n") * den >= F.col(f"{x}.n") * num) & (F.least(f"{x}.left", f"{y}.left") >= F.ceil(num * (F.col(f"{x}.n") + F.col(f"{y}.n")) / (num + den))) & (F.bit_count(F.col(f"{x}.odd").bitwiseXOR(F.col(f"{y}.odd"))) * (num + den) <= (den - num) * (F.col(f"{x}.n") + F.col(f"{y}.n")))
     order = by.orderBy("n", "rep")
-    entry = F.struct("rep", "n", "left")
+    entry = F.struct("rep", "n", "left", "odd")
     chain = listed.select(entry.alias("x"), F.lag(entry).over(order).alias("y"), F.first(entry).over(order).alias("z"))
     chain = chain.select("x", F.explode(F.array("y", "z")).alias("y")).where(F.col("y.rep") != F.col("x.rep")).where(fits("x", "y"))
     chain = chain.select(F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")).distinct()
@@ -254,16 +256,13 @@ def jaccard_classes(docs: DataFrame, num: int = 8, den: int = 10, n: int = 5) ->
     comp = stage(components(links.select("a", "b")), "comp")
 
     # What may still join two components.
-    own = listed.join(comp, F.col("rep") == F.col("node"), "left").select("token", "rep", "n", "left", F.coalesce("component", "rep").alias("pivot"))
+    own = listed.join(comp, F.col("rep") == F.col("node"), "left").select("token", "rep", "n", "left", "odd", F.coalesce("component", "rep").alias("pivot"))
     ranged = own.withColumn("many", F.min("pivot").over(by) < F.max("pivot").over(by)).where("many")
     block = F.floor(F.log(F.col("n").cast("double")) / np.log(den / num)).cast("int")
-    ranged = ranged.join(hists.select("rep", "parity"), "rep")
-    bits = [f(F.col("parity")[i]).alias(f"{name}{i}") for name, f in (("all", F.bit_and), ("any", F.bit_or)) for i in range(PARITY)]
-    blocks = ranged.withColumn("block", block).groupBy("token", "block", "pivot").agg(F.min("n").alias("n0"), F.max("n").alias("n1"), F.max("left").alias("left"), *bits)
+    blocks = ranged.withColumn("block", block).groupBy("token", "block", "pivot").agg(F.min("n").alias("n0"), F.max("n").alias("n1"), F.max("left").alias("left"), F.bit_and("odd").alias("all"), F.bit_or("odd").alias("any"))
     ahead = blocks.withColumn("block", F.explode(F.array(F.col("block") - 1, F.col("block"), F.col("block") + 1)))
     x, y = ahead.alias("x"), blocks.alias("y")
-    held = lambda who, name: [F.col(f"{who}.{name}{i}") for i in range(PARITY)]
-    apart = surely_apart(held("x", "all"), held("x", "any"), held("y", "all"), held("y", "any"))
+    apart = surely_apart(*([F.col(c)] for c in ("x.all", "x.any", "y.all", "y.any")))
     touch = x.join(y, ["token", "block"]).where(F.col("x.pivot") < F.col("y.pivot")).where((F.col("x.n1") * den >= F.col("y.n0") * num) & (F.col("y.n1") * den >= F.col("x.n0") * num))
     touch = touch.where(F.least("x.left", "y.left") >= F.ceil(num * (F.col("x.n0") + F.col("y.n0")) / (num + den))).where(apart * (num + den) <= (den - num) * (F.col("x.n1") + F.col("y.n1")))
     pivots = stage(touch.select(F.col("x.pivot").alias("a"), F.col("y.pivot").alias("b")).distinct(), "pivots")
