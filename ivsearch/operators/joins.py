@@ -58,25 +58,32 @@ def _matrix(column) -> np.ndarray:
     return flat.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(flat), -1) if len(flat) else np.zeros((0, 0))
 
 
-def nearest_in(q: np.ndarray, v: np.ndarray, oid: np.ndarray, k: int, allowed=None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(row of q, oid, distance) of the k nearest v of each q, ties to smaller oids: chosen by a matrix product with some to spare, measured anew by differences."""
-    d = (v * v).sum(1)[None] - 2 * (q @ v.T) + (q * q).sum(1)[:, None]
-    if allowed is not None:
-        d = np.where(allowed, d, np.inf)
-    rows, ids, dist = [], [], []
-    for i in range(len(q)):
-        n = int(np.isfinite(d[i]).sum())
-        if n:
-            take = min(n, k)
-            edge = np.partition(d[i], take - 1)[take - 1]
-            c = np.flatnonzero(d[i] <= edge + 1e-9 * (1 + abs(edge)))  # all that rounding could bring in
-            e = np.sqrt(((v[c] - q[i]) ** 2).sum(1))
-            best = np.lexsort((oid[c], e))[:k]
-            rows.append(np.full(len(best), i))
-            ids.append(oid[c][best])
-            dist.append(e[best])
-    empty = np.zeros(0, np.int64)
-    return tuple(np.concatenate(x) if x else empty for x in (rows, ids, dist))
+def measured(q: np.ndarray, v: np.ndarray, rows: np.ndarray, cols: np.ndarray) -> np.ndarray:
+    """Distances of the pairs (q[rows], v[cols]), summed component by component in their order: the doubles that SQL engines get, so that ties are ties there too."""
+    total, qt, vt = np.zeros(len(rows)), np.ascontiguousarray(q.T), np.ascontiguousarray(v.T)
+    for a, b in zip(qt, vt):
+        e = b[cols] - a[rows]
+        total += e * e
+    return np.sqrt(total)
+
+
+def nearest_in(q: np.ndarray, v: np.ndarray, oid: np.ndarray, k, allowed=None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row of q, row of v, distance) of the k nearest v of each q (k: one for all or one each), ties to smaller oids: chosen by a matrix product with some to spare, measured anew by differences."""
+    most = int(np.max(k)) if len(q) else 0
+    if not len(q) or not len(v) or most < 1:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+    sq, own = (v * v).sum(1), (q * q).sum(1)
+    d = sq[None] - 2 * (q @ v.T) + own[:, None]
+    finite = np.isfinite(d) if allowed is None else np.isfinite(d) & allowed
+    d = np.where(finite, d, np.inf)
+    edge = np.partition(d, most - 1, axis=1)[:, most - 1] if most < len(v) else np.full(len(q), np.inf)
+    spare = 1e-9 * (1 + np.abs(edge)) + 1e-12 * own  # all that rounding could bring in
+    rows, cols = np.nonzero((d <= (edge + spare)[:, None]) & finite)
+    dist = measured(q, v, rows, cols)
+    order = np.lexsort((oid[cols], dist, rows))
+    rows, cols, dist = rows[order], cols[order], dist[order]
+    best = np.arange(len(rows)) - np.searchsorted(rows, rows) < np.broadcast_to(k, len(q))[rows]
+    return rows[best], cols[best], dist[best]
 
 
 def query_blocks(queries: DataFrame, block: int = 16_384) -> list[DataFrame]:
@@ -108,8 +115,8 @@ def knn_join(queries: DataFrame, objects: DataFrame, k: int, valid=None, extra:
                     for at in range(0, len(qid), 1024):
                         cut = slice(at, at + 1024)
                         ok = valid({c: x[cut] for c, x in qe.items()}, oe) if valid else None
-                        rows, ids, dist = nearest_in(q[cut], v, oid, k, ok)
-                        yield pa.RecordBatch.from_arrays([pa.array(qid[cut][rows.astype(int)], pa.int64()), pa.array(ids.astype(np.int64)), pa.array(dist.astype(np.float64))], ["qid", "oid", "dist"])
+                        rows, cols, dist = nearest_in(q[cut], v, oid, k, ok)
+                        yield pa.RecordBatch.from_arrays([pa.array(qid[cut][rows], pa.int64()), pa.array(oid[cols].astype(np.int64)), pa.array(dist)], ["qid", "oid", "dist"])
 
         parts.append(objects.select("oid", "vec", *[c for c in extra if c in objects.columns]).mapInArrow(run, OUT))
     out = parts[0]
@@ -134,8 +141,9 @@ def prefix_knn(ordered: DataFrame, z: int, block: int = 2048) -> DataFrame:
         qo, vo = x.column("ord").to_numpy(), y.column("at").to_numpy()
         if not len(q) or not len(v):
             return pa.table({"qid": pa.array([], pa.int64()), "oid": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
-        rows, ids, dist = nearest_in(q, v, y.column("id").to_numpy(), z, vo[None] < qo[:, None])
-        return pa.table({"qid": pa.array(x.column("oid").to_numpy()[rows.astype(int)], pa.int64()), "oid": pa.array(ids.astype(np.int64)), "dist": pa.array(dist.astype(np.float64))})
+        oid = y.column("id").to_numpy()
+        rows, cols, dist = nearest_in(q, v, oid, z, vo[None] < qo[:, None])
+        return pa.table({"qid": pa.array(x.column("oid").to_numpy()[rows], pa.int64()), "oid": pa.array(oid[cols].astype(np.int64)), "dist": pa.array(dist)})
 
     found = late.groupBy("early", "late").cogroup(early.groupBy("from_blk", "to_blk")).applyInArrow(run, OUT)
     w = W.partitionBy("qid").orderBy("dist", "oid")
