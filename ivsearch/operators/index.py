@@ -14,7 +14,7 @@ from ..functions.coords import attach, attach_queries, whole
 from ..functions.relations import Relation, custom
 from ..session import light_batches, materialize
 from . import blobs, kernels
-from .joins import _matrix, cell_of, cuts_of, query_blocks
+from .joins import _matrix, cell_of, cuts_of, measured, nearest_in, query_blocks
 
 KIND = "shard int, ord int, oid long, vec array<double>, x double, y double, xr int, yr int, dst array<int>, l array<int>, r array<int>, b array<int>, kind array<int>, rounds int, uncovered int"
 PACKED = "shard int, n long, x1 double, y0 double, blob binary"
@@ -119,17 +119,37 @@ class Shard:
         else:
             ids, _, costs = kernels.walk(self.v, self, q, a, c, start, max(ef, k), labels=False, admit=valid, hop_through=True)
         ids = np.array(ids, np.int64)
-        d = np.sqrt(kernels.dist2(self.v, ids, q)) if len(ids) else np.zeros(0)
+        d = measured(q[None], self.v, np.zeros(len(ids), np.int64), ids)
         best = np.lexsort((self.oid[ids], d))[:k]
         return ids[best], d[best], costs
 
+    def find_many(self, q: np.ndarray, xq: np.ndarray, yq: np.ndarray, k: np.ndarray, mode: str, scan_below: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(row of q, row, distance, costs of each q): what find() gives where the pool holds the whole shard. Its walk then ends only when every row within reach is expanded, in whatever order, so all queries walk at once, by levels."""
+        a, last = np.searchsorted(self.ux, xq), np.searchsorted(self.y, yq, side="right") - 1
+        c = np.searchsorted(self.uy, yq, side="right") - 1
+        some = np.flatnonzero((a < len(self.ux)) & (last >= 0) & (self.xr[self.tops[last]] >= a))
+        costs, a, c, start = np.zeros((len(q), 3), np.int64), a[some], c[some], self.tops[last[some]]
+        valid = (self.xr[None] >= a[:, None]) & (self.yr[None] <= c[:, None])
+        if mode == "walk":
+            seen = kernels.reach(len(self.oid), self.ends, self.edges[0], start, self.edges[1:], a, c)
+        else:
+            seen = kernels.reach(len(self.oid), self.ends, self.edges[0], np.zeros_like(start) if mode == "post" else start)
+        spent = np.stack([seen.sum(1), seen.sum(1), seen @ np.diff(self.ends)], 1)
+        if scan_below:
+            few = valid.sum(1) <= scan_below
+            seen[few], spent[few] = valid[few], np.stack([valid[few].sum(1), np.zeros(few.sum(), np.int64), np.zeros(few.sum(), np.int64)], 1)
+        costs[some] = spent
+        at, rows, dist = nearest_in(q[some], self.v, self.oid, k[some], seen if mode == "walk" else seen & valid)
+        return some[at], rows, dist, costs
+
 
 FOUND = "qid long, oid long, dist double, evals long, hops long, tests long, k int"
 
 
-def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard) -> DataFrame:
+def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard, many=None, block: int = 512) -> DataFrame:
     """FOUND rows: answer(shard, query vector, xq, yq, k) -> (rows, distances, costs) for each packed shard and each query whose corner meets its zone; a row without oid carries the costs.
 
+    many, where given, answers a block of queries at once: (shard, vectors, xq, yq, k) -> (row of the block, rows, distances, costs of each), or None for a shard that it leaves to answer.
     Shards stay where they are; the stated queries (qid, qvec, xq, yq, k) go to them in broadcast blocks.
     """
     spark = packed.sparkSession
@@ -140,22 +160,33 @@ def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard)
 
         def run(batches, sent=sent):
             t = sent.value
-            qs = list(zip(t.column("qid").to_pylist(), t.column("qvec").to_pylist(), t.column("xq").to_pylist(), t.column("yq").to_pylist(), t.column("k").to_pylist()))
+            qid, xq, yq, k = (t.column(c).to_numpy() for c in ("qid", "xq", "yq", "k"))
+            vectors = t.column("qvec").combine_chunks()
+            width = vectors.value_lengths().to_numpy(zero_copy_only=False)
+            names, types = [c.split()[0] for c in FOUND.split(", ")], {"long": pa.int64(), "double": pa.float64(), "int": pa.int32()}
+            kinds = [types[c.split()[1]] for c in FOUND.split(", ")]
             for b in batches:
                 for r in b.to_pylist():
-                    shard = None
-                    rows = {c.split()[0]: [] for c in FOUND.split(", ")}
-                    for qid, q, xq, yq, k in qs:
-                        if r["x1"] >= xq and r["y0"] <= yq:
-                            shard = shard or open_shard(r["blob"])
-                            if len(q) != shard.v.shape[1]:
-                                continue
-                            ids, d, costs = answer(shard, np.array(q, np.float64), xq, yq, k)
-                            n = len(ids) + 1
-                            for c, x in zip(rows, ([qid] * n, [*shard.oid[ids].tolist(), None], [*d.tolist(), None], *([0] * (n - 1) + [z] for z in costs), [k] * n)):
-                                rows[c] += x
-                    types = {"long": pa.int64(), "double": pa.float64(), "int": pa.int32()}
-                    yield pa.RecordBatch.from_arrays([pa.array(rows[c], types[k]) for c, k in (x.split() for x in FOUND.split(", "))], names=list(rows))
+                    meet = np.flatnonzero((r["x1"] >= xq) & (r["y0"] <= yq))
+                    if not len(meet):
+                        continue
+                    shard = open_shard(r["blob"])
+                    meet = meet[width[meet] == shard.v.shape[1]]
+                    for at in range(0, len(meet), block):
+                        own = meet[at : at + block]
+                        q = _matrix(vectors.take(pa.array(own)))
+                        found = many(shard, q, xq[own], yq[own], k[own]) if many else None
+                        if found is None:
+                            each = [answer(shard, q[i], float(xq[j]), float(yq[j]), int(k[j])) for i, j in enumerate(own)]
+                            at_, rows, dist = np.repeat(np.arange(len(own)), [len(e[0]) for e in each]), np.concatenate([e[0] for e in each]), np.concatenate([e[1] for e in each])
+                            costs = np.array([e[2] for e in each], np.int64).reshape(-1, 3)
+                        else:
+                            at_, rows, dist, costs = found
+                        of, no = np.concatenate([own[at_], own]), len(own)
+                        blank = np.concatenate([np.zeros(len(rows), bool), np.ones(no, bool)])
+                        spent = np.concatenate([np.zeros((len(rows), 3), np.int64), costs])
+                        cols = [qid[of], pa.array(np.concatenate([shard.oid[rows.astype(np.int64)], np.zeros(no, np.int64)]), mask=blank), pa.array(np.concatenate([dist, np.zeros(no)]), mask=blank), *spent.T, k[of]]
+                        yield pa.RecordBatch.from_arrays([pa.array(c, t) if isinstance(c, np.ndarray) else c for c, t in zip(cols, kinds)], names=names)
 
         part = packed.select("x1", "y0", "blob").mapInArrow(run, FOUND)
         out = part if out is None else out.union(part)
@@ -182,7 +213,8 @@ def search(index: DataFrame, queries: DataFrame, relation: Relation, ef: int = 6
     """
     shards = index if "blob" in index.columns else pack(index)
     asked = attach_queries(queries, relation.plan(swap))
-    return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan)), stats)
+    wide = lambda s, q, xq, yq, k: s.find_many(q, xq, yq, k, mode, scan_below) if ef >= len(s.oid) and mode != "dense" else None
+    return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan), many=wide), stats)
 
 
 def save(index: DataFrame, path: str, relation: Relation, **parameters) -> str:

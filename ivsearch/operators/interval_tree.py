@@ -11,6 +11,7 @@ from ..functions.relations import CONTAINED, Relation
 from ..session import materialize
 from . import blobs, kernels
 from .index import PACKED, Shard, _arrays, assign, each_shard, merged
+from .joins import measured, nearest_in
 
 
 def _plain(v, oid, m: int, pool: int) -> list[np.ndarray]:
@@ -54,6 +55,7 @@ class Tree(Shard):
         a = blobs.unpack(blob)
         self.rows, self.of, self.kids, self.box = a["rows"], a["of"], a["kids"], a["box"]
         self.node_ends, self.near_ends, self.near = a["node_ends"], a["near_ends"], a["near"]
+        self.whole: dict[int, tuple] = {}
 
     def take(self, q, xq: float, yq: float, k: int, ef: int) -> tuple[np.ndarray, np.ndarray, tuple]:
         todo, hits, costs = [0] if len(self.of) else [], [], np.zeros(3, np.int64)
@@ -75,10 +77,43 @@ class Tree(Shard):
                 hits.append(rows[(self.x[rows] >= xq) & (self.y[rows] <= yq)])
                 costs[0] += len(hits[-1])
         ids = np.concatenate([*hits, np.zeros(0, np.int64)]).astype(np.int64)
-        d = np.sqrt(kernels.dist2(self.v, ids, q)) if len(ids) else np.zeros(0)
+        d = measured(q[None], self.v, np.zeros(len(ids), np.int64), ids)
         best = np.lexsort((self.oid[ids], d))[:k]
         return ids[best], d[best], tuple(int(c) for c in costs)
 
+    def within(self, i: int, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(rows, costs) of a walk of a node's graph whose pool holds them all: the same for every query."""
+        if i not in self.whole:
+            at = self.of[i, 2]
+            ends = self.near_ends[at : at + len(rows) + 1]
+            seen = np.flatnonzero(kernels.reach(len(rows), ends - ends[0], self.near[ends[0] : ends[-1]], np.zeros(1, np.int64))[0])
+            self.whole[i] = rows[seen], np.array([len(seen), len(seen), np.diff(ends)[seen].sum()])
+        return self.whole[i]
+
+    def take_many(self, q, xq, yq, k) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """take() for a block of queries where the pool holds every node's objects."""
+        costs, hit = np.zeros((len(q), 3), np.int64), np.zeros((len(q), len(self.oid)), bool)
+        todo = [(0, np.arange(len(q)))] if len(self.of) else []
+        while todo:
+            i, of = todo.pop()
+            rows = self.rows[self.of[i, 0] : self.of[i, 1]]
+            low, high = self.box[i]
+            of = of[(self.x[rows].max() >= xq[of]) & (self.y[rows].min() <= yq[of])]
+            inside = (low >= xq[of]) & (high <= yq[of])
+            if self.of[i, 2] >= 0 and inside.any():
+                found, spent = self.within(i, rows)
+                hit[np.ix_(of[inside], found)] = True
+                costs[of[inside]] += spent
+                of, inside = of[~inside], inside[~inside]
+            if self.kids[i, 0] >= 0 and (~inside).any():
+                todo += [(int(kid), of[~inside]) for kid in self.kids[i]]
+                of = of[inside]
+            if len(of):
+                ok = (self.x[rows][None] >= xq[of][:, None]) & (self.y[rows][None] <= yq[of][:, None])
+                hit[np.ix_(of, rows)] = ok
+                costs[of, 0] += ok.sum(1)
+        return *nearest_in(q, self.v, self.oid, k, hit), costs
+
 
 def build(objects: DataFrame, leaf: int = 64, m: int = 16, pool: int = 100, shard_rows: int = 4000) -> DataFrame:
     """The tree of graphs, stored, one row a shard: its plane is halved at medians of s and t in turn down to leaf objects; every node above a leaf has a graph of its own."""
@@ -119,7 +154,7 @@ def build(objects: DataFrame, leaf: int = 64, m: int = 16, pool: int = 100, shar
 def search(tree: DataFrame, queries: DataFrame, ef: int = 64, stats: bool = False) -> DataFrame:
     """qid, rank, oid, dist: a query takes the largest nodes that lie inside its rectangle whole, by their graphs, and the leaves that cross its edge, whose objects are tested one by one."""
     asked = attach_queries(queries, CONTAINED.plan())
-    return merged(each_shard(tree, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Tree), stats)
+    return merged(each_shard(tree, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Tree, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None), stats)
 
 
 class Layered(Shard):
@@ -137,10 +172,29 @@ class Layered(Shard):
             costs += spent
             at = int(members[found[0]])
         ids = np.array([x for x in members[found] if self.x[x] >= xq and self.y[x] <= yq], np.int64)
-        d = np.sqrt(kernels.dist2(self.v, ids, q)) if len(ids) else np.zeros(0)
+        d = measured(q[None], self.v, np.zeros(len(ids), np.int64), ids)
         best = np.lexsort((self.oid[ids], d))[:k]
         return ids[best], d[best], tuple(int(c) for c in costs)
 
+    def take_many(self, q, xq, yq, k) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """take() for a block of queries where the pool holds the whole lowest level: each descends by itself, and all walk that level at once."""
+        costs, at = np.zeros((len(q), 3), np.int64), np.zeros(len(q), np.int64)
+        for i in range(len(self.levels) - 1, 0, -1):
+            members, graph = self.levels[i]
+            held = self.v[members]
+            for j in range(len(q)):
+                start = int(np.searchsorted(members, at[j])) if i < len(self.levels) - 1 else 0
+                found, _, spent = kernels.walk(held, graph, q[j], 0, 0, start, 1, labels=False)
+                costs[j] += spent
+                at[j] = members[found[0]]
+        members, graph = self.levels[0]
+        seen = kernels.reach(len(members), graph.ends, graph.dst, np.searchsorted(members, at))
+        costs += np.stack([seen.sum(1), seen.sum(1), seen @ np.diff(graph.ends)], 1)
+        hit = np.zeros((len(q), len(self.oid)), bool)
+        hit[:, members] = seen
+        hit &= (self.x[None] >= xq[:, None]) & (self.y[None] <= yq[:, None])
+        return *nearest_in(q, self.v, self.oid, k, hit), costs
+
 
 def build_layered(objects: DataFrame, relation: Relation, m: int = 16, pool: int = 200, shard_rows: int = 4000) -> DataFrame:
     """A layered small-world graph, stored, one row a shard: each level holds a geometric draw of the one below, about 1 in m, with a graph of its own."""
@@ -159,4 +213,4 @@ def build_layered(objects: DataFrame, relation: Relation, m: int = 16, pool: int
 def search_layered(graph: DataFrame, queries: DataFrame, relation: Relation, ef: int = 64, stats: bool = False) -> DataFrame:
     """Post-filter: a greedy descent through the upper levels, a walk of width ef on the lowest, and of what it finds the valid ones."""
     asked = attach_queries(queries, relation.plan())
-    return merged(each_shard(graph, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Layered), stats)
+    return merged(each_shard(graph, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Layered, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None), stats)

@@ -203,6 +203,39 @@ def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True
     return [x for _, x in found], [d for d, _ in found], (evals, hops, tests)
 
 
+def reach(n: int, ends, dst, start, labels: tuple | None = None, a=None, c=None) -> np.ndarray:
+    """[query, row]: the rows that a walk gets to from each query's start where nothing ends it early, that is where its pool holds them all.
+
+    Queries go side by side, 64 in a word, level by level. labels (l, r, b): edges alive in each query's state (a, c) alone; without, every edge.
+    """
+    words, at = -(-len(start) // 64), np.arange(len(start))
+    word, bit = at // 64, np.uint64(1) << (at % 64).astype(np.uint64)
+    seen = np.zeros((n, words), np.uint64)
+    np.bitwise_or.at(seen, (start, word), bit)
+    order = np.argsort(dst, kind="stable")
+    src, to = np.repeat(np.arange(n), np.diff(ends))[order], dst[order]
+    first = np.flatnonzero(np.concatenate([[True], to[1:] != to[:-1]])) if len(to) else np.zeros(0, np.int64)
+    rows = to[first]
+    alive = None
+    if labels is not None and len(to):
+        l, r, b = (z[order] for z in labels)
+
+        def table(ranks, size, down):  # the queries whose rank is at most (or, going down, at least) each rank
+            t = np.zeros((size, words), np.uint64)
+            np.bitwise_or.at(t, (ranks, word), bit)
+            return np.bitwise_or.accumulate(t[::-1], 0)[::-1] if down else np.bitwise_or.accumulate(t, 0)
+
+        xs, ys = int(max(r.max(), l.max(), a.max())) + 1, int(max(b.max(), c.max())) + 1
+        alive = table(a, xs, False)[r] & table(a, xs, True)[l] & table(c, ys, True)[b]
+    while len(to):
+        sent = seen[src] if alive is None else seen[src] & alive
+        new = np.bitwise_or.reduceat(sent, first, 0) & ~seen[rows]
+        if not new.any():
+            break
+        seen[rows] |= new
+    return np.unpackbits(np.ascontiguousarray(seen.astype("<u8")).view(np.uint8), axis=1, bitorder="little")[:, : len(start)].T.astype(bool)
+
+
 def prefix_tops(xr) -> np.ndarray:
     """For each place the first object up to it that has the largest x so far: an entry of every state that has a valid object there."""
     top = np.maximum.accumulate(xr)

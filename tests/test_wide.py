@@ -26,3 +26,48 @@ def test_nearest_with_a_mask_and_a_k_for_each():
     rows, cols, dist = joins.nearest_in(q, v, oid, k, allowed)
     want = [(i, d, o) for i in range(5) for d, o in sorted((in_order(q[i], v[j]), int(oid[j])) for j in np.flatnonzero(allowed[i]))[: k[i]]]
     assert [(int(i), d, int(oid[j])) for i, j, d in zip(rows, cols, dist)] == want
+
+
+def shard(n=120, seed=3):
+    from ivsearch.operators import blobs, index, kernels
+
+    rng = np.random.default_rng(seed)
+    v, x, y = rng.normal(size=(n, 4)), rng.integers(0, 40, n).astype(float), np.sort(rng.integers(0, 40, n)).astype(float)
+    oid = np.arange(n)
+    xr, yr = (np.unique(z, return_inverse=True)[1] for z in (x, y))
+    lists = [[] for _ in range(n)]
+    for src, *edge in kernels.build(v, oid, xr, yr, 4, "practical", 12)[0]:
+        lists[src].append(edge[:4])
+    flat = np.array([e for own in lists for e in own], np.int32).reshape(-1, 4)
+    ends = np.concatenate([[0], np.cumsum([len(own) for own in lists])]).astype(np.int64)
+    return index.Shard(blobs.pack(oid=oid, v=v, x=x, y=y, ends=ends, dst=flat[:, 0], l=flat[:, 1], r=flat[:, 2], b=flat[:, 3])), rng
+
+
+def test_walking_all_queries_at_once_is_walking_each():
+    s, rng = shard()
+    q, xq, yq, k = rng.normal(size=(150, 4)), rng.integers(-2, 43, 150).astype(float), rng.integers(-2, 43, 150).astype(float), rng.integers(1, 30, 150)
+    for mode in ("walk", "post", "predicate"):
+        for scan_below in (0, 9):
+            rows, ids, dist, costs = s.find_many(q, xq, yq, k, mode, scan_below)
+            for i in range(150):
+                one = s.find(q[i], xq[i], yq[i], int(k[i]), 1 << 20, mode, scan_below, 16)
+                assert one[0].tolist() == ids[rows == i].tolist() and one[1].tolist() == dist[rows == i].tolist(), (mode, i)
+                assert tuple(one[2]) == tuple(costs[i]), (mode, i)
+
+
+def test_baselines_walk_all_queries_at_once(spark):
+    from pyspark.sql import functions as F
+
+    from ivsearch.functions.relations import CONTAINED
+    from ivsearch.operators import exact, interval_tree
+
+    rng = np.random.default_rng(4)
+    rows = [(i, rng.normal(size=4).tolist(), float(a), float(a + b)) for i, (a, b) in enumerate(zip(rng.integers(0, 60, 300), rng.integers(0, 30, 300)))]
+    o = spark.createDataFrame(rows, "oid long, vec array<double>, s double, t double")
+    q = o.where("oid % 7 = 3").select(F.col("oid").alias("qid"), F.col("vec").alias("qvec"), (F.col("s") - 9).alias("sq"), (F.col("t") + 9).alias("tq"), F.lit(5).alias("k"))
+    tree, layered = interval_tree.build(o, 16, 4, 20), interval_tree.build_layered(o, CONTAINED, 4, 20)
+    ordered = lambda df, *c: [tuple(r) for r in df.select("qid", "rank", "oid", *c).orderBy("qid", "rank").collect()]
+    want = ordered(exact.filtered_knn(o, q, CONTAINED))
+    for many, one in ((interval_tree.search(tree, q, 300, True), interval_tree.search(tree, q, 299, True)), (interval_tree.search_layered(layered, q, CONTAINED, 300, True), interval_tree.search_layered(layered, q, CONTAINED, 299, True))):
+        assert ordered(many) == want
+        assert ordered(many, "evals", "hops", "tests")[:1] and [r[0] for r in ordered(one)] == [r[0] for r in want]
