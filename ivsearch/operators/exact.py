@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -9,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.coords import attach, attach_queries, on_axis
 from ..functions.relations import Relation
 from ..functions.vectors import l2
-from ..session import small
+from ..session import materialize, small
 from .joins import cell_of, cuts_of, knn_join
 
 
@@ -20,6 +21,17 @@ def top(found: DataFrame, k: int | None = None) -> DataFrame:
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= limit).select("qid", "rank", "oid", "dist")
 
 
+def _meets(terms, asked, held):
+    ok = True
+    for t in terms:
+        left, right = held[t.end][None, :], asked[t.query][:, None]
+        ok = ok & (left >= right if t.op == ">=" else left <= right)
+    return ok
+
+
+ENDS = ("s", "t", "sq", "tq")
+
+
 def filtered_knn(objects: DataFrame, queries: DataFrame, relation: Relation | None, where: Column | None = None) -> DataFrame:
     """Ground truth: every valid object of every query, nearest k kept. relation None: all objects. where: a further filter on the objects' payload, pushed to the scan.
 
@@ -28,19 +40,15 @@ def filtered_knn(objects: DataFrame, queries: DataFrame, relation: Relation | No
     o, q = on_axis(objects if where is None else objects.where(where), "s", "t") if relation else (objects if where is None else objects.where(where)), queries
     most = q.agg(F.max("k")).first()[0]
     if most is None:
-        return top(o.join(q, F.lit(False)).select("qid", "k", "oid", F.lit(0.0).alias("dist")))
+        return _nothing(o, q)
     if relation:
         q = on_axis(q, "sq", "tq")
+    found = knn_join(q, o, most, (lambda asked, held: _meets(relation.terms, asked, held)) if relation else None, ENDS if relation else ())
+    return top(found.join(q.select("qid", "k"), "qid"))
 
-    def valid(asked, held):
-        ok = True
-        for t in relation.terms:
-            left, right = held[t.end][None, :], asked[t.query][:, None]
-            ok = ok & (left >= right if t.op == ">=" else left <= right)
-        return ok
 
-    found = knn_join(q, o, most, valid if relation else None, ("s", "t", "sq", "tq") if relation else ())
-    return top(found.join(q.select("qid", "k"), "qid"))
+def _nothing(objects: DataFrame, queries: DataFrame) -> DataFrame:
+    return top(objects.select("oid").join(queries.select("qid", "k"), F.lit(False)).select("qid", "k", "oid", F.lit(0.0).alias("dist")))
 
 
 def interval_join(objects: DataFrame, queries: DataFrame, relation: Relation, method: str = "broadcast", cells: int = 64) -> DataFrame:
@@ -73,16 +81,52 @@ def interval_join(objects: DataFrame, queries: DataFrame, relation: Relation, me
 
 
 def two_scalar(objects: DataFrame, queries: DataFrame, relation: Relation, depth: int | None = None) -> DataFrame:
-    """Baseline: each comparison filtered on its own, nearest depth of each kept (all, if None), and the two lists intersected."""
-    lists = []
-    for term in relation.terms:
-        pairs = objects.join(small(queries), term.holds()).select("qid", "k", "oid", l2("vec", "qvec").alias("dist"))
-        lists.append(pairs if depth is None else top(pairs.drop("k"), depth).join(queries.select("qid", "k"), "qid").select("qid", "k", "oid", "dist"))
-    return top(lists[0].intersect(lists[1]))
+    """Baseline: each comparison filtered on its own, nearest depth of each kept (all, if None), and the two lists intersected.
+
+    Lists of a depth are merged over all batches before they meet. Whole lists are marks of a batch's objects, and what both mark is ranked there.
+    """
+    o, q = on_axis(objects, *ENDS[:2]), on_axis(queries, *ENDS[2:])
+    most = q.agg(F.max("k")).first()[0]
+    if most is None:
+        return _nothing(o, q)
+    marks = lambda term: lambda asked, held: _meets((term,), asked, held)
+    a, b = (marks(t) for t in relation.terms)
+    if depth is None:
+        found = knn_join(q, o, most, lambda asked, held: a(asked, held) & b(asked, held), ENDS)
+    else:
+        found = top(knn_join(q, o, depth, a, ENDS), depth).select("qid", "oid", "dist").intersect(top(knn_join(q, o, depth, b, ENDS), depth).select("qid", "oid", "dist"))
+    return top(found.join(q.select("qid", "k"), "qid"))
 
 
 def prefilter(objects: DataFrame, queries: DataFrame, relation: Relation) -> DataFrame:
-    """Baseline: valid ids first, by an interval join without vectors; vectors are fetched for those alone."""
-    ids = interval_join(objects.select("oid", "s", "t"), queries.select("qid", "sq", "tq"), relation, "dominance")
-    pairs = ids.join(objects.select("oid", "vec"), "oid").join(small(queries.select("qid", "qvec", "k")), "qid")
-    return top(pairs.select("qid", "k", "oid", l2("vec", "qvec").alias("dist")))
+    """Baseline: valid objects first, by their coordinates; distances for those alone. Queries go in the order of x, some at a time, to the objects that reach one of them: no pair of a query and an object leaves its task."""
+    plan = relation.plan()
+    o, q = attach(objects, plan), attach_queries(queries, plan)
+    most = q.agg(F.max("k")).first()[0]
+    if most is None:
+        return _nothing(o, q)
+    near = lambda asked, held: np.flatnonzero((held["x"] >= asked["xq"].min()) & (held["y"] <= asked["yq"].max()))
+    valid = lambda asked, held: (held["x"][None] >= asked["xq"][:, None]) & (held["y"][None] <= asked["yq"][:, None])
+    q = q.where("xq is not null and yq is not null")
+    found = knn_join(q, o, most, valid, ("x", "y", "xq", "yq"), near=near, by="xq")
+    return top(found.join(q.select("qid", "k"), "qid"))
+
+
+def by_predicate(objects: DataFrame, queries: DataFrame, predicate: Column, depths: tuple[int, ...] = (64, 512)) -> DataFrame:
+    """The k nearest objects for which predicate, any expression over both sides, holds: exact.
+
+    A query's nearest objects of all, in their order, are tested first; one with k valid among them is answered. Those that are not try a longer
+    list, and what is left after the last, so queries with few valid objects, is tested against every object.
+    """
+    done, left = None, queries
+    for depth in depths:
+        # What comes after a list is farther, or as far with a larger oid.
+        listed = top(knn_join(left, objects, depth), depth).select("qid", "oid", "dist")
+        tested = listed.join(left, "qid").join(objects, "oid").where(predicate)
+        valid = materialize(tested.select("qid", "k", "oid", "dist"), "valid")
+        full = materialize(valid.groupBy("qid").agg(F.count(F.lit(1)).alias("n"), F.max("k").alias("k")).where("n >= k").select("qid"), "full")
+        part = top(valid.join(full, "qid", "left_semi"))
+        done = part if done is None else done.union(part)
+        left = left.join(full, "qid", "left_anti")
+    rest = top(objects.join(small(left), predicate).select("qid", "k", "oid", l2("vec", "qvec").alias("dist")))
+    return rest if done is None else done.union(rest)

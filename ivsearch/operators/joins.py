@@ -92,31 +92,49 @@ def query_blocks(queries: DataFrame, block: int = 16_384) -> list[DataFrame]:
     return [queries] if n == 1 else [queries.where(F.pmod(F.xxhash64(F.lit(9), "qid"), F.lit(n)) == i) for i in range(n)]
 
 
-def knn_join(queries: DataFrame, objects: DataFrame, k: int, valid=None, extra: tuple[str, ...] = (), block: int = 16_384) -> DataFrame:
+def by_width(column) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(places, matrix) of a column of vectors for each of their lengths; nulls and empty ones are in none."""
+    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    width = column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+    places = [np.flatnonzero(width == w) for w in np.unique(width[width > 0])]
+    return [(p, _matrix(column if len(p) == len(column) else column.take(pa.array(p)))) for p in places]
+
+
+def knn_join(queries: DataFrame, objects: DataFrame, k: int, valid=None, extra: tuple[str, ...] = (), block: int = 16_384, near=None, by: str | None = None) -> DataFrame:
     """qid, oid, dist: for each task of objects (oid, vec, extra) the k nearest of each query (qid, qvec, extra), for a merge by rank.
 
     Queries go to the tasks in broadcast blocks; a task meets a block by one matrix product a batch, and keeps k of each query and batch.
-    valid(query arrays, object arrays) is a mask of allowed pairs over the extra columns.
+    valid(query arrays, object arrays) is a mask of allowed pairs over the extra columns. near(query arrays, object arrays) names the objects that
+    some of a few queries, taken in the order of by, can reach: only their vectors are looked at. Vectors of another length never meet.
     """
     spark = objects.sparkSession
     light_batches(spark)
-    parts = []
+    parts, step = [], 1024 if near is None else 128
     for some in query_blocks(queries, block):
         sent = spark.sparkContext.broadcast(some.select("qid", "qvec", *[c for c in extra if c in some.columns]).toArrow())
 
         def run(batches, sent=sent):
             t = sent.value
-            q, qid = _matrix(t.column("qvec")), t.column("qid").to_numpy()
-            qe = {c: t.column(c).to_numpy() for c in t.column_names if c in extra}
+            ids, asked = t.column("qid").to_numpy(), {c: t.column(c).to_numpy() for c in t.column_names if c in extra}
+            order = np.arange(len(ids)) if by is None else np.argsort(asked[by], kind="stable")
+            sets = {}
+            for places, q in by_width(t.column("qvec").combine_chunks().take(pa.array(order)) if len(ids) else pa.array([], pa.list_(pa.float64()))):
+                own = order[places]
+                sets[q.shape[1]] = q, ids[own], {c: x[own] for c, x in asked.items()}
             for b in batches:
-                if b.num_rows and len(qid):
-                    v, oid = _matrix(b.column("vec")), b.column("oid").to_numpy()
-                    oe = {c: b.column(c).to_numpy(zero_copy_only=False) for c in b.schema.names if c in extra}
-                    for at in range(0, len(qid), 1024):
-                        cut = slice(at, at + 1024)
-                        ok = valid({c: x[cut] for c, x in qe.items()}, oe) if valid else None
-                        rows, cols, dist = nearest_in(q[cut], v, oid, k, ok)
-                        yield pa.RecordBatch.from_arrays([pa.array(qid[cut][rows], pa.int64()), pa.array(oid[cols].astype(np.int64)), pa.array(dist)], ["qid", "oid", "dist"])
+                for places, v in by_width(b.column("vec")):
+                    if v.shape[1] not in sets:
+                        continue
+                    q, qid, qe = sets[v.shape[1]]
+                    oid = b.column("oid").to_numpy()[places]
+                    oe = {c: b.column(c).to_numpy(zero_copy_only=False)[places] for c in b.schema.names if c in extra}
+                    for at in range(0, len(qid), step):
+                        cut = slice(at, at + step)
+                        mine = {c: x[cut] for c, x in qe.items()}
+                        met = slice(None) if near is None else near(mine, oe)
+                        ok = valid(mine, {c: x[met] for c, x in oe.items()}) if valid else None
+                        rows, cols, dist = nearest_in(q[cut], v[met], oid[met], k, ok)
+                        yield pa.RecordBatch.from_arrays([pa.array(qid[cut][rows], pa.int64()), pa.array(oid[met][cols].astype(np.int64)), pa.array(dist)], ["qid", "oid", "dist"])
 
         parts.append(objects.select("oid", "vec", *[c for c in extra if c in objects.columns]).mapInArrow(run, OUT))
     out = parts[0]
