@@ -76,6 +76,37 @@ def interval_knn(shards: DataFrame, relation: relations.Relation, name: str = "i
     spark.udtf.register(name, Knn)
 
 
+def interval_knn_blocks(spark: SparkSession, relation: relations.Relation, name: str = "interval_knn_blocks") -> None:
+    """Registers a table function for indexes of any size: name(blob, qids, qvecs, sqs, tqs, k, ef) gives (qid, oid, dist), the k nearest of one packed shard for each of a block of queries. Joined laterally to a table of shards and one of blocks, it leaves the merge over shards to SQL."""
+    plan = relation.plan()
+    signs, ends = plan.signs, (plan.x.query, plan.y.query)
+
+    @udtf(returnType="qid: bigint, oid: bigint, dist: double")
+    class Knn:
+        def eval(self, blob: bytes, qids, qvecs, sqs, tqs, k: int, ef: int):
+            import numpy as np
+
+            if blob is None or not qids:
+                return
+            shard = index.Shard(bytes(blob))
+            at = {"sq": sqs, "tq": tqs}
+            some = [i for i, v in enumerate(qvecs) if v is not None and len(v) == shard.v.shape[1] and sqs[i] is not None and tqs[i] is not None]
+            for to in range(0, len(some), 512):
+                own = some[to : to + 512]
+                q = np.array([qvecs[i] for i in own], np.float64)
+                xq, yq = (s * np.array([at[e][i] for i in own], np.float64) for s, e in zip(signs, ends))
+                if ef >= len(shard.oid):
+                    rows, ids, dist, _ = shard.find_many(q, xq, yq, np.full(len(own), k), "walk", 0)
+                    found = zip(rows.tolist(), shard.oid[ids].tolist(), dist.tolist())
+                else:
+                    each = [shard.find(q[i], xq[i], yq[i], k, ef, "walk", 0, k) for i in range(len(own))]
+                    found = ((i, o, d) for i, e in enumerate(each) for o, d in zip(shard.oid[e[0]].tolist(), e[1].tolist()))
+                for i, oid, d in found:
+                    yield qids[own[i]], oid, d
+
+    spark.udtf.register(name, Knn)
+
+
 _SHAPE = re.compile(
     r"\s*SELECT\s+oid\s+FROM\s+\(\s*SELECT\s+oid,\s*iv_l2\(vec,\s*:q\)\s+AS\s+dist\s+FROM\s+(\w+)\s+WHERE\s+iv_(contained|overlaps|covers|after|before)\(s,\s*t,\s*:a,\s*:b\)\s*\)"
     r"\s+ORDER\s+BY\s+dist(?:,\s*oid)?\s+LIMIT\s+:k\s*;?\s*", re.I)
@@ -107,7 +138,4 @@ def outside(text_terms: list[str], objects: DataFrame, queries: DataFrame, predi
     except relations.UnsupportedRelation:
         if predicate is None:
             raise
-        from ..functions.vectors import l2
-        from ..session import small
-
-        return exact.top(objects.join(small(queries), predicate).select("qid", "k", "oid", l2("vec", "qvec").alias("dist")))
+        return exact.by_predicate(objects, queries, predicate)

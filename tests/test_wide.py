@@ -71,3 +71,62 @@ def test_baselines_walk_all_queries_at_once(spark):
     for many, one in ((interval_tree.search(tree, q, 300, True), interval_tree.search(tree, q, 299, True)), (interval_tree.search_layered(layered, q, CONTAINED, 300, True), interval_tree.search_layered(layered, q, CONTAINED, 299, True))):
         assert ordered(many) == want
         assert ordered(many, "evals", "hops", "tests")[:1] and [r[0] for r in ordered(one)] == [r[0] for r in want]
+
+
+def frames(spark, n=260, seed=8):
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(seed)
+    rows = [(i, rng.normal(size=4).tolist(), float(a), float(a + b)) for i, (a, b) in enumerate(zip(rng.integers(0, 60, n), rng.integers(0, 30, n)))]
+    rows += [(n, [1.0, 2.0], 10.0, 12.0), (n + 1, None, 10.0, 12.0)]  # another length, no vector: never an answer
+    o = spark.createDataFrame(rows, "oid long, vec array<double>, s double, t double")
+    q = o.where(f"oid % 7 = 3 and oid < {n}").select(F.col("oid").alias("qid"), F.col("vec").alias("qvec"), (F.col("s") - 6).alias("sq"), (F.col("t") + 6).alias("tq"), F.lit(5).alias("k"))
+    return o, q, rows[:n]
+
+
+def brute(rows, valid, pad=6):
+    out = []
+    for i, v, s, t in rows:
+        if i % 7 == 3:
+            near = sorted((in_order(np.array(v), np.array(w)), j) for j, w, a, b in rows if valid(a, b, s - pad, t + pad))[:5]
+            out += [(i, n + 1, j) for n, (_, j) in enumerate(near)]
+    return out
+
+
+def test_pair_baselines_on_odd_vectors(spark):
+    from ivsearch.functions.relations import CONTAINED
+    from ivsearch.operators import exact
+
+    o, q, rows = frames(spark)
+    want = brute(rows, lambda s, t, a, b: s >= a and t <= b)
+    for how in (exact.prefilter, exact.two_scalar):
+        assert [tuple(r) for r in how(o, q, CONTAINED).select("qid", "rank", "oid").orderBy("qid", "rank").collect()] == want
+
+
+def test_any_predicate_by_lists_that_grow(spark):
+    from pyspark.sql import functions as F
+
+    from ivsearch.operators import exact
+
+    o, q, rows = frames(spark)
+    o = o.where("size(vec) = 4")
+    found = exact.by_predicate(o, q, (F.col("s") > F.col("sq")) & (F.col("t") < F.col("tq")), (6, 12))
+    assert [tuple(r) for r in found.select("qid", "rank", "oid").orderBy("qid", "rank").collect()] == brute(rows, lambda s, t, a, b: s > a and t < b)
+
+
+def test_table_function_on_blocks_takes_any_size(spark):
+    from pyspark.sql import functions as F
+
+    from ivsearch.functions.relations import CONTAINED
+    from ivsearch.operators import index
+    from ivsearch.plans import sqlapi
+
+    o, q, rows = frames(spark)
+    index.pack(index.build(o, CONTAINED, 4, "practical", 20, shard_rows=100)).createOrReplaceTempView("t_shards")
+    sqlapi.interval_knn_blocks(spark, CONTAINED, "t_blocks_knn")
+    q.groupBy().agg(*[F.collect_list(c).alias(f"{c}s") for c in ("qid", "qvec", "sq", "tq")]).createOrReplaceTempView("t_blocks")
+    found = spark.sql("SELECT f.* FROM t_shards CROSS JOIN t_blocks, LATERAL t_blocks_knn(blob, qids, qvecs, sqs, tqs, 5, 1000) f").collect()
+    by = {}
+    for r in found:
+        by.setdefault(r.qid, []).append((r.dist, r.oid))
+    assert [(i, n + 1, j) for i in sorted(by) for n, (_, j) in enumerate(sorted(by[i])[:5])] == brute(rows, lambda s, t, a, b: s >= a and t <= b)
