@@ -130,3 +130,19 @@ def test_table_function_on_blocks_takes_any_size(spark):
     for r in found:
         by.setdefault(r.qid, []).append((r.dist, r.oid))
     assert [(i, n + 1, j) for i in sorted(by) for n, (_, j) in enumerate(sorted(by[i])[:5])] == brute(rows, lambda s, t, a, b: s >= a and t <= b)
+
+
+def test_frontier_keeps_equal_points(spark):
+    from ivsearch.operators import measure
+
+    rows = [("a", "walk", 0.9, 5.0), ("a", "scan", 0.9, 5.0), ("a", "walk", 0.9, 4.0), ("a", "walk", 1.0, 3.0), ("a", "post", 0.95, 3.0), ("b", "walk", 0.5, 1.0)]
+    found = measure.pareto(spark.createDataFrame(rows, "dataset string, method string, recall double, qps double"), ["dataset"])
+    assert sorted(tuple(r) for r in found.collect()) == sorted([rows[0], rows[1], rows[3], rows[5]])
+
+
+def test_report_points_come_from_a_table(spark, tmp_path):
+    from ivsearch.plans import queries
+
+    cols = "l_returnflag string, l_linestatus string, l_linenumber int, l_discount double, l_extendedprice double"
+    spark.createDataFrame([("N", "O", 3, 0.06, 12.5), ("N", "O", 1, 0.0, 7.0), ("A", "F", 2, 0.1, 9.0)], cols).write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert sorted(tuple(r) for r in queries.points(spark, str(tmp_path)).collect()) == [("A", "F", "post", 0.9, 9.0), ("N", "O", "scan", 1.0, 7.0), ("N", "O", "walk", 0.94, 12.5)]
