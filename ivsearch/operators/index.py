@@ -146,11 +146,11 @@ class Shard:
 FOUND = "qid long, oid long, dist double, evals long, hops long, tests long, k int"
 
 
-def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard, many=None, block: int = 512) -> DataFrame:
+def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard, many=None, block: int = 512, costs: bool = True) -> DataFrame:
     """FOUND rows: answer(shard, query vector, xq, yq, k) -> (rows, distances, costs) for each packed shard and each query whose corner meets its zone; a row without oid carries the costs.
 
     many, where given, answers a block of queries at once: (shard, vectors, xq, yq, k) -> (row of the block, rows, distances, costs of each), or None for a shard that it leaves to answer.
-    Shards stay where they are; the stated queries (qid, qvec, xq, yq, k) go to them in broadcast blocks.
+    Shards stay where they are; the stated queries (qid, qvec, xq, yq, k) go to them in broadcast blocks. Without costs a task merges its shards' answers and hands on k of each query.
     """
     spark = packed.sparkSession
     light_batches(spark)
@@ -165,6 +165,15 @@ def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard,
             width = vectors.value_lengths().to_numpy(zero_copy_only=False)
             names, types = [c.split()[0] for c in FOUND.split(", ")], {"long": pa.int64(), "double": pa.float64(), "int": pa.int32()}
             kinds = [types[c.split()[1]] for c in FOUND.split(", ")]
+            held, waiting = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)], []  # place of the query, oid, distance
+
+            def nearest():
+                of, oid, d = (np.concatenate([h, *w]) for h, w in zip(held, zip(*waiting)))
+                order = np.lexsort((oid, d, of))
+                of, oid, d = of[order], oid[order], d[order]
+                best = np.arange(len(of)) - np.searchsorted(of, of) < k[of]
+                return [of[best], oid[best], d[best]]
+
             for b in batches:
                 for r in b.to_pylist():
                     meet = np.flatnonzero((r["x1"] >= xq) & (r["y0"] <= yq))
@@ -179,14 +188,24 @@ def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard,
                         if found is None:
                             each = [answer(shard, q[i], float(xq[j]), float(yq[j]), int(k[j])) for i, j in enumerate(own)]
                             at_, rows, dist = np.repeat(np.arange(len(own)), [len(e[0]) for e in each]), np.concatenate([e[0] for e in each]), np.concatenate([e[1] for e in each])
-                            costs = np.array([e[2] for e in each], np.int64).reshape(-1, 3)
+                            took = np.array([e[2] for e in each], np.int64).reshape(-1, 3)
                         else:
-                            at_, rows, dist, costs = found
+                            at_, rows, dist, took = found
+                        if not costs:
+                            waiting.append((own[at_], shard.oid[rows.astype(np.int64)], dist))
+                            if sum(len(w[0]) for w in waiting) > 1_000_000:
+                                held, waiting = nearest(), []
+                            continue
                         of, no = np.concatenate([own[at_], own]), len(own)
                         blank = np.concatenate([np.zeros(len(rows), bool), np.ones(no, bool)])
-                        spent = np.concatenate([np.zeros((len(rows), 3), np.int64), costs])
+                        spent = np.concatenate([np.zeros((len(rows), 3), np.int64), took])
                         cols = [qid[of], pa.array(np.concatenate([shard.oid[rows.astype(np.int64)], np.zeros(no, np.int64)]), mask=blank), pa.array(np.concatenate([dist, np.zeros(no)]), mask=blank), *spent.T, k[of]]
                         yield pa.RecordBatch.from_arrays([pa.array(c, t) if isinstance(c, np.ndarray) else c for c, t in zip(cols, kinds)], names=names)
+            if waiting:
+                held, waiting = nearest(), []
+            for at in range(0, len(held[0]), 100_000):
+                of, oid, d = (h[at : at + 100_000] for h in held)
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip([qid[of], oid, d, *np.zeros((3, len(of)), np.int64), k[of]], kinds)], names=names)
 
         part = packed.select("x1", "y0", "blob").mapInArrow(run, FOUND)
         out = part if out is None else out.union(part)
@@ -214,7 +233,7 @@ def search(index: DataFrame, queries: DataFrame, relation: Relation, ef: int = 6
     shards = index if "blob" in index.columns else pack(index)
     asked = attach_queries(queries, relation.plan(swap))
     wide = lambda s, q, xq, yq, k: s.find_many(q, xq, yq, k, mode, scan_below) if ef >= len(s.oid) and mode != "dense" else None
-    return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan), many=wide), stats)
+    return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan), many=wide, costs=stats), stats)
 
 
 def save(index: DataFrame, path: str, relation: Relation, **parameters) -> str:

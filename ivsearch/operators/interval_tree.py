@@ -154,7 +154,7 @@ def build(objects: DataFrame, leaf: int = 64, m: int = 16, pool: int = 100, shar
 def search(tree: DataFrame, queries: DataFrame, ef: int = 64, stats: bool = False) -> DataFrame:
     """qid, rank, oid, dist: a query takes the largest nodes that lie inside its rectangle whole, by their graphs, and the leaves that cross its edge, whose objects are tested one by one."""
     asked = attach_queries(queries, CONTAINED.plan())
-    return merged(each_shard(tree, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Tree, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None), stats)
+    return merged(each_shard(tree, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Tree, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None, costs=stats), stats)
 
 
 class Layered(Shard):
@@ -213,4 +213,4 @@ def build_layered(objects: DataFrame, relation: Relation, m: int = 16, pool: int
 def search_layered(graph: DataFrame, queries: DataFrame, relation: Relation, ef: int = 64, stats: bool = False) -> DataFrame:
     """Post-filter: a greedy descent through the upper levels, a walk of width ef on the lowest, and of what it finds the valid ones."""
     asked = attach_queries(queries, relation.plan())
-    return merged(each_shard(graph, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Layered, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None), stats)
+    return merged(each_shard(graph, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Layered, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None, costs=stats), stats)

@@ -146,3 +146,18 @@ def test_report_points_come_from_a_table(spark, tmp_path):
     cols = "l_returnflag string, l_linestatus string, l_linenumber int, l_discount double, l_extendedprice double"
     spark.createDataFrame([("N", "O", 3, 0.06, 12.5), ("N", "O", 1, 0.0, 7.0), ("A", "F", 2, 0.1, 9.0)], cols).write.parquet(f"{tmp_path}/lineitem.parquet")
     assert sorted(tuple(r) for r in queries.points(spark, str(tmp_path)).collect()) == [("A", "F", "post", 0.9, 9.0), ("N", "O", "scan", 1.0, 7.0), ("N", "O", "walk", 0.94, 12.5)]
+
+
+def test_a_task_merges_its_shards(spark):
+    from ivsearch.functions.relations import CONTAINED
+    from ivsearch.operators import index
+
+    o, q, rows = frames(spark)
+    packed = spark.createDataFrame(index.pack(index.build(o, CONTAINED, 4, "practical", 20, shard_rows=40)).collect(), index.PACKED).coalesce(1)
+    assert packed.count() > 3
+    want = brute(rows, lambda s, t, a, b: s >= a and t <= b)
+    asked = index.attach_queries(q, CONTAINED.plan())
+    found = index.each_shard(packed, asked, lambda s, v, xq, yq, k: s.find(v, xq, yq, k, 1000, "walk", 0, 16), costs=False)
+    assert found.count() == len(want)  # k a query, not k a query and shard
+    for df in (index.search(packed, q, CONTAINED, 1000), index.search(packed, q, CONTAINED, 1000, stats=True)):
+        assert [tuple(r) for r in df.select("qid", "rank", "oid").orderBy("qid", "rank").collect()] == want
