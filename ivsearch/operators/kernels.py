@@ -20,16 +20,16 @@ def dist2(v: np.ndarray, ids, q: np.ndarray) -> np.ndarray:
 
 def diversify(v: np.ndarray, ids: np.ndarray, d: np.ndarray, m: int, kept: list | None = None) -> list[int]:
     """Of candidates in the order of (distance, id), those with no kept one that is strictly nearer both to the centre and to them; at most m."""
-    kept, kd = list(kept or []), [] if not kept else [-np.inf] * len(kept)
-    for i, x in zip(ids, d):
-        if len(kept) >= m:
-            break
-        if kept:
-            between = dist2(v, np.array(kept), v[i])
-            if np.any((np.array(kd) < x) & (between < x)):
-                continue
-        kept.append(int(i))
-        kd.append(x)
+    kept, left, d = list(kept or []), np.asarray(ids, np.int64), np.asarray(d)
+    for i in kept:
+        far = dist2(v, left, v[i]) >= d
+        left, d = left[far], d[far]
+    while len(kept) < m and len(left):
+        i, x = int(left[0]), d[0]
+        kept.append(i)
+        left, d = left[1:], d[1:]
+        far = (x >= d) | (dist2(v, left, v[i]) >= d)
+        left, d = left[far], d[far]
     return kept
 
 
@@ -131,24 +131,50 @@ class Growing:
         self.lists[src].append(edge)
         self.arrays.pop(src, None)
 
-    def __getitem__(self, u: int) -> tuple:
+    def __getitem__(self, u: int) -> np.ndarray:
         if u not in self.arrays:
-            self.arrays[u] = tuple(np.array(self.lists[u], np.int64).reshape(-1, 4).T)
+            self.arrays[u] = np.ascontiguousarray(np.array(self.lists[u], np.int64).reshape(-1, 4).T)
         return self.arrays[u]
 
 
-def sweep_by_search(v, xr, yr, j: int, m: int, graph: Growing, width: int, starts: np.ndarray):
-    """(edges, rounds) of object j where each threshold's candidates come from a labelled search of the graph so far, in the state of the threshold and the object before j."""
-    edges, x, rounds, c = [], 0, 0, int(yr[j - 1])
-    while x <= xr[j]:
-        if xr[starts[j - 1]] < x:  # starts[i]: an object up to i with the largest x, so none is valid
-            break
-        ids, d, _ = walk(v, graph, v[j], x, c, int(starts[j - 1]), width)
-        ids, d = np.array([i for i in ids if i < j], np.int64), np.array([e for i, e in zip(ids, d) if i < j])
-        right = min(int(xr[j]), int(xr[ids].min()))
-        edges += [(u, x, right) for u in diversify(v, ids, d, m)]
+def spread(graph: Growing, d: np.ndarray, a: int, start: int, size: int) -> np.ndarray:
+    """Rows by distance d that a labelled search from start ends with, at most size, where all of graph is within the state's prefix: it expands what is new among its size nearest at once, until nothing is."""
+    seen, done = np.zeros(len(d), bool), np.zeros(len(d), bool)
+    seen[start], pool = True, np.array([start])
+    while True:
+        fresh = pool[~done[pool]]
+        if not len(fresh):
+            return pool[np.lexsort((pool, d[pool]))]
+        done[fresh] = True
+        other, l, r, _ = np.concatenate([graph[u] for u in fresh.tolist()], 1)
+        near = other[(l <= a) & (a <= r)]
+        near = np.unique(near[~seen[near]])
+        seen[near] = True
+        pool = np.concatenate([pool, near])
+        if len(pool) > size:
+            pool = pool[np.argpartition(d[pool], size - 1)[:size]]
+
+
+def sweep_by_search(v, xr, j: int, m: int, graph: Growing, width: int, starts: np.ndarray):
+    """(edges, rounds) of object j where each threshold's candidates come from a labelled search of the graph so far, in the state of the threshold and the object before j.
+
+    Every state's graph is connected, as each object has an edge at every threshold with a valid earlier one: a pool that holds all valid objects gets them all, without a walk.
+    A candidate that is not kept changes nothing when it ends, unless others may take its place in a full pool; so a round lasts as long as those kept, and one that stays keeps its edge.
+    """
+    d = dist2(v, np.arange(j), v[j])
+    order, open_, edges, x, rounds = np.argsort(d, kind="stable"), {}, [], 0, 0
+    ranks = xr[order]
+    while x <= xr[j] and x <= xr[starts[j - 1]]:  # starts[i]: an object up to i with the largest x; beyond it none is valid
+        ids = order[ranks >= x]
+        full = len(ids) > width
+        if full:
+            ids = spread(graph, d, x, int(starts[j - 1]), width)
+        kept = diversify(v, ids, d[ids], m)
+        right = min(int(xr[j]), int(xr[ids if full and len(kept) < m else kept].min()))
+        edges += [(u, l, x - 1) for u, l in open_.items() if u not in kept]
+        open_ = {u: open_.get(u, x) for u in kept}
         x, rounds = right + 1, rounds + 1
-    return edges, rounds
+    return edges + [(u, l, x - 1) for u, l in open_.items()], rounds
 
 
 def mend(v, oid, xr, j: int, span: tuple[int, int], m: int, kp: int, how: str = "anchored"):
@@ -267,7 +293,7 @@ def build(v, oid, xr, yr, m: int, method: str = "exact", pool: int = 100, leap:
         if method == "exact":
             edges, n = sweep_exact(v, oid, xr, j, m)
         elif method == "incremental":
-            edges, n = sweep_by_search(v, xr, yr, j, m, growing, max(pool, m), starts)
+            edges, n = sweep_by_search(v, xr, j, m, growing, max(pool, m), starts)
         else:
             if scanned is not None:
                 _, ids, d = next(scanned)
