@@ -28,6 +28,12 @@ def assign(objects: DataFrame, shard_rows: int, method: str = "hash") -> DataFra
     return objects.withColumn("shard", F.pmod(F.xxhash64("oid"), F.lit(shards)).cast("int"))
 
 
+def by_shard(df: DataFrame):
+    """df grouped by shard, with shards dealt in turn to as many tasks as run at once: a hash of so few keys would leave some tasks with twice as many."""
+    n = df.sparkSession.sparkContext.defaultParallelism
+    return df.withColumn("_task", F.pmod(F.col("shard"), F.lit(n))).repartitionById(n, F.col("_task")).groupBy("shard", "_task")
+
+
 def _arrays(t: pa.Table):
     v = _matrix(t.column("vec"))
     oid, x, y = (t.column(c).to_numpy() for c in ("oid", "x", "y"))
@@ -53,7 +59,7 @@ def build(objects: DataFrame, relation: Relation, m: int = 16, method: str = "pr
             out[src].append(edge)
         return _rows(key[0].as_py(), v, oid, x, y, xr, yr, out, rounds, open_)
 
-    return placed.groupBy("shard").applyInArrow(run, KIND)
+    return by_shard(placed).applyInArrow(run, KIND)
 
 
 def _rows(shard: int, v, oid, x, y, xr, yr, out: list, rounds: int = 0, open_: int = 0) -> pa.Table:
@@ -75,7 +81,7 @@ def pack(index: DataFrame) -> DataFrame:
         blob = blobs.pack(oid=t.column("oid").to_numpy(), v=_matrix(t.column("vec")), x=x, y=y, ends=ends.astype(np.int64), **flat)
         return pa.Table.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([t.num_rows], pa.int64()), pa.array([x.max()]), pa.array([y.min()]), pa.array([blob], pa.binary())], names=[c.split()[0] for c in PACKED.split(", ")])
 
-    return index.groupBy("shard").applyInArrow(run, PACKED)
+    return by_shard(index).applyInArrow(run, PACKED)
 
 
 def edges(index: DataFrame) -> DataFrame:
@@ -123,22 +129,25 @@ class Shard:
         best = np.lexsort((self.oid[ids], d))[:k]
         return ids[best], d[best], costs
 
-    def find_many(self, q: np.ndarray, xq: np.ndarray, yq: np.ndarray, k: np.ndarray, mode: str, scan_below: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(row of q, row, distance, costs of each q): what find() gives where the pool holds the whole shard. Its walk then ends only when every row within reach is expanded, in whatever order, so all queries walk at once, by levels."""
+    def find_many(self, q: np.ndarray, xq: np.ndarray, yq: np.ndarray, k: np.ndarray, mode: str, scan_below: int, costs_too: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(row of q, row, distance, costs of each q, zeros where not asked for): what find() gives where the pool holds the whole shard. Its walk then ends only when every row within reach is expanded, in whatever order, so all queries walk at once, by levels."""
         a, last = np.searchsorted(self.ux, xq), np.searchsorted(self.y, yq, side="right") - 1
         c = np.searchsorted(self.uy, yq, side="right") - 1
         some = np.flatnonzero((a < len(self.ux)) & (last >= 0) & (self.xr[self.tops[last]] >= a))
         costs, a, c, start = np.zeros((len(q), 3), np.int64), a[some], c[some], self.tops[last[some]]
-        valid = (self.xr[None] >= a[:, None]) & (self.yr[None] <= c[:, None])
+        valid = (self.xr[None] >= a[:, None]) & (self.yr[None] <= c[:, None]) if mode != "walk" or scan_below else None
         if mode == "walk":
             seen = kernels.reach(len(self.oid), self.ends, self.edges[0], start, self.edges[1:], a, c)
         else:
             seen = kernels.reach(len(self.oid), self.ends, self.edges[0], np.zeros_like(start) if mode == "post" else start)
-        spent = np.stack([seen.sum(1), seen.sum(1), seen @ np.diff(self.ends)], 1)
+        if costs_too:
+            met = seen.sum(1)
+            costs[some] = np.stack([met, met, seen @ np.diff(self.ends)], 1)
         if scan_below:
             few = valid.sum(1) <= scan_below
-            seen[few], spent[few] = valid[few], np.stack([valid[few].sum(1), np.zeros(few.sum(), np.int64), np.zeros(few.sum(), np.int64)], 1)
-        costs[some] = spent
+            seen[few] = valid[few]
+            if costs_too:
+                costs[some[few]] = np.stack([valid[few].sum(1), np.zeros(few.sum(), np.int64), np.zeros(few.sum(), np.int64)], 1)
         at, rows, dist = nearest_in(q[some], self.v, self.oid, k[some], seen if mode == "walk" else seen & valid)
         return some[at], rows, dist, costs
 
@@ -232,7 +241,7 @@ def search(index: DataFrame, queries: DataFrame, relation: Relation, ef: int = 6
     """
     shards = index if "blob" in index.columns else pack(index)
     asked = attach_queries(queries, relation.plan(swap))
-    wide = lambda s, q, xq, yq, k: s.find_many(q, xq, yq, k, mode, scan_below) if ef >= len(s.oid) and mode != "dense" else None
+    wide = lambda s, q, xq, yq, k: s.find_many(q, xq, yq, k, mode, scan_below, stats) if ef >= len(s.oid) and mode != "dense" else None
     return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan), many=wide, costs=stats), stats)
 
 
@@ -280,4 +289,4 @@ def unlabelled(objects: DataFrame, relation: Relation, m: int = 16, pool: int =
                 out[src].append(edge)
         return _rows(key[0].as_py(), v, oid, x, y, xr, yr, out)
 
-    return materialize(placed.groupBy("shard").applyInArrow(run, KIND), "plain")
+    return materialize(by_shard(placed).applyInArrow(run, KIND), "plain")

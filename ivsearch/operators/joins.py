@@ -73,12 +73,18 @@ def nearest_in(q: np.ndarray, v: np.ndarray, oid: np.ndarray, k, allowed=None) -
     if not len(q) or not len(v) or most < 1:
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
     sq, own = (v * v).sum(1), (q * q).sum(1)
-    d = sq[None] - 2 * (q @ v.T) + own[:, None]
-    finite = np.isfinite(d) if allowed is None else np.isfinite(d) & allowed
-    d = np.where(finite, d, np.inf)
+    d = q @ v.T
+    d *= -2
+    d += sq
+    d += own[:, None]
+    finite = np.isfinite(d)
+    if allowed is not None:
+        finite &= allowed
+    np.putmask(d, ~finite, np.inf)
     edge = np.partition(d, most - 1, axis=1)[:, most - 1] if most < len(v) else np.full(len(q), np.inf)
     spare = 1e-9 * (1 + np.abs(edge)) + 1e-12 * own  # all that rounding could bring in
-    rows, cols = np.nonzero((d <= (edge + spare)[:, None]) & finite)
+    finite &= d <= (edge + spare)[:, None]
+    rows, cols = np.nonzero(finite)
     dist = measured(q, v, rows, cols)
     order = np.lexsort((oid[cols], dist, rows))
     rows, cols, dist = rows[order], cols[order], dist[order]
