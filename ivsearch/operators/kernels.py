@@ -100,24 +100,26 @@ def sweep_pooled(v, xr, j: int, ids, d, m: int, leap: str = "max", quantile: flo
     Where a leap outlasts some of the kept, each of their places goes, from its end on, to the nearest unpruned object that lasts to the end of the leap.
     """
     edges, x, rounds, ranks, close = [], 0, 0, xr[ids], closer(v, ids, d)
+    begun = {}  # who got a place in the last leap, and since when: one edge, if it is kept next
     while x <= xr[j]:
         at = ranks >= x
         if not at.any():
-            return edges, rounds, (x, int(xr[j]))
+            return edges + [(u, l, x - 1) for u, l in begun.items()], rounds, (x, int(xr[j]))
         held = np.array(keep(at, close, m))
         kept = ids[held]
         own = np.sort(xr[kept])
         stop = {"full": ranks[at].min(), "conservative": own[0], "aggressive": own[int(quantile * (len(own) - 1))], "max": own[-1]}[leap]
         stop = min(int(stop), int(xr[j]))
-        edges += [(int(u), x, min(stop, int(xr[u]))) for u in kept]
-        gone = own[own < stop]
+        edges += [(int(u), begun.pop(int(u), x), min(stop, int(xr[u]))) for u in kept]
+        edges += [(u, l, x - 1) for u, l in begun.items()]
+        begun, gone = {}, own[own < stop]
         if len(gone):
             last = at & (ranks >= stop)
             last[held] = False
             fill = keep(last & ~close[held[ranks[held] >= stop]].any(0), close, len(gone))
-            edges += [(int(u), int(e) + 1, stop) for u, e in zip(ids[fill], gone)]
+            begun = {int(u): int(e) + 1 for u, e in zip(ids[fill], gone)}
         x, rounds = stop + 1, rounds + 1
-    return edges, rounds, None
+    return edges + [(u, l, x - 1) for u, l in begun.items()], rounds, None
 
 
 class Growing:
