@@ -4,15 +4,63 @@ from __future__ import annotations
 
 import os
 import re
+from collections.abc import Iterator
+from itertools import compress, repeat
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 #: A part that begins a token by itself and ends before the next part.
 PART = re.compile(r"\n?\S{1,64}").fullmatch
-#: Stands for a text's first word, which no space or newline precedes; no part is like it.
-NONE = "\n\n"
-#: Letters and then punctuation, between which a token always ends.
-ENDED = re.compile(r"(\n?[^\W\d_]{1,60})([.,;:!?]{1,4})").fullmatch
+#: Between letters and these a token always ends.
+POINTS = ".,;:!?"
+#: Bytes of text handled at a time, words of letters in one string for the library.
+GROUP, RUN = 4_000_000, 200
+
+
+def _alphabet() -> np.ndarray:
+    """The character that stands for each byte in a byte-level vocabulary; a space, which none has there, for byte 0."""
+    own = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    other = iter(range(0x100, 0x200))
+    return np.array([b if b in own else next(other) for b in range(256)], "<u4") * (np.arange(256) > 0) + 0x20 * (np.arange(256) == 0)
+
+
+def _runs(start: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """start, start + 1, ... of each run of n, one run after another."""
+    end = np.cumsum(n, dtype=np.int64)
+    out = np.repeat((start - (end - n)).astype(np.int32), n)
+    out += np.arange(len(out), dtype=np.int32)
+    return out
+
+
+class Parts:
+    """Ids of parts, at the places that a dictionary gives."""
+
+    def __init__(self):
+        self.at: dict[str, int] = {}
+        self.start, self.n, self.data = np.zeros(1, np.int32), np.zeros(1, np.int32), np.zeros(0, "<u4")  # place 0 is nobody's
+
+    def __len__(self) -> int:
+        return len(self.at)
+
+    def __contains__(self, part: str) -> bool:
+        return part in self.at
+
+    def find(self, parts: list[str]) -> np.ndarray:
+        """Their places; -1 for parts that are not here."""
+        return np.fromiter(map(self.at.get, parts, repeat(-1)), np.int64, len(parts))
+
+    def ids(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the parts at these places, one after another, and how many each has."""
+        n = self.n.take(places)
+        return self.data.take(_runs(self.start.take(places), n)), n
+
+    def add(self, parts: list[str], ids: np.ndarray, n: np.ndarray) -> None:
+        """Distinct parts that are not here yet."""
+        self.at.update(zip(parts, range(len(self.n), len(self.n) + len(parts))))
+        self.start = np.concatenate([self.start, (len(self.data) + np.cumsum(n) - n).astype(np.int32)])
+        self.n, self.data = np.concatenate([self.n, n.astype(np.int32)]), np.concatenate([self.data, ids])
 
 
 class Encoder:
@@ -21,21 +69,23 @@ class Encoder:
     The byte-level pre-tokenizer never lets a token cross a single space, or a single newline's front, between two characters
     that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
     are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
-    cache has two generations of about max_parts parts of at most 64 characters, about 130 MB each, and tasks drop it when they end: when the younger is full it replaces the older, and
-    a part that is met again moves into the younger. The new parts of many texts are encoded in one
-    call: a token that begins with a space or newline begins a part.
+    cache has two generations of about max_parts parts of at most 64 characters, and tasks drop it when they end: when the younger
+    is full it replaces the older, and a part that is met again moves into the younger. Arrow parts a group of texts and numbers their distinct parts, so only
+    those become Python objects; ids of all parts are gathered by these numbers. New parts of a group are encoded together:
+    a token that begins with a space or newline begins a part. Words of letters, which the pre-tokenizer keeps whole, go to the
+    library's model spelt in the byte-level alphabet, and punctuation after them apart.
     """
 
     def __init__(self, path: str, max_parts: int = 500_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
-        self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.tokenizer, self.plain = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        self.plain.pre_tokenizer = pre_tokenizers.Split(" ", "removed")
+        self.tokenizer.encode_special_tokens = self.plain.encode_special_tokens = True  # their strings in a text are ordinary text
         self.max_parts = max_parts
-        self.known: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
-        self.points: dict[str, bytes] = {}
+        self.known, self.older, self.points = Parts(), Parts(), Parts()
+        self.alphabet = _alphabet()
         words = self.tokenizer.get_vocab(with_added_tokens=True)
         self.opens = np.zeros(max(words.values()) + 1, bool)
         self.opens[[i for w, i in words.items() if w[:1] in ("\u0120", "\u010a")]] = True  # a space and a newline in the byte-level alphabet
@@ -45,76 +95,106 @@ class Encoder:
 
     def forget(self) -> None:
         """Drops the cache: the worker may next serve a task of another kind."""
-        self.known, self.older = {}, {}
+        self.known, self.older = Parts(), Parts()
 
     def ids(self, text: str | None) -> bytes:
         return self.many([text])[0]
 
-    def many(self, texts: list[str | None], chars: int = 1_000_000) -> list[bytes]:
-        """Ids of each text; texts are taken in groups of about so many characters, whose new parts are encoded in one call."""
-        out, group, size = [], [], 0
-        for t in texts:
-            group.append(t)
-            size += len(t or "")
-            if size >= chars:
-                out += self._group(group)
-                group, size = [], 0
-        return out + self._group(group)
-
-    def _group(self, texts: list[str | None]) -> list[bytes]:
+    def rows(self, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int | None, bytes]]:
+        """doc_id and ids of each row; batches are gathered until they hold about GROUP bytes of text."""
+        held, size = [], 0
+        for batch in batches:
+            held.append(batch)
+            size += batch.column("text").nbytes
+            if size >= GROUP:
+                yield from self._rows(held)
+                held, size = [], 0
+        yield from self._rows(held)
+
+    def _rows(self, held: list[pa.RecordBatch]) -> Iterator[tuple[int | None, bytes]]:
+        if held:
+            docs, texts = (pa.concat_arrays([b.column(c) for b in held]) for c in ("doc_id", "text"))
+            yield from zip(docs.to_pylist(), self.many(texts, 2 * GROUP))
+
+    def many(self, texts: list[str | None] | pa.Array, size: int = GROUP) -> list[bytes]:
+        """Ids of each text; texts are taken in groups of about so many bytes, whose new parts are encoded together."""
+        texts = pc.fill_null(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()), "")
+        part = np.cumsum(pc.binary_length(texts).to_numpy(), dtype=np.int64) // size
+        cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(part)]
+        return [x for i, j in zip(cuts, cuts[1:]) if j > i for x in self._group(texts.slice(i, j - i))]
+
+    def _group(self, texts: pa.Array) -> list[bytes]:
         if len(self.known) > self.max_parts:
-            self.known, self.older = {}, self.known
-        known, out, open_, new = self.known, [b""] * len(texts), [], set()
-        known[NONE] = b""
-        for i, text in enumerate(texts):
-            if not text:
-                continue
-            parts = text.replace("\n", " \n").split(" ")
-            head = parts[0]
-            if not head or head[0].isspace() or head[-1].isspace():
-                out[i] = self._apart(head, parts[1:])
-                continue
-            parts[0] = NONE
-            new |= set(parts).difference(known)
-            open_.append((i, head, parts))
-        for (i, head, parts), first in zip(open_, self._learn(new, [x[1] for x in open_])):
-            try:
-                out[i] = first + b"".join(map(known.__getitem__, parts))
-            except KeyError:
-                out[i] = self._apart(head, parts[1:])
+            self.known, self.older = Parts(), self.known
+        parts = pc.split_pattern(pc.replace_substring(texts, "\n", " \n"), " ")
+        at = parts.offsets.to_numpy().astype(np.int64)
+        first, coded = at[:-1], parts.flatten().dictionary_encode()  # every text has a first part, be it empty
+        index, words = coded.indices.to_numpy(), _strings(coded.dictionary)
+        heads = [words[i] for i in index[first].tolist()]
+        place = self.known.find(words)
+        if len(new := np.flatnonzero(place < 0)):
+            self._learn(list(compress(words, (place < 0).tolist())), coded.dictionary.take(pa.array(new)))
+            place[new] = self.known.find([words[i] for i in new.tolist()])
+        n, start = np.where(place < 0, 0, self.known.n.take(place)), self.known.start.take(place)
+        unknown, n = (place < 0).take(index), n.take(index)
+        n[first], unknown[first] = 0, False  # no space or newline precedes a first word
+        raw = self.known.data.take(_runs(start.take(index), n)).tobytes()
+        bounds = [0, *(4 * np.cumsum(n, dtype=np.int64)[at[1:] - 1]).tolist()]
+        apart, out = np.logical_or.reduceat(unknown, first).tolist(), []
+        of = dict.fromkeys(heads)
+        of = dict(zip(of, self._encode(list(of))))
+        for i, head in enumerate(heads):
+            if not apart[i] and head and not head[0].isspace() and not head[-1].isspace():
+                out.append(of[head] + raw[bounds[i] : bounds[i + 1]])
+            else:
+                out.append(self._apart(head, [words[k] for k in index[at[i] + 1 : at[i + 1]].tolist()]))
         return out
 
-    def _learn(self, new: set[str], heads: list[str]) -> list[bytes]:
-        """Ids of heads of texts; ids of new parts go to the younger generation, but for long parts and those with other white space than a newline before them."""
+    def _learn(self, new: list[str], parts: pa.Array) -> None:
+        """Ids of new parts go to the younger generation, but for long parts and those with other white space than a newline before them."""
         known, older, points = self.known, self.older, self.points
-        need, ended = {}, []
-        for p in new:
-            if p in older:
-                known[p] = older[p]
-            elif m := ENDED(p):
-                w, end = m.groups()
-                ended.append((p, w, end))
-                if w not in known:
-                    need[w] = None
-            elif PART(p):
-                need[p] = None
-        tails = []
-        for w in need:
-            if w in older:
-                known[w] = older[w]
-            else:
-                tails.append(w)
-        *own, raw = self._encode([*heads, " ".join(["x", *tails]).replace(" \n", "\n")])
-        starts = 4 * np.flatnonzero(self.opens[np.frombuffer(raw, "<u4")])
-        if len(starts) == len(tails):
-            bounds = [*starts.tolist(), len(raw)]
-            known.update(zip(tails, [raw[a:b] for a, b in zip(bounds, bounds[1:])]))
-        for p, w, end in ended:
-            if w in known:
-                if end not in points:
-                    points[end] = self._encode([end])[0]  # there are at most 6 + 6^2 + 6^3 + 6^4 of them
-                known[p] = known[w] + points[end]
-        return own
+        if len(older):
+            met = older.find(new)
+            old = (met >= 0).tolist()
+            known.add(list(compress(new, old)), *older.ids(met[met >= 0]))
+            new, parts = [p for p in new if p not in known], parts.filter(pa.array(met < 0))
+        bare = pc.utf8_rtrim(parts, POINTS)
+        tail = pc.binary_length(parts).to_numpy() - pc.binary_length(bare).to_numpy()
+        word = (pc.utf8_length(parts).to_numpy() <= 64) & (tail <= 4) & pc.utf8_is_alpha(pc.utf8_ltrim(bare, "\n")).to_numpy(zero_copy_only=False)
+        whole, closed = word & (tail == 0), word & (tail > 0)
+        ended, stems = list(compress(new, closed.tolist())), _strings(bare.filter(pa.array(closed)))
+        self._spell(list(compress(new, whole.tolist())))
+        self._spell([w for w in dict.fromkeys(stems) if w not in known])
+        self._mixed([p for p in compress(new, (~word).tolist()) if PART(p)])
+        if ended:
+            ends = [p[len(w) :] for p, w in zip(ended, stems)]
+            if fresh := [e for e in dict.fromkeys(ends) if e not in points]:
+                codes = [np.frombuffer(c, "<u4") for c in self._encode(fresh)]  # there are at most 6 + 6^2 + 6^3 + 6^4 of them
+                points.add(fresh, np.concatenate(codes), np.array([len(c) for c in codes]))
+            at, end = known.find(stems), points.find(ends)
+            if (at < 0).any():
+                ended, at, end = list(compress(ended, (at >= 0).tolist())), at[at >= 0], end[at >= 0]
+            # Of each a stem from the one table, then an ending from the other.
+            n = np.stack([known.n.take(at), points.n.take(end)], 1)
+            start = np.stack([known.start.take(at), points.start.take(end) + len(known.data)], 1)
+            known.add(ended, np.concatenate([known.data, points.data]).take(_runs(start.ravel(), n.ravel())), n.sum(1))
+
+    def _spell(self, words: list[str]) -> None:
+        """Learns words of letters, some with a newline before them, which is a token by itself."""
+        runs = [f"\0 {'\0 '.join(words[i : i + RUN])}".replace("\0 \n", "\0\n\0")[1:] for i in range(0, len(words), RUN)]
+        spelt = [self.alphabet[np.frombuffer(r.encode(), np.uint8)].tobytes().decode("utf-32-le") for r in runs]
+        codes = self.plain.encode_batch_fast(spelt, add_special_tokens=False)
+        self._keep(words, [np.array(e.ids, "<u4") for e in codes])
+
+    def _mixed(self, parts: list[str]) -> None:
+        self._keep(parts, [np.frombuffer(self._encode([" ".join(["x", *parts]).replace(" \n", "\n")])[0], "<u4")[1:]])
+
+    def _keep(self, parts: list[str], codes: list[np.ndarray]) -> None:
+        if parts:
+            ids = np.concatenate(codes)
+            starts = np.flatnonzero(self.opens[ids])
+            if len(starts) == len(parts):
+                self.known.add(parts, ids[starts[0] :], np.diff(starts, append=len(ids)))
 
     def _apart(self, head: str, tail: list[str]) -> bytes:
         chunks, closed = [head], head != "" and not head[-1].isspace()
@@ -126,13 +206,19 @@ class Encoder:
                 chunks[-1] += " " + part
             closed = part != "" and not part[-1].isspace()
         head, *tail = chunks
-        have = {t: c for t in set(tail) if (c := self.known.get(t) or self.older.get(t)) is not None}
-        new = [t for t in set(tail) if t not in have]
+        new, have = list(dict.fromkeys(tail)), {}
+        for held in (self.known, self.older):
+            have |= {t: held.data[(a := held.start[i]) : a + held.n[i]].tobytes() for t in new if (i := held.at.get(t)) is not None}
+            new = [t for t in new if t not in have]
         start, *codes = self._encode([head.replace(" \n", "\n"), *((" " + t).replace(" \n", "\n") for t in new)])
         have |= zip(new, codes)
         return b"".join([start, *(have[t] for t in tail)])
 
 
+def _strings(words: pa.Array) -> list[str]:
+    return words.to_numpy(zero_copy_only=False).tolist()
+
+
 _SHARED: dict[str, Encoder] = {}
 
 

@@ -4,6 +4,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from ivsearch.llm import graph_ann, language_id, line_dedup, mixing, ngram_join, packing, quality_classifier, quality_rules, sharding, token_files, tokens
@@ -284,6 +285,23 @@ def test_tokens():
         assert np.frombuffer(enc.ids(t), "<u4").tolist() == enc.tokenizer.encode(t, add_special_tokens=False).ids
 
 
+def test_tokens_by_arrays():
+    """Ids are those of the library for words of all kinds, whatever the cache holds."""
+    rng = np.random.default_rng(6)
+    ends = ["", "", "", ".", ",", "...", ".,;:!?", "'s", "5", "\u00bd.", "-x", "\n", "e\u0301."]
+    made = lambda: "".join(rng.choice(list("aebnstÄßéж語 "), rng.integers(1, 9))).strip() + str(rng.choice(ends))
+    words = [made() for _ in range(3000)]
+    texts = [*["".join(f"{w}{' ' if rng.integers(0, 9) else chr(10)}" for w in rng.choice(words, rng.integers(1, 60)))[:-1] for _ in range(300)], None, "", "\n", "\x00 a\x00b \u0120 c", "a \u0120b\nc \u010a"]
+    enc = tokens.Encoder(tokens.vocabulary(), 2000)
+    want = [enc.tokenizer.encode(t or "", add_special_tokens=False).ids for t in texts]
+    for size in (500, 10_000, 10**9):
+        assert [np.frombuffer(x, "<u4").tolist() for x in enc.many(texts, size)] == want
+        enc.forget()
+        assert len(enc.known) == len(enc.older) == 0
+    batches = [pa.RecordBatch.from_pydict({"doc_id": list(range(i, i + 5)), "text": pa.array(texts[i : i + 5], pa.string())}) for i in range(0, 305, 5)]
+    assert [(d, np.frombuffer(x, "<u4").tolist()) for d, x in enc.rows(iter(batches))] == list(enumerate(want))
+
+
 def test_quality_classifier(spark):
     good = [(i, f"The river number {i} runs past the old mill and the people of the town like to walk there in the evening {i * 7}.") for i in range(80)]
     bad = [(100 + i, f"BUY!!! ${i} | CLICK!!! ${i * 3} | WIN!!! FREE!!! ${i} | CASH!!! NOW!!!") for i in range(80)]
