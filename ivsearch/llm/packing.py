@@ -100,20 +100,19 @@ def pack(docs: DataFrame, path: str | None = None, capacity: int = 1024, end_id:
             return pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in cols[:7]), pa.ListArray.from_arrays(pa.array(ends), ids)], [*names, "ids"])
 
         whole, rest, n = [], [], 0
-        for batch in batches:
-            for doc, ids in zip(batch.column("doc_id").to_pylist(), enc.many(batch.column("text").to_pylist())):
-                ids += end
-                total = len(ids) // 4
-                full = total - total % capacity
-                whole += [(doc, s, ids[4 * s : 4 * (s + capacity)], total) for s in range(0, full, capacity)]
-                left = total - full
-                k = -(-left // cut)
-                edges = [full + left * i // k for i in range(k + 1)] if k else []
-                rest += [(doc, a, ids[4 * a : 4 * b], total) for a, b in zip(edges, edges[1:])]
-                n += 1
-                if n >= group or len(whole) > 4096:
-                    yield flush(whole, rest)
-                    whole, rest, n = [], [], 0
+        for doc, ids in enc.rows(batches):
+            ids += end
+            total = len(ids) // 4
+            full = total - total % capacity
+            whole += [(doc, s, ids[4 * s : 4 * (s + capacity)], total) for s in range(0, full, capacity)]
+            left = total - full
+            k = -(-left // cut)
+            edges = [full + left * i // k for i in range(k + 1)] if k else []
+            rest += [(doc, a, ids[4 * a : 4 * b], total) for a, b in zip(edges, edges[1:])]
+            n += 1
+            if n >= group or len(whole) > 4096:
+                yield flush(whole, rest)
+                whole, rest, n = [], [], 0
         if whole or rest:
             yield flush(whole, rest)
         enc.forget()
