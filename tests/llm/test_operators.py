@@ -130,6 +130,27 @@ def test_jaccard_group(spark):
     assert {tuple(r) for r in ngram_join.jaccard_classes(spark.createDataFrame(rows, "doc_id long, text string"), 9, 10, 3).collect()} == classes(rows, 9, 10, 3)
 
 
+def test_jaccard_crowd(spark, monkeypatch):
+    """A large group of near copies, of which some pairs are linked, leaves few pairs for the second step."""
+    rng, rows, left = np.random.default_rng(4), [], {}
+    for i in range(400):
+        w = [f"w{j}" for j in range(200)]
+        for at in rng.choice(200, 1 + i % 4, replace=False):
+            w[at] = f"x{rng.integers(0, 10**6)}"
+        rows.append((i, " ".join(w)))
+    stage = ngram_join.stage
+
+    def counted(df, name="t"):
+        out = stage(df, name)
+        left[name] = out.count() if name in ("pivots", "open") else 0
+        return out
+
+    monkeypatch.setattr(ngram_join, "stage", counted)
+    got = {tuple(r) for r in ngram_join.jaccard_classes(spark.createDataFrame(rows, "doc_id long, text string"), 9, 10, 3).collect()}
+    assert got == classes(rows, 9, 10, 3)
+    assert left["pivots"] <= 400 and left["open"] <= 1600, left
+
+
 def test_packing(docs):
     enc = tokens.encoder(tokens.vocabulary())
     seen, windows = {}, {}
