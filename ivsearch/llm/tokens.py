@@ -5,7 +5,6 @@ from __future__ import annotations
 import os
 import re
 from collections.abc import Iterator
-from itertools import compress, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -23,7 +22,7 @@ def _alphabet() -> np.ndarray:
     """The character that stands for each byte in a byte-level vocabulary; a space, which none has there, for byte 0."""
     own = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
     other = iter(range(0x100, 0x200))
-    return np.array([b if b in own else next(other) for b in range(256)], "<u4") * (np.arange(256) > 0) + 0x20 * (np.arange(256) == 0)
+    return np.array([0x20, *[b if b in own else next(other) for b in range(256)][1:]], "<u4")
 
 
 def _runs(start: np.ndarray, n: np.ndarray) -> np.ndarray:
@@ -34,31 +33,35 @@ def _runs(start: np.ndarray, n: np.ndarray) -> np.ndarray:
     return out
 
 
+def _bytes(words: pa.Array) -> np.ndarray:
+    """UTF-8 bytes of all words, one after another; none is null."""
+    at = np.frombuffer(words.buffers()[1], np.int32)[words.offset : words.offset + len(words) + 1]
+    return np.frombuffer(words.buffers()[2] or b"", np.uint8)[at[0] : at[-1]]
+
+
 class Parts:
-    """Ids of parts, at the places that a dictionary gives."""
+    """Ids of parts, at the places that these have in an array."""
 
     def __init__(self):
-        self.at: dict[str, int] = {}
-        self.start, self.n, self.data = np.zeros(1, np.int32), np.zeros(1, np.int32), np.zeros(0, "<u4")  # place 0 is nobody's
+        self.words = pa.nulls(1, pa.string())  # place 0 is nobody's
+        self.start, self.n, self.data = np.zeros(1, np.int32), np.zeros(1, np.int32), np.zeros(0, "<u4")
 
     def __len__(self) -> int:
-        return len(self.at)
+        return len(self.words) - 1
 
-    def __contains__(self, part: str) -> bool:
-        return part in self.at
-
-    def find(self, parts: list[str]) -> np.ndarray:
-        """Their places; -1 for parts that are not here."""
-        return np.fromiter(map(self.at.get, parts, repeat(-1)), np.int64, len(parts))
+    def find(self, parts: pa.Array, since: int = 0) -> np.ndarray:
+        """Their places; -1 for parts that are not here. since: a number of parts that need not be looked at."""
+        at = pc.index_in(parts, value_set=self.words.slice(since + 1)).fill_null(-1).to_numpy().astype(np.int64)
+        return np.where(at < 0, -1, at + since + 1)
 
     def ids(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the parts at these places, one after another, and how many each has."""
         n = self.n.take(places)
         return self.data.take(_runs(self.start.take(places), n)), n
 
-    def add(self, parts: list[str], ids: np.ndarray, n: np.ndarray) -> None:
+    def add(self, parts: pa.Array, ids: np.ndarray, n: np.ndarray) -> None:
         """Distinct parts that are not here yet."""
-        self.at.update(zip(parts, range(len(self.n), len(self.n) + len(parts))))
+        self.words = pa.concat_arrays([self.words, parts])
         self.start = np.concatenate([self.start, (len(self.data) + np.cumsum(n) - n).astype(np.int32)])
         self.n, self.data = np.concatenate([self.n, n.astype(np.int32)]), np.concatenate([self.data, ids])
 
@@ -69,9 +72,10 @@ class Encoder:
     The byte-level pre-tokenizer never lets a token cross a single space, or a single newline's front, between two characters
     that are not white space. So a text is parted there (a part after a newline begins with it), and the parts, which recur,
     are kept in a cache; where other white space stands, the parts around it stay together and are encoded as they are. The
-    cache has two generations of about max_parts parts of at most 64 characters, and tasks drop it when they end: when the younger
-    is full it replaces the older, and a part that is met again moves into the younger. Arrow parts a group of texts and numbers their distinct parts, so only
-    those become Python objects; ids of all parts are gathered by these numbers. New parts of a group are encoded together:
+    cache has two generations of about max_parts parts, and tasks drop it when they end: when the younger
+    is full it replaces the older, and a part that is met again moves into the younger. Arrow parts a group of texts, numbers their distinct
+    parts and finds them in the cache, whose parts are an Arrow array too: hardly any part becomes a Python object, so a cache takes
+    some 30 bytes a part. Ids of all parts are gathered by these numbers. New parts of a group are encoded together:
     a token that begins with a space or newline begins a part. Words of letters, which the pre-tokenizer keeps whole, go to the
     library's model spelt in the byte-level alphabet, and punctuation after them apart.
     """
@@ -80,9 +84,10 @@ class Encoder:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer, pre_tokenizers
 
-        self.tokenizer, self.plain = Tokenizer.from_file(path), Tokenizer.from_file(path)
-        self.plain.pre_tokenizer = pre_tokenizers.Split(" ", "removed")
-        self.tokenizer.encode_special_tokens = self.plain.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.plain = Tokenizer(self.tokenizer.model)  # one model for both
+        self.plain.pre_tokenizer = pre_tokenizers.CharDelimiterSplit(" ")
         self.max_parts = max_parts
         self.known, self.older, self.points = Parts(), Parts(), Parts()
         self.alphabet = _alphabet()
@@ -94,8 +99,9 @@ class Encoder:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def forget(self) -> None:
-        """Drops the cache: the worker may next serve a task of another kind."""
+        """Drops the cache, and memory that Arrow holds unused: the worker may next serve a task of another kind, or wait."""
         self.known, self.older = Parts(), Parts()
+        pa.default_memory_pool().release_unused()
 
     def ids(self, text: str | None) -> bytes:
         return self.many([text])[0]
@@ -129,94 +135,115 @@ class Encoder:
         parts = pc.split_pattern(pc.replace_substring(texts, "\n", " \n"), " ")
         at = parts.offsets.to_numpy().astype(np.int64)
         first, coded = at[:-1], parts.flatten().dictionary_encode()  # every text has a first part, be it empty
-        index, words = coded.indices.to_numpy(), _strings(coded.dictionary)
-        heads = [words[i] for i in index[first].tolist()]
-        place = self.known.find(words)
-        if len(new := np.flatnonzero(place < 0)):
-            self._learn(list(compress(words, (place < 0).tolist())), coded.dictionary.take(pa.array(new)))
-            place[new] = self.known.find([words[i] for i in new.tolist()])
-        n, start = np.where(place < 0, 0, self.known.n.take(place)), self.known.start.take(place)
-        unknown, n = (place < 0).take(index), n.take(index)
-        n[first], unknown[first] = 0, False  # no space or newline precedes a first word
-        raw = self.known.data.take(_runs(start.take(index), n)).tobytes()
-        bounds = [0, *(4 * np.cumsum(n, dtype=np.int64)[at[1:] - 1]).tolist()]
-        apart, out = np.logical_or.reduceat(unknown, first).tolist(), []
-        of = dict.fromkeys(heads)
-        of = dict(zip(of, self._encode(list(of))))
-        for i, head in enumerate(heads):
-            if not apart[i] and head and not head[0].isspace() and not head[-1].isspace():
-                out.append(of[head] + raw[bounds[i] : bounds[i + 1]])
-            else:
-                out.append(self._apart(head, [words[k] for k in index[at[i] + 1 : at[i + 1]].tolist()]))
+        index, words = coded.indices.to_numpy(), coded.dictionary
+        start, n, data, lost = self._table(words)
+        heads, which = np.unique(index[first], return_inverse=True)
+        heads = words.take(pa.array(heads)).to_pylist()
+        codes, which = self._encode(heads), which.tolist()
+        bare = np.array([head != "" and not head[0].isspace() and not head[-1].isspace() for head in heads])
+        unknown, each = lost.take(index), n.take(index)
+        each[first], unknown[first] = 0, False  # no space or newline precedes a first word
+        raw = data.take(_runs(start.take(index), each)).tobytes()
+        bounds = [0, *(4 * np.cumsum(each, dtype=np.int64)[at[1:] - 1]).tolist()]
+        apart = np.logical_or.reduceat(unknown, first) | ~bare.take(which)
+        out = [b"" if a else codes[w] + raw[i:j] for a, w, i, j in zip(apart.tolist(), which, bounds, bounds[1:])]
+        if some := np.flatnonzero(apart).tolist():
+            own = [index[at[i] : at[i + 1]] for i in some]
+            used = np.unique(np.concatenate(own))
+            used = used[~lost.take(used)]
+            have = {t: data[i : i + k].tobytes() for t, i, k in zip(words.take(pa.array(used)).to_pylist(), start.take(used).tolist(), n.take(used).tolist())}
+            for i, x in zip(some, self._apart([words.take(pa.array(o)).to_pylist() for o in own], have)):
+                out[i] = x
         return out
 
-    def _learn(self, new: list[str], parts: pa.Array) -> None:
-        """Ids of new parts go to the younger generation, but for long parts and those with other white space than a newline before them."""
-        known, older, points = self.known, self.older, self.points
-        if len(older):
-            met = older.find(new)
-            old = (met >= 0).tolist()
-            known.add(list(compress(new, old)), *older.ids(met[met >= 0]))
-            new, parts = [p for p in new if p not in known], parts.filter(pa.array(met < 0))
-        bare = pc.utf8_rtrim(parts, POINTS)
-        tail = pc.binary_length(parts).to_numpy() - pc.binary_length(bare).to_numpy()
-        word = (pc.utf8_length(parts).to_numpy() <= 64) & (tail <= 4) & pc.utf8_is_alpha(pc.utf8_ltrim(bare, "\n")).to_numpy(zero_copy_only=False)
-        whole, closed = word & (tail == 0), word & (tail > 0)
-        ended, stems = list(compress(new, closed.tolist())), _strings(bare.filter(pa.array(closed)))
-        self._spell(list(compress(new, whole.tolist())))
-        self._spell([w for w in dict.fromkeys(stems) if w not in known])
-        self._mixed([p for p in compress(new, (~word).tolist()) if PART(p)])
-        if ended:
-            ends = [p[len(w) :] for p, w in zip(ended, stems)]
-            if fresh := [e for e in dict.fromkeys(ends) if e not in points]:
-                codes = [np.frombuffer(c, "<u4") for c in self._encode(fresh)]  # there are at most 6 + 6^2 + 6^3 + 6^4 of them
+    def _table(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Where the ids of each of these distinct parts start in an array, how many it has, that array, and which parts have none: long ones and those with other white space than a newline before them.
+
+        The cache holds words of letters without the punctuation after them, and what is no such word as it is.
+        """
+        bare = pc.utf8_rtrim(words, POINTS)
+        tail = pc.binary_length(words).to_numpy() - pc.binary_length(bare).to_numpy()
+        word = self._is_word(bare) & (tail <= 4)
+        keys = pc.if_else(pa.array(word), bare, words).dictionary_encode()
+        place = self.known.find(keys.dictionary)
+        if len(new := np.flatnonzero(place < 0)):
+            fresh, had = keys.dictionary.take(pa.array(new)), len(self.known)
+            self._learn(fresh)
+            place[new] = self.known.find(fresh, had)
+        place = place.take(keys.indices.to_numpy())
+        known, points, lost = self.known, self.points, place < 0
+        place[lost] = 0
+        start, n, data = known.start.take(place), known.n.take(place), known.data
+        if len(closed := np.flatnonzero(word & (tail > 0) & ~lost)):
+            # The last bytes of each as a number; there are at most 6 + 6^2 + 6^3 + 6^4 of them.
+            end, tail, chars = np.cumsum(pc.binary_length(words).to_numpy())[closed], tail[closed], _bytes(words)
+            last = sum(np.where(k < tail, chars.take(np.maximum(end - 1 - k, 0)), 0).astype(np.int64) << 8 * k for k in range(4))
+            ends, which = np.unique(last, return_inverse=True)
+            ends = pa.array([e.to_bytes(4, "big").lstrip(b"\0").decode() for e in ends.tolist()])
+            if len(fresh := ends.filter(pa.array(points.find(ends) < 0))):
+                codes = [np.frombuffer(c, "<u4") for c in self._encode(fresh.to_pylist())]
                 points.add(fresh, np.concatenate(codes), np.array([len(c) for c in codes]))
-            at, end = known.find(stems), points.find(ends)
-            if (at < 0).any():
-                ended, at, end = list(compress(ended, (at >= 0).tolist())), at[at >= 0], end[at >= 0]
             # Of each a stem from the one table, then an ending from the other.
-            n = np.stack([known.n.take(at), points.n.take(end)], 1)
-            start = np.stack([known.start.take(at), points.start.take(end) + len(known.data)], 1)
-            known.add(ended, np.concatenate([known.data, points.data]).take(_runs(start.ravel(), n.ravel())), n.sum(1))
-
-    def _spell(self, words: list[str]) -> None:
+            end = points.find(ends).take(which)
+            both = np.stack([n[closed], points.n.take(end)], 1)
+            two = np.concatenate([data, points.data]).take(_runs(np.stack([start[closed], points.start.take(end) + len(data)], 1).ravel(), both.ravel()))
+            n[closed] = both.sum(1)
+            start[closed], data = len(data) + np.cumsum(n[closed]) - n[closed], np.concatenate([data, two])
+        return start, n, data, lost
+
+    def _is_word(self, parts: pa.Array) -> np.ndarray:
+        return (pc.utf8_length(parts).to_numpy() <= 64) & pc.utf8_is_alpha(pc.utf8_ltrim(parts, "\n")).to_numpy(zero_copy_only=False)
+
+    def _learn(self, parts: pa.Array) -> None:
+        """Ids of new parts go to the younger generation, where they can be told."""
+        if len(self.older):
+            met = self.older.find(parts)
+            self.known.add(parts.filter(pa.array(met >= 0)), *self.older.ids(met[met >= 0]))
+            parts = parts.filter(pa.array(met < 0))
+        word = self._is_word(parts)
+        self._spell(parts.filter(pa.array(word)))
+        self._mixed([p for p in parts.filter(pa.array(~word)).to_pylist() if PART(p)])
+
+    def _spell(self, words: pa.Array) -> None:
         """Learns words of letters, some with a newline before them, which is a token by itself."""
-        runs = [f"\0 {'\0 '.join(words[i : i + RUN])}".replace("\0 \n", "\0\n\0")[1:] for i in range(0, len(words), RUN)]
-        spelt = [self.alphabet[np.frombuffer(r.encode(), np.uint8)].tobytes().decode("utf-32-le") for r in runs]
-        codes = self.plain.encode_batch_fast(spelt, add_special_tokens=False)
-        self._keep(words, [np.array(e.ids, "<u4") for e in codes])
+        if len(words):
+            cuts = np.minimum(np.arange(0, len(words) + RUN, RUN), len(words)).astype(np.int32)
+            runs = pc.binary_join(pa.ListArray.from_arrays(pa.array(cuts), words), "\0 ")
+            runs = pc.replace_substring(pc.binary_join_element_wise("\0 ", runs, ""), "\0 \n", "\0\n\0")
+            end = np.cumsum(pc.binary_length(runs).to_numpy(), dtype=np.int64).tolist()
+            spelt = self.alphabet[_bytes(runs)].tobytes().decode("utf-32-le")  # a character a byte
+            runs = [spelt[i + 1 : j] for i, j in zip([0, *end], end)]
+            some = (self.plain.encode_batch_fast(runs[i : i + 64], add_special_tokens=False) for i in range(0, len(runs), 64))
+            self._keep(words, [np.array(e.ids, "<u4") for codes in some for e in codes])
 
     def _mixed(self, parts: list[str]) -> None:
-        self._keep(parts, [np.frombuffer(self._encode([" ".join(["x", *parts]).replace(" \n", "\n")])[0], "<u4")[1:]])
+        self._keep(pa.array(parts, pa.string()), [np.frombuffer(self._encode([" ".join(["x", *parts]).replace(" \n", "\n")])[0], "<u4")[1:]])
 
-    def _keep(self, parts: list[str], codes: list[np.ndarray]) -> None:
-        if parts:
+    def _keep(self, parts: pa.Array, codes: list[np.ndarray]) -> None:
+        if len(parts):
             ids = np.concatenate(codes)
             starts = np.flatnonzero(self.opens[ids])
             if len(starts) == len(parts):
                 self.known.add(parts, ids[starts[0] :], np.diff(starts, append=len(ids)))
 
-    def _apart(self, head: str, tail: list[str]) -> bytes:
-        chunks, closed = [head], head != "" and not head[-1].isspace()
-        for part in tail:
-            first = part[1:2] if part[:1] == "\n" else part[:1]
-            if closed and first and not first.isspace():
-                chunks.append(part)
-            else:
-                chunks[-1] += " " + part
-            closed = part != "" and not part[-1].isspace()
-        head, *tail = chunks
-        new, have = list(dict.fromkeys(tail)), {}
-        for held in (self.known, self.older):
-            have |= {t: held.data[(a := held.start[i]) : a + held.n[i]].tobytes() for t in new if (i := held.at.get(t)) is not None}
-            new = [t for t in new if t not in have]
-        start, *codes = self._encode([head.replace(" \n", "\n"), *((" " + t).replace(" \n", "\n") for t in new)])
-        have |= zip(new, codes)
-        return b"".join([start, *(have[t] for t in tail)])
-
-
-def _strings(words: pa.Array) -> list[str]:
-    return words.to_numpy(zero_copy_only=False).tolist()
+    def _apart(self, texts: list[list[str]], have: dict[str, bytes]) -> list[bytes]:
+        """Ids of texts given as their parts, some of which have theirs; other chunks are encoded once for all texts."""
+        heads, tails = [], []
+        for head, *tail in texts:
+            chunks, closed = [head], head != "" and not head[-1].isspace()
+            for part in tail:
+                first = part[1:2] if part[:1] == "\n" else part[:1]
+                if closed and first and not first.isspace():
+                    chunks.append(part)
+                else:
+                    chunks[-1] += " " + part
+                closed = part != "" and not part[-1].isspace()
+            heads.append(chunks[0].replace(" \n", "\n"))
+            tails.append(chunks[1:])
+        new = [t for t in dict.fromkeys(t for tail in tails for t in tail) if t not in have]
+        codes = self._encode([*heads, *((" " + t).replace(" \n", "\n") for t in new)])
+        have |= zip(new, codes[len(heads) :])
+        return [b"".join([start, *(have[t] for t in tail)]) for start, tail in zip(codes, tails)]
 
 
 _SHARED: dict[str, Encoder] = {}

@@ -323,6 +323,21 @@ def test_tokens_by_arrays():
     assert [(d, np.frombuffer(x, "<u4").tolist()) for d, x in enc.rows(iter(batches))] == list(enumerate(want))
 
 
+def test_words_spelt():
+    """The library gets a word of letters as one character a byte, and no other characters than the vocabulary's."""
+    enc, seen = tokens.Encoder(tokens.vocabulary()), []
+
+    class Plain:
+        def encode_batch_fast(self, texts, **k):
+            seen.extend(texts)
+            return plain.encode_batch_fast(texts, **k)
+
+    plain, enc.plain = enc.plain, Plain()
+    text = "first words\nand then \u00e9t\u00e9, words."
+    assert np.frombuffer(enc.ids(text), "<u4").tolist() == enc.tokenizer.encode(text, add_special_tokens=False).ids
+    assert sorted(" ".join(seen).split(" ")) == sorted(["\u0120first", "\u0120words", "\u010a", "and", "\u0120then", "\u0120\u00c3\u00a9t\u00c3\u00a9"])
+
+
 def test_quality_classifier(spark):
     good = [(i, f"The river number {i} runs past the old mill and the people of the town like to walk there in the evening {i * 7}.") for i in range(80)]
     bad = [(100 + i, f"BUY!!! ${i} | CLICK!!! ${i * 3} | WIN!!! FREE!!! ${i} | CASH!!! NOW!!!") for i in range(80)]
