@@ -151,6 +151,26 @@ def test_jaccard_crowd(spark, monkeypatch):
     assert left["pivots"] <= 400 and left["open"] <= 1600, left
 
 
+def test_jaccard_few(spark, monkeypatch):
+    """Few links are joined by one task, not by rounds of shuffles; many give the same components, and larger joins the same rows."""
+    rng = np.random.default_rng(12)
+    a, b = rng.integers(0, 3000, (2, 1500))
+    a[:40], b[:40] = np.arange(5000, 5040), np.arange(5001, 5041)
+    edges, names, stage = spark.createDataFrame(list(zip(a.tolist(), b.tolist())), "a long, b long").where("a <> b"), [], ngram_join.stage
+    monkeypatch.setattr(ngram_join, "stage", lambda df, name="t": names.append(name) or stage(df, name))
+    one = {tuple(r) for r in ngram_join.components(edges).collect()}
+    assert names == [] and ngram_join.components(edges.limit(0)).count() == 0
+    rows = [(i, " ".join(f"w{j}" if j != 7 * i % 90 else f"x{i % 5}" for j in range(90))) for i in range(60)]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    few = {tuple(r) for r in ngram_join.jaccard_classes(d, 9, 10, 3).collect()}
+    assert "edges" not in names and few == classes(rows, 9, 10, 3)
+    monkeypatch.setattr(ngram_join, "FEW", 0)
+    monkeypatch.setattr(ngram_join, "lit", lambda df, rows: df)
+    monkeypatch.setattr(ngram_join, "fit", lambda df, rows: df)
+    assert {tuple(r) for r in ngram_join.components(edges).collect()} == one and names.count("edges") > 2
+    assert {tuple(r) for r in ngram_join.jaccard_classes(d, 9, 10, 3).collect()} == few
+
+
 def test_packing(docs):
     enc = tokens.encoder(tokens.vocabulary())
     seen, windows = {}, {}
