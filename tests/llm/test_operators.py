@@ -165,7 +165,7 @@ def test_jaccard_few(spark, monkeypatch):
     few = {tuple(r) for r in ngram_join.jaccard_classes(d, 9, 10, 3).collect()}
     assert "edges" not in names and few == classes(rows, 9, 10, 3)
     monkeypatch.setattr(ngram_join, "FEW", 0)
-    monkeypatch.setattr(ngram_join, "lit", lambda df, rows: df)
+    monkeypatch.setattr(ngram_join, "lit", lambda df, rows, few=0: df)
     monkeypatch.setattr(ngram_join, "fit", lambda df, rows: df)
     assert {tuple(r) for r in ngram_join.components(edges).collect()} == one and names.count("edges") > 2
     assert {tuple(r) for r in ngram_join.jaccard_classes(d, 9, 10, 3).collect()} == few
