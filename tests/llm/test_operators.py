@@ -343,6 +343,22 @@ def test_tokens_by_arrays():
     assert [(d, np.frombuffer(x, "<u4").tolist()) for d, x in enc.rows(iter(batches))] == list(enumerate(want))
 
 
+def test_cache_is_small():
+    """A cached part takes few bytes, in Python and in Arrow together."""
+    import tracemalloc
+
+    rng = np.random.default_rng(5)
+    words = ["".join(w) for w in rng.choice(list("abcdefghij"), (40_000, 9))]
+    enc = tokens.Encoder(tokens.vocabulary())
+    enc.ids("warm up, once")
+    tracemalloc.start()
+    before = tracemalloc.get_traced_memory()[0] + pa.total_allocated_bytes()
+    enc.ids(" ".join(words[:20_000])), enc.ids(" ".join(words[20_000:]))
+    after = tracemalloc.get_traced_memory()[0] + pa.total_allocated_bytes()
+    tracemalloc.stop()
+    assert len(enc.known) > 39_000 and (after - before) / len(enc.known) < 80
+
+
 def test_words_spelt():
     """The library gets a word of letters as one character a byte, and no other characters than the vocabulary's."""
     enc, seen = tokens.Encoder(tokens.vocabulary()), []
