@@ -14,7 +14,7 @@ from ..functions.coords import attach, attach_queries, whole
 from ..functions.relations import Relation, custom
 from ..session import light_batches, materialize
 from . import blobs, kernels
-from .joins import _matrix, cell_of, cuts_of, measured, nearest_in, query_blocks
+from .joins import _matrix, cell_of, cuts_of, measured, nearest_in, nearest_of, query_blocks
 
 KIND = "shard int, ord int, oid long, vec array<double>, x double, y double, xr int, yr int, dst array<int>, l array<int>, r array<int>, b array<int>, kind array<int>, rounds int, uncovered int"
 PACKED = "shard int, n long, x1 double, y0 double, blob binary"
@@ -151,6 +151,33 @@ class Shard:
         at, rows, dist = nearest_in(q[some], self.v, self.oid, k[some], seen if mode == "walk" else seen & valid)
         return some[at], rows, dist, costs
 
+    def walk_many(self, q: np.ndarray, xq: np.ndarray, yq: np.ndarray, k: np.ndarray, ef: int, mode: str, scan_below: int, fan: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray] | None:
+        """What find() gives each of the queries, in the form of find_many(), by walks side by side; None for mode `predicate`, which passes through rows that are no answers."""
+        if mode not in ("walk", "post", "dense"):
+            return None
+        a, last = np.searchsorted(self.ux, xq), np.searchsorted(self.y, yq, side="right") - 1
+        c = np.searchsorted(self.uy, yq, side="right") - 1
+        some = np.flatnonzero((a < len(self.ux)) & (last >= 0) & (self.xr[self.tops[last]] >= a))
+        costs, pairs = np.zeros((len(q), 3), np.int64), []
+        valid = (self.xr[None] >= a[some, None]) & (self.yr[None] <= c[some, None]) if mode != "walk" or scan_below else None
+        if scan_below:
+            few = valid.sum(1) <= scan_below
+            costs[some[few], 0] = valid[few].sum(1)
+            of, rows = np.nonzero(valid[few])
+            pairs.append((some[few][of], rows))
+            some, valid = some[~few], valid[~few]
+        for width in np.unique(np.maximum(ef, k[some])).tolist():  # a pool holds k at least
+            own = np.maximum(ef, k[some]) == width
+            at = some[own]
+            start = np.zeros(len(at), np.int64) if mode == "post" else self.tops[last[at]]
+            of, rows, costs[at] = kernels.walk_many(self.v, self.ends, self.edges[0], q[at], start, min(width, len(self.oid)), self.edges[1:] if mode == "walk" else None, a[at], c[at], valid[own] if mode == "dense" else None, fan if mode == "dense" else None)
+            if mode == "post":
+                ok = valid[own][of, rows]
+                of, rows = of[ok], rows[ok]
+            pairs.append((at[of], rows))
+        of, rows = (np.concatenate([np.zeros(0, np.int64), *p]) for p in (zip(*pairs) if pairs else ((), ())))
+        return *nearest_of(q, self.v, self.oid, k, of, rows), costs
+
 
 FOUND = "qid long, oid long, dist double, evals long, hops long, tests long, k int"
 
@@ -159,7 +186,7 @@ def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard,
     """FOUND rows: answer(shard, query vector, xq, yq, k) -> (rows, distances, costs) for each packed shard and each query whose corner meets its zone; a row without oid carries the costs.
 
     many, where given, answers a block of queries at once: (shard, vectors, xq, yq, k) -> (row of the block, rows, distances, costs of each), or None for a shard that it leaves to answer.
-    Shards stay where they are; the stated queries (qid, qvec, xq, yq, k) go to them in broadcast blocks. Without costs a task merges its shards' answers and hands on k of each query.
+    Shards stay where they are; the stated queries (qid, qvec, xq, yq, k) go to them in broadcast blocks. A task merges its shards' answers and hands on k of each query and, with costs, one row of their sums.
     """
     spark = packed.sparkSession
     light_batches(spark)
@@ -175,6 +202,7 @@ def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard,
             names, types = [c.split()[0] for c in FOUND.split(", ")], {"long": pa.int64(), "double": pa.float64(), "int": pa.int32()}
             kinds = [types[c.split()[1]] for c in FOUND.split(", ")]
             held, waiting = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)], []  # place of the query, oid, distance
+            spent, asked = np.zeros((len(qid), 3), np.int64), np.zeros(len(qid), bool)
 
             def nearest():
                 of, oid, d = (np.concatenate([h, *w]) for h, w in zip(held, zip(*waiting)))
@@ -200,21 +228,20 @@ def each_shard(packed: DataFrame, queries: DataFrame, answer, open_shard=Shard,
                             took = np.array([e[2] for e in each], np.int64).reshape(-1, 3)
                         else:
                             at_, rows, dist, took = found
-                        if not costs:
-                            waiting.append((own[at_], shard.oid[rows.astype(np.int64)], dist))
-                            if sum(len(w[0]) for w in waiting) > 1_000_000:
-                                held, waiting = nearest(), []
-                            continue
-                        of, no = np.concatenate([own[at_], own]), len(own)
-                        blank = np.concatenate([np.zeros(len(rows), bool), np.ones(no, bool)])
-                        spent = np.concatenate([np.zeros((len(rows), 3), np.int64), took])
-                        cols = [qid[of], pa.array(np.concatenate([shard.oid[rows.astype(np.int64)], np.zeros(no, np.int64)]), mask=blank), pa.array(np.concatenate([dist, np.zeros(no)]), mask=blank), *spent.T, k[of]]
-                        yield pa.RecordBatch.from_arrays([pa.array(c, t) if isinstance(c, np.ndarray) else c for c, t in zip(cols, kinds)], names=names)
+                        waiting.append((own[at_], shard.oid[rows.astype(np.int64)], dist))
+                        spent[own] += took
+                        asked[own] = True
+                        if sum(len(w[0]) for w in waiting) > 1_000_000:
+                            held, waiting = nearest(), []
             if waiting:
                 held, waiting = nearest(), []
             for at in range(0, len(held[0]), 100_000):
                 of, oid, d = (h[at : at + 100_000] for h in held)
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip([qid[of], oid, d, *np.zeros((3, len(of)), np.int64), k[of]], kinds)], names=names)
+            of = np.flatnonzero(asked) if costs else np.zeros(0, np.int64)
+            for at in range(0, len(of), 100_000):
+                some = of[at : at + 100_000]
+                yield pa.RecordBatch.from_arrays([pa.array(qid[some]), pa.nulls(len(some), pa.int64()), pa.nulls(len(some), pa.float64()), *(pa.array(c) for c in spent[some].T), pa.array(k[some], pa.int32())], names=names)
 
         part = packed.select("x1", "y0", "blob").mapInArrow(run, FOUND)
         out = part if out is None else out.union(part)
@@ -241,8 +268,8 @@ def search(index: DataFrame, queries: DataFrame, relation: Relation, ef: int = 6
     """
     shards = index if "blob" in index.columns else pack(index)
     asked = attach_queries(queries, relation.plan(swap))
-    wide = lambda s, q, xq, yq, k: s.find_many(q, xq, yq, k, mode, scan_below, stats) if ef >= len(s.oid) and mode != "dense" else None
-    return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan), many=wide, costs=stats), stats)
+    many = lambda s, q, xq, yq, k: s.find_many(q, xq, yq, k, mode, scan_below, stats) if ef >= len(s.oid) and mode != "dense" else s.walk_many(q, xq, yq, k, ef, mode, scan_below, fan)
+    return merged(each_shard(shards, asked, lambda s, q, xq, yq, k: s.find(q, xq, yq, k, ef, mode, scan_below, fan), many=many, costs=stats), stats)
 
 
 def save(index: DataFrame, path: str, relation: Relation, **parameters) -> str:

@@ -10,8 +10,8 @@ from ..functions.coords import attach, attach_queries, whole
 from ..functions.relations import CONTAINED, Relation
 from ..session import materialize
 from . import blobs, kernels
-from .index import PACKED, Shard, _arrays, assign, each_shard, merged
-from .joins import measured, nearest_in
+from .index import PACKED, Shard, _arrays, assign, by_shard, each_shard, merged
+from .joins import measured, nearest_in, nearest_of
 
 
 def _plain(v, oid, m: int, pool: int) -> list[np.ndarray]:
@@ -35,7 +35,7 @@ def _packed(objects: DataFrame, relation: Relation, shard_rows: int, make) -> Da
         blob = blobs.pack(oid=oid, v=v, x=x, y=y, ends=np.zeros(len(oid) + 1, np.int64), dst=none, l=none, r=none, b=none, **make(v, oid, x, y))
         return pa.Table.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([len(oid)], pa.int64()), pa.array([x.max()]), pa.array([y.min()]), pa.array([blob], pa.binary())], names=[c.split()[0] for c in PACKED.split(", ")])
 
-    return materialize(placed.groupBy("shard").applyInArrow(run, PACKED), "packed")
+    return materialize(by_shard(placed).applyInArrow(run, PACKED), "packed")
 
 
 class Listed:
@@ -56,6 +56,7 @@ class Tree(Shard):
         self.rows, self.of, self.kids, self.box = a["rows"], a["of"], a["kids"], a["box"]
         self.node_ends, self.near_ends, self.near = a["node_ends"], a["near_ends"], a["near"]
         self.whole: dict[int, tuple] = {}
+        self.joined: tuple | None = None
 
     def take(self, q, xq: float, yq: float, k: int, ef: int) -> tuple[np.ndarray, np.ndarray, tuple]:
         todo, hits, costs = [0] if len(self.of) else [], [], np.zeros(3, np.int64)
@@ -90,6 +91,47 @@ class Tree(Shard):
             self.whole[i] = rows[seen], np.array([len(seen), len(seen), np.diff(ends)[seen].sum()])
         return self.whole[i]
 
+    def graphs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(vectors, neighbours, row of the shard) by place in near_ends: the graphs of all nodes as one."""
+        if self.joined is None:
+            held, dst = np.zeros(len(self.near_ends), np.int64), self.near.copy()
+            for first, end, at in self.of[self.of[:, 2] >= 0].tolist():
+                held[at : at + end - first] = self.rows[first:end]
+                dst[self.near_ends[at] : self.near_ends[at + end - first]] += at
+            self.joined = self.v[held], dst, held
+        return self.joined
+
+    def walk_many(self, q, xq, yq, k, ef: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """take() for a block of queries: all walks of a query and a node that it takes whole go side by side."""
+        costs, pairs, whole = np.zeros((len(q), 3), np.int64), [], [(np.zeros(0, np.int64), 0, 0)]
+        todo = [(0, np.arange(len(q)))] if len(self.of) else []
+        while todo:
+            i, of = todo.pop()
+            rows = self.rows[self.of[i, 0] : self.of[i, 1]]
+            low, high = self.box[i]
+            x, y = self.x[rows], self.y[rows]
+            of = of[(x.max() >= xq[of]) & (y.min() <= yq[of])]
+            inside = (low >= xq[of]) & (high <= yq[of])
+            if self.of[i, 2] >= 0:
+                whole.append((of[inside], self.of[i, 2], self.of[i, 2] + len(rows)))
+                of, inside = of[~inside], inside[~inside]
+            if self.kids[i, 0] >= 0:
+                todo += [(int(kid), of[~inside]) for kid in self.kids[i]] if (~inside).any() else []
+                of = of[inside]
+            ok = (x >= xq[of][:, None]) & (y <= yq[of][:, None])
+            costs[of, 0] += ok.sum(1)
+            at, col = np.nonzero(ok)
+            pairs.append((of[at], rows[col]))
+        taken, (first, end) = np.concatenate([w[0] for w in whole]), (np.repeat([w[z] for w in whole], [len(w[0]) for w in whole]) for z in (1, 2))
+        v, dst, held = self.graphs()
+        for width in np.unique(np.maximum(ef, k[taken])).tolist():
+            own = np.maximum(ef, k[taken]) == width
+            at, found, spent = kernels.walk_many(v, self.near_ends, dst, q[taken[own]], first[own], min(width, int((end - first).max())), span=(first[own], end[own]))
+            np.add.at(costs, taken[own], spent)
+            pairs.append((taken[own][at], held[found]))
+        of, rows = (np.concatenate([np.zeros(0, np.int64), *p]) for p in (zip(*pairs) if pairs else ((), ())))
+        return *nearest_of(q, self.v, self.oid, k, of, rows), costs
+
     def take_many(self, q, xq, yq, k) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """take() for a block of queries where the pool holds every node's objects."""
         costs, hit = np.zeros((len(q), 3), np.int64), np.zeros((len(q), len(self.oid)), bool)
@@ -154,7 +196,7 @@ def build(objects: DataFrame, leaf: int = 64, m: int = 16, pool: int = 100, shar
 def search(tree: DataFrame, queries: DataFrame, ef: int = 64, stats: bool = False) -> DataFrame:
     """qid, rank, oid, dist: a query takes the largest nodes that lie inside its rectangle whole, by their graphs, and the leaves that cross its edge, whose objects are tested one by one."""
     asked = attach_queries(queries, CONTAINED.plan())
-    return merged(each_shard(tree, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Tree, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None, costs=stats), stats)
+    return merged(each_shard(tree, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Tree, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else s.walk_many(q, xq, yq, k, ef), costs=stats), stats)
 
 
 class Layered(Shard):
@@ -176,17 +218,32 @@ class Layered(Shard):
         best = np.lexsort((self.oid[ids], d))[:k]
         return ids[best], d[best], tuple(int(c) for c in costs)
 
+    def descend(self, q) -> tuple[np.ndarray, np.ndarray]:
+        """(row at which each query enters the lowest level, costs so far): a greedy walk of all queries on each level above it."""
+        costs, at = np.zeros((len(q), 3), np.int64), None
+        for members, graph in self.levels[:0:-1]:
+            start = np.zeros(len(q), np.int64) if at is None else np.searchsorted(members, at)
+            _, found, spent = kernels.walk_many(self.v[members], graph.ends, graph.dst, q, start, 1)
+            costs, at = costs + spent, members[found]
+        return np.zeros(len(q), np.int64) if at is None else at, costs
+
+    def walk_many(self, q, xq, yq, k, ef: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """take() for a block of queries, side by side on every level."""
+        at, costs = self.descend(q)
+        (members, graph), pairs = self.levels[0], []
+        for width in np.unique(np.maximum(ef, k)).tolist():
+            own = np.flatnonzero(np.maximum(ef, k) == width)
+            of, found, spent = kernels.walk_many(self.v[members], graph.ends, graph.dst, q[own], np.searchsorted(members, at[own]), min(width, len(members)))
+            costs[own] += spent
+            of, rows = own[of], members[found]
+            ok = (self.x[rows] >= xq[of]) & (self.y[rows] <= yq[of])
+            pairs.append((of[ok], rows[ok]))
+        of, rows = (np.concatenate([np.zeros(0, np.int64), *p]) for p in (zip(*pairs) if pairs else ((), ())))
+        return *nearest_of(q, self.v, self.oid, k, of, rows), costs
+
     def take_many(self, q, xq, yq, k) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """take() for a block of queries where the pool holds the whole lowest level: each descends by itself, and all walk that level at once."""
-        costs, at = np.zeros((len(q), 3), np.int64), np.zeros(len(q), np.int64)
-        for i in range(len(self.levels) - 1, 0, -1):
-            members, graph = self.levels[i]
-            held = self.v[members]
-            for j in range(len(q)):
-                start = int(np.searchsorted(members, at[j])) if i < len(self.levels) - 1 else 0
-                found, _, spent = kernels.walk(held, graph, q[j], 0, 0, start, 1, labels=False)
-                costs[j] += spent
-                at[j] = members[found[0]]
+        """take() for a block of queries where the pool holds the whole lowest level: all walk that level at once."""
+        at, costs = self.descend(q)
         members, graph = self.levels[0]
         seen = kernels.reach(len(members), graph.ends, graph.dst, np.searchsorted(members, at))
         costs += np.stack([seen.sum(1), seen.sum(1), seen @ np.diff(graph.ends)], 1)
@@ -213,4 +270,4 @@ def build_layered(objects: DataFrame, relation: Relation, m: int = 16, pool: int
 def search_layered(graph: DataFrame, queries: DataFrame, relation: Relation, ef: int = 64, stats: bool = False) -> DataFrame:
     """Post-filter: a greedy descent through the upper levels, a walk of width ef on the lowest, and of what it finds the valid ones."""
     asked = attach_queries(queries, relation.plan())
-    return merged(each_shard(graph, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Layered, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else None, costs=stats), stats)
+    return merged(each_shard(graph, asked, lambda s, q, xq, yq, k: s.take(q, xq, yq, k, ef), Layered, lambda s, q, xq, yq, k: s.take_many(q, xq, yq, k) if ef >= len(s.oid) else s.walk_many(q, xq, yq, k, ef), costs=stats), stats)

@@ -84,7 +84,11 @@ def nearest_in(q: np.ndarray, v: np.ndarray, oid: np.ndarray, k, allowed=None) -
     edge = np.partition(d, most - 1, axis=1)[:, most - 1] if most < len(v) else np.full(len(q), np.inf)
     spare = 1e-9 * (1 + np.abs(edge)) + 1e-12 * own  # all that rounding could bring in
     finite &= d <= (edge + spare)[:, None]
-    rows, cols = np.nonzero(finite)
+    return nearest_of(q, v, oid, k, *np.nonzero(finite))
+
+
+def nearest_of(q: np.ndarray, v: np.ndarray, oid: np.ndarray, k, rows: np.ndarray, cols: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row of q, row of v, distance) of the k nearest of the pairs (rows, cols) of each q, ties to smaller oids."""
     dist = measured(q, v, rows, cols)
     order = np.lexsort((oid[cols], dist, rows))
     rows, cols, dist = rows[order], cols[order], dist[order]

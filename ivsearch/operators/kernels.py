@@ -18,6 +18,18 @@ def dist2(v: np.ndarray, ids, q: np.ndarray) -> np.ndarray:
     return np.einsum("ij,ij->i", e, e)
 
 
+def pairs2(v: np.ndarray, ids: np.ndarray, q: np.ndarray, of: np.ndarray, block: int = 512) -> np.ndarray:
+    """dist2() of the pairs (v[ids], q[of]), some at a time, so that they stay in the processor's cache."""
+    out = np.empty(len(ids))
+    a, b = np.empty((2, min(block, len(ids)), v.shape[1]))
+    for at in range(0, len(ids), block):
+        m = min(block, len(ids) - at)
+        e = np.take(v, ids[at : at + m], 0, out=a[:m], mode="clip")  # clip: straight into out
+        e -= np.take(q, of[at : at + m], 0, out=b[:m], mode="clip")
+        np.einsum("ij,ij->i", e, e, out=out[at : at + m])
+    return out
+
+
 def diversify(v: np.ndarray, ids: np.ndarray, d: np.ndarray, m: int, kept: list | None = None) -> list[int]:
     """Of candidates in the order of (distance, id), those with no kept one that is strictly nearer both to the centre and to them; at most m."""
     kept, left, d = list(kept or []), np.asarray(ids, np.int64), np.asarray(d)
@@ -208,7 +220,7 @@ def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True
     """Best-first search from start along edges alive in (a, c): (ids, squared distances, costs), nearest first, at most size; costs are distance evaluations, expanded nodes and edges tested.
 
     graph[u] is (other, l, r, b) as arrays. Without labels every edge is followed; admit then tells which nodes may be results:
-    others are passed over, or through where hop_through. fan: of a node's admitted neighbours only the first so many.
+    others are passed over, or through where hop_through. fan: of a node's admitted neighbours only the first so many. Of equally near ones the smaller id counts as nearer.
     """
     d0 = float(dist2(v, [start], q)[0])
     seen, evals, hops, tests = {start}, 1, 0, 0
@@ -217,7 +229,7 @@ def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True
     todo = [(d0, start)]
     while todo:
         d, u = heapq.heappop(todo)
-        if len(best) == size and d > -best[0][0]:
+        if len(best) == size and (d, u) > (-best[0][0], -best[0][1]):
             break
         other, l, r, b = graph[u]
         hops, tests = hops + 1, tests + len(other)
@@ -231,7 +243,7 @@ def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True
         far = dist2(v, near, q)
         evals += len(near)
         for x, e in zip(near, far.tolist()):
-            if len(best) < size or e < -best[0][0]:
+            if len(best) < size or (e, x) < (-best[0][0], -best[0][1]):
                 heapq.heappush(todo, (e, x))
                 if ok(x):
                     heapq.heappush(best, (-e, -x))
@@ -241,6 +253,96 @@ def walk(v, graph, q, a: int, c: int, start: int, size: int, labels: bool = True
     return [x for _, x in found], [d for d, _ in found], (evals, hops, tests)
 
 
+def walk_many(v, ends, dst, q, start, size: int, labels: tuple | None = None, a=None, c=None, admit=None, fan: int | None = None, span: tuple | None = None):
+    """walk() for many queries side by side, each with its own start, state and mask [query, row] of admitted rows, none hopped through: (row of q, row, costs of each q), nearest first.
+
+    In a round every query that has an unexpanded row in its pool expands the nearest one, as it would alone; only the order in which queries take turns differs.
+    span (first, end): the rows that each query can get to, where graphs lie side by side.
+    """
+    first, rows = (np.zeros(len(q), np.int64), np.full(len(q), len(v))) if span is None else (span[0], span[1] - span[0])
+    marks = np.cumsum(rows) - rows - first  # of a query's row: at marks + row
+    if len(q) > 1 and rows.sum() > 1 << 24:
+        half = len(q) // 2
+        left, right = (walk_many(v, ends, dst, q[s], start[s], size, labels, *(z if z is None else z[s] for z in (a, c, admit)), fan, span and tuple(z[s] for z in span)) for s in (slice(half), slice(half, None)))
+        return np.concatenate([left[0], right[0] + half]), *(np.concatenate(z) for z in zip(left[1:], right[1:]))
+    n, costs, found = len(v), np.zeros((len(q), 3), np.int64), []
+    own = np.arange(len(q))
+    if labels is not None:
+        x, y = (z.astype(labels[0].dtype) for z in (a, c))
+    pool_d, pool_i, done = np.full((len(q), size), np.inf), np.full((len(q), size), n), np.ones((len(q), size), bool)  # sorted; n: no row
+    pool_d[:, 0], pool_i[:, 0], done[:, 0] = pairs2(v, start, q, own), start, False
+    met = np.full(rows.sum(), -1, np.int32)
+    met[marks + start] = 0
+    costs[:, 0] = 1
+    while len(own):
+        at = done.argmin(1)
+        left = ~done[np.arange(len(own)), at]
+        if not left.all():
+            over = ~left
+            row, col = np.nonzero(pool_i[over] < n)
+            found.append((own[over][row], pool_i[over][row, col], col))
+            own, at, pool_d, pool_i, done = own[left], at[left], pool_d[left], pool_i[left], done[left]
+        here = np.arange(len(own))
+        u = pool_i[here, at]
+        done[here, at] = True
+        long = ends[u + 1] - ends[u]
+        costs[own, 1] += 1
+        costs[own, 2] += long
+        of = np.repeat(here, long)
+        edge = np.arange(len(of)) + np.repeat(ends[u] - np.cumsum(long) + long, long)
+        if labels is not None:
+            l, r, b = labels
+            ok = np.flatnonzero(r[edge] >= np.repeat(x[own], long))
+            of, edge = of[ok], edge[ok]
+            for low, state in ((l, x), (b, y)):
+                ok = np.flatnonzero(low[edge] <= state[own][of])
+                of, edge = of[ok], edge[ok]
+        near = dst[edge].astype(np.int64)
+        if admit is not None:
+            ok = np.flatnonzero(admit.reshape(-1)[(own * n)[of] + near])
+            of, near = of[ok], near[ok]
+        if fan is not None:
+            ok = np.flatnonzero(turns(of, len(own)) < fan)
+            of, near = of[ok], near[ok]
+        mark = marks[own][of] + near
+        ok = np.flatnonzero(met[mark] < 0)
+        of, near, mark = of[ok], near[ok], mark[ok]
+        turn = np.arange(len(mark), dtype=np.int32)
+        met[mark] = turn
+        ok = np.flatnonzero(met[mark] == turn)  # one of those that an expansion lists twice
+        if len(ok) < len(of):
+            of, near = of[ok], near[ok]
+        costs[own, 0] += np.bincount(of, minlength=len(own))
+        d = pairs2(v, near, q, own[of])
+        last = pool_d[:, -1][of]
+        ok = np.flatnonzero((d < last) | (d == last) & (near < pool_i[:, -1][of]))
+        if not len(ok):
+            continue
+        of, near, d = of[ok], near[ok], d[ok]
+        place = turns(of, len(own))
+        grown, to = np.unique(of, return_inverse=True)
+        new_d, new_i = np.full((len(grown), place.max() + 1), np.inf), np.full((len(grown), place.max() + 1), n)
+        new_d[to, place], new_i[to, place] = d, near
+        both_d, both_i = np.concatenate([pool_d[grown], new_d], 1), np.concatenate([pool_i[grown], new_i], 1)
+        order = both_d.argsort(1, kind="stable")
+        d, i = np.take_along_axis(both_d, order, 1), np.take_along_axis(both_i, order, 1)
+        tied = np.flatnonzero(((d[:, 1:] == d[:, :-1]) & (i[:, 1:] < i[:, :-1])).any(1))
+        if len(tied):
+            order[tied] = np.lexsort((both_i[tied], both_d[tied]))
+            d[tied], i[tied] = np.take_along_axis(both_d[tied], order[tied], 1), np.take_along_axis(both_i[tied], order[tied], 1)
+        ended = np.concatenate([done[grown], new_i == n], 1)
+        pool_d[grown], pool_i[grown], done[grown] = d[:, :size], i[:, :size], np.take_along_axis(ended, order[:, :size], 1)
+    of, ids, place = (np.concatenate(z) for z in zip(*found)) if found else (np.zeros(0, np.int64) for _ in range(3))
+    order = np.lexsort((place, of))
+    return of[order], ids[order], costs
+
+
+def turns(of: np.ndarray, n: int) -> np.ndarray:
+    """The place of each row among those with its number, from 0; of is in order, under n."""
+    many = np.bincount(of, minlength=n)
+    return np.arange(len(of)) - (np.cumsum(many) - many)[of]
+
+
 def reach(n: int, ends, dst, start, labels: tuple | None = None, a=None, c=None) -> np.ndarray:
     """[query, row]: the rows that a walk gets to from each query's start where nothing ends it early, that is where its pool holds them all.
 

@@ -68,7 +68,9 @@ def point(built: Built, queries: DataFrame, truth: DataFrame, dataset: str, sigm
     if clock:  # the first run also starts workers and compiles
         found, took = timed(lambda: materialize(built.search(queries, ef), "found"))
     recall = measure.recall(found, truth).agg(F.avg("recall")).first()[0]
-    costs = [found.groupBy("qid").agg(F.max(c).alias(c)).agg(F.avg(c)).first()[0] if c in found.columns else None for c in ("evals", "hops", "tests")]
+    paid = [c for c in ("evals", "hops", "tests") if c in found.columns]
+    mean = found.groupBy("qid").agg(*[F.max(c).alias(c) for c in paid]).agg(*[F.avg(c).alias(c) for c in paid]).first().asDict() if paid else {}
+    costs = [mean.get(c) for c in ("evals", "hops", "tests")]
     o, q = exact.on_axis(built.objects, "s", "t").select("oid", "s", "t"), exact.on_axis(queries, "sq", "tq").select("qid", "sq", "tq")
     wrong = found.join(o, "oid").join(q, "qid").where(~built.relation.predicate()).count()
     valid = queries.agg(F.sum("realised")).first()[0] if "realised" in queries.columns else None
