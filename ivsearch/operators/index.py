@@ -54,19 +54,20 @@ def build(objects: DataFrame, relation: Relation, m: int = 16, method: str = "pr
     def run(key, t):
         v, oid, x, y, xr, yr = _arrays(t)
         rows, rounds, open_ = kernels.build(v, oid, xr, yr, m, method, pool, leap, patch, kp, pool_by)
-        out = [[] for _ in oid]
-        for src, *edge in rows:
-            out[src].append(edge)
-        return _rows(key[0].as_py(), v, oid, x, y, xr, yr, out, rounds, open_)
+        return _rows(key[0].as_py(), v, oid, x, y, xr, yr, rows, rounds, open_)
 
     return by_shard(placed).applyInArrow(run, KIND)
 
 
-def _rows(shard: int, v, oid, x, y, xr, yr, out: list, rounds: int = 0, open_: int = 0) -> pa.Table:
-    lists = [pa.array([[e[i] for e in own] for own in out], pa.list_(pa.int32())) for i in range(5)]
-    n = len(oid)
+def _rows(shard: int, v, oid, x, y, xr, yr, found, rounds: int = 0, open_: int = 0) -> pa.Table:
+    """A shard as KIND: found holds edges (src, dst, l, r, b, kind), of which each object gets its own in their order."""
+    n, e = len(oid), np.array(found, np.int32).reshape(-1, 6)
+    e = e[np.argsort(e[:, 0], kind="stable")]
+    ends = pa.array(np.searchsorted(e[:, 0], np.arange(n + 1)), pa.int32())
+    lists = [pa.ListArray.from_arrays(ends, pa.array(np.ascontiguousarray(e[:, i]))) for i in range(1, 6)]
+    vec = pa.ListArray.from_arrays(pa.array(np.arange(n + 1) * v.shape[1], pa.int32()), pa.array(np.ascontiguousarray(v).reshape(-1)))
     one = lambda z: pa.array([z] + [0] * (n - 1), pa.int32())
-    cols = [pa.array([shard] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array(oid, pa.int64()), pa.array(v.tolist(), pa.list_(pa.float64())), pa.array(x), pa.array(y), pa.array(xr, pa.int32()), pa.array(yr, pa.int32()), *lists, one(rounds), one(open_)]
+    cols = [pa.array([shard] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array(oid, pa.int64()), vec, pa.array(x), pa.array(y), pa.array(xr, pa.int32()), pa.array(yr, pa.int32()), *lists, one(rounds), one(open_)]
     return pa.Table.from_arrays(cols, names=[c.split()[0] for c in KIND.split(", ")])
 
 
@@ -307,13 +308,13 @@ def unlabelled(objects: DataFrame, relation: Relation, m: int = 16, pool: int =
 
     def run(key, t):
         v, oid, x, y, xr, yr = _arrays(t)
-        out = [[] for _ in oid]
         if gamma:
-            out = [[(int(u), 0, 0, 0, 0) for u in near] for near in kernels.dense(v, oid, m * gamma)]
+            near = kernels.dense(v, oid, m * gamma)
+            rows = np.zeros((sum(len(u) for u in near), 6), np.int32)
+            rows[:, 0], rows[:, 1] = np.repeat(np.arange(len(near)), [len(u) for u in near]), np.concatenate([*near, np.zeros(0, np.int64)])
         else:
             zero = np.zeros(len(oid), np.int64)
-            for src, *edge in kernels.build(v, oid, zero, zero, m, "practical", pool, "full", "none")[0]:
-                out[src].append(edge)
-        return _rows(key[0].as_py(), v, oid, x, y, xr, yr, out)
+            rows = kernels.build(v, oid, zero, zero, m, "practical", pool, "full", "none")[0]
+        return _rows(key[0].as_py(), v, oid, x, y, xr, yr, rows)
 
     return materialize(by_shard(placed).applyInArrow(run, KIND), "plain")

@@ -119,7 +119,7 @@ def knn_join(queries: DataFrame, objects: DataFrame, k: int, valid=None, extra:
     """
     spark = objects.sparkSession
     light_batches(spark)
-    parts, step = [], 1024 if near is None else 128
+    parts, step = [], 256 if near is None else 128  # so many distances to a batch stay in the processor's cache
     for some in query_blocks(queries, block):
         sent = spark.sparkContext.broadcast(some.select("qid", "qvec", *[c for c in extra if c in some.columns]).toArrow())
 

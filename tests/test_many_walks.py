@@ -87,3 +87,12 @@ def test_searches_walk_no_query_alone(spark):
     single = index.each_shard(packed, asked, lambda s, v, xq, yq, k: s.find(v, xq, yq, k, 12, "walk", 0, 16))
     assert paid == {r.qid: (r.evals, r.hops, r.tests) for r in single.where("oid is null").collect()}
     assert sorted(map(tuple, found.collect()), key=str) == sorted(map(tuple, single.collect()), key=str)
+
+
+def test_index_rows_take_edges_as_they_are_found():
+    v, x, y = np.arange(6.0).reshape(3, 2), np.array([1.0, 0.0, 1.0]), np.array([0.0, 2.0, 2.0])
+    edges = [(1, 0, 0, 1, 2, 0), (0, 1, 0, 1, 2, 0), (1, 2, 1, 1, 2, 1), (0, 2, 3, 4, 5, 0)]
+    t = index._rows(4, v, np.array([7, 8, 9]), x, y, np.array([1, 0, 1]), np.array([0, 1, 1]), edges, 5, 6).to_pylist()
+    assert [r["dst"] for r in t] == [[1, 2], [0, 2], []] and [r["l"] for r in t] == [[0, 3], [0, 1], []] and [r["kind"] for r in t] == [[0, 0], [0, 1], []]
+    assert [r["vec"] for r in t] == v.tolist() and [r["rounds"] for r in t] == [5, 0, 0] and [r["uncovered"] for r in t] == [6, 0, 0]
+    assert index._rows(0, v[:1], np.array([7]), x[:1], y[:1], np.zeros(1, int), np.zeros(1, int), []).to_pylist()[0]["dst"] == []
